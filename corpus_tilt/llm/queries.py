@@ -91,7 +91,7 @@ ORACLES: dict[str, str] = {
     "op3_near_dedup": f"""
 with recursive w as (select doc_id, regexp_extract_all({_ASCII_LOWER}, '[^\\x20\\x09-\\x0D]+') ws from documents),
 s as (select distinct doc_id, unnest(case when len(ws) = 0 then [] when len(ws) < 3 then [array_to_string(ws, ' ')]
-        else list_transform(range(1, len(ws) - 1), i -> ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2]) end) g from w),
+        else list_transform(range(1, len(ws) - 1), lambda i: ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2]) end) g from w),
 n as (select doc_id, count(*) k from s group by doc_id),
 p as (select a.doc_id a, b.doc_id b, count(*) both_n from s a join s b on a.g = b.g and a.doc_id < b.doc_id group by 1, 2),
 e as (select p.a, p.b from p join n x on x.doc_id = p.a join n y on y.doc_id = p.b where 100 * both_n >= 85 * (x.k + y.k - both_n)),
@@ -110,7 +110,7 @@ select conv_id, count(*)::bigint n_turns, sha256(string_agg(role || chr(10) || b
 from t group by conv_id""",
     "op5_warc": """
 with p as (select page_id, coalesce(html, '') html, sha1(coalesce(html, '')) h from pages),
-b as (select h, array_to_string(list_transform(range(0, 32), i ->
+b as (select h, array_to_string(list_transform(range(0, 32), lambda i:
         substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + ((('0x' || substr(h, (i // 4 * 5 + 1)::int, 5))::int >> (15 - 5 * (i % 4))::int) & 31)::int, 1)), '') digest
       from (select distinct h from p)),
 m as (select h, max(page_id) head from p group by h)

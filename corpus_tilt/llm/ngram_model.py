@@ -84,25 +84,22 @@ def count_ngrams(texts: DataFrame, text_col: str = "text", by: str | None = None
             rows = [t or "" for t in b.column(0).to_pylist()]
             marked = [bool(x) for x in b.column(1).to_pylist()]
             if total is None:
-                total = [np.zeros(_KEYS, np.int64), np.zeros(_KEYS, np.int64) if by else None]
+                total = [np.zeros(_KEYS, np.int32), np.zeros(_KEYS, np.int32) if by else None]  # a task reads less than 2^31 symbols
             for lo in range(0, len(rows), 2000):
                 part, flags = rows[lo : lo + 2000], marked[lo : lo + 2000]
                 keys, starts = batch_keys(part)
-                total[0] += np.bincount(keys, minlength=_KEYS) if len(keys) > 1 << 20 else 0
-                if len(keys) <= 1 << 20:
-                    at, n = np.unique(keys, return_counts=True)
-                    total[0][at] += n
+                total[0] += np.bincount(keys, minlength=_KEYS).astype(np.int32)
                 if by and any(flags):
                     own = np.repeat(np.array(flags), np.diff(np.append(starts, len(keys))))
                     at, n = np.unique(keys[own], return_counts=True)
-                    total[1][at] += n
+                    total[1][at] += n.astype(np.int32)
         for tag, counts in enumerate(total or []):
             if counts is None:
                 continue
             at = np.flatnonzero(counts)
             for lo in range(0, len(at), 100_000):
                 some = at[lo : lo + 100_000]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), tag, np.int32)), pa.array(some.astype(np.int32)), pa.array(counts[some])], ["tag", "key", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), tag, np.int32)), pa.array(some.astype(np.int32)), pa.array(counts[some].astype(np.int64))], ["tag", "key", "n"])
 
     rows = texts.select(F.col(text_col).alias("text"), (F.col(by) if by else F.lit(False)).alias("mark"))
     return rows.mapInArrow(count, "tag int, key int, n long").groupBy("tag", "key").agg(F.sum("n").alias("n"))

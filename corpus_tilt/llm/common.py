@@ -106,6 +106,8 @@ def text_bytes(text: str | None) -> bytes:
     return (text or "").encode("utf-8", "surrogatepass")
 
 
+#: A unit of letters or digits with ASCII punctuation after it: always two pre-tokens.
+_TAIL = re.compile(r"(.*[^\W_])([!-/:-@\[-`{-~]+)", re.S)
 _CUT = re.compile(r"(?<=\S)(?=[ \t\n\r])")
 
 
@@ -129,6 +131,7 @@ class UnitEncoder:
         self.room = room
         self.inner: dict[str, bytes] = {}
         self.exact: dict[str, bytes] = {}
+        self.parts: dict[str, bytes] = {}
 
     def _encode(self, units: list[str]) -> list[bytes]:
         import numpy as np
@@ -139,7 +142,13 @@ class UnitEncoder:
         if len(known) > self.room:
             known.clear()
         missing = list({k for k in keys if k not in known})
-        known.update(zip(missing, self._encode([unit(k) for k in missing]), strict=True))
+        units = [unit(k) for k in missing]
+        cores = [_TAIL.fullmatch(u) if "<|" not in u else None for u in units]
+        if len(self.parts) > self.room:
+            self.parts.clear()
+        new = list({p for u, m in zip(units, cores, strict=True) for p in (m.groups() if m else (u,)) if p not in self.parts})
+        self.parts.update(zip(new, self._encode(new), strict=True))
+        known.update((k, self.parts[m[1]] + self.parts[m[2]] if m else self.parts[u]) for k, u, m in zip(missing, units, cores, strict=True))
 
     def ids(self, text: str | None) -> bytes:
         if not text:

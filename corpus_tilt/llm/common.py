@@ -129,14 +129,42 @@ class UnitEncoder:
         if width == 2 and self.tokenizer.get_vocab_size(with_added_tokens=True) > 0x10000:
             raise ValueError("two bytes are too few for this vocabulary")
         self.room = room
+        self.marks = self._word_marks()
         self.inner: dict[str, bytes] = {}
         self.exact: dict[str, bytes] = {}
         self.parts: dict[str, bytes] = {}
 
     def _encode(self, units: list[str]) -> list[bytes]:
+        """Ids of each unit.  Single words go to the library many at a time, and are told apart by its marks of a word's begin or end."""
         import numpy as np
 
-        return [np.array(e.ids, self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(units, add_special_tokens=False)]
+        words = [i for i, u in enumerate(units) if u[:1] == " " and u[1:].isalpha()] if self.marks is not None else []
+        out: list[bytes | None] = [None] * len(units)
+        groups = [words[i : i + 400] for i in range(0, len(words), 400)]
+        for group, e in zip(groups, self.tokenizer.encode_batch_fast(["".join([units[i] for i in group]) for group in groups], add_special_tokens=False), strict=True):
+            ids = np.array(e.ids, self.kind)
+            at = np.flatnonzero(self.marks[ids])
+            cuts = [*at.tolist(), len(ids)] if self.lead else [0, *(at + 1).tolist()]
+            if len(cuts) == len(group) + 1 and cuts[0] == 0 and cuts[-1] == len(ids):
+                raw, w = ids.tobytes(), ids.itemsize
+                for i, lo, hi in zip(group, cuts, cuts[1:], strict=False):
+                    out[i] = raw[lo * w : hi * w]
+        rest = [i for i, x in enumerate(out) if x is None]
+        for i, e in zip(rest, self.tokenizer.encode_batch_fast([units[i] for i in rest], add_special_tokens=False), strict=True):
+            out[i] = np.array(e.ids, self.kind).tobytes()
+        return out
+
+    def _word_marks(self):
+        """By id, whether a token begins (a space mark) or ends (a suffix) a word; None if the vocabulary has neither."""
+        import numpy as np
+
+        vocabulary = self.tokenizer.get_vocab(with_added_tokens=True)
+        suffix = self.tokenizer.model.end_of_word_suffix
+        self.lead = not suffix
+        out = np.zeros(max(vocabulary.values()) + 1, bool)
+        for token, i in vocabulary.items():
+            out[i] = token.endswith(suffix) if suffix else token.startswith("\u0120")
+        return out if out.any() else None
 
     def _fill(self, known: dict[str, bytes], keys: Iterable[str], unit: Callable[[str], str]) -> None:
         if len(known) > self.room:

@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..operators import relational
 from . import kernel
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {n: kernel.spark_query(n) for n in kernel.QUERIES}
+    return {n: kernel.spark_query(n) for n in kernel.QUERIES} | relational.SPARK
 
 
 def oracles() -> dict[str, str]:
-    return {n: kernel.oracle_text(n) for n in kernel.QUERIES}
+    return {n: kernel.oracle_text(n) for n in kernel.QUERIES} | relational.SQL

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 import uuid
+from collections import Counter
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -44,12 +45,13 @@ class Chain:
 
     dialect: Dialect
     steps: dict[str, str] = field(default_factory=dict)
-    kept: set[str] = field(default_factory=set)
+    data: set[str] = field(default_factory=set)
 
-    def add(self, name: str, sql: str, keep: bool = False) -> str:
+    def add(self, name: str, sql: str, data: bool = False) -> str:
+        """``data``: the step's rows grow with the tables, not only with the model or the batch."""
         self.steps[name] = sql
-        if keep:
-            self.kept.add(name)
+        if data:
+            self.data.add(name)
         return name
 
     def _needed(self, name: str, seen: dict[str, None]) -> None:
@@ -71,9 +73,13 @@ class Chain:
         return (f"with {head} " if head else "") + plain(self.steps[last])
 
     def run(self, spark: SparkSession, sf_dir: str, final: str) -> DataFrame:
-        """Steps as views; those marked to be kept are cached once, so that plans do not grow with the chain."""
+        """Steps as views.  A step that others read more than once is made once: a table that grows
+        with the data is cached, one bounded by the model or the batch becomes a local relation,
+        so plans do not grow with the chain."""
         tag = uuid.uuid4().hex[:8]
         views: dict[str, str] = {}
+        order = self.order(final)
+        uses = Counter(ref for n in order for ref in re.findall(r"@(\w+)", self.steps[n]))
 
         def view(ref: str) -> str:
             if ref not in views:
@@ -84,11 +90,12 @@ class Chain:
             return views[ref]
 
         df = None
-        for name in self.order(final):
+        for name in order:
             df = spark.sql(re.sub(r"@(\w+)", lambda m: view(m[1]), self.steps[name]))
-            if name in self.kept:
-                df = df.cache()
-            if name != final:
-                views[name] = f"tilt_{name}_{tag}"
-                df.createOrReplaceTempView(views[name])
+            if name == final:
+                break
+            if uses[name] > 1:
+                df = df.cache() if name in self.data else spark.createDataFrame(df.toArrow())
+            views[name] = f"tilt_{name}_{tag}"
+            df.createOrReplaceTempView(views[name])
         return df

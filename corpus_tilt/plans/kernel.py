@@ -34,39 +34,39 @@ class Kernel:
     def _base(self) -> None:
         d, add = self.d, self.c.add
         hashed = d.hex_int("substr(md5(text), 1, 8)")
-        add("ex", f"select doc_id as id, case when {self.target} then 1 else 0 end as side, case when {hashed} % 10 < 6 then 'train' when {hashed} % 10 < 8 then 'valid' else 'test' end as split, substr(hex(text), 1, {2 * self.max_bytes}) as h, cast(length(substr(hex(text), 1, {2 * self.max_bytes})) / 2 as int) as nb from @documents where length(hex(text)) >= 4", keep=True)
+        add("ex", f"select doc_id as id, case when {self.target} then 1 else 0 end as side, case when {hashed} % 10 < 6 then 'train' when {hashed} % 10 < 8 then 'valid' else 'test' end as split, substr(hex(text), 1, {2 * self.max_bytes}) as h, cast(length(substr(hex(text), 1, {2 * self.max_bytes})) / 2 as int) as nb from @documents where length(hex(text)) >= 4", data=True)
         add("ys", f"select concat(substr('0123456789ABCDEF', cast(floor(i / 16) as int) + 1, 1), substr('0123456789ABCDEF', cast(i % 16 as int) + 1, 1)) as y from (select 0 as one) o, {d.series('256')} s")
         add("ks", f"select substr('0123456789ABCDEF', cast(i as int) + 1, 1) as k, cast(i as int) as j from (select 0 as one) o, {d.series('16')} s")
-        add("grid", "select k, y from @ks cross join @ys", keep=True)
-        add("bg", f"select id, side, split, k, y, cast(count(*) as bigint) as n from (select id, side, split, substr(h, cast(2 * i + 1 as int), 1) as k, substr(h, cast(2 * i + 3 as int), 2) as y from @ex, {d.series('nb - 1')} s) p group by id, side, split, k, y", keep=True)
-        add("nk", "select id, k, cast(sum(n) as double) as nk from @bg group by id, k", keep=True)
-        add("nx", "select id, cast(sum(n) as double) as nx from @bg group by id", keep=True)
-        add("phi", f"select id, k, cast(count(*) as double) / max(nb) as share from (select id, nb, substr(h, cast(2 * i + 1 as int), 1) as k from @ex, {d.series('nb')} s) p group by id, k", keep=True)
-        add("th0", f"select g.k, g.y, (coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)}) as p, ln((coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)})) as t from @grid g left join (select k, y, cast(sum(n) as double) as n from @bg where side = 0 and split = 'train' group by k, y) c on c.k = g.k and c.y = g.y left join (select k, cast(sum(n) as double) as n from @bg where side = 0 and split = 'train' group by k) t on t.k = g.k", keep=True)
-        add("al0", f"select k, (j - 8) / {num(4)} as a from @ks", keep=True)
+        add("grid", "select k, y from @ks cross join @ys")
+        add("bg", f"select id, side, split, k, y, cast(count(*) as bigint) as n from (select id, side, split, substr(h, cast(2 * i + 1 as int), 1) as k, substr(h, cast(2 * i + 3 as int), 2) as y from @ex, {d.series('nb - 1')} s) p group by id, side, split, k, y", data=True)
+        add("nk", "select id, k, cast(sum(n) as double) as nk from @bg group by id, k", data=True)
+        add("nx", "select id, cast(sum(n) as double) as nx from @bg group by id", data=True)
+        add("phi", f"select id, k, cast(count(*) as double) / max(nb) as share from (select id, nb, substr(h, cast(2 * i + 1 as int), 1) as k from @ex, {d.series('nb')} s) p group by id, k", data=True)
+        add("th0", f"select g.k, g.y, (coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)}) as p, ln((coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)})) as t from @grid g left join (select k, y, cast(sum(n) as double) as n from @bg where side = 0 and split = 'train' group by k, y) c on c.k = g.k and c.y = g.y left join (select k, cast(sum(n) as double) as n from @bg where side = 0 and split = 'train' group by k) t on t.k = g.k")
+        add("al0", f"select k, (j - 8) / {num(4)} as a from @ks")
 
     def batch(self, name: str, side: int, split: str, seed: int | str, n: int, of: str = "ex") -> str:
         """A uniform batch without replacement: the least hashed numbers (a heap a partition, no sort of all)."""
         where = f"where side = {side} and split = '{split}'" if of == "ex" else ""
-        return self.c.add(name, f"select id from (select id, {self.d.u01('id', seed)} as u from @{of} {where}) b order by u, id limit {n}", keep=True)
+        return self.c.add(name, f"select id from (select id, {self.d.u01('id', seed)} as u from @{of} {where}) b order by u, id limit {n}")
 
     # --- weights and filters ---------------------------------------------------------------------
 
     def score(self, name: str, ids: str, alpha: str) -> str:
-        self.c.add(f"{name}_s", f"select b.id, sum(a.a * f.share) as s from @{ids} b join @phi f on f.id = b.id join @{alpha} a on a.k = f.k group by b.id", keep=True)
-        return self.c.add(name, f"select id, s, exp(s - (select max(s) from @{name}_s)) / (select sum(exp(s - (select max(s) from @{name}_s))) from @{name}_s) as w from @{name}_s", keep=True)
+        self.c.add(f"{name}_s", f"select b.id, sum(a.a * f.share) as s from @{ids} b join @phi f on f.id = b.id join @{alpha} a on a.k = f.k group by b.id", data=ids in self.c.data)
+        return self.c.add(name, f"select id, s, exp(s - (select max(s) from @{name}_s)) / (select sum(exp(s - (select max(s) from @{name}_s))) from @{name}_s) as w from @{name}_s")
 
     def gumbel(self, name: str, scored: str, seed: int | str, n: int) -> str:
-        return self.c.add(name, f"select id from (select id, s - ln(-ln({self.d.u01('id', seed)})) as key from @{scored}) b order by key desc, id limit {n}", keep=True)
+        return self.c.add(name, f"select id from (select id, s - ln(-ln({self.d.u01('id', seed)})) as key from @{scored}) b order by key desc, id limit {n}")
 
     def top(self, name: str, scored: str, n: int) -> str:
-        return self.c.add(name, f"select id from @{scored} order by s desc, id limit {n}", keep=True)
+        return self.c.add(name, f"select id from @{scored} order by s desc, id limit {n}")
 
     def iid(self, name: str, scored: str, seed: int | str, n: int) -> str:
         """n draws with replacement: sorted cumulative weights, and a range join with n uniforms."""
-        self.c.add(f"{name}_c", f"select id, sum(w) over (order by id rows between unbounded preceding and current row) - w as lo, sum(w) over (order by id rows between unbounded preceding and current row) as hi from @{scored}", keep=True)
+        self.c.add(f"{name}_c", f"select id, sum(w) over (order by id rows between unbounded preceding and current row) - w as lo, sum(w) over (order by id rows between unbounded preceding and current row) as hi from @{scored}")
         self.c.add(f"{name}_u", f"select i as draw, {self.d.u01('i', seed)} * (select max(hi) from @{name}_c) as u from (select 0 as one) o, {self.d.series(str(n))} s")
-        return self.c.add(name, f"select c.id, cast(count(*) as bigint) as copies from @{name}_u u join @{name}_c c on u.u >= c.lo and u.u < c.hi group by c.id", keep=True)
+        return self.c.add(name, f"select c.id, cast(count(*) as bigint) as copies from @{name}_u u join @{name}_c c on u.u >= c.lo and u.u < c.hi group by c.id")
 
     def uniform_weights(self, name: str, ids: str) -> str:
         return self.c.add(name, f"select id, 1e0 / (select count(*) from @{ids}) as w from @{ids}")
@@ -75,31 +75,31 @@ class Kernel:
 
     def grad(self, name: str, weights: str, theta: str) -> str:
         """Gradient of the weighted loss by (k, y); zero where a context does not occur."""
-        self.c.add(f"{name}_m", f"select nk.k, sum(w.w * nk.nk / nx.nx) as m from @{weights} w join @nk nk on nk.id = w.id join @nx nx on nx.id = w.id group by nk.k", keep=True)
-        self.c.add(f"{name}_c", f"select b.k, b.y, sum(w.w * b.n / nx.nx) as c from @{weights} w join @bg b on b.id = w.id join @nx nx on nx.id = w.id group by b.k, b.y", keep=True)
-        return self.c.add(name, f"select t.k, t.y, coalesce(m.m, 0e0) * t.p - coalesce(c.c, 0e0) as g from @{theta} t left join @{name}_m m on m.k = t.k left join @{name}_c c on c.k = t.k and c.y = t.y", keep=True)
+        self.c.add(f"{name}_m", f"select nk.k, sum(w.w * nk.nk / nx.nx) as m from @{weights} w join @nk nk on nk.id = w.id join @nx nx on nx.id = w.id group by nk.k")
+        self.c.add(f"{name}_c", f"select b.k, b.y, sum(w.w * b.n / nx.nx) as c from @{weights} w join @bg b on b.id = w.id join @nx nx on nx.id = w.id group by b.k, b.y")
+        return self.c.add(name, f"select t.k, t.y, coalesce(m.m, 0e0) * t.p - coalesce(c.c, 0e0) as g from @{theta} t left join @{name}_m m on m.k = t.k left join @{name}_c c on c.k = t.k and c.y = t.y")
 
     def hessian(self, name: str, grad: str, theta: str, v: str) -> str:
         """Weighted Hessian times v, from the context masses of ``grad`` (same weights)."""
         self.c.add(f"{name}_r", f"select t.k, sum(t.p * v.v) as r from @{theta} t join @{v} v on v.k = t.k and v.y = t.y group by t.k")
-        return self.c.add(name, f"select t.k, t.y, coalesce(m.m, 0e0) * t.p * (v.v - r.r) as v from @{theta} t join @{v} v on v.k = t.k and v.y = t.y join @{name}_r r on r.k = t.k left join @{grad}_m m on m.k = t.k", keep=True)
+        return self.c.add(name, f"select t.k, t.y, coalesce(m.m, 0e0) * t.p * (v.v - r.r) as v from @{theta} t join @{v} v on v.k = t.k and v.y = t.y join @{name}_r r on r.k = t.k left join @{grad}_m m on m.k = t.k")
 
     def dots(self, name: str, ids: str, theta: str, v: str) -> str:
         """<gradient of each example's loss, v>, without any gradient of an example."""
-        self.c.add(f"{name}_r", f"select t.k, sum(t.p * v.v) as r from @{theta} t join @{v} v on v.k = t.k and v.y = t.y group by t.k", keep=True)
+        self.c.add(f"{name}_r", f"select t.k, sum(t.p * v.v) as r from @{theta} t join @{v} v on v.k = t.k and v.y = t.y group by t.k")
         self.c.add(f"{name}_a", f"select i.id, sum(nk.nk * r.r) as x from @{ids} i join @nk nk on nk.id = i.id join @{name}_r r on r.k = nk.k group by i.id")
         self.c.add(f"{name}_b", f"select i.id, sum(b.n * v.v) as x from @{ids} i join @bg b on b.id = i.id join @{v} v on v.k = b.k and v.y = b.y group by i.id")
-        return self.c.add(name, f"select a.id, (a.x - b.x) / nx.nx as q from @{name}_a a join @{name}_b b on b.id = a.id join @nx nx on nx.id = a.id", keep=True)
+        return self.c.add(name, f"select a.id, (a.x - b.x) / nx.nx as q from @{name}_a a join @{name}_b b on b.id = a.id join @nx nx on nx.id = a.id")
 
     def step(self, name: str, theta: str, grad: str, eta: float) -> str:
         """theta - eta g, and its probabilities."""
-        self.c.add(f"{name}_t", f"select t.k, t.y, t.t - {num(eta)} * g.g as t from @{theta} t join @{grad} g on g.k = t.k and g.y = t.y", keep=True)
-        self.c.add(f"{name}_z", f"select k, max(t) as top from @{name}_t group by k", keep=True)
-        self.c.add(f"{name}_n", f"select x.k, sum(exp(x.t - z.top)) as norm from @{name}_t x join @{name}_z z on z.k = x.k group by x.k", keep=True)
-        return self.c.add(name, f"select x.k, x.y, exp(x.t - z.top) / n.norm as p, x.t from @{name}_t x join @{name}_z z on z.k = x.k join @{name}_n n on n.k = x.k", keep=True)
+        self.c.add(f"{name}_t", f"select t.k, t.y, t.t - {num(eta)} * g.g as t from @{theta} t join @{grad} g on g.k = t.k and g.y = t.y")
+        self.c.add(f"{name}_z", f"select k, max(t) as top from @{name}_t group by k")
+        self.c.add(f"{name}_n", f"select x.k, sum(exp(x.t - z.top)) as norm from @{name}_t x join @{name}_z z on z.k = x.k group by x.k")
+        return self.c.add(name, f"select x.k, x.y, exp(x.t - z.top) / n.norm as p, x.t from @{name}_t x join @{name}_z z on z.k = x.k join @{name}_n n on n.k = x.k")
 
     def nll(self, name: str, ids: str, theta: str) -> str:
-        return self.c.add(name, f"select i.id, cast(sum(b.n) as bigint) as n_bytes, -sum(b.n * ln(t.p)) as nll from @{ids} i join @bg b on b.id = i.id join @{theta} t on t.k = b.k and t.y = b.y group by i.id", keep=True)
+        return self.c.add(name, f"select i.id, cast(sum(b.n) as bigint) as n_bytes, -sum(b.n * ln(t.p)) as nll from @{ids} i join @bg b on b.id = i.id join @{theta} t on t.k = b.k and t.y = b.y group by i.id", data=ids in self.c.data)
 
     # --- outer steps -------------------------------------------------------------------------------
 
@@ -107,7 +107,7 @@ class Kernel:
         """q of each example of ``weights``; the more, the more its weight should grow."""
         gs = self.grad(f"{name}_gs", self.uniform_weights(f"{name}_ws", specific), theta)
         gw = self.grad(f"{name}_gw", weights, theta)
-        as_v = lambda n, g, by="": self.c.add(n, f"select k, y, g{by} as v from @{g}", keep=True)
+        as_v = lambda n, g, by="": self.c.add(n, f"select k, y, g{by} as v from @{g}")
         if method == "unroll_first":
             return self.dots(name, weights, theta, as_v(f"{name}_v", gs, f" * {num(RHO)}"))
         if method == "unroll":
@@ -115,23 +115,23 @@ class Kernel:
             gs = self.grad(f"{name}_ga", f"{name}_ws", ahead)
             return self.dots(name, weights, theta, as_v(f"{name}_v", gs, f" * {num(RHO)}"))
         if method == "cosine":
-            self.c.add(f"{name}_l", f"select sqrt(sum(w.g * w.g)) as lw, sqrt(sum(s.g * s.g)) as ls, sum(w.g * s.g) as ws from @{gw} w join @{gs} s on s.k = w.k and s.y = w.y", keep=True)
-            self.c.add(f"{name}_v", f"select w.k, w.y, case when l.lw = 0 or l.ls = 0 then 0e0 else (s.g / l.ls - l.ws / (l.lw * l.ls) * w.g / l.lw) / l.lw end as v from @{gw} w join @{gs} s on s.k = w.k and s.y = w.y cross join @{name}_l l", keep=True)
+            self.c.add(f"{name}_l", f"select sqrt(sum(w.g * w.g)) as lw, sqrt(sum(s.g * s.g)) as ls, sum(w.g * s.g) as ws from @{gw} w join @{gs} s on s.k = w.k and s.y = w.y")
+            self.c.add(f"{name}_v", f"select w.k, w.y, case when l.lw = 0 or l.ls = 0 then 0e0 else (s.g / l.ls - l.ws / (l.lw * l.ls) * w.g / l.lw) / l.lw end as v from @{gw} w join @{gs} s on s.k = w.k and s.y = w.y cross join @{name}_l l")
             return self.dots(name, weights, theta, f"{name}_v")
         if method == "implicit":
             hv = self.hessian(f"{name}_h", gw, theta, v)
-            self.c.add(f"{name}_v2", f"select v.k, v.y, v.v - {num(ETA_V)} * (h.v + s.g) as v from @{v} v join @{hv} h on h.k = v.k and h.y = v.y join @{gs} s on s.k = v.k and s.y = v.y", keep=True)
+            self.c.add(f"{name}_v2", f"select v.k, v.y, v.v - {num(ETA_V)} * (h.v + s.g) as v from @{v} v join @{hv} h on h.k = v.k and h.y = v.y join @{gs} s on s.k = v.k and s.y = v.y")
             self.dots(f"{name}_d", weights, theta, v)
-            return self.c.add(name, f"select id, -q as q from @{name}_d", keep=True)
+            return self.c.add(name, f"select id, -q as q from @{name}_d")
         raise ValueError(method)
 
     def zero_v(self, name: str) -> str:
-        return self.c.add(name, "select k, y, 0e0 as v from @grid", keep=True)
+        return self.c.add(name, "select k, y, 0e0 as v from @grid")
 
     def alpha_step(self, name: str, alpha: str, weights: str, utility: str) -> str:
-        self.c.add(f"{name}_q", f"select sum(w.w * q.q) as mean from @{weights} w join @{utility} q on q.id = w.id", keep=True)
-        self.c.add(f"{name}_d", f"select f.k, sum(w.w * (q.q - m.mean) * f.share) as d from @{weights} w join @{utility} q on q.id = w.id join @phi f on f.id = w.id cross join @{name}_q m group by f.k", keep=True)
-        return self.c.add(name, f"select a.k, a.a + {num(ETA_WEIGHT)} * coalesce(d.d, 0e0) as a from @{alpha} a left join @{name}_d d on d.k = a.k", keep=True)
+        self.c.add(f"{name}_q", f"select sum(w.w * q.q) as mean from @{weights} w join @{utility} q on q.id = w.id")
+        self.c.add(f"{name}_d", f"select f.k, sum(w.w * (q.q - m.mean) * f.share) as d from @{weights} w join @{utility} q on q.id = w.id join @phi f on f.id = w.id cross join @{name}_q m group by f.k")
+        return self.c.add(name, f"select a.k, a.a + {num(ETA_WEIGHT)} * coalesce(d.d, 0e0) as a from @{alpha} a left join @{name}_d d on d.k = a.k")
 
     # --- one step as all queries share it -----------------------------------------------------------
 
@@ -204,8 +204,8 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
 
     def poisson(k: Kernel) -> str:
         # inclusion min(1, c w) with c = n / sum(w), then once more for what is not certain
-        k.c.add("sure", f"select id, w, case when {num(SMALL)} * w >= 1e0 then 1 else 0 end as sure from @sw", keep=True)
-        k.c.add("rest", f"select ({num(SMALL)} - sum(sure)) / sum(case when sure = 0 then w else 0e0 end) as c from @sure", keep=True)
+        k.c.add("sure", f"select id, w, case when {num(SMALL)} * w >= 1e0 then 1 else 0 end as sure from @sw")
+        k.c.add("rest", f"select ({num(SMALL)} - sum(sure)) / sum(case when sure = 0 then w else 0e0 end) as c from @sure")
         return f"select id, {k.d.r6('least(1e0, case when sure = 1 then 1e0 else w * c end)')} as inclusion from @sure cross join @rest where {k.d.u01('id', 106)} < least(1e0, case when sure = 1 then 1e0 else w * c end)"
 
     q["q_filter_poisson"] = poisson
@@ -225,7 +225,7 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
 
     def alignment(k: Kernel) -> None:
         k.grad("gs", k.uniform_weights("us", "spec"), "th0")
-        k.c.add("vs", "select k, y, g as v from @gs", keep=True)
+        k.c.add("vs", "select k, y, g as v from @gs")
         k.dots("al", "big", "th0", "vs")
 
     def align(k: Kernel) -> str:
@@ -244,14 +244,14 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
             for side, tag in ((1, "s"), (0, "g")):
                 ids = k.batch(f"r{tag}{i}", side, "test", f"7{tag}{i}", size)
                 g = k.grad(f"rg{tag}{i}", k.uniform_weights(f"ru{tag}{i}", ids), "th0")
-                k.c.add(f"rn{tag}{i}", f"select k, y, g / (select sqrt(sum(g * g)) from @{g}) as v from @{g}", keep=True)
-            k.c.add(f"rv{i}", f"select s.k, s.y, s.v - g.v as v from @rns{i} s join @rng{i} g on g.k = s.k and g.y = s.y", keep=True)
+                k.c.add(f"rn{tag}{i}", f"select k, y, g / (select sqrt(sum(g * g)) from @{g}) as v from @{g}")
+            k.c.add(f"rv{i}", f"select s.k, s.y, s.v - g.v as v from @rns{i} s join @rng{i} g on g.k = s.k and g.y = s.y")
             k.batch(f"rx{i}", 1, "valid", f"8s{i}", 64)
             k.batch(f"ry{i}", 0, "valid", f"8g{i}", 64)
             k.dots(f"rp{i}", f"rx{i}", "th0", f"rv{i}")
             k.dots(f"rq{i}", f"ry{i}", "th0", f"rv{i}")
         each = " union all ".join(f"select 's' as origin, {i} as pair, id, q from @rp{i} union all select 'g' as origin, {i} as pair, id, q from @rq{i}" for i in range(pairs))
-        k.c.add("rates", each, keep=True)
+        k.c.add("rates", each)
 
     def sar_gar(k: Kernel) -> str:
         rates(k)
@@ -301,7 +301,7 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
 
     def hvp(k: Kernel) -> str:
         k.grad("gs", k.uniform_weights("us", "spec"), "th0")
-        k.c.add("vs", "select k, y, g as v from @gs", keep=True)
+        k.c.add("vs", "select k, y, g as v from @gs")
         k.hessian("h", k.grad("gw", "ww", "th0"), "th0", "vs")
         return f"select k, y, {k.d.r6('v')} as hv from @h"
 
@@ -321,8 +321,8 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     def reweight(k: Kernel) -> None:
         k.uniform_weights("uw", "sub")
         k.utility("q", "unroll_first", "uw", "spec", "th0")
-        k.c.add("raw", f"select w.id, greatest(0e0, w.w + {num(ETA_WEIGHT)} * q.q) as w from @uw w join @q q on q.id = w.id", keep=True)
-        k.c.add("rw", "select id, case when (select sum(w) from @raw) > 0 then w / (select sum(w) from @raw) else 1e0 / (select count(*) from @raw) end as w from @raw", keep=True)
+        k.c.add("raw", f"select w.id, greatest(0e0, w.w + {num(ETA_WEIGHT)} * q.q) as w from @uw w join @q q on q.id = w.id")
+        k.c.add("rw", "select id, case when (select sum(w) from @raw) > 0 then w / (select sum(w) from @raw) else 1e0 / (select count(*) from @raw) end as w from @raw")
 
     def reweight_weights(k: Kernel) -> str:
         reweight(k)
@@ -334,19 +334,19 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
         k.nll("l", "big", "th0")
         x = "(nll / n_bytes)"
         s = f"0.7e0 * tanh(1.5e0 * {x} - 3e0) - 0.4e0 * tanh(0.5e0 * {x})"
-        k.c.add("ls", f"select id, {s} as s from @l", keep=True)
+        k.c.add("ls", f"select id, {s} as s from @l")
         return f"select id, {k.d.r6('s')} as score, {k.d.r6('exp(s) / (select sum(exp(s)) from @ls)')} as w from @ls"
 
     q["q_loss_input_score"] = loss_input
 
     def counted(k: Kernel, name: str, weight: str) -> str:
         """A model counted from training pairs with a weight by side."""
-        k.c.add(f"{name}_n", f"select k, y, sum(n * ({weight})) as n from @bg where split = 'train' group by k, y", keep=True)
-        k.c.add(f"{name}_k", f"select k, sum(n) as n from @{name}_n group by k", keep=True)
-        return k.c.add(name, f"select g.k, g.y, (coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)}) as p from @grid g left join @{name}_n c on c.k = g.k and c.y = g.y left join @{name}_k t on t.k = g.k", keep=True)
+        k.c.add(f"{name}_n", f"select k, y, sum(n * ({weight})) as n from @bg where split = 'train' group by k, y")
+        k.c.add(f"{name}_k", f"select k, sum(n) as n from @{name}_n group by k")
+        return k.c.add(name, f"select g.k, g.y, (coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)}) as p from @grid g left join @{name}_n c on c.k = g.k and c.y = g.y left join @{name}_k t on t.k = g.k")
 
     def held_out(k: Kernel, theta: str) -> str:
-        k.c.add("held", "select id from @ex where side = 1 and split = 'test'", keep=True)
+        k.c.add("held", "select id from @ex where side = 1 and split = 'test'", data=True)
         k.nll("hl", "held", theta)
         return f"select cast(sum(n_bytes) as bigint) as n_bytes, {k.d.r6('sum(nll) / sum(n_bytes)')} as nll_per_byte from @hl"
 
@@ -355,7 +355,7 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     q["q_finetune_nll"] = lambda k: held_out(k, counted(k, "mf", "case when side = 1 then 1e0 else 0.02e0 end"))
 
     def contrastive(k: Kernel) -> str:
-        k.c.add("pool", "select id from @ex where side = 0 and split = 'train'", keep=True)
+        k.c.add("pool", "select id from @ex where side = 0 and split = 'train'", data=True)
         k.nll("l0", "pool", counted(k, "m0", "case when side = 0 then 1e0 else 0e0 end"))
         k.nll("l1", "pool", counted(k, "m1", "case when side = 1 then 1e0 else 0.02e0 end"))
         return f"select id, {k.d.r6('gain')} as gain from (select a.id, (a.nll - b.nll) / a.n_bytes as gain from @l0 a join @l1 b on b.id = a.id) g order by g.gain desc, id limit 64"
@@ -366,11 +366,11 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
         alpha_name = k.c.add("c0", "select k, 0e0 as a from @ks")
         k.batch("cs", 1, "train", 301, 64)
         k.batch("cg", 0, "train", 302, 64)
-        k.c.add("cb", "select id, 1e0 as y from @cs union all select id, 0e0 as y from @cg", keep=True)
+        k.c.add("cb", "select id, 1e0 as y from @cs union all select id, 0e0 as y from @cg")
         for t in range(steps):
-            k.c.add(f"cp{t}", f"select b.id, b.y, 1e0 / (1e0 + exp(-sum(a.a * f.share))) as p from @cb b join @phi f on f.id = b.id join @{alpha_name} a on a.k = f.k group by b.id, b.y", keep=True)
-            k.c.add(f"cd{t}", f"select f.k, avg_sum / (select count(*) from @cb) as d from (select f.k, sum((p.y - p.p) * f.share) as avg_sum from @cp{t} p join @phi f on f.id = p.id group by f.k) f", keep=True)
-            alpha_name = k.c.add(f"c{t + 1}", f"select a.k, a.a + 4e0 * coalesce(d.d, 0e0) as a from @{alpha_name} a left join @cd{t} d on d.k = a.k", keep=True)
+            k.c.add(f"cp{t}", f"select b.id, b.y, 1e0 / (1e0 + exp(-sum(a.a * f.share))) as p from @cb b join @phi f on f.id = b.id join @{alpha_name} a on a.k = f.k group by b.id, b.y")
+            k.c.add(f"cd{t}", f"select f.k, avg_sum / (select count(*) from @cb) as d from (select f.k, sum((p.y - p.p) * f.share) as avg_sum from @cp{t} p join @phi f on f.id = p.id group by f.k) f")
+            alpha_name = k.c.add(f"c{t + 1}", f"select a.k, a.a + 4e0 * coalesce(d.d, 0e0) as a from @{alpha_name} a left join @cd{t} d on d.k = a.k")
         return alpha_name
 
     def classifier_step(k: Kernel) -> str:
@@ -378,7 +378,7 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
 
     def classifier_topk(k: Kernel) -> str:
         name = classifier(k)
-        k.c.add("gen", "select id from @ex where side = 0 and split = 'train'")
+        k.c.add("gen", "select id from @ex where side = 0 and split = 'train'", data=True)
         k.score("gs", "gen", name)
         return f"select id, {k.d.r6('1e0 / (1e0 + exp(-s))')} as p from @gs_s order by s desc, id limit 64"
 
@@ -397,13 +397,13 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     def transfer(k: Kernel) -> str:
         # weights learned with the small model select data for the large one (256 contexts)
         _, alpha_name = k.loop("cosine", 2)
-        k.c.add("gen", "select id from @ex where side = 0 and split = 'train'")
+        k.c.add("gen", "select id from @ex where side = 0 and split = 'train'", data=True)
         k.score("gs", "gen", alpha_name)
-        k.c.add("sel", "select id from @gs order by s desc, id limit 200", keep=True)
+        k.c.add("sel", "select id from @gs order by s desc, id limit 200")
         pairs = f"select e.id, substr(h, cast(2 * i + 1 as int), 2) as k, substr(h, cast(2 * i + 3 as int), 2) as y from @ex e, {k.d.series('nb - 1')} s"
-        k.c.add("big2", f"select k, y, cast(count(*) as double) as n from ({pairs}) p join @sel z on z.id = p.id group by k, y", keep=True)
-        k.c.add("tot2", "select k, sum(n) as n from @big2 group by k", keep=True)
-        k.c.add("test2", f"select k, y, cast(count(*) as double) as n from ({pairs}) p join (select id from @ex where side = 1 and split = 'test') z on z.id = p.id group by k, y", keep=True)
+        k.c.add("big2", f"select k, y, cast(count(*) as double) as n from ({pairs}) p join @sel z on z.id = p.id group by k, y", data=True)
+        k.c.add("tot2", "select k, sum(n) as n from @big2 group by k", data=True)
+        k.c.add("test2", f"select k, y, cast(count(*) as double) as n from ({pairs}) p join (select id from @ex where side = 1 and split = 'test') z on z.id = p.id group by k, y", data=True)
         return f"select cast(sum(t.n) as bigint) as n_bytes, {k.d.r6('''-sum(t.n * ln((coalesce(b.n, 0e0) + 0.5e0) / (coalesce(o.n, 0e0) + 128e0))) / sum(t.n)''')} as nll_per_byte from @test2 t left join @big2 b on b.k = t.k and b.y = t.y left join @tot2 o on o.k = t.k"
 
     q["q_transfer_nll"] = transfer

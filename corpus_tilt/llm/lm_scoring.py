@@ -49,7 +49,7 @@ def cross_entropy_difference(docs: DataFrame, target: DataFrame, id_col: str = "
     workers_import(spark)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     wanted = target.select(F.col(id_col).cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("mark", F.lit(True))
-    marked = texts.join(wanted, "doc_id", "left").select("text", F.coalesce("mark", F.lit(False)).alias("mark"))
+    marked = texts.join(wanted.hint("merge"), "doc_id", "left").select("text", F.coalesce("mark", F.lit(False)).alias("mark"))
     background, aimed = fit(count_ngrams(marked, by="mark"), tags=2)
     shared = spark.sparkContext.broadcast([aimed, background])
     scored = texts.mapInArrow(_scorer(shared, len(aimed.grams[-1]) > 0), _SCORES)

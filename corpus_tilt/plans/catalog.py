@@ -7,12 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from ..operators import relational
+from ..streaming import queries as streams
+from ..training.experiments import EXPERIMENTS
 from . import kernel
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {n: kernel.spark_query(n) for n in kernel.QUERIES} | relational.SPARK
+    return {n: kernel.spark_query(n) for n in kernel.QUERIES} | relational.SPARK | streams.QUERIES | EXPERIMENTS
 
 
 def oracles() -> dict[str, str]:
-    return {n: kernel.oracle_text(n) for n in kernel.QUERIES} | relational.SQL
+    return {n: kernel.oracle_text(n) for n in kernel.QUERIES} | relational.SQL | streams.ORACLES

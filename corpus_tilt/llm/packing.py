@@ -4,7 +4,7 @@ Pieces are dealt to shards of a bounded size.  A shard begins with best-fit decr
 that is not proven optimal (bins above ceil(total / capacity)), islands evolve populations of
 packings: crossover injects whole well-filled bins of one parent into another, drops the bins
 that then hold duplicates, and best-fits the displaced documents; after each epoch an island's
-elite migrates to the next one.  The worst-filled bins of neighbouring shards are then packed
+elite migrates to the next one.  The poorly filled bins of neighbouring shards are then packed
 together once more, level by level, so what shards leave open does not add up.
 
 Defined results: null or empty text has the end id alone; a null id is kept; repeated rows are
@@ -212,7 +212,7 @@ def _place(capacity: int, tail: float):
         pdf["bin"] = np.frombuffer(best["best"].iat[0], np.int32)
         pdf["offset"] = pdf.groupby("bin")["length"].cumsum() - pdf["length"]
         fill = pdf.groupby("bin")["length"].sum().sort_values(kind="stable")
-        worst = fill[fill < capacity].index[: max(1, int(len(fill) * tail))]
+        worst = fill[fill <= capacity * (1 - tail)].index[: max(1, len(fill) // 2)]
         pdf["open"] = pdf["bin"].isin(worst)
         return pdf
 
@@ -234,11 +234,12 @@ def _solve(pieces: DataFrame, capacity: int, islands: int, population: int, epoc
     return pieces.groupBy("shard").cogroup(best.groupBy("shard")).applyInPandas(_place(capacity, tail), kinds)
 
 
-def pack(pieces: DataFrame, capacity: int = 4096, shard_items: int = 8192, islands: int = 3, population: int = 5, epochs: int = 2, generations: int = 12, tail: float = 0.03, fan: int = 32, seed: int = 0) -> DataFrame:
+def pack(pieces: DataFrame, capacity: int = 4096, shard_items: int = 8192, islands: int = 3, population: int = 5, epochs: int = 2, generations: int = 12, tail: float = 0.03, seed: int = 0) -> DataFrame:
     """Give each piece a sequence_id and an offset there, in as few sequences as can be.
 
     ``pieces`` is what ``token_pieces`` gives.  All rows go to some shard of about
-    ``shard_items``; ``level`` tells how often a row's bin was packed again.
+    ``shard_items``; bins filled to 1 - ``tail`` or less (at most half of a shard's) go on to the
+    next level, where neighbouring shards are one; ``level`` tells how often a row was packed again.
     """
     rows = written(pieces, "pieces")
     shards = max(1, -(-rows.count() // shard_items))
@@ -251,8 +252,9 @@ def pack(pieces: DataFrame, capacity: int = 4096, shard_items: int = 8192, islan
         done.append(closed.select("doc_id", "piece", "start", "length", "ids_crc32", (F.lit(level) * (1 << 56) + F.col("shard") * (1 << 20) + F.col("bin")).alias("sequence_id"), "offset", F.lit(level).alias("level")))
         if last:
             break
-        shards, level = -(-shards // fan), level + 1
-        todo = solved.where("open").select(*[c.split()[0] for c in _PIECES.split(", ")], F.floor(F.col("shard") / fan).cast("long").alias("shard"))
+        left, before = solved.where("open"), shards
+        shards, level = max(1, min(-(-left.count() // shard_items), shards // 2)), level + 1
+        todo = left.select(*[c.split()[0] for c in _PIECES.split(", ")], F.floor(F.col("shard") * shards / before).cast("long").alias("shard"))
     out = done[0]
     for df in done[1:]:
         out = out.unionByName(df)

@@ -17,7 +17,7 @@ LINE_DOCS = 6
 
 
 def _kept(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    return docs.join(ids, "doc_id", "left_semi").select(*docs.columns)
+    return docs.join(ids.hint("merge"), "doc_id", "left_semi").select(*docs.columns)
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

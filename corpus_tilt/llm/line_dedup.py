@@ -190,7 +190,7 @@ def near_line_classes(texts: DataFrame, edits: int, near_from: int) -> DataFrame
     met = signed.repartition(F.col("key")).sortWithinPartitions("key").mapInArrow(_meetings, "meeting long, line long")
     met = written(met.distinct(), "meetings")
     line = texts.select(F.explode(F.split("text", "\n")).alias("text")).where((F.length("text") >= near_from) & has_word(F.col("text"))).select(F.xxhash64("text").alias("line"), "text")
-    own = written(line.join(met.select("line").distinct(), "line", "left_semi").groupBy("line").agg(F.min("text").alias("text")), "lines")
+    own = written(line.join(met.select("line").distinct().hint("merge"), "line", "left_semi").groupBy("line").agg(F.min("text").alias("text")), "lines")
     links = met.join(own, "line").select("meeting", "line", "text").repartition(F.col("meeting")).sortWithinPartitions("meeting").mapInArrow(_verifier(edits), "a long, b long")
     return written(components(links), "classes")
 
@@ -216,5 +216,5 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     gone = line_removals(docs, id_col, text_col, **how).where(F.size("removed") > 0)
     gone = written(gone.select(F.col("doc_id").alias("__id"), F.col("removed").alias("__removed"), (F.col("n_lines") == F.size("removed")).alias("__empty")), "removals")
     kept = F.array_join(F.filter(F.split(F.col(text_col), "\n"), lambda x, i: ~F.array_contains("__removed", i)), "\n")
-    joined = docs.join(gone, F.col(id_col) == F.col("__id"), "left").where(~F.coalesce("__empty", F.lit(False)))
+    joined = docs.join(gone.hint("merge"), F.col(id_col) == F.col("__id"), "left").where(~F.coalesce("__empty", F.lit(False)))
     return joined.withColumn(text_col, F.when(F.col("__removed").isNull(), F.col(text_col)).otherwise(kept)).select(*docs.columns)

@@ -360,7 +360,11 @@ def dedup_near(t, bands: int = 8, rows: int = 3):
     """MinHash bands over word shingles of the first bytes, verified by Jaccard of the same shingles; links as pairs (least id of a band, id)."""
     w = F.split(F.substring("text", 1, 512), " ")
     s = t.documents.select("doc_id", F.array_distinct(F.transform(F.sequence(F.lit(0), F.greatest(F.size(w) - 3, F.lit(0))), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))).alias("s"))
-    keys = F.array(*[F.xxhash64(F.lit(b), *[F.array_min(F.transform("s", lambda x, k=b * rows + r: F.xxhash64(F.lit(k), x))) for r in range(rows)]) for b in range(bands)])
+
+    def least(k: int) -> Column:
+        return F.array_min(F.transform("s", lambda x: F.xxhash64(F.lit(k), x)))
+
+    keys = F.array(*[F.xxhash64(F.lit(b), *[least(b * rows + r) for r in range(rows)]) for b in range(bands)])
     banded = s.select("doc_id", "s", F.explode(keys).alias("band"))
     heads = banded.groupBy("band").agg(F.min(F.struct("doc_id", "s")).alias("h"), F.count("*").alias("n")).where("n > 1").select("band", F.col("h.doc_id").alias("a"), F.col("h.s").alias("t"))
     both = F.size(F.array_intersect("s", "t"))
@@ -401,3 +405,48 @@ def win_sliding(t):
 @op("win_session", "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 30 minute then 0 else 1 end as fresh from events), s as (select user_id, ts, sum(fresh) over (partition by user_id order by ts rows between unbounded preceding and current row) as no from g) select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') as start, cast(count(*) as bigint) as n from s group by user_id, no")
 def win_session(t):
     return t.events.groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.date_format("w.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
+
+
+# --- measures of pairs and vectors in relational form -----------------------------------------------
+
+_GRAMS = " union all ".join(f"select id, {n} as n, unnest(list_transform(range(1, len(w) - {n} + 2), lambda i: array_to_string(w[i:i + {n} - 1], ' '))) as g from {{0}} where len(w) >= {n}" for n in range(1, 5))
+
+
+@op("bleu", f"""
+with p as (select conv_id * 1000 + turn as id, string_split(lag(text) over (partition by conv_id order by turn), ' ') as h, string_split(text, ' ') as r from conversations),
+q as (select * from p where h is not null), hw as (select id, h as w from q), rw as (select id, r as w from q),
+hg as (select id, n, g, count(*) as c from ({_GRAMS.format("hw")}) group by id, n, g), rg as (select id, n, g, count(*) as c from ({_GRAMS.format("rw")}) group by id, n, g),
+m as (select hg.n, cast(sum(least(hg.c, coalesce(rg.c, 0))) as double) as hit, cast(sum(hg.c) as double) as total from hg left join rg on rg.id = hg.id and rg.n = hg.n and rg.g = hg.g group by hg.n),
+l as (select cast(sum(len(h)) as double) as hl, cast(sum(len(r)) as double) as rl from q)
+select round(exp(avg(ln((hit + 1e-9) / total))) * (select exp(least(0e0, 1 - rl / hl)) from l), 6) + 0e0 as bleu, cast(count(*) as bigint) as orders from m""")
+def bleu(t):
+    """Corpus BLEU of each turn against the one before it: clipped n-grams by hash aggregates, then one row."""
+    w = Window.partitionBy("conv_id").orderBy("turn")
+    pairs = t.conversations.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.split(F.lag("text").over(w), " ").alias("h"), F.split("text", " ").alias("r")).where("h is not null")
+
+    def of_order(words: str, n: int) -> Column:
+        return F.when(F.size(words) >= n, F.transform(F.sequence(F.lit(1), F.size(words) - n + 1), lambda i: F.array_join(F.slice(words, i, n), " ")))
+
+    def grams(words: str, count: str) -> DataFrame:
+        orders = F.array(*[F.struct(F.lit(n).alias("n"), of_order(words, n).alias("gs")) for n in range(1, 5)])
+        return pairs.select("id", F.explode(orders).alias("o")).select("id", "o.n", F.explode("o.gs").alias("g")).groupBy("id", "n", "g").agg(F.count("*").alias(count))
+
+    met = grams("h", "c").join(grams("r", "rc"), ["id", "n", "g"], "left").groupBy("n").agg(F.sum(F.least("c", F.coalesce("rc", F.lit(0)))).alias("hit"), F.sum("c").alias("total"))
+    sizes = pairs.agg(F.sum(F.size("h")).alias("hl"), F.sum(F.size("r")).alias("rl"))
+    one = met.agg(F.exp(F.avg(F.log((F.col("hit") + 1e-9) / F.col("total")))).alias("p"), F.count("*").alias("orders"))
+    return one.crossJoin(sizes).select(r6(F.col("p") * F.exp(F.least(F.lit(0.0), 1 - F.col("rl") / F.col("hl")))).alias("bleu"), "orders")  # two single rows
+
+
+@op("caption_accuracy", """
+with x as (select vec_id, label, generate_subscripts(embedding, 1) as i, cast(unnest(embedding) as double) as x from embeddings),
+m as (select label, i, avg(x) as m from x where vec_id % 2 = 0 group by label, i),
+s as (select x.vec_id, x.label as own, m.label, round(sum(x.x * m.m), 9) as s from x join m on m.i = x.i where x.vec_id % 2 = 1 group by x.vec_id, x.label, m.label),
+b as (select vec_id, own, label, row_number() over (partition by vec_id order by s desc, label) as r from s)
+select round(avg(case when own = label then 1e0 else 0e0 end), 6) + 0e0 as accuracy, cast(count(*) as bigint) as n from b where r = 1""")
+def caption_accuracy(t):
+    """Held-out vectors (odd ids) to the nearest class vector, the mean of its even ids."""
+    x = t.embeddings.select("vec_id", "label", F.posexplode("embedding").alias("i", "x")).withColumn("x", F.col("x").cast("double"))
+    m = x.where("vec_id % 2 = 0").groupBy("label", "i").agg(F.avg("x").alias("m")).withColumnRenamed("label", "other")
+    s = x.where("vec_id % 2 = 1").join(m, "i").groupBy("vec_id", "label", "other").agg(F.round(F.sum(F.col("x") * F.col("m")), 9).alias("s"))
+    best = s.groupBy("vec_id", "label").agg(F.max_by("other", F.struct("s", -F.col("other"))).alias("got"))
+    return best.agg(r6(F.avg(F.when(F.col("got") == F.col("label"), 1.0).otherwise(0.0))).alias("accuracy"), F.count("*").alias("n"))

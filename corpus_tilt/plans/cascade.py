@@ -34,7 +34,11 @@ def score_examples(df: DataFrame, weight, alpha: np.ndarray, id_col: str = "id",
 def linear_scores(df: DataFrame, alpha: np.ndarray, id_col: str = "id", payload: str = "payload") -> DataFrame:
     """The same for the linear model over nibble shares, inside the JVM: no Python at all."""
     h, n = F.hex(payload), F.octet_length(payload)
-    terms = [F.lit(float(a)) * F.size(F.filter(F.sequence(F.lit(0), n - 1), lambda i, c=c: F.substr(h, 2 * i + 1, F.lit(1)) == c)) for a, c in zip(alpha, "0123456789ABCDEF", strict=True)]
+
+    def count(c: str):
+        return F.size(F.filter(F.sequence(F.lit(0), n - 1), lambda i: F.substr(h, 2 * i + 1, F.lit(1)) == c))
+
+    terms = [F.lit(float(a)) * count(c) for a, c in zip(alpha, "0123456789ABCDEF", strict=True)]
     return df.where(F.octet_length(payload) >= 1).select(F.col(id_col).alias("id"), (sum(terms[1:], terms[0]) / n).alias("score"))
 
 

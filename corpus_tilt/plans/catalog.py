@@ -6,15 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..functions import udfs
 from ..operators import relational
+from ..sources import io
 from ..streaming import queries as streams
 from ..training.experiments import EXPERIMENTS
 from . import kernel
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {n: kernel.spark_query(n) for n in kernel.QUERIES} | relational.SPARK | streams.QUERIES | EXPERIMENTS
+    return {n: kernel.spark_query(n) for n in kernel.QUERIES} | relational.SPARK | udfs.QUERIES | io.QUERIES | streams.QUERIES | EXPERIMENTS
 
 
 def oracles() -> dict[str, str]:
-    return {n: kernel.oracle_text(n) for n in kernel.QUERIES} | relational.SQL | streams.ORACLES
+    return {n: kernel.oracle_text(n) for n in kernel.QUERIES} | relational.SQL | udfs.ORACLES | io.ORACLES | streams.ORACLES

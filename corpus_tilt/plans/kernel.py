@@ -354,6 +354,16 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     q["q_mixing_model"] = lambda k: held_out(k, counted(k, "mm", "case when side = 1 then 9e0 else 1e0 end"))
     q["q_finetune_nll"] = lambda k: held_out(k, counted(k, "mf", "case when side = 1 then 1e0 else 0.02e0 end"))
 
+    def rank_methods(k: Kernel) -> str:
+        k.c.add("held", "select id, split from @ex where side = 1 and split <> 'train'", data=True)
+        parts = []
+        for name, weight in (("generic_only", "case when side = 0 then 1e0 else 0e0 end"), ("mixing", "case when side = 1 then 9e0 else 1e0 end"), ("finetuned", "case when side = 1 then 1e0 else 0.02e0 end")):
+            k.nll(f"n_{name}", "held", counted(k, f"m_{name}", weight))
+            parts.append(f"select '{name}' as method, h.split, sum(n.nll) / sum(n.n_bytes) as nll from @n_{name} n join @held h on h.id = n.id group by h.split")
+        return f"select method, split, {k.d.r6('nll')} as nll_per_byte, cast(rank() over (partition by split order by nll) as bigint) as place from ({' union all '.join(parts)}) r"
+
+    q["q_rank_methods"] = rank_methods
+
     def contrastive(k: Kernel) -> str:
         k.c.add("pool", "select id from @ex where side = 0 and split = 'train'", data=True)
         k.nll("l0", "pool", counted(k, "m0", "case when side = 0 then 1e0 else 0e0 end"))

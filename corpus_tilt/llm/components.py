@@ -18,7 +18,8 @@ def _stars(edges: DataFrame, both: bool) -> DataFrame:
     least = written(seen.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m")), "least")
     joined = seen.join(least, "a")
     out = joined.where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")) if both else joined.select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b")))
-    return out.where("a <> b").distinct()
+    out = out.where("a <> b")
+    return out if both else out.distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:

@@ -6,9 +6,9 @@ there, so similar documents stay together more often than they part.  Nodes of a
 documents are compared exhaustively; larger ones branch again.  Independent trees raise the
 recall to any target.  Links are confirmed on whole sets, and classes are the connected components.
 
-Equal sets are one representative, so groups of exact copies never enter the trees.  A node that
-still is large after ``levels`` branchings (texts whose sketches agree throughout) is dealt to
-blocks that all hold its least document, other blocks in each tree.
+Equal sets are one representative, so groups of exact copies never enter the trees.  A large
+node that a branching hardly divides (texts whose sketches agree), or that is left after
+``levels`` branchings, is dealt to blocks that all hold its least document, other blocks in each tree.
 
 Defined results: texts without words have an empty set and are linked with nothing; with fewer
 words than a shingle the whole sequence is one; a null id is linked with nothing and kept; rows
@@ -157,7 +157,7 @@ def _branch(extra: float):
             paths = b.column(0).to_numpy().view(_U)
             tokens = np.frombuffer(b"".join(b.column(2).to_pylist()), np.uint32).reshape(len(paths), -1)
             rows, child = _children(paths, tokens, extra)
-            yield pa.RecordBatch.from_arrays([pa.array(child.view(np.int64)), b.column(1).take(pa.array(rows))], ["path", "doc"])
+            yield pa.RecordBatch.from_arrays([pa.array(child.view(np.int64)), b.column(1).take(pa.array(rows)), b.column(3).take(pa.array(rows))], ["path", "doc", "above"])
 
     return branch
 
@@ -236,12 +236,13 @@ def _confirm(words: int, percent: int):
     return confirm
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, trees: int = 12, first: int = 2, small: int = 48, levels: int = 6, size: int = 64, seed: int = 1) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, trees: int = 12, first: int = 2, small: int = 48, levels: int = 6, undivided: float = 0.75, size: int = 64, seed: int = 1) -> DataFrame:
     """One row a document: doc_id, n_shingles, component_id (the least id of its class), kept.
 
     ``percent``: documents are linked whose intersection is at least that share of their union.
     ``first``: trees whose links are confirmed before the others, which then only look for links
-    between classes.  ``size``: coordinates of a sketch.
+    between classes.  ``size``: coordinates of a sketch.  ``undivided``: a large node that still has
+    this share of the node above it is not branched further but dealt to blocks.
     """
     spark = docs.sparkSession
     workers_import(spark)
@@ -254,23 +255,20 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     equal = written(usable.groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "sets")
     reps = written(usable.join(equal.where("copies > 1").select("f1", "f2", "n_shingles", "rep"), ["f1", "f2", "n_shingles"], "left").where("rep is null or rep = doc_id").select(F.col("doc_id").alias("doc"), "tokens", "paths").dropDuplicates(["doc"]), "reps")
 
-    paths = written(reps.select("doc", F.explode("paths").alias("path")), "paths")
+    paths = written(reps.select("doc", F.explode("paths").alias("path"), F.lit(None).cast("long").alias("above")), "paths")
     nodes, level = [], 0
     while True:
-        counted = written(paths.groupBy("path").agg(F.count("*").alias("n"), F.min("doc").alias("least")).where("n > 1"), "nodes")
-        live = paths.join(counted, "path").select("path", "doc", "n", "least")
+        counted = written(paths.groupBy("path").agg(F.count("*").alias("n"), F.min("doc").alias("least"), F.max("above").alias("above")).where("n > 1"), "nodes")
+        live = paths.drop("above").join(counted.withColumn("whole", (F.lit(level >= levels) | F.coalesce(F.col("n") >= undivided * F.col("above"), F.lit(False)))), "path")
         nodes.append(live.where(F.col("n") <= small).select("path", "doc"))
-        big = counted.where(F.col("n") > small)
-        if big.isEmpty():
+        block = F.xxhash64("path", F.pmod(F.xxhash64("path", "doc"), F.ceil(F.col("n") / (small - 8)).cast("long")))
+        dealt = live.where((F.col("n") > small) & F.col("whole") & (F.col("doc") != F.col("least"))).select("least", block.alias("path"), "doc")
+        nodes += [dealt.select("path", "doc"), dealt.select("path", F.col("least").alias("doc")).distinct()]
+        wide = live.where((F.col("n") > small) & ~F.col("whole")).select("path", "doc", "n")
+        if counted.where((F.col("n") > small) & ~(F.lit(level >= levels) | F.coalesce(F.col("n") >= undivided * F.col("above"), F.lit(False)))).isEmpty():
             break
         level += 1
-        wide = paths.join(big, "path").select("path", "doc", "n", "least")
-        if level > levels:  # sketches agree throughout
-            block = F.xxhash64("path", F.pmod(F.xxhash64("path", "doc"), F.ceil(F.col("n") / (small - 8)).cast("long")))
-            rest = wide.where("doc <> least").select("least", block.alias("path"), "doc")
-            nodes += [rest.select("path", "doc"), rest.select("path", F.col("least").alias("doc")).distinct()]
-            break
-        paths = written(wide.select("path", "doc").join(reps.select("doc", "tokens"), "doc").select("path", "doc", "tokens").mapInArrow(_branch(extra), "path long, doc long").distinct(), "paths")
+        paths = written(wide.join(reps.select("doc", "tokens"), "doc").select("path", "doc", "tokens", "n").mapInArrow(_branch(extra), "path long, doc long, above long").distinct(), "paths")
     grouped = nodes[0]
     for more in nodes[1:]:
         grouped = grouped.unionByName(more)

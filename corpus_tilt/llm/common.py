@@ -7,7 +7,8 @@ import os
 import re
 import tempfile
 import uuid
-from collections.abc import Callable, Iterable
+from collections.abc import Iterator
+from itertools import islice
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -120,7 +121,7 @@ class UnitEncoder:
     integers of ``width`` bytes.
     """
 
-    def __init__(self, path: str, width: int = 4, room: int = 600_000) -> None:
+    def __init__(self, path: str, width: int = 4, room: int = 700_000) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -132,7 +133,6 @@ class UnitEncoder:
         self.marks = self._word_marks()
         self.inner: dict[str, bytes] = {}
         self.exact: dict[str, bytes] = {}
-        self.parts: dict[str, bytes] = {}
 
     def _encode(self, units: list[str]) -> list[bytes]:
         """Ids of each unit.  Single words go to the library many at a time, and are told apart by its marks of a word's begin or end."""
@@ -166,43 +166,54 @@ class UnitEncoder:
             out[i] = token.endswith(suffix) if suffix else token.startswith("\u0120")
         return out if out.any() else None
 
-    def _fill(self, known: dict[str, bytes], keys: Iterable[str], unit: Callable[[str], str]) -> None:
+    def _room(self, known: dict[str, bytes]) -> None:
         if len(known) > self.room:
-            known.clear()
-        missing = list({k for k in keys if k not in known})
-        units = [unit(k) for k in missing]
-        cores = [_TAIL.fullmatch(u) if "<|" not in u else None for u in units]
-        if len(self.parts) > self.room:
-            self.parts.clear()
-        new = list({p for u, m in zip(units, cores, strict=True) for p in (m.groups() if m else (u,)) if p not in self.parts})
-        self.parts.update(zip(new, self._encode(new), strict=True))
-        known.update((k, self.parts[m[1]] + self.parts[m[2]] if m else self.parts[u]) for k, u, m in zip(missing, units, cores, strict=True))
+            for k in list(islice(known, self.room // 2)):
+                del known[k]
+
+    def _learn(self, parts: set[str]) -> set[str]:
+        """Add the ids of words after a space (or led by a line break); those that are no such words are given back."""
+        words = {k for k in parts if k.isalpha()}
+        rest = parts - words
+        odd = {k for k in rest if (bare := k[1:] if k[:1] == "\n" else k).split() != [bare]}
+        split = {k: m for k in rest - odd if k[0] != "\n" and "<|" not in k and (m := _TAIL.fullmatch(k))}
+        plain = list({m[1] for m in split.values()}.difference(self.inner, words)) + list(words) + list(rest - odd - split.keys())
+        self.inner.update(zip(plain, self._encode([k if k[0] == "\n" else " " + k for k in plain]), strict=True))
+        self._whole({m[2] for m in split.values()})
+        self.inner.update((k, self.inner[m[1]] + self.exact[m[2]]) for k, m in split.items())
+        return odd
+
+    def _whole(self, units: set[str]) -> None:
+        new = list(units.difference(self.exact))
+        self.exact.update(zip(new, self._encode(new), strict=True))
+
+    def ids_many(self, texts: list[str | None]) -> list[bytes]:
+        """The ids of each text; new units of all of them are encoded together."""
+        self._room(self.inner)
+        self._room(self.exact)
+        heads, parts = [], []
+        for t in texts:
+            head, *rest = (t or "").replace("\n", " \n").split(" ")
+            heads.append(head)
+            parts.append(rest)
+        new: set[str] = set()
+        for rest in parts:
+            new.update(rest)
+        odd = self._learn(new.difference(self.inner))
+        self._whole(set(heads))
+        get, out = self.inner.__getitem__, []
+        for t, head, rest in zip(texts, heads, parts, strict=True):
+            if head.split() == [head] or not head:
+                if not odd or odd.isdisjoint(rest):
+                    out.append(self.exact[head] + b"".join(map(get, rest)))
+                    continue
+            units = _CUT.split(t)
+            self._whole(set(units))
+            out.append(b"".join(map(self.exact.__getitem__, units)))
+        return out
 
     def ids(self, text: str | None) -> bytes:
-        if not text:
-            return b""
-        breaks = text.count(" ") + text.count("\n")
-        words = text.split()
-        if len(words) == breaks + 1 and sum(map(len, words)) + breaks == len(text):
-            head, *parts = text.replace("\n", " \n").split(" ")
-            if len(parts) > self.room:
-                return self._encode([text])[0]
-            try:
-                body = b"".join(map(self.inner.__getitem__, parts))
-            except KeyError:
-                self._fill(self.inner, parts, lambda k: k if k[0] == "\n" else " " + k)
-                body = b"".join(map(self.inner.__getitem__, parts))
-            return self._one(head) + body
-        units = _CUT.split(text)
-        if len(units) > self.room:
-            return self._encode([text])[0]
-        self._fill(self.exact, units, lambda k: k)
-        return b"".join(map(self.exact.__getitem__, units))
-
-    def _one(self, unit: str) -> bytes:
-        if unit not in self.exact:
-            self._fill(self.exact, [unit], lambda k: k)
-        return self.exact[unit]
+        return self.ids_many([text])[0]
 
 
 _ENCODERS: dict[tuple[str, int], UnitEncoder] = {}
@@ -215,10 +226,17 @@ def encoder(path: str, width: int = 4) -> UnitEncoder:
     return _ENCODERS[path, width]
 
 
+def encoded(path: str, texts: list[str | None], width: int = 4, at_once: int = 256) -> Iterator[bytes]:
+    """Ids of each text, in blocks of texts so that no more than a block is held."""
+    own = encoder(path, width)
+    for i in range(0, len(texts), at_once):
+        yield from own.ids_many(texts[i : i + at_once])
+
+
 def tokenizer_path(name: str) -> str:
     import public_tokenizers
 
     return str(public_tokenizers.path(name))
 
 
-__all__ = ["F", "PartFile", "UnitEncoder", "encoder", "file_system", "shared_folder", "table", "text_bytes", "tokenizer_path", "workers_import", "written"]
+__all__ = ["F", "PartFile", "UnitEncoder", "encoded", "encoder", "file_system", "shared_folder", "table", "text_bytes", "tokenizer_path", "workers_import", "written"]

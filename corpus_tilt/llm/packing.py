@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import encoder, workers_import, written
+from .common import encoded, workers_import, written
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, salt long"
 
@@ -34,11 +34,11 @@ def token_pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, id
     end, step = int(end_id).to_bytes(4, "little"), capacity * 4
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, seen = encoder(tokenizer), TaskContext.get().partitionId() << 40
+        seen = TaskContext.get().partitionId() << 40
         for b in batches:
             rows = []
-            for key, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                ids = enc.ids(text) + end
+            for key, own in zip(b.column(0).to_pylist(), encoded(tokenizer, b.column(1).to_pylist()), strict=True):
+                ids = own + end
                 for i in range(0, len(ids), step):
                     part = ids[i : i + step]
                     rows.append((key, i // step, i // 4, len(part) // 4, zlib.crc32(part), seen))

@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import PartFile, encoder, file_system, shared_folder, workers_import, written
+from .common import PartFile, encoded, file_system, shared_folder, workers_import, written
 
 _DIRECTORY = "key long, turn long, shard int, offset long, n long"
 _FLUSH = 1 << 22
@@ -94,13 +94,13 @@ class TokenStore:
 def _shard_writer(folder: str, path: str, width: int, end_id: int):
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard = TaskContext.get().partitionId()
-        enc, end = encoder(path, width), np.array([end_id], f"<u{width}").tobytes()
+        end = np.array([end_id], f"<u{width}").tobytes()
         out, offset, last, turn, held, size = None, 0, object(), 0, [], 0
         for batch in batches:
             rows = []
-            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for key, ids in zip(batch.column(0).to_pylist(), encoded(path, batch.column(1).to_pylist(), width), strict=True):
                 out = out or PartFile(folder, f"ids-{shard:06d}.bin")
-                data = enc.ids(text) + end
+                data = ids + end
                 held.append(data)
                 size += len(data)
                 if size > _FLUSH:

@@ -26,7 +26,7 @@ def caption_vectors(classes: int, size: int = 64) -> np.ndarray:
 def models(task: str, contexts: int = 16, conv: bool = False):
     """Main model, weight model and setting of a task."""
     if task == "pairs":
-        return PairModel(), PairWeight(), Setting(steps=60, small=16, large=128, rate=4.0, weight_rate=5.0, rho=1.0)
+        return PairModel(), PairWeight(), Setting(steps=60, small=16, large=128, rate=12.0, weight_rate=20.0, rho=4.0)
     if task.startswith("vectors"):
         return DualEncoder(caption_vectors(10)), ImageWeight(), Setting(steps=150, small=16, large=96, rate=0.3, weight_rate=2.0, rho=0.3)
     if task == "rows":

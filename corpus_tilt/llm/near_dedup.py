@@ -8,7 +8,9 @@ recall to any target.  Links are confirmed on whole sets, and classes are the co
 
 Equal sets are one representative, so groups of exact copies never enter the trees.  A large
 node that a branching hardly divides (texts whose sketches agree), or that is left after
-``levels`` branchings, is dealt to blocks that all hold its least document, other blocks in each tree.
+``levels`` branchings, is first dealt to blocks that all hold its least document.  What these and
+the small nodes leave in different classes is then compared whole, block against block over many
+tasks: the documents outside the node's largest class against all of it, each pair in one node alone.
 
 Defined results: texts without words have an empty set and are linked with nothing; with fewer
 words than a shingle the whole sequence is one; a null id is linked with nothing and kept; rows
@@ -236,13 +238,102 @@ def _confirm(words: int, percent: int):
     return confirm
 
 
+def _open_pairs(b: pa.RecordBatch, lo: int, hi: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows that probe, rows probed, and which of their pairs this task has to compare; input (task, doc, label, probe, loose, before)."""
+    docs, labels = (b.column(i).slice(lo, hi - lo).to_numpy() for i in (1, 2))
+    probe, loose = (b.column(i).slice(lo, hi - lo).to_numpy(zero_copy_only=False) for i in (3, 4))
+    x, y = np.flatnonzero(probe), np.flatnonzero(~probe)
+    todo = (labels[x, None] != labels[y]) & (~loose[y] | (docs[x, None] < docs[y]))
+    members: dict[int, list[int]] = {}
+    for i, paths in enumerate(b.column(5).slice(lo, hi - lo).to_pylist()):
+        for path in paths:
+            members.setdefault(path, []).append(i)
+    for rows in members.values():  # both are in an earlier node, which compares them
+        own = np.zeros(hi - lo, bool)
+        own[rows] = True
+        todo &= ~(own[x, None] & own[y])
+    return x, y, todo
+
+
+def _likely_across(least: int):
+    """Of each task, the rows with a pair to compare whose sketches agree in at least ``least`` places; tokens are column 6."""
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in by_group(batches):
+            tokens = np.frombuffer(b"".join(b.column(6).to_pylist()), np.uint32).reshape(b.num_rows, -1)
+            keep = np.zeros(b.num_rows, bool)
+            for lo, hi in _group_cuts(b.column(0).to_numpy()):
+                x, y, todo = _open_pairs(b, lo, hi)
+                for i, row in zip(x.tolist(), todo, strict=True):
+                    others = lo + y[row]
+                    near = others[(tokens[others] == tokens[lo + i]).sum(axis=1) >= least]
+                    keep[near] = True
+                    keep[lo + i] |= len(near) > 0
+            yield b.select(list(range(6))).take(pa.array(np.flatnonzero(keep)))
+
+    return compare
+
+
+def _confirm_across(words: int, percent: int):
+    """Exact links of each task that join what is not joined yet; texts are column 6."""
+
+    def confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in by_group(batches):
+            found = []
+            for lo, hi in _group_cuts(b.column(0).to_numpy()):
+                x, y, todo = _open_pairs(b, lo, hi)
+                if not todo.any():
+                    continue
+                docs, top = b.column(1).slice(lo, hi - lo).to_numpy(), b.column(2).slice(lo, hi - lo).to_numpy().copy()
+                sets = shingle_sets(b.column(6).slice(lo, hi - lo).to_pylist(), words)
+                sizes = np.array([len(s) for s in sets])
+                names, own = np.unique(np.concatenate(sets), return_inverse=True)
+                parts = np.split(own, np.cumsum(sizes)[:-1])
+                probed, begins = np.concatenate([parts[j] for j in y]), np.cumsum(sizes[y]) - sizes[y]
+                held = np.zeros(len(names), bool)
+                for i, row in zip(x.tolist(), todo, strict=True):
+                    if not (row & (top[y] != top[i])).any():
+                        continue
+                    held[parts[i]] = True
+                    both = np.add.reduceat(held[probed], begins, dtype=np.int64)
+                    held[parts[i]] = False
+                    for j in y[row & (both > 0) & (100 * both >= percent * (sizes[i] + sizes[y] - both))].tolist():
+                        if top[i] != top[j]:
+                            found.append((int(docs[i]), int(docs[j])))
+                            top[top == top[j]] = top[i]
+            yield pa.RecordBatch.from_arrays([pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], ["a", "b"])
+
+    return confirm
+
+
+def _across(large: DataFrame, classes: DataFrame, block: int) -> DataFrame:
+    """Tasks (task, doc, label, probe, loose, before) that together hold every pair of a large node in different classes.
+
+    The documents outside a node's largest class (loose) probe all of the node, blocks against blocks.
+    ``before``: the large nodes of the document with lesser paths, which compare the pairs they share.
+    """
+    labelled = large.join(classes.withColumnRenamed("id", "doc"), "doc", "left").select("path", "doc", F.coalesce("component", "doc").alias("label"))
+    labelled = written(labelled, "large")
+    most = labelled.groupBy("path", "label").agg(F.count("*").alias("n")).groupBy("path").agg(F.sum("n").alias("n"), F.max(F.struct("n", "label")).alias("most"))
+    most = most.where("n > most.n").select("path", F.col("most.label").alias("most"), F.ceil(F.col("n") / block).alias("blocks"), F.ceil((F.col("n") - F.col("most.n")) / block).alias("probes"))
+    paths = large.groupBy("doc").agg(F.collect_set("path").alias("paths"))
+    rows = labelled.join(most, "path").join(paths, "doc").withColumn("loose", F.col("label") != F.col("most"))
+    rows = rows.withColumn("before", F.filter("paths", lambda p: p < F.col("path"))).withColumn("hash", F.xxhash64("path", "doc"))
+    first, second = F.pmod("hash", F.col("probes")), F.pmod("hash", F.col("blocks"))
+    probing = rows.where("loose").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("task", F.xxhash64("path", first, F.col("other")))
+    probed = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("probes") - 1))).withColumn("task", F.xxhash64("path", F.col("other"), second))
+    columns = ["task", "doc", "label", "probe", "loose", "before"]
+    return probing.withColumn("probe", F.lit(True)).select(columns).unionByName(probed.withColumn("probe", F.lit(False)).select(columns))
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, trees: int = 12, first: int = 2, small: int = 48, levels: int = 6, undivided: float = 0.75, size: int = 64, seed: int = 1) -> DataFrame:
     """One row a document: doc_id, n_shingles, component_id (the least id of its class), kept.
 
     ``percent``: documents are linked whose intersection is at least that share of their union.
     ``first``: trees whose links are confirmed before the others, which then only look for links
     between classes.  ``size``: coordinates of a sketch.  ``undivided``: a large node that still has
-    this share of the node above it is not branched further but dealt to blocks.
+    this share of the node above it is not branched further but dealt to blocks, and compared whole
+    at the end in blocks of about 4 * ``small`` documents.
     """
     spark = docs.sparkSession
     workers_import(spark)
@@ -256,13 +347,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     reps = written(usable.join(equal.where("copies > 1").select("f1", "f2", "n_shingles", "rep"), ["f1", "f2", "n_shingles"], "left").where("rep is null or rep = doc_id").select(F.col("doc_id").alias("doc"), "tokens", "paths").dropDuplicates(["doc"]), "reps")
 
     paths = written(reps.select("doc", F.explode("paths").alias("path"), F.lit(None).cast("long").alias("above")), "paths")
-    nodes, level = [], 0
+    nodes, large, level = [], [], 0
     while True:
         counted = written(paths.groupBy("path").agg(F.count("*").alias("n"), F.min("doc").alias("least"), F.max("above").alias("above")).where("n > 1"), "nodes")
         live = paths.drop("above").join(counted.withColumn("whole", (F.lit(level >= levels) | F.coalesce(F.col("n") >= undivided * F.col("above"), F.lit(False)))), "path")
         nodes.append(live.where(F.col("n") <= small).select("path", "doc"))
         block = F.xxhash64("path", F.pmod(F.xxhash64("path", "doc"), F.ceil(F.col("n") / (small - 8)).cast("long")))
         dealt = live.where((F.col("n") > small) & F.col("whole") & (F.col("doc") != F.col("least"))).select("least", block.alias("path"), "doc")
+        large.append(live.where((F.col("n") > small) & F.col("whole")).select("path", "doc"))
         nodes += [dealt.select("path", "doc"), dealt.select("path", F.col("least").alias("doc")).distinct()]
         wide = live.where((F.col("n") > small) & ~F.col("whole")).select("path", "doc", "n")
         if counted.where((F.col("n") > small) & ~(F.lit(level >= levels) | F.coalesce(F.col("n") >= undivided * F.col("above"), F.lit(False)))).isEmpty():
@@ -288,6 +380,21 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     more = confirmed(labelled.join(open_nodes, "path", "left_semi"))
     links = written(links.unionByName(more), "links")
     classes = written(components(links), "classes")
+    undivided_nodes = large[0]
+    for lower in large[1:]:
+        undivided_nodes = undivided_nodes.unionByName(lower)
+    undivided_nodes = written(undivided_nodes.distinct(), "large")
+    if not undivided_nodes.isEmpty():
+        tasks = _across(undivided_nodes, classes, 4 * small)
+        by_task = lambda df: df.repartition(F.col("task")).sortWithinPartitions("task")
+        kinds = "task long, doc long, label long, probe boolean, loose boolean, before array<long>"
+        pairs = written(by_task(tasks.join(reps.select("doc", "tokens"), "doc").select(*tasks.columns, "tokens")).mapInArrow(_likely_across(least), kinds), "across")
+        if not pairs.isEmpty():
+            wanted = pairs.select(F.col("doc").alias("doc_id")).distinct()
+            texts = rows.join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("doc"), "text")
+            across = by_task(pairs.join(texts, "doc").select(*pairs.columns, "text")).mapInArrow(_confirm_across(words, percent), "a long, b long").distinct()
+            links = written(links.unionByName(across), "links")
+            classes = written(components(links), "classes")
     tops = equal.join(classes, equal["rep"] == classes["id"], "left").select("f1", "f2", "n_shingles", F.coalesce("component", "rep").alias("component"))
     tops = written(tops, "tops")
     known = made.drop("tokens", "paths").join(tops, ["f1", "f2", "n_shingles"], "left")

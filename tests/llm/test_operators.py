@@ -173,6 +173,26 @@ def test_near_duplicates_like_brute_force(spark, small):
     assert got == brute_classes(docs, 3, 85)
 
 
+def test_undivided_nodes_are_compared_whole(spark):
+    """Distinct near copies around one original that is not the least id; 400 share a text just under the threshold, with linked pairs among them."""
+    rng = random.Random(12)
+    base = [f"b{i}" for i in range(200)]
+
+    def exchanged(w, places, tag):
+        out = list(w)
+        for i in places:
+            out[i] = f"{tag}x{i}"
+        return " ".join(out)
+
+    docs = [(1000 + i, exchanged(base, rng.sample(range(2, 198, 4), 4), i)) for i in range(250)] + [(5000, " ".join(base))]
+    other = [f"c{i}" for i in range(200)]
+    for i in range(400):
+        far = exchanged(other, rng.sample(range(2, 198, 4), 6), f"p{i // 2 if i < 40 else i}").split()
+        docs.append((10_000 + rng.randrange(100) + 100 * i, " ".join(far) if i % 2 == 0 or i >= 40 else exchanged(docs[-1][1].split(), [190], i)))
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_duplicates(frame(spark, docs), words=3, percent=85).collect()}
+    assert got == brute_classes(docs, 3, 85)
+
+
 def test_near_duplicates_edges(spark):
     rows = near_duplicates(frame(spark)).collect()
     assert len(rows) == len(EDGE) and all(r["kept"] for r in rows if r["doc_id"] != 5)

@@ -12,9 +12,6 @@ from corpus_tilt.llm.near_dedup import near_duplicates
 from corpus_tilt.llm.packing import pack, token_pieces
 from corpus_tilt.llm.quality_rules import quality
 
-#: Of a class of lines, documents from this many on lose it (all but its first line).
-LINE_DOCS = 6
-
 
 def _kept(docs: DataFrame, ids: DataFrame) -> DataFrame:
     return docs.join(ids.hint("merge"), "doc_id", "left_semi").select(*docs.columns)
@@ -26,8 +23,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without lines that many share; ``n_chars`` follows the text."""
-    return dedup_lines(docs, min_docs=LINE_DOCS).withColumn("n_chars", F.length("text").cast("long"))
+    """Documents without lines that stand before, in themselves or another; ``n_chars`` follows the text."""
+    return dedup_lines(docs).withColumn("n_chars", F.length("text").cast("long"))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

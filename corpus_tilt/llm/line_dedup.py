@@ -5,7 +5,8 @@ Lines of the corpus are linked when they are equal or, from ``near_from`` charac
 least one of them, shifted by no more than the edits on either side.  An index of (length, segment
 number, segment) is probed with the substrings that can align for each admissible length, and what
 meets is verified with a banded bit-parallel distance.  Classes are connected components; of a
-class that at least ``min_docs`` documents have, its first line in (doc_id, line) order stays.
+class that at least ``min_docs`` documents have, its first line in (doc_id, line) order stays; of
+any other, the first in each document.
 
 Lines are known by 64-bit hashes; texts are fetched for lines that meet another alone.
 
@@ -205,8 +206,14 @@ def line_removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     known = written(places.join(classes.withColumnRenamed("id", "line"), "line", "left").select("doc_id", "line_no", "line", F.coalesce("component", "line").alias("class")), "places")
     each = known.groupBy("class", "doc_id").agg(F.min(F.struct("line_no", "line")).alias("head"), F.count("*").alias("n"))
     whole = each.groupBy("class").agg(F.min(F.struct("doc_id", "head")).alias("first"), F.count("*").alias("docs"), F.sum("n").alias("n"))
-    many = written(whole.where((F.col("n") > 1) & ((F.col("docs") >= min_docs) | (F.col("docs") == 1))).select("class", F.col("first.doc_id").alias("first_doc"), F.col("first.head.line_no").alias("first_no"), F.col("first.head.line").alias("first_line")), "repeated")
-    told = known.join(many, "class", "left").withColumn("gone", F.coalesce((F.col("doc_id") != F.col("first_doc")) | (F.col("line_no") != F.col("first_no")), F.lit(False)))
+    many = written(whole.where("n > 1").select("class", (F.col("docs") >= min_docs).alias("across"), F.col("first.doc_id").alias("first_doc"), F.col("first.head.line_no").alias("first_no"), F.col("first.head.line").alias("first_line")), "repeated")
+    told = known.join(many, "class", "left")
+    if min_docs > 2:  # below that, a class that is not compared across documents is in one alone
+        heads = each.where("n > 1").join(many.where("not across").select("class"), "class", "left_semi").select("class", "doc_id", F.col("head.line_no").alias("own_no"), F.col("head.line").alias("own_line"))
+        told = told.join(heads, ["class", "doc_id"], "left")
+        inner = F.coalesce(~F.col("across"), F.lit(False))
+        told = told.withColumn("first_doc", F.when(inner, F.col("doc_id")).otherwise(F.col("first_doc"))).withColumn("first_no", F.when(inner, F.coalesce("own_no", "line_no")).otherwise(F.col("first_no"))).withColumn("first_line", F.when(inner, F.coalesce("own_line", "line")).otherwise(F.col("first_line")))
+    told = told.withColumn("gone", F.coalesce((F.col("doc_id") != F.col("first_doc")) | (F.col("line_no") != F.col("first_no")), F.lit(False)))
     near = F.col("gone") & (F.col("line") != F.col("first_line"))
     return told.groupBy("doc_id").agg(F.count("*").alias("n_lines"), F.count_if(F.col("gone") & ~near).alias("n_exact"), F.count_if(near).alias("n_near"), F.array_sort(F.collect_set(F.when(F.col("gone"), F.col("line_no")))).alias("removed"))
 

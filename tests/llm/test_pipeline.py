@@ -4,6 +4,7 @@ import math
 
 import corpus_pipeline
 from corpus_tilt.llm.decontaminate import contaminated
+from corpus_tilt.llm.line_dedup import line_removals
 from corpus_tilt.llm.near_dedup import near_duplicates
 
 from ..conftest import SF
@@ -26,3 +27,15 @@ def test_stages(spark):
         if name == "decontamination":
             assert contaminated(out, spark.read.parquet(f"{SF}/benchmark.parquet")).count() == 0
         docs, ids = out, now
+
+
+def test_line_stage_removes_what_two_share(spark):
+    docs = spark.createDataFrame([(1, "one of a kind\nshared line of text"), (2, "another thing\nshared line of text\nshared line of text"), (3, "third text")], "doc_id long, text string")
+    got = {r["doc_id"]: r["text"] for r in corpus_pipeline.line_dedup(spark, docs, SF).collect()}
+    assert got == {1: "one of a kind\nshared line of text", 2: "another thing", 3: "third text"}
+
+
+def test_repeats_within_a_document_go_below_min_docs(spark):
+    docs = spark.createDataFrame([(1, "a b\nx y"), (2, "a b\nc d\na b"), (3, "a b\na b\na b"), (4, "q\nq")], "doc_id long, text string")
+    got = {r["doc_id"]: r["removed"] for r in line_removals(docs, min_docs=6).collect()}
+    assert got == {1: [], 2: [2], 3: [1, 2], 4: [1]}

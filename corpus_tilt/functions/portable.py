@@ -20,7 +20,9 @@ def gumbel(key: Column, seed: int | str) -> Column:
     return -F.log(-F.log(u01(key, seed)))
 
 
-def usable_text(text: Column, max_bytes: int) -> Column:
-    """The first bytes of a text, null where it has fewer than two (no loss is defined there)."""
-    raw = F.substring(F.encode(text, "utf-8"), 1, max_bytes)
+def usable_text(text: Column, max_bytes: int | None = None) -> Column:
+    """The bytes of a text, or the first ``max_bytes``; null where there are fewer than two (no loss is defined there)."""
+    raw = F.encode(text, "utf-8")
+    if max_bytes is not None:
+        raw = F.substring(raw, 1, max_bytes)
     return F.when(F.octet_length(raw) >= 2, raw)

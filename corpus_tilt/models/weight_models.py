@@ -11,7 +11,7 @@ import numpy as np
 class LinearWeight:
     """alpha . phi on the shares of bytes by high nibble (or any features given)."""
 
-    def __init__(self, features: int = 16, max_bytes: int = 512) -> None:
+    def __init__(self, features: int = 16, max_bytes: int | None = None) -> None:
         self.size, self.max_bytes = features, max_bytes
 
     def init(self, seed: int = 0) -> np.ndarray:
@@ -19,7 +19,7 @@ class LinearWeight:
 
     def prepare(self, payloads: list) -> np.ndarray:
         if payloads and isinstance(payloads[0], bytes):
-            return np.array([np.bincount(np.frombuffer(p[: self.max_bytes], np.uint8) >> 4, minlength=16) / max(min(len(p), self.max_bytes), 1) for p in payloads]).reshape(-1, 16)
+            return np.array([np.bincount(np.frombuffer(p, np.uint8) >> 4, minlength=16) / max(len(p), 1) for p in (p[: self.max_bytes] for p in payloads)]).reshape(-1, 16)
         return np.array([np.ravel(p[0] if isinstance(p, tuple) else p) for p in payloads], float)
 
     def scores(self, alpha: np.ndarray, x: np.ndarray) -> np.ndarray:

@@ -1,7 +1,7 @@
 """Cheap first: score all, keep few, fetch payloads late.
 
 The optimizer never moves a costly stage above a cheap filter by itself; these nodes are placed
-so.  Scoring reads ids and a prefix; the kept ids then fetch their payload by a semi-join.
+so.  Scoring reads ids and texts; the kept ids then fetch their payload by a semi-join.
 """
 
 from __future__ import annotations
@@ -42,8 +42,8 @@ def linear_scores(df: DataFrame, alpha: np.ndarray, id_col: str = "id", payload:
     return df.where(F.octet_length(payload) >= 1).select(F.col(id_col).alias("id"), (sum(terms[1:], terms[0]) / n).alias("score"))
 
 
-def select_then_fetch(docs: DataFrame, weight, alpha: np.ndarray, n: int, kind: str = "gumbel", seed: int = 0, step: int = 0, id_col: str = "doc_id", text_col: str = "text", prefix: int = 512) -> DataFrame:
-    """Rows of ``docs`` that the filter keeps: score on prefixes, filter, then a semi-join for whole rows."""
+def select_then_fetch(docs: DataFrame, weight, alpha: np.ndarray, n: int, kind: str = "gumbel", seed: int = 0, step: int = 0, id_col: str = "doc_id", text_col: str = "text", prefix: int | None = None) -> DataFrame:
+    """Rows of ``docs`` that the filter keeps: score whole texts (or prefixes), filter, then a semi-join for whole rows."""
     examples = docs.select(F.col(id_col).alias("id"), usable_text(F.col(text_col), prefix).alias("payload")).where("payload is not null")
     kept = FILTERS[kind](score_examples(examples, weight, alpha), n, seed, step)
     return docs.join(kept.select(F.col("id").alias(id_col)), id_col, "left_semi")

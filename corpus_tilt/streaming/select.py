@@ -15,7 +15,7 @@ from ..operators.sampling import FILTERS
 from ..plans.cascade import score_examples
 
 
-def stream_select(stream: DataFrame, weight, alpha: np.ndarray, n: int, out: str, checkpoint: str, kind: str = "gumbel", seed: int = 0, id_col: str = "doc_id", text_col: str = "text", prefix: int = 512) -> StreamingQuery:
+def stream_select(stream: DataFrame, weight, alpha: np.ndarray, n: int, out: str, checkpoint: str, kind: str = "gumbel", seed: int = 0, id_col: str = "doc_id", text_col: str = "text", prefix: int | None = None) -> StreamingQuery:
     """Keep ``n`` examples of each micro-batch under ``out``/batch_id=...; a batch that is replayed writes its own folder again."""
 
     def batch(df: DataFrame, batch_id: int) -> None:

@@ -8,6 +8,7 @@ from corpus_tilt.models.main_models import ByteModel
 from corpus_tilt.models.weight_models import LinearWeight
 from corpus_tilt.operators import sampling as S
 from corpus_tilt.plans.cascade import gradient_sums, linear_scores, score_examples, select_then_fetch, sliced
+from corpus_tilt.streaming.select import file_stream, stream_select
 from corpus_tilt.training.bilevel import METHODS, Pools, Setting, fine_tune, pick, train_bilevel, train_frozen
 from corpus_tilt.training.diagnose import acceleration_rates, mix_diagnostic
 from corpus_tilt.training.task import TARGETS, Task, build_task
@@ -116,3 +117,16 @@ def test_cascade(spark, tmp_path):
     sliced(docs, str(tmp_path / "s"), 4)
     plan = spark.read.parquet(str(tmp_path / "s")).where("slice = 1")._jdf.queryExecution().executedPlan().toString()
     assert "PartitionFilters: [isnotnull(slice" in plan
+
+
+def test_selection_reads_whole_texts(spark, tmp_path):
+    """Two texts that differ after their first 512 bytes alone."""
+    docs = spark.createDataFrame([(1, "a" * 600 + " " * 900), (2, "a" * 600 + "z" * 900)], "doc_id long, text string")
+    alpha = np.zeros(16)
+    alpha[7] = 1.0  # bytes of p to z
+    assert [r["doc_id"] for r in select_then_fetch(docs, LinearWeight(), alpha, 1, "top").collect()] == [2]
+    where = str(tmp_path)
+    docs.write.parquet(f"{where}/in")
+    stream_select(file_stream(spark, f"{where}/in", docs, 100), LinearWeight(), alpha, 2, f"{where}/out", f"{where}/checkpoint", "top").awaitTermination()
+    got = {r["id"]: r["score"] for r in spark.read.parquet(f"{where}/out").collect()}
+    assert got == {1: 0.0, 2: 0.6}

@@ -356,19 +356,29 @@ def dedup_exact(t):
 
 
 @op("dedup_near")
-def dedup_near(t, bands: int = 8, rows: int = 3):
-    """MinHash bands over word shingles of the first bytes, verified by Jaccard of the same shingles; links as pairs (least id of a band, id)."""
-    w = F.split(F.substring("text", 1, 512), " ")
-    s = t.documents.select("doc_id", F.array_distinct(F.transform(F.sequence(F.lit(0), F.greatest(F.size(w) - 3, F.lit(0))), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)))).alias("s"))
+def dedup_near(t, bands: int = 8, rows: int = 3, words: int = 5, block: int = 200):
+    """MinHash bands over word shingles of whole texts; links (lesser id, greater id) verified by Jaccard of the sets.
+
+    Equal sets are one, linked with its copies.  All pairs of a band's sets are verified, block against block.
+    """
+    w = F.split("text", " ")
+    s = t.documents.select("doc_id", F.array_sort(F.array_distinct(F.transform(F.sequence(F.lit(0), F.greatest(F.size(w) - words, F.lit(0))), lambda i: F.xxhash64(*[F.get(w, i + j) for j in range(words)])))).alias("s"))
+    sets = s.groupBy("s").agg(F.min("doc_id").alias("a"), F.collect_list("doc_id").alias("ids"))
+    copies = sets.select("a", F.explode("ids").alias("b")).where("a <> b").distinct()
 
     def least(k: int) -> Column:
         return F.array_min(F.transform("s", lambda x: F.xxhash64(F.lit(k), x)))
 
     keys = F.array(*[F.xxhash64(F.lit(b), *[least(b * rows + r) for r in range(rows)]) for b in range(bands)])
-    banded = s.select("doc_id", "s", F.explode(keys).alias("band"))
-    heads = banded.groupBy("band").agg(F.min(F.struct("doc_id", "s")).alias("h"), F.count("*").alias("n")).where("n > 1").select("band", F.col("h.doc_id").alias("a"), F.col("h.s").alias("t"))
+    banded = sets.select("a", F.explode(keys).alias("band"))
+    met = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1").select("band", F.ceil(F.col("n") / block).alias("blocks"))
+    dealt = banded.join(met, "band").withColumn("own", F.pmod(F.xxhash64("band", "a"), F.col("blocks")))
+    x = dealt.select("band", "a", F.col("own").alias("x"), F.explode(F.sequence(F.col("own"), F.col("blocks") - 1)).alias("y"))
+    y = dealt.select("band", F.col("a").alias("b"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("own"))).alias("x"), F.col("own").alias("y"))
+    pairs = x.join(y, ["band", "x", "y"]).where("x <> y or a < b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     both = F.size(F.array_intersect("s", "t"))
-    return banded.join(heads, "band").where("doc_id <> a").where(both >= 0.8 * (F.size("s") + F.size("t") - both)).select("a", F.col("doc_id").alias("b")).distinct()
+    near = pairs.join(sets.select("a", "s"), "a").join(sets.select(F.col("a").alias("b"), F.col("s").alias("t")), "b").where(both >= 0.8 * (F.size("s") + F.size("t") - both)).select("a", "b")
+    return near.unionByName(copies)
 
 
 @op("subquery", "select o_orderkey from orders o where o_totalprice > (select avg(i.o_totalprice) from orders i where i.o_custkey = o.o_custkey) and exists (select 1 from lineitem l where l.l_orderkey = o.o_orderkey)")

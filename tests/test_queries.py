@@ -1,10 +1,13 @@
 """A share of the queries against DuckDB on the smallest tables; all oracles parse."""
 
+from types import SimpleNamespace
+
 import duckdb
 import pytest
 
 import __spark_entry__ as entry
 from corpus_tilt.functions.sqltext import TABLES
+from corpus_tilt.operators.relational import dedup_near
 
 from .conftest import SF
 
@@ -38,3 +41,15 @@ def test_every_oracle_has_a_query():
 
 def test_entry(spark):
     assert entry.entry(spark).count() == 16
+
+
+@pytest.mark.parametrize("block", [200, 4])
+def test_near_links_are_all_pairs_of_whole_texts(spark, block):
+    base = [f"word{i}" for i in range(200)]
+    docs = [(i, " ".join([*base[: 5 + 9 * i], f"other{i}", *base[6 + 9 * i :]])) for i in range(20)]
+    docs += [(100, docs[3][1]), (101, " ".join([*base[:80], *(f"p{i}" for i in range(120))])), (102, " ".join([*base[:80], *(f"q{i}" for i in range(120))]))]
+    sets = {k: {tuple(w[i : i + 5]) for i in range(len(w) - 4)} for k, w in ((k, x.split(" ")) for k, x in docs)}
+    want = {(a, b) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
+    want -= {p for p in want if 100 in p} - {(3, 100)}  # a copy is linked with the least of its set alone
+    got = [(r["a"], r["b"]) for r in dedup_near(SimpleNamespace(documents=spark.createDataFrame(docs, "doc_id long, text string")), block=block).collect()]
+    assert len(want) > 100 and sorted(got) == sorted(want)

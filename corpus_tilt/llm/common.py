@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import atexit
 import os
+import random
 import re
 import tempfile
 import uuid
 from collections.abc import Iterator
-from itertools import islice
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -75,6 +76,29 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(uri)
 
 
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """Column names like ``names`` that ``df`` does not have."""
+    taken = {c.lower() for c in df.columns}
+    while taken & {n.lower() for n in names}:
+        names = tuple(f"{n}_" for n in names)
+    return list(names)
+
+
+def join_hot(big: DataFrame, table: DataFrame, key: str, hot: DataFrame) -> DataFrame:
+    """``big`` with the columns of ``table`` (one row a key), left; ``hot`` holds the keys that are many rows of ``big``.
+
+    Hot keys are those with more than a share ``HOT_SHARE`` of the rows, so 1 / HOT_SHARE at most:
+    their rows of ``table`` are broadcast; the others, none of which is large, are joined by a sort-merge.
+    """
+    few = written(table.join(hot.select(key).hint("broadcast"), key, "left_semi"), "hot")
+    own = big.join(few.select(key).hint("broadcast"), key, "left_semi").join(few.hint("broadcast"), key, "left")
+    rest = big.join(few.select(key).hint("broadcast"), key, "left_anti").join(table.hint("merge"), key, "left")
+    return own.unionByName(rest)
+
+
+HOT_SHARE = 1e-4
+
+
 def file_system(uri: str):
     """The public Arrow file system of a URI and the path in it."""
     from pyarrow import fs
@@ -110,34 +134,44 @@ def text_bytes(text: str | None) -> bytes:
 #: A unit of letters or digits with ASCII punctuation after it: always two pre-tokens.
 _TAIL = re.compile(r"(.*[^\W_])([!-/:-@\[-`{-~]+)", re.S)
 _CUT = re.compile(r"(?<=\S)(?=[ \t\n\r])")
+#: Bytes of a cache entry beside its key and ids, by the sizes of Python objects.
+_ENTRY = 190
 
 
 class UnitEncoder:
     """Token ids of whole texts, put together from cached ids of their white-space-led units.
 
-    A text is cut only where a character that is not white space meets white space.  The
-    pre-tokenizers of the supported vocabularies never join across such a place, so the ids
-    of the units, in order, are those of the text.  ``ids`` gives little-endian unsigned
-    integers of ``width`` bytes.
+    A text is cut only where a character that is not white space meets white space.  Where the
+    pre-tokenizer never joins across such a place, the ids of the units, in order, are those of
+    the text; this is tried on odd texts when the encoder is made, and a tokenizer that fails
+    encodes whole texts.  The caches hold about ``room`` bytes at most.
     """
 
-    def __init__(self, path: str, width: int = 4, room: int = 700_000) -> None:
+    def __init__(self, path: str, room: int = 96 << 20) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.kind = {2: "<u2", 4: "<u4"}[width]
-        if width == 2 and self.tokenizer.get_vocab_size(with_added_tokens=True) > 0x10000:
-            raise ValueError("two bytes are too few for this vocabulary")
-        self.room = room
+        self.kind = "<u2" if self.tokenizer.get_vocab_size(with_added_tokens=True) <= 0x10000 else "<u4"
+        self.room, self.used = room, 0
         self.marks = self._word_marks()
         self.inner: dict[str, bytes] = {}
         self.exact: dict[str, bytes] = {}
+        self.whole_only = not self._splits()
+
+    def _splits(self) -> bool:
+        """Do the units' ids make up those of whole texts, on texts of odd parts?"""
+        parts = ["a", "Word", " ", "  ", "\n", "\t", "don't", "'s", "\u00c9", "e\u0301", "<|endoftext|>", ".", ",", "12", "_", "\U0001f44d", "%%%", "\x1c", "\r\n", "\u4e2d\u6587", "\u00a0", "x" * 40]
+        rng = random.Random(5)
+        try:
+            texts = ["".join(rng.choice(parts) for _ in range(rng.randint(1, 9))) for _ in range(400)]
+            self.whole_only = False
+            return self.ids_many(texts) == [np.array(e.ids, self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        except (AttributeError, KeyError, IndexError):
+            return False
 
     def _encode(self, units: list[str]) -> list[bytes]:
         """Ids of each unit.  Single words go to the library many at a time, and are told apart by its marks of a word's begin or end."""
-        import numpy as np
-
         words = [i for i, u in enumerate(units) if u[:1] == " " and u[1:].isalpha()] if self.marks is not None else []
         out: list[bytes | None] = [None] * len(units)
         groups = [words[i : i + 400] for i in range(0, len(words), 400)]
@@ -156,20 +190,23 @@ class UnitEncoder:
 
     def _word_marks(self):
         """By id, whether a token begins (a space mark) or ends (a suffix) a word; None if the vocabulary has neither."""
-        import numpy as np
-
         vocabulary = self.tokenizer.get_vocab(with_added_tokens=True)
-        suffix = self.tokenizer.model.end_of_word_suffix
+        suffix = getattr(self.tokenizer.model, "end_of_word_suffix", None)
         self.lead = not suffix
         out = np.zeros(max(vocabulary.values()) + 1, bool)
         for token, i in vocabulary.items():
             out[i] = token.endswith(suffix) if suffix else token.startswith("\u0120")
         return out if out.any() else None
 
-    def _room(self, known: dict[str, bytes]) -> None:
-        if len(known) > self.room:
-            for k in list(islice(known, self.room // 2)):
-                del known[k]
+    def _store(self, known: dict[str, bytes], units: list[str], ids: list[bytes]) -> None:
+        known.update(zip(units, ids, strict=True))
+        self.used += sum(map(len, units)) + sum(map(len, ids)) + _ENTRY * len(units)
+
+    def forget(self) -> None:
+        """Empty the caches."""
+        self.inner.clear()
+        self.exact.clear()
+        self.used = 0
 
     def _learn(self, parts: set[str]) -> set[str]:
         """Add the ids of words after a space (or led by a line break); those that are no such words are given back."""
@@ -178,19 +215,21 @@ class UnitEncoder:
         odd = {k for k in rest if (bare := k[1:] if k[:1] == "\n" else k).split() != [bare]}
         split = {k: m for k in rest - odd if k[0] != "\n" and "<|" not in k and (m := _TAIL.fullmatch(k))}
         plain = list({m[1] for m in split.values()}.difference(self.inner, words)) + list(words) + list(rest - odd - split.keys())
-        self.inner.update(zip(plain, self._encode([k if k[0] == "\n" else " " + k for k in plain]), strict=True))
+        self._store(self.inner, plain, self._encode([k if k[0] == "\n" else " " + k for k in plain]))
         self._whole({m[2] for m in split.values()})
-        self.inner.update((k, self.inner[m[1]] + self.exact[m[2]]) for k, m in split.items())
+        self._store(self.inner, list(split), [self.inner[m[1]] + self.exact[m[2]] for m in split.values()])
         return odd
 
     def _whole(self, units: set[str]) -> None:
         new = list(units.difference(self.exact))
-        self.exact.update(zip(new, self._encode(new), strict=True))
+        self._store(self.exact, new, self._encode(new))
 
     def ids_many(self, texts: list[str | None]) -> list[bytes]:
-        """The ids of each text; new units of all of them are encoded together."""
-        self._room(self.inner)
-        self._room(self.exact)
+        """The ids of each text, in the narrower of two and four bytes; new units of all of them are encoded together."""
+        if self.whole_only:
+            return [np.array(e.ids, self.kind).tobytes() for e in self.tokenizer.encode_batch_fast([t or "" for t in texts], add_special_tokens=False)]
+        if self.used > self.room:
+            self.forget()
         heads, parts = [], []
         for t in texts:
             head, *rest = (t or "").replace("\n", " \n").split(" ")
@@ -213,24 +252,49 @@ class UnitEncoder:
         return out
 
     def ids(self, text: str | None) -> bytes:
-        return self.ids_many([text])[0]
+        """The ids of a text as little-endian unsigned 32-bit integers."""
+        return next(encoded_by(self, [text], 4))
+
+
+_ENCODERS: dict[str, UnitEncoder] = {}
+
+
+def encoder(path: str) -> UnitEncoder:
+    """One encoder a worker process, kept from task to task; a task that is done with it makes it ``forget``."""
+    if path not in _ENCODERS:
+        _ENCODERS[path] = UnitEncoder(path)
+    return _ENCODERS[path]
 
 
-_ENCODERS: dict[tuple[str, int], UnitEncoder] = {}
+def _stretches(text: str, most: int) -> Iterator[str]:
+    """A long text in stretches of about ``most`` characters, cut only between units."""
+    at = 0
+    while len(text) - at > most and (m := _CUT.search(text, at + most)):
+        yield text[at : m.start()]
+        at = m.start()
+    yield text[at:]
 
 
-def encoder(path: str, width: int = 4) -> UnitEncoder:
-    """One encoder a worker process, kept from task to task."""
-    if (path, width) not in _ENCODERS:
-        _ENCODERS[path, width] = UnitEncoder(path, width)
-    return _ENCODERS[path, width]
+def encoded_by(own: UnitEncoder, texts: list[str | None], width: int, at_once: int = 1 << 19) -> Iterator[bytes]:
+    """Ids of each text in ``width`` bytes; about ``at_once`` characters are in work, a longer text goes stretch by stretch."""
+    widen = (lambda raw: raw) if np.dtype(own.kind).itemsize == width else (lambda raw: np.frombuffer(raw, own.kind).astype(f"<u{width}").tobytes())
+    block, size = [], 0
+    for t in texts:
+        n = len(t or "")
+        if block and size + n > at_once:
+            yield from map(widen, own.ids_many(block))
+            block, size = [], 0
+        if n > at_once and not own.whole_only:
+            yield widen(b"".join(own.ids_many([part])[0] for part in _stretches(t, at_once)))
+        else:
+            block.append(t)
+            size += n
+    yield from map(widen, own.ids_many(block))
 
 
-def encoded(path: str, texts: list[str | None], width: int = 4, at_once: int = 256) -> Iterator[bytes]:
-    """Ids of each text, in blocks of texts so that no more than a block is held."""
-    own = encoder(path, width)
-    for i in range(0, len(texts), at_once):
-        yield from own.ids_many(texts[i : i + at_once])
+def encoded(path: str, texts: list[str | None], width: int = 4) -> Iterator[bytes]:
+    """Ids of each text as little-endian unsigned integers of ``width`` bytes."""
+    return encoded_by(encoder(path), texts, width)
 
 
 def tokenizer_path(name: str) -> str:
@@ -239,4 +303,4 @@ def tokenizer_path(name: str) -> str:
     return str(public_tokenizers.path(name))
 
 
-__all__ = ["F", "PartFile", "UnitEncoder", "encoded", "encoder", "file_system", "shared_folder", "table", "text_bytes", "tokenizer_path", "workers_import", "written"]
+__all__ = ["F", "HOT_SHARE", "PartFile", "UnitEncoder", "encoded", "encoder", "file_system", "fresh", "join_hot", "shared_folder", "table", "text_bytes", "tokenizer_path", "workers_import", "written"]

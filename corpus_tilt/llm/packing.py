@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import encoded, workers_import, written
+from .common import encoded, encoder, workers_import, written
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, salt long"
 
@@ -45,6 +45,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, id
                     seen += 1
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], [c.split()[0] for c in _PIECES.split(", ")])
+        encoder(tokenizer).forget()
 
     workers_import(docs.sparkSession)
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(cut, _PIECES)

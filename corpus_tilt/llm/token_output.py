@@ -7,7 +7,7 @@ the shard, the offset there and the length.  A lookup reads one bucket file, eva
 in constant time, compares the fingerprint and seeks to the ids.
 
 Defined results: null text has only the end id; rows that repeat a key are separate entries,
-told apart by their order in the shard; a null key sorts first; an empty table has no files;
+told apart by their order in the files (that of a checksum of their ids); a null key sorts first; an empty table has no files;
 columns other than the two named are not read.
 """
 
@@ -20,14 +20,15 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import PartFile, encoded, file_system, shared_folder, workers_import, written
+from .common import PartFile, encoded, encoder, file_system, shared_folder, workers_import, written
 
 _DIRECTORY = "key long, turn long, shard int, offset long, n long"
 _FLUSH = 1 << 22
+_SHARD_BYTES = 32 << 20  # of text
+_MOST_SHARDS = 20_000
 
 
 # --- minimal perfect hash -----------------------------------------------------------------
@@ -91,16 +92,32 @@ class TokenStore:
     buckets: int
 
 
-def _shard_writer(folder: str, path: str, width: int, end_id: int):
-    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shard = TaskContext.get().partitionId()
+def _encoder(path: str, width: int, end_id: int):
+    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         end = np.array([end_id], f"<u{width}").tobytes()
-        out, offset, last, turn, held, size = None, 0, object(), 0, [], 0
+        for b in batches:
+            ids = [own + end for own in encoded(path, b.column(2).to_pylist(), width)]
+            salt = [zlib.crc32(x) for x in ids]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(salt, pa.int64()), pa.array(ids, pa.binary())], ["low", "key", "salt", "ids"])
+        encoder(path).forget()  # other stages use the worker's memory
+
+    return encode
+
+
+def _shard_writer(folder: str, width: int):
+    """A file a shard, of input sorted by shard (column 0)."""
+
+    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out, now, offset, last, turn, held, size = None, None, 0, object(), 0, [], 0
         for batch in batches:
             rows = []
-            for key, ids in zip(batch.column(0).to_pylist(), encoded(path, batch.column(1).to_pylist(), width), strict=True):
-                out = out or PartFile(folder, f"ids-{shard:06d}.bin")
-                data = ids + end
+            for shard, key, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+                if shard != now:
+                    if out:
+                        out.write(b"".join(held))
+                        out.close()
+                    out, now, offset, last, held, size = PartFile(folder, f"ids-{shard:06d}.bin"), shard, 0, object(), [], 0
+                data = data.as_py()
                 held.append(data)
                 size += len(data)
                 if size > _FLUSH:
@@ -119,6 +136,41 @@ def _shard_writer(folder: str, path: str, width: int, end_id: int):
     return write
 
 
+def _edges(texts: DataFrame) -> list[int]:
+    """Keys that divide the rows about evenly in shards of ``_SHARD_BYTES`` of text; a key with very many rows stands there repeatedly."""
+    rows, size = texts.agg(F.count("*"), F.sum(F.octet_length("text"))).first()
+    shards = min(max(1, -(-(size or 0) // _SHARD_BYTES)), rows or 1, _MOST_SHARDS)
+    if shards == 1:
+        return []
+    return texts.agg(F.percentile_approx(_low_key(), [i / shards for i in range(1, shards)], 20 * shards)).first()[0]
+
+
+def _low_key() -> Column:
+    return F.coalesce("key", F.lit(-(1 << 63)))
+
+
+def _shard_of(edges: list[int]) -> Column:
+    """The shard of a row (low, salt): ascending in the key; rows of a key that is several edges are dealt by their salt."""
+    shared = F.array(*(F.lit(e).cast("long") for e in edges)) if edges else F.array().cast("array<long>")
+    below = F.size(F.filter(shared, lambda e: e < F.col("low")))
+    same = F.size(F.filter(shared, lambda e: e == F.col("low")))
+    return (below + F.floor(F.col("salt") * (same + 1) / F.lit(1 << 32))).cast("int")
+
+
+def _turns(directory: DataFrame) -> DataFrame:
+    """Turns of keys that go on over a shard's end count on there.
+
+    Shards are ranges of (key, salt), so the keys found in two shards or more are at most as many
+    as there are shards: a proven bound for the broadcast.
+    """
+    by_shard = directory.groupBy("key", "shard").agg(F.count("*").alias("own"))
+    over = by_shard.groupBy("key").agg(F.collect_list(F.struct("shard", "own")).alias("parts")).where(F.size("parts") > 1)
+    earlier = F.aggregate(F.filter("parts", lambda p: p["shard"] < F.col("part.shard")), F.lit(0).cast("long"), lambda t, p: t + p["own"])
+    before = over.select("key", "parts", F.explode("parts").alias("part")).select(F.col("key").alias("of"), F.col("part.shard").alias("there"), earlier.alias("before"))
+    same = F.col("key").eqNullSafe(F.col("of")) & (F.col("shard") == F.col("there"))
+    return directory.join(F.broadcast(before), same, "left").select("key", (F.col("turn") + F.coalesce("before", F.lit(0))).alias("turn"), "shard", "offset", "n")
+
+
 def _hashed(df: DataFrame, buckets: int) -> DataFrame:
     """Two independent 64-bit hashes of (key, turn) and the bucket of the index that has them."""
     return df.withColumns({"h1": F.xxhash64("key", "turn"), "h2": F.xxhash64(F.lit(0x5BD1), "turn", "key")}).withColumn("bucket", F.pmod(F.xxhash64("h1", "h2"), F.lit(buckets)).cast("int"))
@@ -171,9 +223,9 @@ def _index_writer(folder: str):
 def write_tokens(docs: DataFrame, tokenizer: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", keys_per_bucket: int = 50_000) -> TokenStore:
     """Encode every text, write shards in ascending key order, and index them.
 
-    One shuffle of the texts (a range partitioning on the key) gives the order; the index
-    shuffles a few numbers a document.  Files appear by renaming, so a task that is run
-    again replaces its own shard.
+    Texts are encoded where they are read; what is shuffled for the order is their ids, to shards
+    that are ranges of keys (a key with very many rows is dealt to several by a hash of its ids).  The index shuffles a few numbers a document.  Files appear by renaming,
+    so a task that is run again replaces its own shard.
     """
     spark = docs.sparkSession
     workers_import(spark)
@@ -182,15 +234,18 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int, id_col: str = "do
     width = 2 if max(Tokenizer.from_file(tokenizer).get_vocab_size(with_added_tokens=True) - 1, end_id) < 0x10000 else 4
     folder = shared_folder(spark, "tokens")
     texts = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).alias("text"))
-    ordered = texts.repartitionByRange("key").sortWithinPartitions("key")
-    directory = written(ordered.mapInArrow(_shard_writer(folder, tokenizer, width, end_id), _DIRECTORY), "directory")
+    ids = texts.select(_low_key().alias("low"), "key", "text").mapInArrow(_encoder(tokenizer, width, end_id), "low long, key long, salt long, ids binary")
+    edges = _edges(texts)
+    dealt = ids.select(_shard_of(edges).alias("shard"), "low", "key", "salt", "ids").repartition(len(edges) + 1, "shard")
+    ordered = dealt.sortWithinPartitions("shard", "low", "key", "salt").select("shard", "key", "ids")
+    directory = written(ordered.mapInArrow(_shard_writer(folder, width), _DIRECTORY), "directory")
     totals = {r["shard"]: (r["ids"], r["keys"]) for r in directory.groupBy("shard").agg(F.sum("n").alias("ids"), F.count("*").alias("keys")).collect()}
     bases, at = [], 0
     for shard in range(max(totals, default=-1) + 1):
         bases.append(at)
         at += totals.get(shard, (0, 0))[0]
     buckets = max(1, -(-sum(k for _, k in totals.values()) // keys_per_bucket))
-    dealt = _hashed(directory, buckets).select("bucket", "h1", "h2", "shard", "offset", "n").repartition(F.col("bucket")).sortWithinPartitions("bucket")
+    dealt = _hashed(_turns(directory), buckets).select("bucket", "h1", "h2", "shard", "offset", "n").repartition(F.col("bucket")).sortWithinPartitions("bucket")
     dealt.mapInArrow(_index_writer(folder), "bucket int, keys long").agg(F.sum("keys")).collect()
     return TokenStore(folder, width, tuple(bases), buckets)
 
@@ -206,8 +261,9 @@ def _load_index(folder: str, bucket: int) -> dict:
     return got
 
 
-def _finder(folder: str):
+def _finder(folder: str, bases: tuple[int, ...]):
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        of = np.array(bases, np.int64)
         for bucket, rows in _groups(batches):
             index = _load_index(folder, bucket)
             a, b = _column(rows, "h1", "u8"), _column(rows, "h2", "u8")
@@ -216,12 +272,19 @@ def _finder(folder: str):
             found[found] = index["fingerprint"][slot[found]] == _fingerprint(a, b)[found]
             at = slot[found]
             keep = rows.filter(pa.array(found))
-            yield pa.RecordBatch.from_arrays([keep["key"].combine_chunks(), keep["turn"].combine_chunks(), *(pa.array(index[c][at]) for c in ("shard", "offset", "n"))], ["key", "turn", "shard", "offset", "n"])
+            shard, offset, n = (index[c][at] for c in ("shard", "offset", "n"))
+            yield pa.RecordBatch.from_arrays([keep["key"].combine_chunks(), keep["turn"].combine_chunks(), *(pa.array(x) for x in (shard, offset, n, of[shard] + offset))], _FOUND_NAMES)
 
     return find
 
 
-def _payload_reader(folder: str, width: int):
+_FOUND = f"{_DIRECTORY}, start long"
+_FOUND_NAMES = [c.split()[0] for c in _FOUND.split(", ")]
+
+
+def _payload_reader(folder: str, width: int, digest: bool):
+    """The ids of each entry, or their checksum alone."""
+
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         files, base = file_system(folder)
         handle, at = None, None
@@ -234,8 +297,9 @@ def _payload_reader(folder: str, width: int):
                         handle.close()
                     handle, at = files.open_input_file(f"{base}/ids-{s:06d}.bin"), s
                 raw = handle.read_at(k * width, o * width)
-                out.append(raw if width == 4 else np.frombuffer(raw, "<u2").astype("<u4").tobytes())
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.binary())], [*batch.schema.names, "ids"])
+                raw = raw if width == 4 else np.frombuffer(raw, "<u2").astype("<u4").tobytes()
+                out.append(zlib.crc32(raw) if digest else raw)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.int64() if digest else pa.binary())], [*batch.schema.names, "ids_crc32" if digest else "ids"])
 
     return read
 
@@ -246,31 +310,24 @@ def lookup(store: TokenStore, keys: DataFrame, id_col: str = "doc_id") -> DataFr
     A key that stands k times in ``keys`` finds the first k of its documents; one that the
     index lacks finds none.
     """
-    turn = F.row_number().over(Window.partitionBy("key").orderBy("key")) - 1
-    asked = keys.select(F.col(id_col).cast("long").alias("key")).withColumn("turn", turn.cast("long"))
-    dealt = _hashed(asked, store.buckets).select("bucket", "h1", "h2", "key", "turn").repartition(F.col("bucket")).sortWithinPartitions("bucket")
-    found = dealt.mapInArrow(_finder(store.folder), _DIRECTORY)
-    bases = store.bases
+    asked = keys.select(F.col(id_col).cast("long").alias("key")).groupBy("key").agg(F.count("*").alias("n"))
+    block = 10_000  # a key that stands there very often is dealt out in blocks of turns
+    blocks = asked.select("key", "n", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n") - 1) / block))).alias("part"))
+    turns = blocks.select("key", F.explode(F.sequence(F.col("part") * block, F.least(F.col("n"), (F.col("part") + 1) * block) - 1)).alias("turn"))
+    dealt = _hashed(turns, store.buckets).select("bucket", "h1", "h2", "key", "turn").repartition(F.col("bucket")).sortWithinPartitions("bucket")
+    return dealt.mapInArrow(_finder(store.folder, store.bases), _FOUND)
 
-    def start(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of = np.array(bases, np.int64)
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(of[b.column(2).to_numpy()] + b.column(3).to_numpy())], [*b.schema.names, "start"])
 
-    return found.mapInArrow(start, f"{_DIRECTORY}, start long")
+def _in_file_order(found: DataFrame) -> DataFrame:
+    return found.repartition(F.col("shard"), F.floor(F.col("offset") / 500_000)).sortWithinPartitions("shard", "offset").select(*_FOUND_NAMES)
 
 
 def read_tokens(store: TokenStore, found: DataFrame) -> DataFrame:
     """The ids (binary, little-endian unsigned 32-bit) of what ``lookup`` found, read in file order."""
-    return found.repartition(F.col("shard"), F.floor(F.col("offset") / 500_000)).sortWithinPartitions("shard", "offset").select("key", "turn", "shard", "offset", "n", "start").mapInArrow(_payload_reader(store.folder, store.width), f"{_DIRECTORY}, start long, ids binary")
+    return _in_file_order(found).mapInArrow(_payload_reader(store.folder, store.width, False), f"{_FOUND}, ids binary")
 
 
 def token_digest(store: TokenStore, keys: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """Per document, from the files: doc_id, start, n_tokens, ids_crc32."""
-
-    def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            crc = [zlib.crc32(x.as_py()) for x in b.column("ids")]
-            yield pa.RecordBatch.from_arrays([b.column("key"), b.column("start"), b.column("n"), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
-
-    return read_tokens(store, lookup(store, keys, id_col)).mapInArrow(digest, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    read = _in_file_order(lookup(store, keys, id_col)).mapInArrow(_payload_reader(store.folder, store.width, True), f"{_FOUND}, ids_crc32 long")
+    return read.select(F.col("key").alias("doc_id"), "start", F.col("n").alias("n_tokens"), "ids_crc32")

@@ -1,13 +1,19 @@
 """Cross-entropy difference: documents scored by matched target and background models.
 
-Both models have one vocabulary (the 64 symbol classes of ``ngram_model``), one order and one
-smoothing; only their counts differ.  The target model counts the target texts, the background
-model every text.  A document's score is its mean loss a symbol under the target model less that
-under the background model: the lower, the more it is like the target.
-
-Defined results: null or empty text has no symbols and a null score; documents that stand in
-``target`` more than once count once; with no target text both models give every document a
-null score; repeated rows are scored each; an empty table gives no rows.
+Both are word bigram models (``ngram_model``) over one vocabulary, that of the whole corpus, with
+the same smoothing; only their counts differ.  The target model counts the target documents, the
+background model all of them.  A document's score is its mean loss a word under the target model
+less that under the background model: the lower, the more it is like the target.
+
+Nothing is pruned, and no model is gathered anywhere: each bigram of each document travels to the
+task of its key (packed by blocks of documents), where all its occurrences meet; that task knows
+its counts, works out its probability under both models from sums by word that the vocabulary
+bounds, and sends back partial sums of losses, one for each document and cell.
+
+Defined results: null or empty text has no words and null losses; documents that stand in
+``target`` more than once count once; with no target text every score is null; repeated rows are
+scored each; a null id is scored, and never a target; an empty table gives no rows; columns other
+than those named are not read.
 """
 
 from __future__ import annotations
@@ -16,41 +22,151 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import workers_import
-from .ngram_model import KeyTable, count_ngrams, fit
+from .common import workers_import, written
+from .ngram_model import _SUMS, KEY_BITS, Tokens, by_cell, cell_of, cells_for, merged, model_stats, packed, scramble, sums_of, unpacked, unscramble, vocabulary
+from .words import slices
+
+#: Target ids up to this number are broadcast (eight bytes each); more are joined by a sort-merge.
+MOST_IDS = 4_000_000
+_BLOCK = 256
+_POSITIONS = "cell long, block long, n long, marks binary, blob binary, ids array<long>, sizes array<long>"
+_CELLS = "cell long, block array<long>, n array<long>, marks array<binary>, blob array<binary>, ids array<array<long>>, sizes array<array<long>>"
+_PARTS = "block long, docs binary, losses binary, ids array<long>, sizes array<long>"
+_SCORES = "doc_id long, n_words long, target_loss double, background_loss double"
+
+
+def _names(schema: str) -> list[str]:
+    return [c.split()[0] for c in schema.split(", ")]
+
+
+def _position_rows(shared, cells: int):
+    """Bigrams of blocks of documents by cell; and a row a block (cells below zero) with its ids and numbers of words."""
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, block = shared.value, TaskContext.get().partitionId() << 32
+        for b in batches:
+            ids, texts, marks = (b.column(i).to_pylist() for i in range(3))
+            out = []
+            for lo, hi in slices(texts, 1 << 20):
+                for at in range(lo, hi, _BLOCK):
+                    upto = min(at + _BLOCK, hi)
+                    tokens = Tokens.of(texts[at:upto], [None] * (upto - at))
+                    doc = np.repeat(np.arange(upto - at, dtype=np.uint8), np.diff(tokens.cuts))
+                    keys = scramble(known.bigrams(tokens)[0])
+                    order = np.argsort(keys, kind="stable")
+                    keys, doc = keys[order], doc[order]
+                    flags = np.packbits(np.array(marks[at:upto], bool)).tobytes()
+                    cell = cell_of(keys, cells, KEY_BITS)
+                    cuts = [0, *(np.flatnonzero(np.diff(cell)) + 1).tolist(), len(keys)] if len(keys) else [0]
+                    out += [(int(cell[x]), block, y - x, flags, packed(keys[x:y], doc[x:y]), None, None) for x, y in zip(cuts, cuts[1:], strict=False)]
+                    out.append((-1 - block % 64, block, 0, None, None, ids[at:upto], np.diff(tokens.cuts).tolist()))
+                    block += 1
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], k) for i, k in enumerate(kinds)], _names(_POSITIONS))
+
+    return rows
 
-_SCORES = "doc_id long, n_symbols long, target_loss double, background_loss double"
 
+def _gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row a cell, so that whoever reads it has the whole cell; cells below zero stay block by block."""
+    kinds = (pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64()))
+    for cell, parts in by_cell(batches):
+        for group in [parts] if cell >= 0 else [[p] for p in parts]:
+            columns = [[x for p in group for x in p.column(i).to_pylist()] for i in range(1, 7)]
+            yield pa.RecordBatch.from_arrays([pa.array([cell], pa.int64()), *(pa.array([c], pa.list_(k)) for c, k in zip(columns, kinds, strict=True))], _names(_CELLS))
 
-def _scorer(shared, usable: bool):
-    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scorer = KeyTable(shared.value)
+
+class _Cell:
+    """The bigrams of a cell: scrambled key, place (block's turn and document) and mark of each."""
+
+    def __init__(self, b: pa.RecordBatch, i: int) -> None:
+        self.blocks, sizes, marks, blobs = (b.column(c)[i].as_py() for c in range(1, 5))
+        got = [unpacked(n, blob, "u1") for n, blob in zip(sizes, blobs, strict=True)]
+        self.keys = np.concatenate([g[0] for g in got])
+        self.place = np.concatenate([g[1].astype(np.int64) + _BLOCK * j for j, g in enumerate(got)])
+        flags = [np.unpackbits(np.frombuffer(m, np.uint8))[g[1]] for m, g in zip(marks, got, strict=True)]
+        self.mark = np.concatenate(flags).astype(np.int64)
+
+    def counts(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct bigrams, how often they stand in all and in target documents, and the distinct one of each occurrence."""
+        keys, every = merged(self.keys, np.ones(len(self.keys), np.int64))
+        of = np.searchsorted(keys, self.keys)
+        return unscramble(keys), every, np.bincount(of, self.mark, len(keys)).astype(np.int64), of
+
+
+def _cell_sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        for i in range(b.num_rows):
+            keys, every, target, _ = _Cell(b, i).counts()
+            for model, own in enumerate((target, every)):
+                some = own > 0
+                rows = sums_of(keys[some], own[some])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows[0]), model, np.int32)), *(pa.array(r) for r in rows)], ["model", *_names(_SUMS)])
+
+
+def _cell_losses(shared):
+    """Partial sums of losses under both models, by block: the documents, and two numbers for each."""
+
+    def losses(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = [t or "" for t in b.column(1).to_pylist()]
-            size, sums = np.zeros(len(rows), np.int64), np.zeros((2, len(rows)))
-            for lo in range(0, len(rows), 2000):
-                size[lo : lo + 2000], sums[:, lo : lo + 2000] = scorer.sums(rows[lo : lo + 2000])
-            none = (size == 0) | (not usable)
-            loss = -sums / np.maximum(size, 1)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(size), pa.array(loss[0], mask=none), pa.array(loss[1], mask=none)], [c.split()[0] for c in _SCORES.split(", ")])
+            for i in range(b.num_rows):
+                cell = _Cell(b, i)
+                keys, every, target, of = cell.counts()
+                sums = [np.bincount(cell.place, -np.log(m.probability(keys, own))[of], _BLOCK * len(cell.blocks)).reshape(-1, _BLOCK) for m, own in zip(shared.value, (target, every), strict=True)]
+                there = np.bincount(cell.place, minlength=_BLOCK * len(cell.blocks)).reshape(-1, _BLOCK) > 0
+                docs = [np.flatnonzero(row) for row in there]
+                out = [np.stack([s[j, d] for s in sums]).astype(np.float32).tobytes() for j, d in enumerate(docs)]
+                none = pa.nulls(len(docs), pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([pa.array(cell.blocks, pa.int64()), pa.array([d.astype(np.uint8).tobytes() for d in docs], pa.binary()), pa.array(out, pa.binary()), none, none], _names(_PARTS))
+
+    return losses
+
 
-    return score
+def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Scores of each block's documents, from its partial sums and its row of ids."""
+    for _, parts in by_cell(batches, "block"):
+        total = np.zeros((2, _BLOCK))
+        ids, sizes = [], []
+        for b in parts:
+            for docs, losses, own, words in zip(*(b.column(c).to_pylist() for c in range(1, 5)), strict=True):
+                if own is not None:
+                    ids, sizes = own, words
+                else:
+                    total[:, np.frombuffer(docs, np.uint8)] += np.frombuffer(losses, np.float32).reshape(2, -1)
+        n = np.array(sizes, np.int64)
+        mean = total[:, : len(n)] / np.maximum(n, 1)
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(n), *(pa.array(m, mask=n == 0) for m in mean)], _names(_SCORES))
 
 
 def cross_entropy_difference(docs: DataFrame, target: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row a document: n_symbols, target_loss, background_loss and score (natural log a symbol).
+    """One row a document: doc_id, score, n_words, target_loss, background_loss (natural log a word).
 
     ``target`` holds the ids of the target's documents.
     """
     spark = docs.sparkSession
     workers_import(spark)
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    wanted = target.select(F.col(id_col).cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("mark", F.lit(True))
-    marked = texts.join(wanted.hint("merge"), "doc_id", "left").select("text", F.coalesce("mark", F.lit(False)).alias("mark"))
-    background, aimed = fit(count_ngrams(marked, by="mark"), tags=2)
-    shared = spark.sparkContext.broadcast([aimed, background])
-    scored = texts.mapInArrow(_scorer(shared, len(aimed.grams[-1]) > 0), _SCORES)
-    return scored.withColumn("score", F.col("target_loss") - F.col("background_loss"))
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    plain = texts.select("text", F.lit(None).cast("string").alias("grp"))
+    cells = cells_for(plain)
+    known = vocabulary(plain, cells)
+    shared = spark.sparkContext.broadcast(known)
+    wanted = written(target.select(F.col(id_col).cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("mark", F.lit(True)), "target")
+    few = wanted.limit(MOST_IDS + 1).count() <= MOST_IDS
+    marked = texts.join(wanted.hint("broadcast" if few else "merge"), "doc_id", "left").select("doc_id", "text", F.coalesce("mark", F.lit(False)).alias("mark"))
+    if not few:  # the same blocks whenever a task is run again
+        marked = marked.sortWithinPartitions("doc_id", F.xxhash64("text"))
+    positions = marked.mapInArrow(_position_rows(shared, cells), _POSITIONS)
+    held = written(positions.repartition(F.col("cell")).sortWithinPartitions("cell").mapInArrow(_gather, _CELLS), "positions")
+    bigrams = held.where("cell >= 0")
+    sums = written(bigrams.mapInArrow(_cell_sums, f"model int, {_SUMS}").groupBy("model", "id").agg(*(F.sum(c).alias(c) for c in _names(_SUMS)[1:])), "sums")
+    models = [model_stats(sums.where(F.col("model") == m), known.size) for m in (0, 1)]
+    rates = spark.sparkContext.broadcast(models)
+    blocks = held.where("cell < 0").select(F.explode(F.arrays_zip("block", "ids", "sizes")).alias("r")).select("r.block", F.lit(None).cast("binary").alias("docs"), F.lit(None).cast("binary").alias("losses"), "r.ids", "r.sizes")
+    parts = bigrams.mapInArrow(_cell_losses(rates), _PARTS).unionByName(blocks)
+    scored = parts.repartition(F.col("block")).sortWithinPartitions("block").mapInArrow(_add_up, _SCORES)
+    usable = F.lit(bool(models[0].total.any()))
+    return scored.select("doc_id", F.when(usable, F.col("target_loss") - F.col("background_loss")).alias("score"), "n_words", F.when(usable, F.col("target_loss")).alias("target_loss"), F.when(usable, F.col("background_loss")).alias("background_loss"))

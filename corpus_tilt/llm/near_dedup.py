@@ -28,66 +28,24 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACES, workers_import, written
+from .common import workers_import, written
 from .components import components
+from .words import mix, slices, text_words
 
 _U = np.uint64
-_SPACE = np.zeros(256, bool)
-_SPACE[list(SPACES.encode())] = True
-_CHUNK = 1 << 22
-
-
-def _mix(x: np.ndarray) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        x = (x ^ (x >> _U(30))) * _U(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> _U(27))) * _U(0x94D049BB133111EB)
-        return x ^ (x >> _U(31))
-
-
-class _Powers:
-    """Powers of an odd base and of its inverse modulo 2^64, for hashes of any slice from prefix sums."""
-
-    base, inverse = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 1 << 64)
-    up = down = np.zeros(0, _U)
-    letters = _mix(np.arange(1, 257, dtype=_U) * _U(0xD1B54A32D192ED03))
-
-    @classmethod
-    def to(cls, n: int) -> None:
-        if len(cls.up) < n:
-            with np.errstate(over="ignore"):
-                cls.up = np.cumprod(np.concatenate([[_U(1)], np.full(n, cls.base, _U)]))
-                cls.down = np.cumprod(np.concatenate([[_U(1)], np.full(n, cls.inverse, _U)]))
-
-
-def _word_hashes(data: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """A 64-bit hash of each word of ``data`` and where it starts."""
-    raw = np.frombuffer(data, np.uint8)
-    gap = np.concatenate([[True], _SPACE[raw], [True]])
-    starts, ends = np.flatnonzero(gap[:-1] & ~gap[1:]), np.flatnonzero(~gap[:-1] & gap[1:])
-    _Powers.to(len(raw))
-    with np.errstate(over="ignore"):
-        total = np.concatenate([[_U(0)], np.cumsum(_Powers.letters[raw] * _Powers.up[: len(raw)])])
-        return _mix((total[ends] - total[starts]) * _Powers.down[starts] + (ends - starts).astype(_U)), starts
+_mix = mix
 
 
 def shingle_sets(texts: list[str | None], words: int) -> list[np.ndarray]:
     """The sorted distinct shingle hashes of each text (A-Z lower-cased)."""
     out: list[np.ndarray] = []
-    data = [(t or "").encode("utf-8", "surrogatepass").lower() for t in texts]
-    at = 0
-    while at < len(data):
-        upto, size = at, 0
-        while upto < len(data) and (upto == at or size + len(data[upto]) < _CHUNK):
-            size += len(data[upto]) + 1
-            upto += 1
-        hashes, starts = _word_hashes(b" ".join(data[at:upto]))
-        begins = np.cumsum([0] + [len(d) + 1 for d in data[at:upto]])
-        cuts = np.searchsorted(starts, begins)
+    for at, upto in slices(texts):
+        hashes, _, cuts, _ = text_words(texts[at:upto], lower=True)
         with np.errstate(over="ignore"):
             rolled = hashes.copy()
             for i in range(1, words):
-                rolled = rolled[: len(hashes) - i] * _U(0x9FB21C651E98DF25) + hashes[i:]
-            rolled = _mix(rolled)
+                rolled = rolled[: max(len(hashes) - i, 0)] * _U(0x9FB21C651E98DF25) + hashes[i:]
+            rolled = mix(rolled)
         for lo, hi in pairwise(cuts.tolist()):
             if hi - lo >= words:
                 out.append(np.unique(rolled[lo : hi - words + 1]))
@@ -95,10 +53,9 @@ def shingle_sets(texts: list[str | None], words: int) -> list[np.ndarray]:
                 few = int(hi - lo)
                 for h in hashes[lo:hi].tolist():
                     few = (few * 0x9FB21C651E98DF25 + h) & (2**64 - 1)
-                out.append(_mix(np.array([few], _U) ^ _U(0xA5A5A5A5)))
+                out.append(mix(np.array([few], _U) ^ _U(0xA5A5A5A5)))
             else:
                 out.append(np.zeros(0, _U))
-        at = upto
     return out
 
 
@@ -167,6 +124,14 @@ def _branch(extra: float):
 def by_group(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Batches of whole groups, of input sorted by column 0."""
     held: list[pa.RecordBatch] = []
+
+    def joined() -> pa.RecordBatch:
+        table = pa.Table.from_batches(held)
+        if table.nbytes > 1 << 30:  # beyond the offsets of plain strings
+            large = {pa.string(): pa.large_string(), pa.binary(): pa.large_binary()}
+            table = table.cast(pa.schema([f.with_type(large.get(f.type, f.type)) for f in table.schema]))
+        return table.combine_chunks().to_batches()[0]
+
     for b in batches:
         if not b.num_rows:
             continue
@@ -174,13 +139,13 @@ def by_group(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if held and held[-1].column(0)[-1].as_py() == keys[-1]:
             held.append(b)
             continue
-        cut = int(np.flatnonzero(keys == keys[-1])[0])
-        whole = [*held, b.slice(0, cut)] if cut else held
-        if whole:
-            yield pa.Table.from_batches(whole).combine_chunks().to_batches()[0]
+        if cut := int(np.flatnonzero(keys == keys[-1])[0]):
+            held.append(b.slice(0, cut))
+        if held:
+            yield joined()
         held = [b.slice(cut)]
     if held:
-        yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+        yield joined()
 
 
 def _group_cuts(keys: np.ndarray) -> list[tuple[int, int]]:

@@ -23,8 +23,11 @@ def _stars(edges: DataFrame, both: bool) -> DataFrame:
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """(id, component) of every node of ``edges`` (a, b): the component is its least node; its own row included."""
-    now = written(edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).where("a <> b").distinct(), "edges")
+    """(id, component) of every node of ``edges`` (a, b): the component is its least node; its own row included.
+
+    Nodes are of any type with an order (64-bit numbers, or structs of them).
+    """
+    now = written(edges.select("a", "b").where("a <> b").distinct(), "edges")
     state = None
     while True:
         sign = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()

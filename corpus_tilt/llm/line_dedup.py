@@ -8,12 +8,19 @@ meets is verified with a banded bit-parallel distance.  Classes are connected co
 class that at least ``min_docs`` documents have, its first line in (doc_id, line) order stays; of
 any other, the first in each document.
 
-Lines are known by 64-bit hashes; texts are fetched for lines that meet another alone.
+Any edits + 1 disjoint stretches of a line would do as segments.  A key that very many lines meet
+under (a common beginning, say) is therefore never a meeting: its lines meet again under the key
+together with edits + 1 stretches of the segment farthest from it, and once more where such a key
+is common too.  Which keys are divided is planned on a share of the lines; it decides where lines
+meet, not which.
+
+Lines are known by 128-bit hashes; texts are fetched for lines that meet another alone.
 
 Defined results: lines without a word are neither linked nor removed; null and empty texts have
-none; documents with a null id lose nothing; rows that repeat an id are one document, so the
-first line of a class stays in each of them; ties go to the least (doc_id, line); an empty table
-gives no rows; columns other than the two named are not read.
+none; documents with a null id lose nothing; rows that repeat both id and text are one document,
+so the first line of a class stays in each of them, while rows of one id with other texts are
+documents of their own; ties go to the least (doc_id, hash of the text, line); an empty table gives
+no rows; other columns are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,19 +28,23 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACES, workers_import, written
+from .common import HOT_SHARE, SPACES, fresh, join_hot, workers_import, written
 from .components import components
-from .near_dedup import _group_cuts, _mix, by_group
-
-_FULL = (1 << 64) - 1
+from .near_dedup import _group_cuts, by_group
+from .words import mix
 
 
 def edits_within(a: str, b: str, most: int) -> bool:
-    """Is the edit distance at most ``most`` (below 31)?  Common ends are cut off, the rest is banded and bit-parallel."""
+    """Is the edit distance at most ``most``?  Common ends are cut off, the rest is banded and bit-parallel.
+
+    For each number of edits, the bits of an integer are the diagonals of the band that can be
+    reached with no more (the automaton of Wu and Manber, held to 2 * most + 1 diagonals).
+    """
     if len(a) < len(b):
         a, b = b, a
     if len(a) - len(b) > most:
@@ -41,38 +52,28 @@ def edits_within(a: str, b: str, most: int) -> bool:
     lo = 0
     while lo < len(b) and a[lo] == b[lo]:
         lo += 1
-    a, b = a[lo:], b[lo:]
     hi = 0
-    while hi < len(b) and a[-1 - hi] == b[-1 - hi]:
+    while hi < len(b) - lo and a[-1 - hi] == b[-1 - hi]:
         hi += 1
-    a, b = a[: len(a) - hi], b[: len(b) - hi]
-    if not b:
-        return len(a) <= most
+    a, b = a[lo : len(a) - hi], b[lo : len(b) - hi]
     if len(a) <= most:
         return True
-    masks: dict[str, int] = {}
+    where: dict[str, int] = {}
     for i, c in enumerate(a):
-        masks[c] = masks.get(c, 0) | 1 << i
-    up, down, score = _FULL << (63 - most) & _FULL, 0, most
-    shift, aside = most - 63, 1 << 62
-    diagonal = len(a) - most  # columns in which the band still moves down
-    for at, c in enumerate(b):
-        own = masks.get(c, 0)
-        x = (own >> shift if shift >= 0 else own << -shift) & _FULL
-        d = ((((x & up) + up) & _FULL) ^ up) | x | down
-        plus = down | ~(d | up) & _FULL
-        minus = d & up
-        if at < diagonal:
-            score += not d >> 63
-        else:
-            score += bool(plus & aside) - bool(minus & aside)
-            aside >>= 1
-        if score > 2 * most + 1:
+        where[c] = where.get(c, 0) | 1 << i + most  # bit i + most: so that the band's lowest diagonal has bit 0
+    band = (1 << 2 * most + 1) - 1
+    reach = [((1 << d + 1) - 1) << most & band for d in range(most + 1)]
+    for j, c in enumerate(b):
+        same = where.get(c, 0) >> j & band
+        last = reach[0]
+        reach[0] = last & same
+        for d in range(1, most + 1):
+            now = reach[d]
+            reach[d] = (now & same | last | last >> 1 | reach[d - 1] << 1) & band
+            last = now
+        if not reach[most]:
             return False
-        up = minus | ~((d >> 1) | plus) & _FULL
-        down = (d >> 1) & plus
-        shift += 1
-    return score <= most
+    return bool(reach[most] >> len(a) - len(b) + most & 1)
 
 
 def segments(length: int, edits: int) -> list[tuple[int, int]]:
@@ -101,38 +102,132 @@ def has_word(line: Column) -> Column:
     return F.length(F.btrim(line, F.lit(SPACES))) > 0
 
 
-def _signer(edits: int, near_from: int):
+def stretches(length: int, taken: tuple, edits: int) -> list[tuple[int, int]]:
+    """edits + 1 disjoint stretches (begin, size) of a line: of the whole segment that is farthest from those ``taken``; none if there is none."""
+    whole = [(lo, size) for lo, size in segments(length, edits) if all(lo + size <= at or at + n <= lo for at, n in taken)]
+    if not whole:
+        return []
+    lo, size = max(whole, key=lambda p: (min(abs(p[0] - at) for at, _ in taken), p[0]))
+    return [(lo + at, n) for at, n in segments(size, edits)] if size > edits else []
+
+
+#: How many stretches a key may be made of.
+_DEEP = 3
+
+
+class _Signer:
+    """Keys of lines; ``hot`` are keys that are divided."""
+
+    def __init__(self, edits: int, near_from: int, hot: np.ndarray) -> None:
+        from xxhash import xxh64_intdigest
+
+        self.edits, self.near_from, self.digest = edits, near_from, xxh64_intdigest
+        self.hot = set(hot.tolist())
+        self.plans: dict[int, tuple[list, list]] = {}
+        self.below: dict[tuple, list] = {}
+
+    def _divide(self, line: str, key: int, indexed: bool, length: int, taken: tuple) -> Iterator[tuple[int, bool, bool]]:
+        """The keys beside a hot one: of the line's own stretches, and of those that lines of ``length`` may share with it."""
+        if (length, taken) not in self.below:
+            self.below[length, taken] = stretches(length, taken, self.edits)
+        parts = self.below[length, taken]
+        if not parts:
+            yield self.digest(b"the rest", key), indexed, True
+        for i, (at, size) in enumerate(parts):
+            for start in range(max(at - self.edits, 0), min(at + self.edits, len(line) - size) + 1):
+                own = indexed and start == at
+                below = self.digest(line[start : start + size].encode("utf-8", "surrogatepass"), key + i + 1 & 0xFFFFFFFFFFFFFFFF)
+                last = len(taken) + 1 == _DEEP
+                if not last and below in self.hot:
+                    yield from self._divide(line, below, own, length, (*taken, (at, size)))
+                else:
+                    yield below, own, last
+
+    def keys(self, line: str) -> dict[int, tuple[bool, bool]]:
+        """Keys and, for each, whether it is one of the line's own segments, and whether it cannot be divided further."""
+        n = len(line)
+        if n not in self.plans:
+            own = [(n, i, at, at, size) for i, (at, size) in enumerate(segments(n, self.edits))]
+            starts = {length: segments(length, self.edits) for length in range(max(n - self.edits, 0), n + 1)}
+            self.plans[n] = own, [(length, i, starts[length][i][0], start, size) for length, i, start, size in probes(n, self.edits, self.near_from)]
+        out: dict[int, tuple[bool, bool]] = {}
+        for no, plan in enumerate(self.plans[n]):
+            for length, i, at, start, size in plan:
+                key = self.digest(line[start : start + size].encode("utf-8", "surrogatepass"), length << 8 | i)
+                if key not in self.hot:
+                    out.setdefault(key, (not no, False))
+                    continue
+                for below, own, last in self._divide(line, key, not no, length, ((at, size),)):
+                    out[below] = own or out.get(below, (False,))[0], last
+        return out
+
+
+def _sign(edits: int, near_from: int, shared, planning: bool = False):
+    """(key, line, indexed) of the lines of texts; when planning, of keys that can be divided alone."""
+
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from xxhash import xxh64_intdigest as digest
+        signer, seen = _Signer(edits, near_from, shared.value), set()
+        digest = signer.digest
+        keys: list[int] = []
+        lines: list[int] = []
+        index: list[bool] = []
+
+        def batch() -> pa.RecordBatch:
+            out = pa.RecordBatch.from_arrays([pa.array(np.array(keys, np.uint64).view(np.int64)), pa.array(np.array(lines, np.uint64).view(np.int64)), pa.array(index, pa.bool_())], ["key", "line", "indexed"])
+            for held in (keys, lines, index):
+                held.clear()
+            return out
 
-        plans: dict[int, tuple[list, list]] = {}
-        seen: set[int] = set()
         for b in batches:
-            keys, lines, index = [], [], []
             for text in b.column(0).to_pylist():
                 for line in (text or "").split("\n"):
-                    n = len(line)
-                    if n < near_from or not line.strip(SPACES):
+                    if len(line) < near_from or not line.strip(SPACES):
                         continue
-                    raw = line.encode("utf-8", "surrogatepass")
-                    own = digest(raw, 42)
+                    own = digest(line.encode("utf-8", "surrogatepass"), 42)
                     if own in seen:
                         continue
                     seen.add(own)
-                    if n not in plans:
-                        plans[n] = [(n, i, at, size) for i, (at, size) in enumerate(segments(n, edits))], probes(n, edits, near_from)
-                    for no, plan in enumerate(plans[n]):
-                        for other, i, at, size in plan:
-                            keys.append(digest(line[at : at + size].encode("utf-8", "surrogatepass"), other << 8 | i))
+                    for key, (indexed, last) in signer.keys(line).items():
+                        if not (planning and last):
+                            keys.append(key)
                             lines.append(own)
-                            index.append(not no)
+                            index.append(indexed)
+                    if len(keys) > 500_000:
+                        yield batch()
             if len(seen) > 500_000:
                 seen.clear()
-            yield pa.RecordBatch.from_arrays([pa.array(np.array(keys, np.uint64).view(np.int64)), pa.array(np.array(lines, np.uint64).view(np.int64)), pa.array(index, pa.bool_())], ["key", "line", "indexed"])
+        if keys:
+            yield batch()
 
     return sign
 
 
+_SIGNED = "key long, line long, indexed boolean"
+
+
+def _long_lines(texts: DataFrame, near_from: int) -> DataFrame:
+    return texts.select(F.explode(F.split("text", "\n")).alias("text")).where((F.length("text") >= near_from) & has_word(F.col("text")))
+
+
+def hot_keys(texts: DataFrame, edits: int, near_from: int, many: int, every: int) -> np.ndarray:
+    """Keys under which about ``many`` lines or more would meet, told from one line in ``every``, level by level.
+
+    A key has to be one in 100,000 of its level's as well, so no more than that reach the driver at once.
+    """
+    sc = texts.sparkSession.sparkContext
+    some = written(_long_lines(texts, near_from).where(F.pmod(F.xxhash64("text"), F.lit(every)) == 0).distinct(), "plan")
+    found = np.zeros(0, np.uint64)
+    for _ in range(1, _DEEP):
+        signed = some.mapInArrow(_sign(edits, near_from, sc.broadcast(found), True), _SIGNED)
+        counts = written(signed.groupBy("key").agg(F.count_distinct("line").alias("n")).where(F.col("n") >= max(many // every, 2)), "keys")
+        least = (counts.agg(F.sum("n")).first()[0] or 0) // 100_000
+        more = counts.where(F.col("n") >= least).select("key").toArrow()["key"].to_numpy().view(np.uint64)
+        if not len(more):
+            break
+        found = np.union1d(found, more)
+    return found
+
+
 def _meetings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Groups of lines that meet under a key; a group is known by a fingerprint of its lines, so equal groups fall together."""
     for b in by_group(batches):
@@ -149,79 +244,114 @@ def _meetings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, line = key[new], line[new]
         cuts = _group_cuts(key)
         with np.errstate(over="ignore"):
-            name = np.add.reduceat(_mix(line.view(np.uint64)), [lo for lo, _ in cuts], dtype=np.uint64).view(np.int64)
+            name = np.add.reduceat(mix(line.view(np.uint64)), [lo for lo, _ in cuts], dtype=np.uint64).view(np.int64)
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(name, [hi - lo for lo, hi in cuts])), pa.array(line)], ["meeting", "line"])
 
 
 def _letter_counts(texts: list[str]) -> np.ndarray:
-    out = np.zeros((len(texts), 64), np.int16)
+    """Counts by 32 classes of letters, modulo 256: differences of near texts are small and so exact."""
+    out = np.zeros((len(texts), 32), np.int8)
     for i, t in enumerate(texts):
-        out[i] = np.bincount(np.frombuffer(t.encode("utf-32-le", "surrogatepass"), "<u4") & 63, minlength=64)[:64]
+        out[i] = np.bincount(np.frombuffer(t.encode("utf-32-le", "surrogatepass"), "<u4") & 31, minlength=32).astype(np.int8)
     return out
 
 
 def _verifier(edits: int):
-    """Links (a, b) that join each group's lines, by distances of those that letter counts do not rule out."""
+    """Links (a, b) of lines that join each group's, by distances of those that letter counts do not rule out; input (meeting, line, more, text)."""
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in by_group(batches):
             found = []
             for lo, hi in _group_cuts(b.column(0).to_numpy()):
-                lines, texts = b.column(1).slice(lo, hi - lo).to_pylist(), b.column(2).slice(lo, hi - lo).to_pylist()
+                lines = list(zip(b.column(1).slice(lo, hi - lo).to_pylist(), b.column(2).slice(lo, hi - lo).to_pylist(), strict=True))
+                texts = b.column(3).slice(lo, hi - lo).to_pylist()
                 if hi - lo == 2:
                     if edits_within(*texts, edits):
-                        found.append(tuple(lines))
+                        found.append((*lines[0], *lines[1]))
                     continue
-                letters, top = _letter_counts(texts), list(range(hi - lo))
+                letters, top, classes = _letter_counts(texts), np.arange(hi - lo), hi - lo
                 for i in range(hi - lo - 1):
-                    near = np.flatnonzero(np.abs(letters[i + 1 :] - letters[i]).sum(axis=1) <= 2 * edits) + i + 1
+                    near = np.flatnonzero((np.abs(letters[i + 1 :] - letters[i]).sum(axis=1, dtype=np.int16) <= 2 * edits) & (top[i + 1 :] != top[i])) + i + 1
                     for j in near.tolist():
                         if top[i] != top[j] and edits_within(texts[i], texts[j], edits):
-                            found.append((lines[i], lines[j]))
-                            old, new = top[j], top[i]
-                            top = [new if t == old else t for t in top]
-            yield pa.RecordBatch.from_arrays([pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], ["a", "b"])
+                            found.append((*lines[i], *lines[j]))
+                            top[top == top[j]] = top[i]
+                            classes -= 1
+                    if classes == 1:
+                        break
+            yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(4)], ["a1", "a2", "b1", "b2"])
 
     return verify
 
 
-def near_line_classes(texts: DataFrame, edits: int, near_from: int) -> DataFrame:
-    """(id, component) of the lines, by hash, that are within ``edits`` of another."""
-    signed = texts.select("text").mapInArrow(_signer(edits, near_from), "key long, line long, indexed boolean")
+def line_id(line: Column) -> Column:
+    """A 128-bit hash of a line."""
+    return F.struct(F.xxhash64(line).alias("x"), F.xxhash64(F.lit(0x5BD1E995), line).alias("y"))
+
+
+def near_line_classes(texts: DataFrame, edits: int, near_from: int, many: int, every: int) -> DataFrame:
+    """(id, component) of the lines, by ``line_id``, that are within ``edits`` of another."""
+    hot = texts.sparkSession.sparkContext.broadcast(hot_keys(texts, edits, near_from, many, every))
+    signed = texts.select("text").mapInArrow(_sign(edits, near_from, hot), _SIGNED)
     met = signed.repartition(F.col("key")).sortWithinPartitions("key").mapInArrow(_meetings, "meeting long, line long")
     met = written(met.distinct(), "meetings")
-    line = texts.select(F.explode(F.split("text", "\n")).alias("text")).where((F.length("text") >= near_from) & has_word(F.col("text"))).select(F.xxhash64("text").alias("line"), "text")
-    own = written(line.join(met.select("line").distinct().hint("merge"), "line", "left_semi").groupBy("line").agg(F.min("text").alias("text")), "lines")
-    links = met.join(own, "line").select("meeting", "line", "text").repartition(F.col("meeting")).sortWithinPartitions("meeting").mapInArrow(_verifier(edits), "a long, b long")
-    return written(components(links), "classes")
+    line = _long_lines(texts, near_from).select(F.xxhash64("text").alias("line"), line_id(F.col("text")).alias("id"), "text")
+    own = written(line.join(met.select("line").distinct().hint("merge"), "line", "left_semi").groupBy("line", "id").agg(F.min("text").alias("text")), "lines")
+    rows = met.join(own, "line").select("meeting", F.col("id.x").alias("x"), F.col("id.y").alias("y"), "text")
+    links = rows.repartition(F.col("meeting")).sortWithinPartitions("meeting").mapInArrow(_verifier(edits), "a1 long, a2 long, b1 long, b2 long")
+    node = lambda side: F.struct(F.col(f"{side}1").alias("x"), F.col(f"{side}2").alias("y")).alias(side)
+    return written(components(links.select(node("a"), node("b"))), "classes")
 
 
-def line_removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", edits: int = 2, near_from: int = 30, min_docs: int = 2) -> DataFrame:
-    """One row a document id: n_lines (with a word), n_exact and n_near removed, and ``removed``, their numbers."""
+def line_removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", edits: int = 2, near_from: int = 30, min_docs: int = 2, many: int = 512, every: int = 64) -> DataFrame:
+    """One row a document (doc_id, version): n_lines (with a word), n_exact and n_near removed, and ``removed``, their numbers.
+
+    ``version`` is the 64-bit hash of the text.  ``many``: keys that about so many lines meet
+    under are divided, as told from one line in ``every``.
+    """
     workers_import(docs.sparkSession)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null")
-    classes = near_line_classes(texts, edits, near_from)
-    lines = texts.select("doc_id", F.posexplode(F.split("text", "\n")).alias("line_no", "line")).where(has_word(F.col("line")))
-    places = written(lines.select("doc_id", "line_no", F.xxhash64("line").alias("line")), "places")
-    known = written(places.join(classes.withColumnRenamed("id", "line"), "line", "left").select("doc_id", "line_no", "line", F.coalesce("component", "line").alias("class")), "places")
-    each = known.groupBy("class", "doc_id").agg(F.min(F.struct("line_no", "line")).alias("head"), F.count("*").alias("n"))
-    whole = each.groupBy("class").agg(F.min(F.struct("doc_id", "head")).alias("first"), F.count("*").alias("docs"), F.sum("n").alias("n"))
-    many = written(whole.where("n > 1").select("class", (F.col("docs") >= min_docs).alias("across"), F.col("first.doc_id").alias("first_doc"), F.col("first.head.line_no").alias("first_no"), F.col("first.head.line").alias("first_line")), "repeated")
-    told = known.join(many, "class", "left")
+    classes = near_line_classes(texts, edits, near_from, many, every)
+    lines = texts.select("doc_id", F.xxhash64("text").alias("version"), F.posexplode(F.split("text", "\n")).alias("line_no", "line")).where(has_word(F.col("line")))
+    places = written(lines.select("doc_id", "version", "line_no", line_id(F.col("line")).alias("line")), "places")
+    total = places.count()
+    hot = written(places.groupBy("line").agg(F.count("*").alias("n")).where(F.col("n") > total * HOT_SHARE), "hot")
+    told = join_hot(places, classes.withColumnRenamed("id", "line"), "line", hot)
+    known = written(told.select("doc_id", "version", "line_no", "line", F.coalesce("component", "line").alias("class")), "places")
+    own = ["class", "doc_id", "version"]
+    each = known.groupBy(*own).agg(F.min(F.struct("line_no", "line")).alias("head"), F.count("*").alias("n"))
+    whole = each.groupBy("class").agg(F.min(F.struct("doc_id", "version", "head")).alias("first"), F.count("*").alias("docs"), F.sum("n").alias("n"))
+    many_rows = written(whole.where("n > 1").select("class", "n", (F.col("docs") >= min_docs).alias("across"), F.col("first.doc_id").alias("first_doc"), F.col("first.version").alias("first_version"), F.col("first.head.line_no").alias("first_no"), F.col("first.head.line").alias("first_line")), "repeated")
+    told = join_hot(known, many_rows.drop("n"), "class", many_rows.where(F.col("n") > total * HOT_SHARE))
     if min_docs > 2:  # below that, a class that is not compared across documents is in one alone
-        heads = each.where("n > 1").join(many.where("not across").select("class"), "class", "left_semi").select("class", "doc_id", F.col("head.line_no").alias("own_no"), F.col("head.line").alias("own_line"))
-        told = told.join(heads, ["class", "doc_id"], "left")
+        heads = each.where("n > 1").join(many_rows.where("not across").select("class"), "class", "left_semi").select(*own, F.col("head.line_no").alias("own_no"), F.col("head.line").alias("own_line"))
+        told = told.join(heads, own, "left")
         inner = F.coalesce(~F.col("across"), F.lit(False))
-        told = told.withColumn("first_doc", F.when(inner, F.col("doc_id")).otherwise(F.col("first_doc"))).withColumn("first_no", F.when(inner, F.coalesce("own_no", "line_no")).otherwise(F.col("first_no"))).withColumn("first_line", F.when(inner, F.coalesce("own_line", "line")).otherwise(F.col("first_line")))
-    told = told.withColumn("gone", F.coalesce((F.col("doc_id") != F.col("first_doc")) | (F.col("line_no") != F.col("first_no")), F.lit(False)))
+        for first, mine in (("first_doc", F.col("doc_id")), ("first_version", F.col("version")), ("first_no", F.coalesce("own_no", "line_no")), ("first_line", F.coalesce("own_line", "line"))):
+            told = told.withColumn(first, F.when(inner, mine).otherwise(F.col(first)))
+    elsewhere = (F.col("doc_id") != F.col("first_doc")) | (F.col("version") != F.col("first_version")) | (F.col("line_no") != F.col("first_no"))
+    told = told.withColumn("gone", F.coalesce(elsewhere, F.lit(False)))
     near = F.col("gone") & (F.col("line") != F.col("first_line"))
-    return told.groupBy("doc_id").agg(F.count("*").alias("n_lines"), F.count_if(F.col("gone") & ~near).alias("n_exact"), F.count_if(near).alias("n_near"), F.array_sort(F.collect_set(F.when(F.col("gone"), F.col("line_no")))).alias("removed"))
+    return told.groupBy("doc_id", "version").agg(F.count_distinct("line_no").alias("n_lines"), F.count_distinct(F.when(F.col("gone") & ~near, F.col("line_no"))).alias("n_exact"), F.count_distinct(F.when(near, F.col("line_no"))).alias("n_near"), F.array_sort(F.collect_set(F.when(F.col("gone"), F.col("line_no")))).alias("removed"))
+
+
+def _without(texts: pd.Series, removed: pd.Series) -> pd.Series:
+    """Texts without the lines of the given numbers."""
+
+    def rest(text: str, gone) -> str:
+        out = set(gone.tolist())
+        return "\n".join([x for i, x in enumerate(text.split("\n")) if i not in out])
+
+    return pd.Series([None if t is None else rest(t, g) for t, g in zip(texts, removed, strict=True)], dtype=object)
 
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
     """``docs`` without the removed lines; a document that had lines and loses all of them is dropped."""
+    key, version, removed, empty = fresh(docs, "key", "version", "removed", "nothing_left")
     gone = line_removals(docs, id_col, text_col, **how).where(F.size("removed") > 0)
-    gone = written(gone.select(F.col("doc_id").alias("__id"), F.col("removed").alias("__removed"), (F.col("n_lines") == F.size("removed")).alias("__empty")), "removals")
-    kept = F.array_join(F.filter(F.split(F.col(text_col), "\n"), lambda x, i: ~F.array_contains("__removed", i)), "\n")
-    joined = docs.join(gone.hint("merge"), F.col(id_col) == F.col("__id"), "left").where(~F.coalesce("__empty", F.lit(False)))
-    return joined.withColumn(text_col, F.when(F.col("__removed").isNull(), F.col(text_col)).otherwise(kept)).select(*docs.columns)
+    gone = written(gone.select(F.col("doc_id").alias(key), F.col("version").alias(version), F.col("removed").alias(removed), (F.col("n_lines") == F.size("removed")).alias(empty)), "removals")
+    same = (F.col(id_col).cast("long") == F.col(key)) & (F.xxhash64(F.col(text_col)) == F.col(version))
+    joined = docs.join(gone.hint("merge"), same, "left").where(~F.coalesce(F.col(empty), F.lit(False)))
+    there = F.col(removed).isNotNull()
+    kept = F.pandas_udf(_without, "string")(F.when(there, F.col(text_col)), F.col(removed))
+    return joined.withColumn(text_col, F.when(there, kept).otherwise(F.col(text_col))).select(*docs.columns)

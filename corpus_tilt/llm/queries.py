@@ -57,7 +57,7 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     gone = line_removals(docs).withColumn("removed", F.array_join(F.col("removed").cast("array<string>"), ","))
     none = {"n_lines": 0, "n_exact": 0, "n_near": 0, "removed": ""}
-    return docs.select("doc_id").join(gone, "doc_id", "left").na.fill(none)
+    return docs.select("doc_id", F.xxhash64("text").alias("version")).join(gone, ["doc_id", "version"], "left").drop("version").na.fill(none)
 
 
 def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -16,7 +16,7 @@ from corpus_tilt.llm.common import encoder, tokenizer_path
 from corpus_tilt.llm.decontaminate import best_in, budget_of, contaminated
 from corpus_tilt.llm.lm_scoring import cross_entropy_difference
 from corpus_tilt.llm.near_dedup import near_duplicates, shingle_sets
-from corpus_tilt.llm.ngram_model import BITS, ORDER, NgramModel, batch_keys
+from corpus_tilt.llm import ngram_model as N
 from corpus_tilt.llm.quality_rules import quality, text_counts
 from corpus_tilt.llm.token_count import count_tokens
 from corpus_tilt.llm.token_output import PerfectHash, lookup, read_tokens, token_digest, write_tokens
@@ -256,16 +256,102 @@ def test_warc_round_trip_with_magic_inside(spark):
 # --- 6 and 8 --------------------------------------------------------------------------------------
 
 
-def test_ngram_model_sums_to_one():
-    texts = ["the cat sat on the mat", "été", "", "a", "THE CAT 12"]
-    keys, starts = batch_keys(texts)
-    assert len(keys) == sum(map(len, texts)) and starts.tolist() == [0, 22, 25, 25, 26]
-    at, n = np.unique(np.concatenate([keys] * 3 + [keys[:9]]), return_counts=True)
-    model = NgramModel.of(at, n)
-    for context in (int(keys[5]) >> BITS, 0, 123456):
-        every = (context << BITS) + np.arange(1 << BITS)
-        assert abs(np.exp(model.log_prob(every)).sum() - 1) < 1e-9
-    assert ORDER == 4
+def brute_model(sentences, size):
+    """Modified Kneser-Ney over words by dictionaries; ``size`` tokens share the lowest order. A function of two tokens."""
+    return brute_of(Counter(g for s in sentences for g in zip([None, *s], s, strict=False)), size)
+
+
+def brute_of(grams, size):
+    def cut(counts):
+        n = [sum(c == k for c in counts) for k in (1, 2, 3, 4)]
+        if not all(n):
+            return [0, 0.5, 0.5, 0.5]
+        y = n[0] / (n[0] + 2 * n[1])
+        return [0, *(min(max(k - (k + 1) * y * n[k] / n[k - 1], 0), k - 0.01) for k in (1, 2, 3))]
+
+    take, total, spare, follows = cut(grams.values()), Counter(), Counter(), Counter()
+    for (a, b), c in grams.items():
+        total[a] += c
+        spare[a] += take[min(c, 3)]
+        follows[b] += 1
+    low_take = cut(follows.values())
+    rest = sum(low_take[min(c, 3)] for c in follows.values()) / max(len(grams), 1) if grams else 1.0
+
+    def p(a, b):
+        low = max(follows[b] - low_take[min(follows[b], 3)], 0) / max(len(grams), 1) + rest / size
+        if not total[a]:
+            return low
+        return max(grams[a, b] - take[min(grams[a, b], 3)], 0) / total[a] + spare[a] / total[a] * low
+
+    return p
+
+
+def sentences_of(rng, n, words=40):
+    pool = [f"w{'x' * (i % 7)}{i}" for i in range(words)]
+    return [[pool[min(int(rng.expovariate(0.12)), words - 1)] for _ in range(rng.randint(0, 30))] for _ in range(n)]
+
+
+def token_number(sentences):
+    """Words, their classes by length, and the class before a first word."""
+    words = {w for s in sentences for w in s}
+    return len(words) + len({len(w) for w in words}) + 1
+
+
+def test_packed_keys_and_bijection():
+    rng = np.random.default_rng(3)
+    keys = np.unique(rng.integers(0, 1 << 42, 1000).astype(np.uint64))
+    assert (N.unscramble(N.scramble(keys)) == keys).all()
+    counts = rng.integers(0, 1 << 31, len(keys)).astype(np.uint64)
+    got = N.unpacked(len(keys), N.packed(keys, counts), "<u8")
+    assert (got[0] == keys).all() and (got[1] == counts).all()
+    cells = N.cell_of(np.sort(N.scramble(keys)), 7, N.KEY_BITS)
+    assert (np.diff(cells) >= 0).all() and cells[0] == 0 and cells[-1] == 6
+
+
+def test_model_is_modified_kneser_ney():
+    rng = random.Random(15)
+    sentences = sentences_of(rng, 60)
+    p = brute_model(sentences, token_number(sentences))
+    words = sorted({w for s in sentences for w in s})
+    rest = (token_number(sentences) - len(words)) * p(words[0], "never")
+    assert abs(sum(p(words[0], w) for w in words) + rest - 1) < 1e-9
+
+
+def test_scores_like_brute_force(spark):
+    rng = random.Random(16)
+    sentences = sentences_of(rng, 120)
+    docs = [(i, " ".join(s) if i % 3 else "\t" + "\n".join(s)) for i, s in enumerate(sentences)] + [(500, None), (501, ""), (502, " \n"), (None, "w0 w1"), (7, "w0 w0")]
+    every = [*sentences, ["w0", "w1"], ["w0", "w0"]]
+    target = spark.createDataFrame([(i,) for i in range(0, 120, 4)] + [(0,), (None,), (999,)], "doc_id long")
+    aimed = [s for i, s in enumerate(sentences) if i % 4 == 0]
+    size = token_number(every)
+    models = [brute_model(x, size) for x in (aimed, every)]
+    rows = cross_entropy_difference(frame(spark, docs).repartition(5), target).collect()
+    assert len(rows) == len(docs) and rows[0].__fields__[:2] == ["doc_id", "score"]
+    got = {(r["doc_id"], r["n_words"]): r for r in rows}
+    for i, text in docs:
+        words = (text or "").split()
+        r = got[i, len(words)]
+        if not words:
+            assert r["score"] is None and r["target_loss"] is None
+            continue
+        want = [-sum(math.log(m(a, b)) for a, b in zip([None, *words], words, strict=False)) / len(words) for m in models]
+        assert abs(r["target_loss"] - want[0]) < 1e-4 and abs(r["background_loss"] - want[1]) < 1e-4 and abs(r["score"] - want[0] + want[1]) < 2e-4
+
+
+def test_perplexity_like_brute_force(spark):
+    rng = random.Random(17)
+    sides = {lang: sentences_of(rng, 60, 30) for lang in ("en", "fr")}
+    rows = [(100 * k + i, " ".join(s), lang) for k, (lang, x) in enumerate(sides.items()) for i, s in enumerate(x)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(3)
+    got = {r["doc_id"]: r["log_perplexity"] for r in quality(df).collect()}
+    tagged = [[f"{lang}{w}" for w in s] for lang, x in sides.items() for s in x]
+    marked = [(f"{lang}^", *(f"{lang}{w}" for w in s)) for lang, x in sides.items() for s in x]
+    p = brute_of(Counter(g for s in marked for g in zip(s, s[1:], strict=False)), sum(token_number(x) for x in sides.values()))
+    for (key, _, lang), words in zip(rows, tagged, strict=True):
+        if words:
+            want = -sum(math.log(p(a, b)) for a, b in zip([f"{lang}^", *words], words, strict=False)) / len(words)
+            assert abs(got[key] - want) < 1e-4
 
 
 def brute_counts(text):
@@ -313,9 +399,11 @@ def test_banded_distance():
             assert L.edits_within(a, b, k) == (levenshtein(a, b) <= k), (a, b, k)
 
 
-def test_line_removals_like_brute_force(spark):
+@pytest.mark.parametrize("plan", [{}, {"many": 3, "every": 1}])
+def test_line_removals_like_brute_force(spark, plan):
     rng = random.Random(10)
     pool = ["".join(rng.choice("abcdefgh ") for _ in range(rng.randint(12, 40))).strip() or "z" for _ in range(25)]
+    pool += [f"2024-05-0{i % 9} the same beginning {rng.randrange(10**6):06d} of a line" for i in range(12)]
     docs = [(i, "\n".join(noisy(rng, rng.choice(pool), rng.choice([0, 0, 1, 2, 3])) for _ in range(rng.randint(1, 8)))) for i in range(60)] + [(90, None), (91, ""), (92, " \n\n")]
     lines = sorted({x for _, t in docs for x in (t or "").split("\n") if x.strip(" \t\n\x0b\x0c\r")})
     top = {x: x for x in lines}
@@ -331,7 +419,7 @@ def test_line_removals_like_brute_force(spark):
                 if top[x] in seen:
                     want.setdefault(i, []).append(no)
                 seen.add(top[x])
-    got = {r["doc_id"]: r["removed"] for r in L.line_removals(frame(spark, docs), near_from=15).collect()}
+    got = {r["doc_id"]: r["removed"] for r in L.line_removals(frame(spark, docs), near_from=15, **plan).collect()}
     assert {k: v for k, v in got.items() if v} == want
     kept = {r["doc_id"]: r["text"] for r in L.dedup_lines(frame(spark, docs), near_from=15).collect()}
     for i, t in docs:
@@ -341,6 +429,30 @@ def test_line_removals_like_brute_force(spark):
     assert L.dedup_lines(frame(spark)).count() >= len(EDGE) - 1
 
 
+def test_rows_that_repeat_an_id_are_documents_of_their_own(spark):
+    rows = [(7, "the shared line of two rows\nown b"), (7, "a unique line that must stay\nown c"), (8, "the shared line of two rows"), (None, "the shared line of two rows"), (9, None), (9, ""), (9, ""), (10, "own b\nown b")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("doc_id", "text", "1 as removed", "2 as key", "3 as version", "4 as nothing_left", "5 as __removed", "6 as __id")
+    out = L.dedup_lines(df)
+    assert out.columns == df.columns
+    got = Counter((r["doc_id"], r["text"]) for r in out.collect())
+    assert got == Counter([(7, rows[0][1]), (7, rows[1][1]), (None, rows[3][1]), (9, None), (9, ""), (9, "")])
+
+
+def test_common_beginnings_are_divided(spark):
+    """Thousands of lines share two thirds; a few are near others: no link is lost, and no key has them all."""
+    rng = random.Random(18)
+    lines = [f"a common beginning that every line of this log has {rng.randrange(10**12):012d} {rng.randrange(10**9):09d}" for _ in range(1500)]
+    near = [noisy(rng, x, 2, "0123456789") for x in lines[:100]]
+    docs = [(i, x) for i, x in enumerate(lines)] + [(5000 + i, x) for i, x in enumerate(near)]
+    texts = spark.createDataFrame(docs, "doc_id long, text string")
+    hot = L.hot_keys(texts, 2, 30, 64, 1)
+    signer = L._Signer(2, 30, hot)
+    met = Counter(k for x in lines for k in signer.keys(x))
+    assert len(hot) and max(met.values()) < 400
+    got = {r["doc_id"] for r in L.line_removals(texts, many=64, every=1).where("size(removed) > 0").collect()}
+    assert got == {5000 + i for i in range(100)}
+
+
 # --- 9 ------------------------------------------------------------------------------------------
 
 
@@ -394,3 +506,27 @@ def test_token_store(spark):
     missing = spark.createDataFrame([(999,), (1,)], "doc_id long")
     assert [r["key"] for r in read_tokens(store, lookup(store, missing)).collect()] == [1]
     assert token_digest(write_tokens(empty(spark), BYTE, 2), empty(spark)).count() == 0
+
+
+def test_a_hot_key_is_dealt_to_several_shards(spark):
+    rows = [(7, f"text {i % 90} of many words {i}") for i in range(900)] + [(i, f"other {i}") for i in range(300)]
+    docs = frame(spark, rows).repartition(6)
+    store = write_tokens(docs, BYTE, 2, keys_per_bucket=100)
+    got = token_digest(store, docs).collect()
+    enc = encoder(BYTE)
+    want = Counter((k, zlib.crc32(enc.ids(t) + (2).to_bytes(4, "little"))) for k, t in rows)
+    assert Counter((r["doc_id"], r["ids_crc32"]) for r in got) == want
+    spans = sorted((r["start"], r["n_tokens"], r["doc_id"]) for r in got)
+    assert all(a + n == b and x <= y for (a, n, x), (b, _, y) in zip(spans, spans[1:], strict=False))
+
+
+def test_encoder_in_stretches_and_small_caches():
+    from corpus_tilt.llm.common import UnitEncoder, encoded_by
+
+    rng = random.Random(14)
+    small = UnitEncoder(BYTE, room=3000)
+    texts = ["".join(rng.choice(["word ", "a", " ", "\n", "été", "\tb ", "don't ", "%%"]) for _ in range(rng.randint(0, 400))) for _ in range(60)]
+    assert not small.whole_only
+    for width in (2, 4):
+        got = list(encoded_by(small, texts, width, at_once=50))
+        assert got == [np.array(small.tokenizer.encode(t, add_special_tokens=False).ids, f"<u{width}").tobytes() for t in texts]

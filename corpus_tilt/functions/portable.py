@@ -9,13 +9,14 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 
-def u01(key: Column, seed: int | str) -> Column:
+def u01(key: Column, seed: int | str | Column) -> Column:
     """A number in (0, 1) from a hash of seed and key."""
-    text = F.concat(F.lit(f"{seed}:"), key.cast("string"))
+    head = F.concat(seed, F.lit(":")) if isinstance(seed, Column) else F.lit(f"{seed}:")
+    text = F.concat(head, key.cast("string"))
     return (F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("long") + F.lit(0.5)) / F.lit(4294967296.0)
 
 
-def gumbel(key: Column, seed: int | str) -> Column:
+def gumbel(key: Column, seed: int | str | Column) -> Column:
     """Standard Gumbel noise: the n largest of score plus noise are n draws without replacement."""
     return -F.log(-F.log(u01(key, seed)))
 

@@ -5,10 +5,13 @@ from __future__ import annotations
 import re
 import uuid
 from collections import Counter
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..sources.scratch import written
+
 
 def num(x: float) -> str:
     """A double literal in both engines."""
@@ -31,6 +34,9 @@ class Dialect:
         """A number in (0, 1) from the hash of seed and key: the same in every run, split and engine."""
         return f"(({self.hex_int(f'''substr(md5(concat('{seed}', ':', {key})), 1, 8)''')} + 0.5e0) / 4294967296e0)"
 
+    def octets(self, e: str) -> str:
+        return f"octet_length({e})" if self.name == "spark" else f"strlen({e})"
+
     def r6(self, e: str) -> str:
         return f"(round({e}, 6) + 0e0)"
 
@@ -46,12 +52,20 @@ class Chain:
     dialect: Dialect
     steps: dict[str, str] = field(default_factory=dict)
     data: set[str] = field(default_factory=set)
+    makers: dict[str, Callable] = field(default_factory=dict)
+    scans: set[str] = field(default_factory=set)  # steps that only read and filter a table: never made
+
+    def add(self, name: str, sql: str, data: bool = False, make: Callable | None = None) -> str:
+        """``data``: the step's rows grow with the tables, not only with the model or the batch.
 
-    def add(self, name: str, sql: str, data: bool = False) -> str:
-        """``data``: the step's rows grow with the tables, not only with the model or the batch."""
+        ``make``: what Spark runs for the step in place of the SQL, as a function from a step's name
+        to its DataFrame; the SQL says the same, and names the steps that are used.
+        """
         self.steps[name] = sql
         if data:
             self.data.add(name)
+        if make:
+            self.makers[name] = make
         return name
 
     def _needed(self, name: str, seen: dict[str, None]) -> None:
@@ -73,9 +87,9 @@ class Chain:
         return (f"with {head} " if head else "") + plain(self.steps[last])
 
     def run(self, spark: SparkSession, sf_dir: str, final: str) -> DataFrame:
-        """Steps as views.  A step that others read more than once is made once: a table that grows
-        with the data is cached, one bounded by the model or the batch becomes a local relation,
-        so plans do not grow with the chain."""
+        """Steps as views.  A step that others read more than once is made once, when the query is
+        built: a table that grows with the data is written below the shared folder, one bounded by
+        the model or the batch becomes a local relation, so plans do not grow with the chain."""
         tag = uuid.uuid4().hex[:8]
         views: dict[str, str] = {}
         order = self.order(final)
@@ -91,11 +105,14 @@ class Chain:
 
         df = None
         for name in order:
-            df = spark.sql(re.sub(r"@(\w+)", lambda m: view(m[1]), self.steps[name]))
+            if name in self.makers:
+                df = self.makers[name](lambda ref: spark.table(view(ref)))
+            else:
+                df = spark.sql(re.sub(r"@(\w+)", lambda m: view(m[1]), self.steps[name]))
             if name == final:
                 break
-            if uses[name] > 1:
-                df = df.cache() if name in self.data else spark.createDataFrame(df.toArrow())
+            if uses[name] > 1 and name not in self.scans:
+                df = written(df, f"step-{name}") if name in self.data else spark.createDataFrame(df.toArrow())
             views[name] = f"tilt_{name}_{tag}"
             df.createOrReplaceTempView(views[name])
         return df

@@ -17,8 +17,8 @@ class ByteModel:
     pair counts (contexts, nexts, counts), so all quantities are closed forms.
     """
 
-    def __init__(self, contexts: int = 256, max_bytes: int = 512) -> None:
-        self.contexts, self.max_bytes = contexts, max_bytes
+    def __init__(self, contexts: int = 256) -> None:
+        self.contexts = contexts
         self.size = contexts * 256
 
     def init(self, seed: int = 0) -> np.ndarray:
@@ -27,7 +27,7 @@ class ByteModel:
     def prepare(self, payloads: list[bytes]) -> tuple[np.ndarray, list]:
         counts, length = [], []
         for p in payloads:
-            raw = np.frombuffer(p[: self.max_bytes], np.uint8).astype(np.int64)
+            raw = np.frombuffer(p, np.uint8).astype(np.int64)
             cell = raw[:-1] * self.contexts // 256 * 256 + raw[1:]
             at, n = np.unique(cell, return_counts=True)
             counts.append((at, n.astype(float)))
@@ -66,8 +66,8 @@ class ByteModel:
 class ContextMlp:
     """Next byte from the k bytes before: embeddings, a tanh layer, softmax.  Not convex."""
 
-    def __init__(self, k: int = 3, embed: int = 8, hidden: int = 24, max_bytes: int = 128) -> None:
-        self.k, self.embed, self.hidden, self.max_bytes = k, embed, hidden, max_bytes
+    def __init__(self, k: int = 3, embed: int = 8, hidden: int = 24) -> None:
+        self.k, self.embed, self.hidden = k, embed, hidden
         self.shapes = [(256, embed), (k * embed, hidden), (hidden,), (hidden, 256), (256,)]
         self.size = sum(int(np.prod(s)) for s in self.shapes)
 
@@ -83,7 +83,7 @@ class ContextMlp:
         return out
 
     def prepare(self, payloads: list[bytes]) -> list[np.ndarray]:
-        return [np.concatenate([np.zeros(self.k, np.uint8), np.frombuffer(p[: self.max_bytes], np.uint8)]) for p in payloads]
+        return [np.concatenate([np.zeros(self.k, np.uint8), np.frombuffer(p, np.uint8)]) for p in payloads]
 
     def _rows(self, x) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         context = np.concatenate([np.lib.stride_tricks.sliding_window_view(r, self.k)[:-1] for r in x])
@@ -176,8 +176,8 @@ class PairModel:
     Tokens are words hashed into ``vocab`` classes; 0 begins and 1 ends a sentence.
     """
 
-    def __init__(self, vocab: int = 96, max_tokens: int = 40, smoothing: float = 0.1) -> None:
-        self.vocab, self.max_tokens, self.smoothing = vocab, max_tokens, smoothing
+    def __init__(self, vocab: int = 96, smoothing: float = 0.1) -> None:
+        self.vocab, self.smoothing = vocab, smoothing
         self.size = 2 * vocab * vocab
 
     def init(self, seed: int = 0) -> np.ndarray:
@@ -186,7 +186,7 @@ class PairModel:
     def tokens(self, text: str) -> list[int]:
         import zlib
 
-        return [2 + zlib.crc32(w.encode()) % (self.vocab - 2) for w in text.lower().split()[: self.max_tokens]]
+        return [2 + zlib.crc32(w.encode()) % (self.vocab - 2) for w in text.lower().split()]
 
     def prepare(self, payloads: list[tuple[str, str]]) -> list[tuple[np.ndarray, np.ndarray]]:
         out = []
@@ -254,46 +254,72 @@ class PairModel:
 
 
 class DualEncoder:
-    """Image and caption branches, both linear, with a contrastive softmax over candidate captions.
+    """A linear image branch, and an MLP of two latent layers over caption vectors; a contrastive softmax over candidate captions.
 
     ``captions`` are the vectors of all class captions; a prediction is the best class's caption.
-    A ``buffer`` of past captions can stand for them on generic data.
+    Rows are (image, class, candidates).  On specific data all captions are candidates; on generic
+    data (``against_past``) those of the last ``memory`` examples and of the batch.
     """
 
-    def __init__(self, captions: np.ndarray, image: int = 64, joint: int = 16) -> None:
-        self.captions, self.image, self.joint = captions, image, joint
-        self.size = image * joint + captions.shape[1] * joint
+    def __init__(self, captions: np.ndarray, image: int = 64, joint: int = 16, hidden: int = 24, memory: int = 256) -> None:
+        self.captions, self.image, self.memory = captions, image, memory
+        self.shapes = [(image, joint), (captions.shape[1], hidden), (hidden,), (hidden, hidden), (hidden,), (hidden, joint)]
+        self.size = sum(int(np.prod(s)) for s in self.shapes)
+        self.past: list[int] = []
 
     def init(self, seed: int = 0) -> np.ndarray:
-        return np.random.default_rng(seed).normal(0, 0.1, self.size)
+        rng = np.random.default_rng(seed)
+        return np.concatenate([rng.normal(0, 0.1 if i == 0 else 1 / np.sqrt(s[0]), int(np.prod(s))) if len(s) > 1 else np.zeros(s) for i, s in enumerate(self.shapes)])
 
-    def prepare(self, payloads: list) -> tuple[np.ndarray, np.ndarray]:
-        return np.array([p[0] for p in payloads], float).reshape(len(payloads), self.image), np.array([p[1] for p in payloads], int)
+    def prepare(self, payloads: list) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        x = np.array([p[0] for p in payloads], float).reshape(len(payloads), self.image)
+        return x, np.array([p[1] for p in payloads], int), np.ones((len(payloads), len(self.captions)), bool)
+
+    def against_past(self, x) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The rows with the captions seen lately as candidates; theirs are remembered."""
+        there = np.zeros(len(self.captions), bool)
+        there[[*self.past, *x[1].tolist()]] = True
+        self.past = [*self.past, *x[1].tolist()][-self.memory :]
+        return x[0], x[1], np.tile(there, (len(x[1]), 1))
+
+    def _split(self, theta: np.ndarray) -> list[np.ndarray]:
+        cuts = np.cumsum([int(np.prod(s)) for s in self.shapes])
+        return [p.reshape(s) for p, s in zip(np.split(theta, cuts[:-1]), self.shapes, strict=True)]
 
-    def _split(self, theta: np.ndarray):
-        n = self.image * self.joint
-        return theta[:n].reshape(self.image, self.joint), theta[n:].reshape(-1, self.joint)
+    def _texts(self, theta: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        _, w1, b1, w2, b2, w3 = self._split(theta)
+        h1 = np.tanh(self.captions @ w1 + b1)
+        h2 = np.tanh(h1 @ w2 + b2)
+        return h1, h2, h2 @ w3
 
     def probabilities(self, theta: np.ndarray, x) -> np.ndarray:
-        u, c = self._split(theta)
-        return softmax(4 * (x[0] @ u) @ (self.captions @ c).T)
+        logits = 4 * (x[0] @ self._split(theta)[0]) @ self._texts(theta)[2].T
+        return softmax(np.where(x[2], logits, -np.inf))
 
     def losses(self, theta: np.ndarray, x) -> np.ndarray:
         return -np.log(self.probabilities(theta, x)[np.arange(len(x[1])), x[1]] + 1e-300)
 
-    def grad(self, theta: np.ndarray, x, w: np.ndarray) -> np.ndarray:
-        u, c = self._split(theta)
+    def _errors(self, theta: np.ndarray, x) -> np.ndarray:
         up = self.probabilities(theta, x)
         up[np.arange(len(x[1])), x[1]] -= 1
-        up *= 4 * w[:, None]
-        t = self.captions @ c
-        return np.concatenate([(x[0].T @ (up @ t)).ravel(), (self.captions.T @ (up.T @ (x[0] @ u))).ravel()])
+        return 4 * up
+
+    def grad(self, theta: np.ndarray, x, w: np.ndarray) -> np.ndarray:
+        u, _, _, w2, _, w3 = self._split(theta)
+        h1, h2, t = self._texts(theta)
+        up = self._errors(theta, x) * w[:, None]
+        dt = up.T @ (x[0] @ u)
+        d2 = (dt @ w3.T) * (1 - h2 * h2)
+        d1 = (d2 @ w2.T) * (1 - h1 * h1)
+        return np.concatenate([g.ravel() for g in (x[0].T @ (up @ t), self.captions.T @ d1, d1.sum(0), h1.T @ d2, d2.sum(0), h2.T @ dt)])
 
     def dots(self, theta: np.ndarray, x, v: np.ndarray) -> np.ndarray:
-        (u, c), (du, dc) = self._split(theta), self._split(v)
-        up = self.probabilities(theta, x)
-        up[np.arange(len(x[1])), x[1]] -= 1
-        return 4 * (up * ((x[0] @ du) @ (self.captions @ c).T + (x[0] @ u) @ (self.captions @ dc).T)).sum(1)
+        u, _, _, w2, _, w3 = self._split(theta)
+        du, dw1, db1, dw2, db2, dw3 = self._split(v)
+        h1, h2, t = self._texts(theta)
+        m1 = (self.captions @ dw1 + db1) * (1 - h1 * h1)
+        m2 = (m1 @ w2 + h1 @ dw2 + db2) * (1 - h2 * h2)
+        return (self._errors(theta, x) * ((x[0] @ du) @ t.T + (x[0] @ u) @ (m2 @ w3 + h2 @ dw3).T)).sum(1)
 
     def hvp(self, theta: np.ndarray, x, w: np.ndarray, v: np.ndarray) -> np.ndarray:
         return numeric_hvp(self, theta, x, w, v)
@@ -302,15 +328,27 @@ class DualEncoder:
         return float((self.probabilities(theta, x).argmax(1) == x[1]).mean())
 
 
-def bleu(hypotheses: list[list], references: list[list], order: int = 4) -> float:
-    """Corpus BLEU: clipped n-gram precision up to ``order``, geometric mean, brevity penalty."""
-    hit, total, h, r = np.zeros(order), np.zeros(order), 0, 0
+def bleu_counts(hypotheses: list[list], references: list[list], order: int = 4) -> dict[str, float]:
+    """Sums that corpus BLEU is made of: clipped and all n-grams up to ``order``, and lengths."""
+    out = {f"{kind}{n}": 0.0 for kind in ("hit", "all") for n in range(1, order + 1)} | {"hyp": 0.0, "ref": 0.0}
     for a, b in zip(hypotheses, references, strict=True):
-        h, r = h + len(a), r + len(b)
+        out["hyp"] += len(a)
+        out["ref"] += len(b)
         for n in range(1, order + 1):
             x, y = (Counter(tuple(s[i : i + n]) for i in range(len(s) - n + 1)) for s in (a, b))
-            hit[n - 1] += sum((x & y).values())
-            total[n - 1] += max(len(a) - n + 1, 0)
-    if not h or (hit == 0).any() or (total == 0).any():
+            out[f"hit{n}"] += sum((x & y).values())
+            out[f"all{n}"] += max(len(a) - n + 1, 0)
+    return out
+
+
+def bleu_of(sums: dict[str, float], order: int = 4) -> float:
+    """Geometric mean of n-gram precisions, with a brevity penalty."""
+    hit, total = (np.array([sums[f"{kind}{n}"] for n in range(1, order + 1)]) for kind in ("hit", "all"))
+    if not sums["hyp"] or (hit == 0).any() or (total == 0).any():
         return 0.0
-    return float(np.exp(np.log(hit / total).mean() + min(0.0, 1 - r / h)))
+    return float(np.exp(np.log(hit / total).mean() + min(0.0, 1 - sums["ref"] / sums["hyp"])))
+
+
+def bleu(hypotheses: list[list], references: list[list], order: int = 4) -> float:
+    """Corpus BLEU: clipped n-gram precision up to ``order``, geometric mean, brevity penalty."""
+    return bleu_of(bleu_counts(hypotheses, references, order), order)

@@ -73,9 +73,9 @@ class MlpWeight(_Net):
 
 
 class ConvWeight(_Net):
-    """Byte embeddings, two convolutions, mean pooling, a score."""
+    """Byte embeddings, two convolutions, mean pooling, a score; the weight model (alone) reads the first ``max_bytes``."""
 
-    def __init__(self, embed: int = 8, width: int = 16, kernel: int = 3, max_bytes: int = 128) -> None:
+    def __init__(self, embed: int = 8, width: int = 32, kernel: int = 3, max_bytes: int = 256) -> None:
         self.kernel, self.max_bytes = kernel, max_bytes
         self.shapes = [(256, embed), (kernel * embed, width), (width,), (kernel * width, width), (width,), (width, 1)]
         self._sizes()
@@ -153,27 +153,52 @@ class PairWeight(_Net):
 
 
 class ImageWeight(_Net):
-    """A small convolution over a vector laid out as an 8 x 8 image, mean pooling, a score."""
+    """Four 3 x 3 convolutions (32, 32, 32 and 64 channels) over a vector laid out as an 8 x 8 image, mean pooling, a score."""
 
-    def __init__(self, side: int = 8, kernel: int = 3, width: int = 32) -> None:
-        self.side, self.kernel = side, kernel
-        self.shapes = [(kernel * kernel, width), (width,), (width, 1)]
+    def __init__(self, side: int = 8, channels: tuple[int, ...] = (32, 32, 32, 64)) -> None:
+        self.side, self.layers = side, len(channels)
+        self.shapes = [s for into, out in zip((1, *channels), channels, strict=False) for s in ((9 * into, out), (out,))] + [(channels[-1], 1)]
         self._sizes()
 
     def prepare(self, payloads: list) -> np.ndarray:
-        flat = np.array([np.ravel(p[0] if isinstance(p, tuple) else p) for p in payloads], float).reshape(len(payloads), self.side, self.side)
-        view = np.lib.stride_tricks.sliding_window_view(flat, (self.kernel, self.kernel), axis=(1, 2))
-        return view.reshape(len(payloads), -1, self.kernel**2)
+        return np.array([np.ravel(p[0] if isinstance(p, tuple) else p) for p in payloads], float).reshape(len(payloads), self.side, self.side, 1)
+
+    def _patches(self, a: np.ndarray) -> np.ndarray:
+        wide = np.pad(a, ((0, 0), (1, 1), (1, 1), (0, 0)))
+        view = np.lib.stride_tricks.sliding_window_view(wide, (3, 3), axis=(1, 2))
+        return np.moveaxis(view, 3, 5).reshape(*a.shape[:3], -1)
+
+    def _unpatch(self, d: np.ndarray) -> np.ndarray:
+        parts = d.reshape(*d.shape[:3], 3, 3, -1)
+        out = np.zeros((d.shape[0], self.side + 2, self.side + 2, parts.shape[-1]))
+        for i in range(3):
+            for j in range(3):
+                out[:, i : i + self.side, j : j + self.side] += parts[:, :, :, i, j]
+        return out[:, 1:-1, 1:-1]
+
+    def _forward(self, alpha: np.ndarray, x: np.ndarray) -> tuple[list, list, list]:
+        *parts, last = self._split(alpha)
+        patches, outs = [], []
+        for i in range(self.layers):
+            patches.append(self._patches(outs[-1] if outs else x))
+            outs.append(np.tanh(patches[-1] @ parts[2 * i] + parts[2 * i + 1]))
+        return patches, outs, [*parts, last]
 
     def scores(self, alpha: np.ndarray, x: np.ndarray) -> np.ndarray:
-        w, b, o = self._split(alpha)
-        return (np.tanh(x @ w + b).mean(axis=1) @ o).ravel()
+        _, outs, parts = self._forward(alpha, x)
+        return (outs[-1].mean(axis=(1, 2)) @ parts[-1]).ravel()
 
     def back(self, alpha: np.ndarray, x: np.ndarray, up: np.ndarray) -> np.ndarray:
-        w, b, o = self._split(alpha)
-        h = np.tanh(x @ w + b)
-        d = up[:, None, None] * o.ravel() / h.shape[1] * (1 - h * h)
-        return np.concatenate([(x.reshape(-1, x.shape[-1]).T @ d.reshape(-1, d.shape[-1])).ravel(), d.sum((0, 1)), (h.mean(axis=1).T @ up[:, None]).ravel()])
+        patches, outs, parts = self._forward(alpha, x)
+        grads = [outs[-1].mean(axis=(1, 2)).T @ up[:, None]]
+        d = np.broadcast_to(up[:, None, None, None] * parts[-1].ravel() / self.side**2, outs[-1].shape)
+        for i in reversed(range(self.layers)):
+            d = d * (1 - outs[i] ** 2)
+            flat = d.reshape(-1, d.shape[-1])
+            grads = [patches[i].reshape(-1, patches[i].shape[-1]).T @ flat, flat.sum(0), *grads]
+            if i:
+                d = self._unpatch(d @ parts[2 * i].T)
+        return np.concatenate([g.ravel() for g in grads])
 
 
 class FreeWeight:

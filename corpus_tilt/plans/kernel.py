@@ -3,7 +3,8 @@
 Main model: logits theta(k, y) of the next byte y given the class k (high nibble) of the byte
 before.  Weight model: score = alpha . phi, phi the shares of bytes by high nibble.  Losses,
 gradients, Hessian products, inner products, all three outer steps, the filters and the loop are
-joins and aggregates; ``Chain`` runs them on Spark and prints them for another engine.
+joins and aggregates; ``Chain`` runs them on Spark and prints them for another engine.  Counts are
+of whole texts; a batch is drawn first, and only its texts are counted by example.
 """
 
 from __future__ import annotations
@@ -11,6 +12,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
+from ..functions.bytecounts import byte_totals, nibble_shares, pair_counts, pair_totals
 from ..functions.sqltext import DUCK, SPARK, Chain, Dialect, num
 
 LARGE, SMALL = 256, 32
@@ -23,10 +25,10 @@ class Kernel:
 
     d: Dialect
     target: str = "lang = 'fr'"
-    max_bytes: int = 512
 
     def __post_init__(self) -> None:
         self.c = Chain(self.d)
+        self.base: dict[str, str] = {}  # of each step of ids, the batch (or all examples) they come from
         self._base()
 
     # --- data --------------------------------------------------------------------------------
@@ -34,32 +36,73 @@ class Kernel:
     def _base(self) -> None:
         d, add = self.d, self.c.add
         hashed = d.hex_int("substr(md5(text), 1, 8)")
-        add("ex", f"select doc_id as id, case when {self.target} then 1 else 0 end as side, case when {hashed} % 10 < 6 then 'train' when {hashed} % 10 < 8 then 'valid' else 'test' end as split, substr(hex(text), 1, {2 * self.max_bytes}) as h, cast(length(substr(hex(text), 1, {2 * self.max_bytes})) / 2 as int) as nb from @documents where length(hex(text)) >= 4", data=True)
+        body = "text as h" if d.name == "spark" else "hex(text) as h"
+        add("ex", f"select doc_id as id, case when {self.target} then 1 else 0 end as side, case when {hashed} % 10 < 6 then 'train' when {hashed} % 10 < 8 then 'valid' else 'test' end as split, {body}, cast({d.octets('text')} as int) as nb from @documents where {d.octets('text')} >= 2", data=True)
+        self.c.scans.add("ex")
         add("ys", f"select concat(substr('0123456789ABCDEF', cast(floor(i / 16) as int) + 1, 1), substr('0123456789ABCDEF', cast(i % 16 as int) + 1, 1)) as y from (select 0 as one) o, {d.series('256')} s")
         add("ks", f"select substr('0123456789ABCDEF', cast(i as int) + 1, 1) as k, cast(i as int) as j from (select 0 as one) o, {d.series('16')} s")
         add("grid", "select k, y from @ks cross join @ys")
-        add("bg", f"select id, side, split, k, y, cast(count(*) as bigint) as n from (select id, side, split, substr(h, cast(2 * i + 1 as int), 1) as k, substr(h, cast(2 * i + 3 as int), 2) as y from @ex, {d.series('nb - 1')} s) p group by id, side, split, k, y", data=True)
-        add("nk", "select id, k, cast(sum(n) as double) as nk from @bg group by id, k", data=True)
-        add("nx", "select id, cast(sum(n) as double) as nx from @bg group by id", data=True)
-        add("phi", f"select id, k, cast(count(*) as double) / max(nb) as share from (select id, nb, substr(h, cast(2 * i + 1 as int), 1) as k from @ex, {d.series('nb')} s) p group by id, k", data=True)
-        add("th0", f"select g.k, g.y, (coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)}) as p, ln((coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)})) as t from @grid g left join (select k, y, cast(sum(n) as double) as n from @bg where side = 0 and split = 'train' group by k, y) c on c.k = g.k and c.y = g.y left join (select k, cast(sum(n) as double) as n from @bg where side = 0 and split = 'train' group by k) t on t.k = g.k")
+        add("tasks", f"select side, split, k, y, cast(count(*) as bigint) as n from ({self._pairs('@ex', 1)}) p group by side, split, k, y", data=True, make=lambda t: pair_totals(t("ex"), 16))
+        add("tot", "select side, split, k, y, cast(sum(n) as bigint) as n from @tasks group by side, split, k, y")
+        add("th0", f"select g.k, g.y, (coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)}) as p, ln((coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)})) as t from @grid g left join (select k, y, cast(sum(n) as double) as n from @tot where side = 0 and split = 'train' group by k, y) c on c.k = g.k and c.y = g.y left join (select k, cast(sum(n) as double) as n from @tot where side = 0 and split = 'train' group by k) t on t.k = g.k")
         add("al0", f"select k, (j - 8) / {num(4)} as a from @ks")
 
+    def _pairs(self, source: str, digits: int) -> str:
+        """A row a byte but the first: the class of the byte before (its first hex digit, or both) and the byte."""
+        return f"select id, side, split, substr(h, cast(2 * i + 1 as int), {digits}) as k, substr(h, cast(2 * i + 3 as int), 2) as y from {source} e, {self.d.series('nb - 1')} s"
+
+    def _source(self, ids: str) -> tuple[str, str]:
+        base = self.base.get(ids, ids)
+        return base, "@ex" if base == "ex" else f"(select x.* from @ex x where x.id in (select id from @{base}))"
+
+    def bg(self, ids: str, digits: int = 1) -> str:
+        """Pair counts (id, k, y, n) of the whole texts of the batch that ``ids`` come from."""
+        base, source = self._source(ids)
+        name = f"bg_{base}" if digits == 1 else f"bg{digits}_{base}"
+        if name not in self.c.steps:
+            sql = f"select id, side, split, k, y, cast(count(*) as bigint) as n from ({self._pairs(source, digits)}) p group by id, side, split, k, y"
+            self.c.add(name, sql, data=base in self.c.data, make=lambda t: pair_counts(_rows_of(t, base), 16**digits))
+        return name
+
+    def nk(self, ids: str) -> str:
+        base = self.base.get(ids, ids)
+        return self.c.add(f"nk_{base}", f"select id, k, cast(sum(n) as double) as nk from @{self.bg(ids)} group by id, k", data=base in self.c.data)
+
+    def nx(self, ids: str) -> str:
+        base = self.base.get(ids, ids)
+        return self.c.add(f"nx_{base}", f"select id, cast(sum(n) as double) as nx from @{self.bg(ids)} group by id", data=base in self.c.data)
+
+    def phi(self, ids: str) -> str:
+        """Shares of bytes by high nibble, over whole texts."""
+        base, source = self._source(ids)
+        sql = f"select id, k, cast(count(*) as double) / max(nb) as share from (select id, nb, substr(h, cast(2 * i + 1 as int), 1) as k from {source} e, {self.d.series('nb')} s) p group by id, k"
+        return self.c.add(f"phi_{base}", sql, data=base in self.c.data, make=lambda t: nibble_shares(_rows_of(t, base)))
+
     def batch(self, name: str, side: int, split: str, seed: int | str, n: int, of: str = "ex") -> str:
         """A uniform batch without replacement: the least hashed numbers (a heap a partition, no sort of all)."""
         where = f"where side = {side} and split = '{split}'" if of == "ex" else ""
+        self.base[name] = name if of == "ex" else self.base[of]
         return self.c.add(name, f"select id from (select id, {self.d.u01('id', seed)} as u from @{of} {where}) b order by u, id limit {n}")
 
+    def ids(self, name: str, where: str) -> str:
+        """All examples with a property."""
+        self.base[name] = name
+        self.c.scans.add(name)
+        return self.c.add(name, f"select id, split from @ex where {where}", data=True)
+
     # --- weights and filters ---------------------------------------------------------------------
 
     def score(self, name: str, ids: str, alpha: str) -> str:
-        self.c.add(f"{name}_s", f"select b.id, sum(a.a * f.share) as s from @{ids} b join @phi f on f.id = b.id join @{alpha} a on a.k = f.k group by b.id", data=ids in self.c.data)
+        self.base[name] = self.base[f"{name}_s"] = self.base.get(ids, ids)
+        self.c.add(f"{name}_s", f"select b.id, sum(a.a * f.share) as s from @{ids} b join @{self.phi(ids)} f on f.id = b.id join @{alpha} a on a.k = f.k group by b.id", data=ids in self.c.data)
         return self.c.add(name, f"select id, s, exp(s - (select max(s) from @{name}_s)) / (select sum(exp(s - (select max(s) from @{name}_s))) from @{name}_s) as w from @{name}_s")
 
     def gumbel(self, name: str, scored: str, seed: int | str, n: int) -> str:
+        self.base[name] = self.base[scored]
         return self.c.add(name, f"select id from (select id, s - ln(-ln({self.d.u01('id', seed)})) as key from @{scored}) b order by key desc, id limit {n}")
 
     def top(self, name: str, scored: str, n: int) -> str:
+        self.base[name] = self.base[scored]
         return self.c.add(name, f"select id from @{scored} order by s desc, id limit {n}")
 
     def iid(self, name: str, scored: str, seed: int | str, n: int) -> str:
@@ -69,14 +112,15 @@ class Kernel:
         return self.c.add(name, f"select c.id, cast(count(*) as bigint) as copies from @{name}_u u join @{name}_c c on u.u >= c.lo and u.u < c.hi group by c.id")
 
     def uniform_weights(self, name: str, ids: str) -> str:
+        self.base[name] = self.base[ids]
         return self.c.add(name, f"select id, 1e0 / (select count(*) from @{ids}) as w from @{ids}")
 
     # --- main model ------------------------------------------------------------------------------
 
     def grad(self, name: str, weights: str, theta: str) -> str:
         """Gradient of the weighted loss by (k, y); zero where a context does not occur."""
-        self.c.add(f"{name}_m", f"select nk.k, sum(w.w * nk.nk / nx.nx) as m from @{weights} w join @nk nk on nk.id = w.id join @nx nx on nx.id = w.id group by nk.k")
-        self.c.add(f"{name}_c", f"select b.k, b.y, sum(w.w * b.n / nx.nx) as c from @{weights} w join @bg b on b.id = w.id join @nx nx on nx.id = w.id group by b.k, b.y")
+        self.c.add(f"{name}_m", f"select nk.k, sum(w.w * nk.nk / nx.nx) as m from @{weights} w join @{self.nk(weights)} nk on nk.id = w.id join @{self.nx(weights)} nx on nx.id = w.id group by nk.k")
+        self.c.add(f"{name}_c", f"select b.k, b.y, sum(w.w * b.n / nx.nx) as c from @{weights} w join @{self.bg(weights)} b on b.id = w.id join @{self.nx(weights)} nx on nx.id = w.id group by b.k, b.y")
         return self.c.add(name, f"select t.k, t.y, coalesce(m.m, 0e0) * t.p - coalesce(c.c, 0e0) as g from @{theta} t left join @{name}_m m on m.k = t.k left join @{name}_c c on c.k = t.k and c.y = t.y")
 
     def hessian(self, name: str, grad: str, theta: str, v: str) -> str:
@@ -87,9 +131,9 @@ class Kernel:
     def dots(self, name: str, ids: str, theta: str, v: str) -> str:
         """<gradient of each example's loss, v>, without any gradient of an example."""
         self.c.add(f"{name}_r", f"select t.k, sum(t.p * v.v) as r from @{theta} t join @{v} v on v.k = t.k and v.y = t.y group by t.k")
-        self.c.add(f"{name}_a", f"select i.id, sum(nk.nk * r.r) as x from @{ids} i join @nk nk on nk.id = i.id join @{name}_r r on r.k = nk.k group by i.id")
-        self.c.add(f"{name}_b", f"select i.id, sum(b.n * v.v) as x from @{ids} i join @bg b on b.id = i.id join @{v} v on v.k = b.k and v.y = b.y group by i.id")
-        return self.c.add(name, f"select a.id, (a.x - b.x) / nx.nx as q from @{name}_a a join @{name}_b b on b.id = a.id join @nx nx on nx.id = a.id")
+        self.c.add(f"{name}_a", f"select i.id, sum(nk.nk * r.r) as x from @{ids} i join @{self.nk(ids)} nk on nk.id = i.id join @{name}_r r on r.k = nk.k group by i.id")
+        self.c.add(f"{name}_b", f"select i.id, sum(b.n * v.v) as x from @{ids} i join @{self.bg(ids)} b on b.id = i.id join @{v} v on v.k = b.k and v.y = b.y group by i.id")
+        return self.c.add(name, f"select a.id, (a.x - b.x) / nx.nx as q from @{name}_a a join @{name}_b b on b.id = a.id join @{self.nx(ids)} nx on nx.id = a.id")
 
     def step(self, name: str, theta: str, grad: str, eta: float) -> str:
         """theta - eta g, and its probabilities."""
@@ -99,7 +143,7 @@ class Kernel:
         return self.c.add(name, f"select x.k, x.y, exp(x.t - z.top) / n.norm as p, x.t from @{name}_t x join @{name}_z z on z.k = x.k join @{name}_n n on n.k = x.k")
 
     def nll(self, name: str, ids: str, theta: str) -> str:
-        return self.c.add(name, f"select i.id, cast(sum(b.n) as bigint) as n_bytes, -sum(b.n * ln(t.p)) as nll from @{ids} i join @bg b on b.id = i.id join @{theta} t on t.k = b.k and t.y = b.y group by i.id", data=ids in self.c.data)
+        return self.c.add(name, f"select i.id, cast(sum(b.n) as bigint) as n_bytes, -sum(b.n * ln(t.p)) as nll from @{ids} i join @{self.bg(ids)} b on b.id = i.id join @{theta} t on t.k = b.k and t.y = b.y group by i.id", data=ids in self.c.data)
 
     # --- outer steps -------------------------------------------------------------------------------
 
@@ -130,7 +174,7 @@ class Kernel:
 
     def alpha_step(self, name: str, alpha: str, weights: str, utility: str) -> str:
         self.c.add(f"{name}_q", f"select sum(w.w * q.q) as mean from @{weights} w join @{utility} q on q.id = w.id")
-        self.c.add(f"{name}_d", f"select f.k, sum(w.w * (q.q - m.mean) * f.share) as d from @{weights} w join @{utility} q on q.id = w.id join @phi f on f.id = w.id cross join @{name}_q m group by f.k")
+        self.c.add(f"{name}_d", f"select f.k, sum(w.w * (q.q - m.mean) * f.share) as d from @{weights} w join @{utility} q on q.id = w.id join @{self.phi(weights)} f on f.id = w.id cross join @{name}_q m group by f.k")
         return self.c.add(name, f"select a.k, a.a + {num(ETA_WEIGHT)} * coalesce(d.d, 0e0) as a from @{alpha} a left join @{name}_d d on d.k = a.k")
 
     # --- one step as all queries share it -----------------------------------------------------------
@@ -160,6 +204,14 @@ class Kernel:
         return theta, alpha
 
 
+def _rows_of(table: Callable, base: str):
+    """The examples of a batch (a broadcast of its ids: as many as the batch has), of a set of examples, or all."""
+    if base == "ex":
+        return table("ex")
+    ids = table(base).select("id")
+    return table("ex").join(ids, "id", "left_semi")
+
+
 def _out(build: Callable[[Kernel], str]) -> Callable[[Dialect], tuple[Chain, str]]:
     def made(d: Dialect) -> tuple[Chain, str]:
         k = Kernel(d)
@@ -172,9 +224,13 @@ def _out(build: Callable[[Kernel], str]) -> Callable[[Dialect], tuple[Chain, str
 def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     q: dict[str, Callable[[Kernel], str]] = {}
     q["q_task_split"] = lambda k: "select side, split, cast(count(*) as bigint) as n, cast(count(distinct h) as bigint) as texts, cast(sum(nb) as bigint) as bytes from @ex group by side, split"
-    q["q_byte_counts"] = lambda k: f"select side, substr(h, cast(2 * i + 1 as int), 2) as b, cast(count(*) as bigint) as n from @ex, {k.d.series('nb')} s group by side, substr(h, cast(2 * i + 1 as int), 2)"
-    q["q_bigram_counts"] = lambda k: "select side, k, y, cast(sum(n) as bigint) as n from @bg group by side, k, y"
-    q["q_class_features"] = lambda k: f"select id, k, {k.d.r6('share')} as share from @phi"
+    def byte_counts(k: Kernel) -> str:
+        k.c.add("byt", f"select side, substr(h, cast(2 * i + 1 as int), 2) as b, cast(count(*) as bigint) as n from @ex e, {k.d.series('nb')} s group by side, substr(h, cast(2 * i + 1 as int), 2)", data=True, make=lambda t: byte_totals(t("ex")))
+        return "select side, b, cast(sum(n) as bigint) as n from @byt group by side, b"
+
+    q["q_byte_counts"] = lambda k: byte_counts(k)
+    q["q_bigram_counts"] = lambda k: "select side, k, y, cast(sum(n) as bigint) as n from @tot group by side, k, y"
+    q["q_class_features"] = lambda k: f"select id, k, {k.d.r6('share')} as share from @{k.phi('ex')}"
     q["q_base_model_prob"] = lambda k: f"select k, y, {k.d.r6('p')} as p from @th0"
 
     def doc_loss(k: Kernel) -> str:
@@ -341,12 +397,12 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
 
     def counted(k: Kernel, name: str, weight: str) -> str:
         """A model counted from training pairs with a weight by side."""
-        k.c.add(f"{name}_n", f"select k, y, sum(n * ({weight})) as n from @bg where split = 'train' group by k, y")
+        k.c.add(f"{name}_n", f"select k, y, sum(n * ({weight})) as n from @tot where split = 'train' group by k, y")
         k.c.add(f"{name}_k", f"select k, sum(n) as n from @{name}_n group by k")
         return k.c.add(name, f"select g.k, g.y, (coalesce(c.n, 0e0) + {num(SMOOTH)}) / (coalesce(t.n, 0e0) + {num(256 * SMOOTH)}) as p from @grid g left join @{name}_n c on c.k = g.k and c.y = g.y left join @{name}_k t on t.k = g.k")
 
     def held_out(k: Kernel, theta: str) -> str:
-        k.c.add("held", "select id from @ex where side = 1 and split = 'test'", data=True)
+        k.ids("held", "side = 1 and split = 'test'")
         k.nll("hl", "held", theta)
         return f"select cast(sum(n_bytes) as bigint) as n_bytes, {k.d.r6('sum(nll) / sum(n_bytes)')} as nll_per_byte from @hl"
 
@@ -355,7 +411,7 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     q["q_finetune_nll"] = lambda k: held_out(k, counted(k, "mf", "case when side = 1 then 1e0 else 0.02e0 end"))
 
     def rank_methods(k: Kernel) -> str:
-        k.c.add("held", "select id, split from @ex where side = 1 and split <> 'train'", data=True)
+        k.ids("held", "side = 1 and split <> 'train'")
         parts = []
         for name, weight in (("generic_only", "case when side = 0 then 1e0 else 0e0 end"), ("mixing", "case when side = 1 then 9e0 else 1e0 end"), ("finetuned", "case when side = 1 then 1e0 else 0.02e0 end")):
             k.nll(f"n_{name}", "held", counted(k, f"m_{name}", weight))
@@ -365,7 +421,7 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     q["q_rank_methods"] = rank_methods
 
     def contrastive(k: Kernel) -> str:
-        k.c.add("pool", "select id from @ex where side = 0 and split = 'train'", data=True)
+        k.ids("pool", "side = 0 and split = 'train'")
         k.nll("l0", "pool", counted(k, "m0", "case when side = 0 then 1e0 else 0e0 end"))
         k.nll("l1", "pool", counted(k, "m1", "case when side = 1 then 1e0 else 0.02e0 end"))
         return f"select id, {k.d.r6('gain')} as gain from (select a.id, (a.nll - b.nll) / a.n_bytes as gain from @l0 a join @l1 b on b.id = a.id) g order by g.gain desc, id limit 64"
@@ -377,9 +433,10 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
         k.batch("cs", 1, "train", 301, 64)
         k.batch("cg", 0, "train", 302, 64)
         k.c.add("cb", "select id, 1e0 as y from @cs union all select id, 0e0 as y from @cg")
+        feats = k.c.add("cf", f"select * from @{k.phi('cs')} union all select * from @{k.phi('cg')}")
         for t in range(steps):
-            k.c.add(f"cp{t}", f"select b.id, b.y, 1e0 / (1e0 + exp(-sum(a.a * f.share))) as p from @cb b join @phi f on f.id = b.id join @{alpha_name} a on a.k = f.k group by b.id, b.y")
-            k.c.add(f"cd{t}", f"select f.k, avg_sum / (select count(*) from @cb) as d from (select f.k, sum((p.y - p.p) * f.share) as avg_sum from @cp{t} p join @phi f on f.id = p.id group by f.k) f")
+            k.c.add(f"cp{t}", f"select b.id, b.y, 1e0 / (1e0 + exp(-sum(a.a * f.share))) as p from @cb b join @{feats} f on f.id = b.id join @{alpha_name} a on a.k = f.k group by b.id, b.y")
+            k.c.add(f"cd{t}", f"select f.k, avg_sum / (select count(*) from @cb) as d from (select f.k, sum((p.y - p.p) * f.share) as avg_sum from @cp{t} p join @{feats} f on f.id = p.id group by f.k) f")
             alpha_name = k.c.add(f"c{t + 1}", f"select a.k, a.a + 4e0 * coalesce(d.d, 0e0) as a from @{alpha_name} a left join @cd{t} d on d.k = a.k")
         return alpha_name
 
@@ -388,32 +445,51 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
 
     def classifier_topk(k: Kernel) -> str:
         name = classifier(k)
-        k.c.add("gen", "select id from @ex where side = 0 and split = 'train'", data=True)
+        k.ids("gen", "side = 0 and split = 'train'")
         k.score("gs", "gen", name)
         return f"select id, {k.d.r6('1e0 / (1e0 + exp(-s))')} as p from @gs_s order by s desc, id limit 64"
 
     q["q_classifier_step"], q["q_classifier_topk"] = classifier_step, classifier_topk
 
+    def retrain(k: Kernel, name: str, alphas: list[str]) -> str:
+        """The main model trained anew on the same large batches under given weights, one a step."""
+        theta = "th0"
+        for t, alpha in enumerate(alphas, 1):
+            kept = k.gumbel(f"{name}f{t}", k.score(f"{name}s{t}", f"b{t}", alpha), f"{t}4", SMALL)
+            theta = k.step(f"{name}th{t}", theta, k.grad(f"{name}g{t}", k.uniform_weights(f"{name}w{t}", kept), theta), ETA_MAIN)
+        return theta
+
     def trajectories(k: Kernel) -> str:
-        k.loop("cosine", 2)
-        k.score("x0", "big", "al0")
-        k.score("x1", "big", "al1")
-        k.score("x2", "big", "al2")
-        return f"select a.id, {k.d.r6('b.w')} as w_learned, {k.d.r6('c.w')} as w_final, {k.d.r6('a.w')} as w_shuffled from @x0 a join @x1 b on b.id = a.id join @x2 c on c.id = a.id"
+        """Held-out loss under the learned weights, the last ones frozen, and the learned ones in another order."""
+        theta, last = k.loop("cosine", 2)
+        k.ids("held", "side = 1 and split = 'test'")
+        models = {"learned": theta, "final": retrain(k, "fin", [last, last]), "shuffled": retrain(k, "shu", ["al1", "al0"])}
+        for name, model in models.items():
+            k.nll(f"n_{name}", "held", model)
+        return " union all ".join(f"select '{name}' as weights, {k.d.r6('sum(nll) / sum(n_bytes)')} as nll_per_byte from @n_{name}" for name in models)
 
     q["q_frozen_vs_shuffled"] = trajectories
-    q["q_cost_counts"] = lambda k: "select cast(count(*) as bigint) as weight_fwd, cast(32 as bigint) as main_bwd, cast(32 as bigint) as outer_bwd, cast((select count(*) from @spec) as bigint) as specific_bwd, cast(round(count(*) / 32e0) as bigint) as ratio from @sw"
+
+    def costs(k: Kernel) -> str:
+        """Evaluations of one step, counted from the rows that it touches."""
+        k.loop("cosine", 1)
+        n = lambda step: f"(select count(*) from @{step})"
+        k.c.add("tally", f"select {n('s1')} as weight_fwd, {n('f1')} as main_bwd, {n('u1')} as outer_bwd, {n('p1')} as specific_bwd, (select count(*) from @al1) as moved")
+        return f"select cast(weight_fwd as bigint) as weight_fwd, cast(main_bwd as bigint) as main_bwd, cast(outer_bwd as bigint) as outer_bwd, cast(specific_bwd as bigint) as specific_bwd, {k.d.r6('weight_fwd * 1e0 / main_bwd')} as ratio, {k.d.r6('1e0 - main_bwd * 1e0 / weight_fwd')} as unseen_share from @tally"
+
+    q["q_cost_counts"] = costs
 
     def transfer(k: Kernel) -> str:
         # weights learned with the small model select data for the large one (256 contexts)
         _, alpha_name = k.loop("cosine", 2)
-        k.c.add("gen", "select id from @ex where side = 0 and split = 'train'", data=True)
+        k.ids("gen", "side = 0 and split = 'train'")
         k.score("gs", "gen", alpha_name)
         k.c.add("sel", "select id from @gs order by s desc, id limit 200")
-        pairs = f"select e.id, substr(h, cast(2 * i + 1 as int), 2) as k, substr(h, cast(2 * i + 3 as int), 2) as y from @ex e, {k.d.series('nb - 1')} s"
-        k.c.add("big2", f"select k, y, cast(count(*) as double) as n from ({pairs}) p join @sel z on z.id = p.id group by k, y", data=True)
-        k.c.add("tot2", "select k, sum(n) as n from @big2 group by k", data=True)
-        k.c.add("test2", f"select k, y, cast(count(*) as double) as n from ({pairs}) p join (select id from @ex where side = 1 and split = 'test') z on z.id = p.id group by k, y", data=True)
+        k.base["sel"] = "sel"
+        k.ids("held", "side = 1 and split = 'test'")
+        for name, ids in (("big2", "sel"), ("test2", "held")):
+            k.c.add(name, f"select k, y, cast(sum(n) as double) as n from @{k.bg(ids, 2)} group by k, y")
+        k.c.add("tot2", "select k, sum(n) as n from @big2 group by k")
         return f"select cast(sum(t.n) as bigint) as n_bytes, {k.d.r6('''-sum(t.n * ln((coalesce(b.n, 0e0) + 0.5e0) / (coalesce(o.n, 0e0) + 128e0))) / sum(t.n)''')} as nll_per_byte from @test2 t left join @big2 b on b.k = t.k and b.y = t.y left join @tot2 o on o.k = t.k"
 
     q["q_transfer_nll"] = transfer

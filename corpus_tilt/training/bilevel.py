@@ -1,36 +1,24 @@
-"""The online two-level loop, in one driver process on prepared pools, or with scoring on the cluster.
+"""The online two-level loop, the other strategies, and fine-tuning, on any ``Source`` of batches.
 
 Order of a step: sample a large generic and a small specific batch; filter the large one with the
 old weights; step the main model; then step the weight model with the new main model on a fresh
-uniform sub-batch.  Only arrays cross steps, so plans never grow.
+uniform sub-batch.  Only arrays cross steps, so plans never grow.  On the cluster, ``delay`` steps
+share one weight model and one job; with a delay of one the loop is the same as in the driver.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
 
-from ..models.base import size_of, softmax, take
+from ..models.base import softmax
 from .costs import CostMeter
 from .optim import Sgd
 from .outer import outer_step, reweight
-from .task import Task
-
-
-def pick(kind: str, scores: np.ndarray, n: int, rng: np.random.Generator) -> np.ndarray:
-    """Positions that a filter keeps of a scored batch (with repeats only for ``iid``)."""
-    n = n if kind == "iid" else min(n, len(scores))
-    if kind == "gumbel":
-        return np.argsort(-(scores + rng.gumbel(size=len(scores))), kind="stable")[:n]
-    if kind == "top":
-        return np.argsort(-scores, kind="stable")[:n]
-    if kind == "iid":
-        return rng.choice(len(scores), n, p=softmax(scores))
-    if kind == "uniform":
-        return rng.choice(len(scores), n, replace=False)
-    raise ValueError(f"unknown filter {kind}")
+from .source import Batch, Source, choose, hashes, mean_loss
 
 
 @dataclass
@@ -61,217 +49,202 @@ class Setting:
     optimizer: type | None = None
 
 
-class Pools:
-    """The prepared sides of a task for a main and a weight model."""
-
-    def __init__(self, task: Task, main, weight=None) -> None:
-        self.task, self.main, self.weight = task, main, weight
-        self._made: dict = {}
+    specific: object = None  # another model object, for a specific loss that is not the generic one
 
-    def side(self, side: int, split: str = "train"):
-        if (side, split) not in self._made:
-            payloads = (self.task.generic if side == 0 else self.task.specific)(split)[1]
-            self._made[side, split] = self.main.prepare(payloads), self.weight.prepare(payloads) if self.weight else None
-        return self._made[side, split]
+    def optimise(self, main) -> tuple:
+        opt = (self.optimizer or Sgd)(self.rate)
+        return opt, opt.start(main.size)
 
-    def held_out(self, theta: np.ndarray, split: str = "test") -> float:
-        x = self.side(1, split)[0]
-        return float(self.main.losses(theta, x).mean())
+    def blocks(self) -> list[range]:
+        return [range(lo, min(lo + self.delay, self.steps)) for lo in range(0, self.steps, self.delay)]
 
 
-def _check(theta: np.ndarray, alpha: np.ndarray) -> bool:
+def _finite(theta: np.ndarray, alpha: np.ndarray) -> bool:
     return bool(np.isfinite(theta).all() and np.isfinite(alpha).all())
 
 
-def train_bilevel(pools: Pools, outer: str, setting: Setting, theta: np.ndarray | None = None, alpha: np.ndarray | None = None) -> Run:
+def _even(n: int) -> np.ndarray:
+    return np.full(n, 1 / n)
+
+
+def _seen(main, batch: Batch) -> object:
+    """The rows as the model sees generic ones: a model that keeps past captions has them as negatives."""
+    return main.against_past(batch.x) if hasattr(main, "against_past") else batch.x
+
+
+def train_bilevel(source: Source, outer: str, s: Setting, theta: np.ndarray | None = None, alpha: np.ndarray | None = None) -> Run:
     """Algorithm of the module's text; ``outer`` is unroll, unroll_first, implicit or cosine."""
-    main, weight, s = pools.main, pools.weight, setting
-    rng = np.random.default_rng(s.seed)
+    main, weight = source.main, source.weight
     theta = main.init(s.seed) if theta is None else theta
     alpha = weight.init(s.seed) if alpha is None else alpha
-    opt = (s.optimizer or Sgd)(s.rate)
-    state = opt.start(main.size)
-    (xg, wg), (xs, _) = pools.side(0), pools.side(1)
-    ng, ns = size_of(xg), size_of(xs)
+    opt, state = s.optimise(main)
     run = Run(outer, theta, [alpha], CostMeter())
-    held = alpha
-    for t in range(s.steps):
-        if t % s.delay == 0:
-            held = alpha
-        big = rng.choice(ng, min(s.large, ng), replace=False)
-        spec = rng.choice(ns, min(s.small, ns), replace=False)
-        scores = weight.scores(held, take(wg, big))
-        sub = big[rng.choice(len(big), min(s.small, len(big)), replace=False)]
-        if s.dense:
-            kept, w = sub, softmax(weight.scores(held, take(wg, sub)))
-        else:
-            kept = big[pick(s.filter, scores, s.small, rng)]
-            w = np.full(len(kept), 1 / len(kept))
-        theta = opt.step(theta, main.grad(theta, take(xg, kept), w), state)
-        step = outer_step(outer, main, theta, take(xg, sub), take(xs, spec), weight, alpha, take(wg, sub), rho=s.rho, **({"v": run.v, "eta_v": s.eta_v} if outer == "implicit" else {}))
-        alpha = alpha + s.weight_rate * step.direction
-        run.v = step.v
-        if not _check(theta, alpha):
-            run.metrics.append({"step": t, "stopped": 1.0})
-            break
-        run.theta = theta
-        run.trajectory.append(alpha)
-        run.cost.step(weight_fwd=0 if s.dense else len(big), main_fwd=len(kept), main_bwd=len(kept) + len(sub) + len(spec), hvp=len(sub) if outer == "implicit" else 0, rows_in=len(big), rows_kept=len(kept))
+    for block in s.blocks():
+        held = alpha
+        big = source.filtered(held, s.filter, s.large, s.small, block, s.seed)
+        spec = source.uniform(1, "train", s.small, block, "spec", s.seed)
+        for (kept, sub, scored, size), own in zip(big, spec, strict=True):
+            if s.dense:
+                kept, w = sub, softmax(weight.scores(held, sub.xw))
+            else:
+                w = _even(len(kept))
+            theta = opt.step(theta, main.grad(theta, _seen(main, kept), w), state)
+            more = {"v": run.v, "eta_v": s.eta_v} if outer == "implicit" else {}
+            step = outer_step(outer, main, theta, _seen(main, sub), own.x, weight, alpha, sub.xw, rho=s.rho, specific=s.specific, **more)
+            alpha = alpha + s.weight_rate * step.direction
+            run.v = step.v
+            if not _finite(theta, alpha):
+                run.metrics.append({"step": len(run.trajectory) - 1, "stopped": 1.0})
+                return run
+            run.theta = theta
+            run.trajectory.append(alpha)
+            run.cost.step(weight_fwd=0 if s.dense else scored, main_fwd=len(kept), main_bwd=len(kept) + len(sub) + len(own), hvp=len(sub) if outer == "implicit" else 0, rows_in=scored, rows_kept=len(kept), bytes_in=size)
+        run.cost.tick()
     return run
 
 
-def train_frozen(pools: Pools, trajectory: list[np.ndarray], setting: Setting, theta: np.ndarray | None = None) -> Run:
+def train_frozen(source: Source, trajectory: list[np.ndarray], s: Setting, theta: np.ndarray | None = None) -> Run:
     """Train the main model under given weight parameters, one entry a step (the last one repeats)."""
-    main, weight, s = pools.main, pools.weight, setting
-    rng = np.random.default_rng(s.seed)
+    main = source.main
     theta = main.init(s.seed) if theta is None else theta
-    opt = (s.optimizer or Sgd)(s.rate)
-    state = opt.start(main.size)
-    xg, wg = pools.side(0)
-    ng = size_of(xg)
+    opt, state = s.optimise(main)
     run = Run("frozen", theta, list(trajectory), CostMeter())
-    for t in range(s.steps):
-        alpha = trajectory[min(t, len(trajectory) - 1)]
-        big = rng.choice(ng, min(s.large, ng), replace=False)
-        kept = big[pick(s.filter, weight.scores(alpha, take(wg, big)), s.small, rng)]
-        theta = opt.step(theta, main.grad(theta, take(xg, kept), np.full(len(kept), 1 / len(kept))), state)
-        run.cost.step(weight_fwd=len(big), main_fwd=len(kept), main_bwd=len(kept), rows_in=len(big), rows_kept=len(kept))
+    at = 0
+    while at < s.steps:  # steps that share their weights are one job
+        block = range(at, at + 1 if at < len(trajectory) - 1 else s.steps)
+        for kept, _, scored, size in source.filtered(trajectory[min(at, len(trajectory) - 1)], s.filter, s.large, s.small, block, s.seed):
+            theta = opt.step(theta, main.grad(theta, _seen(main, kept), _even(len(kept))), state)
+            run.cost.step(weight_fwd=scored, main_fwd=len(kept), main_bwd=len(kept), rows_in=scored, rows_kept=len(kept), bytes_in=size)
+        run.cost.tick()
+        at = block.stop
     run.theta = theta
     return run
 
 
-def train_shuffled(pools: Pools, trajectory: list[np.ndarray], setting: Setting) -> Run:
-    order = np.random.default_rng(setting.seed + 1).permutation(len(trajectory))
-    return train_frozen(pools, [trajectory[i] for i in order], setting)
+def train_shuffled(source: Source, trajectory: list[np.ndarray], s: Setting) -> Run:
+    """The learned weights of ``trajectory`` in random order."""
+    order = np.random.default_rng(s.seed + 1).permutation(len(trajectory))
+    return train_frozen(source, [trajectory[i] for i in order], s)
 
 
-def fine_tune(pools: Pools, theta: np.ndarray, steps: int = 60, small: int = 32, rate: float = 2.0, seed: int = 0, every: int = 5) -> np.ndarray:
+def fine_tune(source: Source, theta: np.ndarray, steps: int = 60, small: int = 32, rate: float = 2.0, seed: int = 0, every: int = 5) -> np.ndarray:
     """Go on training on the specific set; the step with the least validation loss is returned."""
-    main, rng = pools.main, np.random.default_rng(seed)
-    xs, xv = pools.side(1)[0], pools.side(1, "valid")[0]
-    n, best = size_of(xs), (math.inf, theta)
-    for t in range(steps + 1):
+    main, best = source.main, (math.inf, theta)
+    batches = source.uniform(1, "train", small, range(steps), "tune", seed)
+    for t in range(len(batches) + 1):
         if t % every == 0:
-            loss = float(main.losses(theta, xv).mean())
+            loss = mean_loss(source, theta, "valid")
             if loss < best[0]:
                 best = loss, theta
-        at = rng.choice(n, min(small, n), replace=False)
-        theta = theta - rate * main.grad(theta, take(xs, at), np.full(len(at), 1 / len(at)))
+        if t < len(batches):
+            theta = theta - rate * main.grad(theta, batches[t].x, _even(len(batches[t])))
     return best[1]
 
 
 # --- other strategies ------------------------------------------------------------------------------
 
 
-def _plain_training(pools: Pools, rows: np.ndarray, s: Setting, share: float = 0.0, theta: np.ndarray | None = None, label: str = "") -> Run:
-    """Uniform batches of the generic ``rows``, a fixed share of each from the specific set."""
-    main, rng = pools.main, np.random.default_rng(s.seed)
+def _plain_training(source: Source, s: Setting, among=None, share: float = 0.0, theta: np.ndarray | None = None, label: str = "") -> Run:
+    """Uniform batches of the generic rows (of ``among``), a fixed share of each from the specific set."""
+    main = source.main
     theta = main.init(s.seed) if theta is None else theta
-    opt = (s.optimizer or Sgd)(s.rate)
-    state = opt.start(main.size)
-    xg, xs = pools.side(0)[0], pools.side(1)[0]
+    opt, state = s.optimise(main)
     own = round(share * s.small)
     cost = CostMeter()
-    for _ in range(s.steps):
-        at = rng.choice(rows, min(s.small - own, len(rows)), replace=False)
-        g = main.grad(theta, take(xg, at), np.full(len(at), 1 / (len(at) + own))) if len(at) else 0
-        if own:
-            sp = rng.choice(size_of(xs), own, replace=True)
-            g = g + main.grad(theta, take(xs, sp), np.full(own, 1 / (len(at) + own)))
+    generic = source.uniform(0, "train", s.small - own, range(s.steps), "plain", s.seed, among) if own < s.small else [None] * s.steps
+    specific = source.uniform(1, "train", own, range(s.steps), "mix", s.seed) if own else [None] * s.steps
+    for a, b in zip(generic, specific, strict=False):
+        n = max(sum(len(x) for x in (a, b) if x is not None), 1)
+        g = sum(main.grad(theta, x, np.full(len(y), 1 / n)) for x, y in ((_seen(main, a), a) if a is not None else (None, ()), (b.x, b) if b is not None else (None, ())) if len(y))
         theta = opt.step(theta, g, state)
-        cost.step(main_fwd=len(at) + own, main_bwd=len(at) + own, rows_in=len(at), rows_kept=len(at))
+        cost.step(main_fwd=n, main_bwd=n, rows_in=n, rows_kept=n)
     return Run(label, theta, [], cost)
 
 
-def run_generic_only(pools: Pools, s: Setting) -> Run:
-    return _plain_training(pools, np.arange(size_of(pools.side(0)[0])), s, label="generic_only")
+def run_generic_only(source: Source, s: Setting) -> Run:
+    return _plain_training(source, s, label="generic_only")
 
 
-def run_mixing(pools: Pools, s: Setting, share: float | None = None, grid: tuple[float, ...] = (0.1, 0.25, 0.5)) -> Run:
+def run_mixing(source: Source, s: Setting, share: float | None = None, grid: tuple[float, ...] = (0.1, 0.25, 0.5)) -> Run:
     """``share`` of each batch is specific; without one it is chosen on the validation split."""
-    every = np.arange(size_of(pools.side(0)[0]))
-    runs = [_plain_training(pools, every, s, p, label="mixing") for p in ((share,) if share is not None else grid)]
-    return min(runs, key=lambda r: pools.held_out(r.theta, "valid"))
+    runs = [_plain_training(source, s, share=p, label="mixing") for p in ((share,) if share is not None else grid)]
+    return min(runs, key=lambda r: mean_loss(source, r.theta, "valid"))
 
 
-def run_contrastive(pools: Pools, s: Setting, keep: float = 1 / 8) -> Run:
+def run_contrastive(source: Source, s: Setting, keep: float = 1 / 8) -> Run:
     """Pre-train, fine-tune, keep the generic rows whose loss falls most between the two, resume on them."""
-    main, xg = pools.main, pools.side(0)[0]
-    first = run_generic_only(pools, s)
-    tuned = fine_tune(pools, first.theta, s.steps, s.small, s.rate, s.seed)
-    gain = main.losses(first.theta, xg) - main.losses(tuned, xg)
-    rows = np.argsort(-gain, kind="stable")[: max(s.small, round(keep * len(gain)))]
-    run = _plain_training(pools, rows, s, theta=first.theta, label="contrastive_select")
-    run.cost.step(main_fwd=2 * len(gain), rows_in=len(gain), rows_kept=len(rows))
+    main = source.main
+    first = run_generic_only(source, s)
+    tuned = fine_tune(source, first.theta, s.steps, s.small, s.rate, s.seed)
+    before = first.theta
+    among = source.best(lambda x, _: main.losses(before, x) - main.losses(tuned, x), keep, s.small)
+    run = _plain_training(source, s, among, theta=first.theta, label="contrastive_select")
+    total = source.total(0, "train")
+    run.cost.step(main_fwd=2 * total, rows_in=total, rows_kept=source.total(0, "train", among))
     return run
 
 
-def fit_domain_classifier(weight, xg, xs, steps: int = 300, batch: int = 64, rate: float = 2.0, seed: int = 0) -> np.ndarray:
+def fit_domain_classifier(source: Source, steps: int = 300, batch: int = 64, rate: float = 2.0, seed: int = 0) -> np.ndarray:
     """Cross-entropy of generic against specific on balanced batches, with the weight model's architecture."""
-    rng, beta = np.random.default_rng(seed), weight.init(seed)
-    bias = 0.0
-    for _ in range(steps):
-        g, p = (rng.choice(size_of(x), min(batch // 2, size_of(x)), replace=False) for x in (xg, xs))
-        a, b = take(xg, g), take(xs, p)
-        up_g = 1 / (1 + np.exp(-(weight.scores(beta, a) + bias))) / len(g)
-        up_p = (1 / (1 + np.exp(-(weight.scores(beta, b) + bias))) - 1) / len(p)
-        beta = beta - rate * (weight.back(beta, a, up_g) + weight.back(beta, b, up_p))
+    weight = source.weight
+    beta, bias = weight.init(seed), 0.0
+    both = zip(*(source.uniform(side, "train", batch // 2, range(steps), "balanced", seed) for side in (0, 1)), strict=False)
+    for g, p in both:
+        up_g = 1 / (1 + np.exp(-(weight.scores(beta, g.xw) + bias))) / len(g)
+        up_p = (1 / (1 + np.exp(-(weight.scores(beta, p.xw) + bias))) - 1) / len(p)
+        beta = beta - rate * (weight.back(beta, g.xw, up_g) + weight.back(beta, p.xw, up_p))
         bias -= rate * (up_g.sum() + up_p.sum())
     return beta
 
 
-def run_classifier(pools: Pools, s: Setting, keep: float = 1 / 8) -> Run:
-    wg, ws = pools.side(0)[1], pools.side(1)[1]
-    beta = fit_domain_classifier(pools.weight, wg, ws, seed=s.seed)
-    scores = pools.weight.scores(beta, wg)
-    rows = np.argsort(-scores, kind="stable")[: max(s.small, round(keep * len(scores)))]
-    run = _plain_training(pools, rows, s, label="domain_classifier")
+def run_classifier(source: Source, s: Setting, keep: float = 1 / 8) -> Run:
+    weight = source.weight
+    beta = fit_domain_classifier(source, seed=s.seed)
+    among = source.best(lambda _, xw: weight.scores(beta, xw), keep, s.small)
+    run = _plain_training(source, s, among, label="domain_classifier")
     run.trajectory = [beta]
-    run.cost.step(weight_fwd=len(scores), rows_in=len(scores), rows_kept=len(rows))
+    total = source.total(0, "train")
+    run.cost.step(weight_fwd=total, rows_in=total, rows_kept=source.total(0, "train", among))
     return run
 
 
-def run_batch_reweight(pools: Pools, s: Setting) -> Run:
+def run_batch_reweight(source: Source, s: Setting) -> Run:
     """Each step reweights its batch from uniform by one outer step; nothing is kept between steps."""
-    main, rng = pools.main, np.random.default_rng(s.seed)
-    theta = main.init(s.seed)
-    xg, xs = pools.side(0)[0], pools.side(1)[0]
-    cost = CostMeter()
-    for _ in range(s.steps):
-        at = rng.choice(size_of(xg), min(s.small, size_of(xg)), replace=False)
-        sp = rng.choice(size_of(xs), min(s.small, size_of(xs)), replace=False)
-        batch = take(xg, at)
-        theta = theta - s.rate * main.grad(theta, batch, reweight(main, theta, batch, take(xs, sp), s.weight_rate))
-        cost.step(main_fwd=len(at), main_bwd=2 * len(at) + len(sp), rows_in=len(at), rows_kept=len(at))
+    main = source.main
+    theta, cost = main.init(s.seed), CostMeter()
+    opt, state = s.optimise(main)
+    batches = [source.uniform(side, "train", s.small, range(s.steps), "free", s.seed) for side in (0, 1)]
+    for own, spec in zip(*batches, strict=True):
+        x = _seen(main, own)
+        theta = opt.step(theta, main.grad(theta, x, reweight(main, theta, x, spec.x, s.weight_rate)), state)
+        cost.step(main_fwd=len(own), main_bwd=2 * len(own) + len(spec), rows_in=len(own), rows_kept=len(own))
     return Run("batch_reweight", theta, [], cost)
 
 
-def run_loss_input(pools: Pools, s: Setting) -> Run:
+def run_loss_input(source: Source, s: Setting) -> Run:
     """The look-ahead step with a weight model whose one input is the example's loss."""
     from ..models.weight_models import MlpWeight
 
-    main, rng = pools.main, np.random.default_rng(s.seed)
-    weight = MlpWeight(1, 8)
+    main, weight = source.main, MlpWeight(1, 8)
     theta, alpha = main.init(s.seed), weight.init(s.seed)
-    xg, xs = pools.side(0)[0], pools.side(1)[0]
+    opt, state = s.optimise(main)
     run = Run("loss_input_weights", theta, [alpha], CostMeter())
-    for _ in range(s.steps):
-        at = rng.choice(size_of(xg), min(4 * s.small, size_of(xg)), replace=False)
-        sp = rng.choice(size_of(xs), min(s.small, size_of(xs)), replace=False)
-        batch = take(xg, at)
-        loss = lambda x: main.losses(theta, x)[:, None]
-        kept = pick(s.filter, weight.scores(alpha, loss(batch)), s.small, rng)
-        theta = theta - s.rate * main.grad(theta, take(batch, kept), np.full(len(kept), 1 / len(kept)))
-        sub = take(xg, at[rng.choice(len(at), min(s.small, len(at)), replace=False)])
-        step = outer_step("unroll", main, theta, sub, take(xs, sp), weight, alpha, loss(sub), rho=s.rho)
+    batches = source.uniform(0, "train", 4 * s.small, range(s.steps), "loss", s.seed)
+    specific = source.uniform(1, "train", s.small, range(s.steps), "spec", s.seed)
+    for t, (big, spec) in enumerate(zip(batches, specific, strict=True)):
+        u = hashes(big.ids, f"{s.seed}/{t}/g")
+        kept = big.take(choose(s.filter, weight.scores(alpha, main.losses(theta, big.x)[:, None]), s.small, u, u[: s.small]))
+        theta = opt.step(theta, main.grad(theta, _seen(main, kept), _even(len(kept))), state)
+        sub = big.take(np.argsort(hashes(big.ids, f"{s.seed}/{t}/sub"), kind="stable")[: s.small])
+        step = outer_step("unroll", main, theta, _seen(main, sub), spec.x, weight, alpha, main.losses(theta, sub.x)[:, None], rho=s.rho)
         alpha = alpha + s.weight_rate * step.direction
         run.trajectory.append(alpha)
-        run.cost.step(weight_fwd=len(at), main_fwd=len(at), main_bwd=len(kept) + 2 * s.small, rows_in=len(at), rows_kept=len(kept))
+        run.cost.step(weight_fwd=len(big), main_fwd=len(big), main_bwd=len(kept) + len(sub) + len(spec), rows_in=len(big), rows_kept=len(kept))
     run.theta = theta
     return run
 
 
-METHODS = {
+METHODS: dict[str, Callable[[Source, Setting], Run]] = {
     "generic_only": run_generic_only,
     "mixing": run_mixing,
     "contrastive_select": run_contrastive,

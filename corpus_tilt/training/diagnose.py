@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import numpy as np
 
-from ..models.base import size_of, take
+from ..models.base import size_of, softmax
+from .outer import outer_step
+from .source import Source
 
 
 def alignment(main, theta: np.ndarray, x, batch, normalise: bool = False) -> np.ndarray:
@@ -13,34 +15,47 @@ def alignment(main, theta: np.ndarray, x, batch, normalise: bool = False) -> np.
     return main.dots(theta, x, g / n) if n else np.zeros(size_of(x))
 
 
-def acceleration_rates(pools, theta: np.ndarray, pairs: int = 20, b: int = 32, seed: int = 0) -> dict[str, float]:
-    """Shares of held-out specific (sar) and generic (gar) examples that align more with their own side's batch; strict."""
-    main, rng = pools.main, np.random.default_rng(seed)
-    xs, xg = pools.side(1, "valid")[0], pools.side(0, "valid")[0]
-    bs, bg = pools.side(1)[0], pools.side(0)[0]
-    sar, gar = [], []
-    for _ in range(pairs):
-        s, g = (take(x, rng.choice(size_of(x), min(b, size_of(x)), replace=False)) for x in (bs, bg))
-        for out, x, own, other in ((sar, xs, s, g), (gar, xg, g, s)):
-            out.append(float((alignment(main, theta, x, own, True) > alignment(main, theta, x, other, True)).mean()))
-    return {"sar": float(np.mean(sar)), "gar": float(np.mean(gar)), "mean_rate": float((np.mean(sar) + np.mean(gar)) / 2), "sar_se": float(np.std(sar) / np.sqrt(pairs)), "gar_se": float(np.std(gar) / np.sqrt(pairs)), "n_pairs": float(pairs)}
+def _unit(main, theta: np.ndarray, x) -> np.ndarray:
+    g = main.grad(theta, x, np.full(size_of(x), 1 / size_of(x)))
+    n = np.linalg.norm(g)
+    return g / n if n else g
 
 
-def mix_diagnostic(pools, theta: np.ndarray, alpha: np.ndarray, method: str = "cosine", n: int = 64, seed: int = 0) -> dict[str, float]:
+def acceleration_rates(source: Source, theta: np.ndarray, pairs: int = 20, b: int = 32, seed: int = 0) -> dict[str, float]:
+    """Shares of all held-out specific (sar) and generic (gar) examples that align more with their own side's batch; strict."""
+    main = source.main
+    batches = [source.uniform(side, "train", b, range(pairs), "rates", seed) for side in (0, 1)]
+    apart = [_unit(main, theta, s.x) - _unit(main, theta, g.x) for g, s in zip(*batches, strict=False)]
+    shares = []
+    for side in (1, 0):
+        sign = 1 if side else -1
+
+        def measure(x, sign=sign) -> dict[str, float]:
+            return {"n": size_of(x)} | {str(i): float((sign * main.dots(theta, x, v) > 0).sum()) for i, v in enumerate(apart)}
+
+        got = source.tally(measure, side, "valid")
+        shares.append([got[str(i)] / got["n"] for i in range(len(apart))])
+    sar, gar = shares
+    return {"sar": float(np.mean(sar)), "gar": float(np.mean(gar)), "mean_rate": float((np.mean(sar) + np.mean(gar)) / 2), "sar_se": float(np.std(sar) / np.sqrt(len(sar))), "gar_se": float(np.std(gar) / np.sqrt(len(gar))), "n_pairs": float(len(apart))}
+
+
+def mix_diagnostic(source: Source, theta: np.ndarray, alpha: np.ndarray, method: str = "cosine", n: int = 64, seed: int = 0) -> dict[str, float]:
     """One outer step over a batch of equal unseen parts: the mean weight before and after, by origin."""
-    from ..models.base import softmax
-    from .outer import outer_step
-
-    main, weight, rng = pools.main, pools.weight, np.random.default_rng(seed)
-    parts = []
-    for side in (0, 1):
-        x, w = pools.side(side, "valid")
-        at = rng.choice(size_of(x), min(n, size_of(x)), replace=False)
-        parts.append((np.array(pools.task.rows(side, "valid", pools.task.pool)[1], dtype=object)[at], side))
-    payloads = [p for rows, _ in parts for p in rows]
-    side = np.concatenate([np.full(len(rows), s) for rows, s in parts])
-    xs = take(pools.side(1)[0], rng.choice(size_of(pools.side(1)[0]), min(n, size_of(pools.side(1)[0])), replace=False))
-    xg, xw = main.prepare(payloads), weight.prepare(payloads)
-    step = outer_step(method, main, theta, xg, xs, weight, alpha, xw)
-    after = softmax(weight.scores(alpha + 20 * step.direction, xw))
+    g, s = (source.uniform(side, "valid", n, range(1), "both", seed)[0] for side in (0, 1))
+    both = source.batch(np.concatenate([g.ids, s.ids]), [*g.payloads, *s.payloads])
+    side = np.repeat([0, 1], [len(g), len(s)])
+    spec = source.uniform(1, "train", n, range(1), "spec", seed)[0]
+    step = outer_step(method, source.main, theta, both.x, spec.x, source.weight, alpha, both.xw)
+    after = softmax(source.weight.scores(alpha + 20 * step.direction, both.xw))
     return {"generic_move": float((after - step.w)[side == 0].mean()), "specific_move": float((after - step.w)[side == 1].mean())}
+
+
+def rank_correlation(x: list[float], y: list[float]) -> float:
+    """Spearman's correlation (mean ranks for ties)."""
+
+    def ranks(v: list[float]) -> np.ndarray:
+        a = np.asarray(v)
+        return np.array([(a < e).sum() + ((a == e).sum() - 1) / 2 for e in a])
+
+    a, b = ranks(x), ranks(y)
+    return float(np.corrcoef(a, b)[0, 1]) if a.std() and b.std() else 0.0

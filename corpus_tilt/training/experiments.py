@@ -1,18 +1,21 @@
-"""The experiments: each gives rows of (task, method, phase, metric, value)."""
+"""The experiments: each gives rows of (task, method, phase, metric, value), over all rows and whole texts of its task."""
 
 from __future__ import annotations
 
 import zlib
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
 from ..models.base import size_of
-from ..models.main_models import ByteModel, DualEncoder, LinearSoftmax, PairModel, bleu
+from ..models.main_models import ByteModel, ContextMlp, DualEncoder, LinearSoftmax, PairModel, bleu_counts, bleu_of
 from ..models.weight_models import ConvWeight, ImageWeight, LinearWeight, MlpWeight, PairWeight
-from .bilevel import METHODS, Pools, Setting, fine_tune, run_generic_only, train_bilevel, train_frozen, train_shuffled
-from .diagnose import acceleration_rates
-from .task import TARGETS, build_task
+from .bilevel import METHODS, Setting, fine_tune, run_generic_only, run_mixing, train_bilevel, train_frozen, train_shuffled
+from .diagnose import acceleration_rates, rank_correlation
+from .optim import Adam
+from .source import Source, mean_loss, source_of
+from .task import TARGETS, MixtureTarget, Task, build_task
 
 SCHEMA = "task string, method string, phase string, metric string, value double"
 FEW = ("generic_only", "mixing", "contrastive_select", "domain_classifier", "unroll", "cosine", "implicit")
@@ -23,41 +26,56 @@ def caption_vectors(classes: int, size: int = 64) -> np.ndarray:
     return np.array([np.random.default_rng(zlib.crc32(f"a photo of a class-{k}".encode())).normal(0, 1 / np.sqrt(size), size) for k in range(classes)])
 
 
-def models(task: str, contexts: int = 16, conv: bool = False):
+def models(task: str, contexts: int = 16):
     """Main model, weight model and setting of a task."""
-    if task == "pairs":
+    if task.startswith("pairs"):
         return PairModel(), PairWeight(), Setting(steps=60, small=16, large=128, rate=12.0, weight_rate=20.0, rho=4.0)
     if task.startswith("vectors"):
         return DualEncoder(caption_vectors(10)), ImageWeight(), Setting(steps=150, small=16, large=96, rate=0.3, weight_rate=2.0, rho=0.3)
     if task == "rows":
         return LinearSoftmax(7, 3), MlpWeight(7), Setting(steps=100, rate=0.5, weight_rate=2.0, rho=0.5)
-    return ByteModel(contexts), ConvWeight() if conv else LinearWeight(), Setting(steps=80, rate=20.0, weight_rate=200.0, rho=20.0)
-
-
-def _measures(pools: Pools, theta: np.ndarray) -> dict[str, float]:
-    out = {"loss": pools.held_out(theta)}
-    x = pools.side(1, "test")[0]
-    if isinstance(pools.main, ByteModel):
-        out["nll_per_byte"] = float((pools.main.losses(theta, x) * x[0]).sum() / x[0].sum())
-    if hasattr(pools.main, "accuracy"):
-        out["accuracy"] = pools.main.accuracy(theta, x)
-    if isinstance(pools.main, PairModel):
-        out["bleu"] = bleu([pools.main.beam_decode(theta, bag) for bag, _ in x], [[t for t in r.tolist() if t > 1] for _, r in x])
+    return ByteModel(contexts), LinearWeight(), Setting(steps=80, rate=20.0, weight_rate=200.0, rho=20.0)
+
+
+def measures(source: Source, theta: np.ndarray) -> dict[str, float]:
+    """Loss and what else the main model is measured by, over all held-out specific rows."""
+    main = source.main
+
+    def sums(x) -> dict[str, float]:
+        losses = main.losses(theta, x)
+        out = {"n": size_of(x), "loss": losses.sum()}
+        if isinstance(main, ByteModel):
+            out |= {"nll": (losses * x[0]).sum(), "bytes": x[0].sum()}
+        if hasattr(main, "accuracy"):
+            out["hits"] = main.accuracy(theta, x) * size_of(x)
+        if isinstance(main, PairModel):
+            out |= bleu_counts([main.beam_decode(theta, bag) for bag, _ in x], [[t for t in r.tolist() if t > 1] for _, r in x])
+        return {k: float(v) for k, v in out.items()}
+
+    got = source.tally(sums, 1, "test")
+    out = {"loss": got["loss"] / got["n"]}
+    if "bytes" in got:
+        out["nll_per_byte"] = got["nll"] / got["bytes"]
+    if "hits" in got:
+        out["accuracy"] = got["hits"] / got["n"]
+    if "hyp" in got:
+        out["bleu"] = bleu_of(got)
     return out
 
 
-def compare(spark: SparkSession, sf_dir: str, task: str, methods: tuple[str, ...] = tuple(METHODS), seed: int = 0, pool: int = 2000, **kind) -> list[tuple]:
+def compare(spark: SparkSession, sf_dir: str, task: str | Task, methods: tuple[str, ...] = tuple(METHODS), seed: int = 0, mode: str = "auto", steps: int | None = None) -> list[tuple]:
     """All methods on one task, before and after fine-tuning."""
-    main, weight, setting = models(task, **kind)
-    setting.seed = seed
-    pools = Pools(build_task(spark, sf_dir, task, seed, pool), main, weight)
+    task = build_task(spark, sf_dir, task) if isinstance(task, str) else task
+    main, weight, setting = models(task.name)
+    setting.seed, setting.steps = seed, steps or setting.steps
+    source = source_of(task, main, weight, mode)
     rows = []
     for name in methods:
-        run = METHODS[name](pools, setting)
-        tuned = fine_tune(pools, run.theta, setting.steps, setting.small, setting.rate, seed)
+        run = METHODS[name](source, setting)
+        tuned = fine_tune(source, run.theta, setting.steps, setting.small, setting.rate, seed)
         for phase, theta in (("pre", run.theta), ("ft", tuned)):
-            rows += [(task, name, phase, m, v) for m, v in _measures(pools, theta).items()]
-        rows += [(task, name, "cost", m, float(v)) for m, v in run.cost.summary().items()]
+            rows += [(task.name, name, phase, m, v) for m, v in measures(source, theta).items()]
+        rows += [(task.name, name, "cost", m, float(v)) for m, v in run.cost.summary().items()]
     return rows
 
 
@@ -66,15 +84,21 @@ def _table(spark: SparkSession, rows: list[tuple]) -> DataFrame:
 
 
 def language_one(spark, sf_dir):
-    return _table(spark, compare(spark, sf_dir, "lang_fr"))
+    """A far target with all methods, and a near one with the main ones."""
+    return _table(spark, compare(spark, sf_dir, "lang_fr") + compare(spark, sf_dir, "benchmark"))
 
 
 def language_nine(spark, sf_dir):
-    return _table(spark, [r for t in TARGETS for r in compare(spark, sf_dir, t, FEW, pool=1000)])
+    """Nine targets; beside the losses, each method's place (1 is best) by target and phase."""
+    out = _table(spark, [r for t in TARGETS for r in compare(spark, sf_dir, t, FEW, steps=40)])
+    by = Window.partitionBy("task", "phase").orderBy("value")
+    places = out.where("metric = 'nll_per_byte'").select("task", "method", "phase", F.lit("place").alias("metric"), F.rank().over(by).cast("double").alias("value"))
+    return out.unionByName(places)
 
 
 def translation(spark, sf_dir):
-    return _table(spark, compare(spark, sf_dir, "pairs"))
+    """The given pairs, and pairs with a rule to learn."""
+    return _table(spark, compare(spark, sf_dir, "pairs") + compare(spark, sf_dir, "pairs_planted", FEW))
 
 
 def vectors(spark, sf_dir):
@@ -85,78 +109,123 @@ def table_rows(spark, sf_dir):
     return _table(spark, compare(spark, sf_dir, "rows", FEW))
 
 
+def non_convex(spark, sf_dir):
+    """The non-convex byte model with a convolution as weight model and Adam."""
+    s = Setting(steps=16, small=8, large=64, rate=0.02, weight_rate=2.0, rho=0.02, optimizer=Adam)
+    source = source_of(build_task(spark, sf_dir, "lang_fr"), ContextMlp(), ConvWeight())
+    runs = {"generic_only": run_generic_only(source, s), "mixing": run_mixing(source, s, 0.5), "cosine": train_bilevel(source, "cosine", s), "unroll": train_bilevel(source, "unroll_first", s)}
+    return _table(spark, [("lang_fr", name, "pre", "loss", mean_loss(source, run.theta)) for name, run in runs.items()])
+
+
 def trajectory(spark, sf_dir, seeds: int = 3):
     """Learned trajectory, its last weights frozen, and its weights in random order; a smaller large batch."""
     main, weight, s = models("lang_fr")
     s.large //= 2
-    pools, rows = Pools(build_task(spark, sf_dir, "lang_fr", 0, 2000), main, weight), []
+    source, rows = source_of(build_task(spark, sf_dir, "lang_fr"), main, weight), []
     for seed in range(seeds):
         s.seed = seed
-        run = train_bilevel(pools, "implicit", s)
-        for name, theta in (("learned", run.theta), ("final", train_frozen(pools, run.trajectory[-1:], s).theta), ("shuffled", train_shuffled(pools, run.trajectory, s).theta)):
-            rows.append(("lang_fr", name, f"seed{seed}", "loss", pools.held_out(theta)))
+        run = train_bilevel(source, "implicit", s)
+        for name, theta in (("learned", run.theta), ("final", train_frozen(source, run.trajectory[-1:], s).theta), ("shuffled", train_shuffled(source, run.trajectory, s).theta)):
+            rows.append(("lang_fr", name, f"seed{seed}", "loss", mean_loss(source, theta)))
     return _table(spark, rows)
 
 
 def filter_kinds(spark, sf_dir, seeds: int = 3):
     main, weight, s = models("lang_fr")
-    pools, rows = Pools(build_task(spark, sf_dir, "lang_fr", 0, 2000), main, weight), []
+    source, rows = source_of(build_task(spark, sf_dir, "lang_fr"), main, weight), []
     for kind in ("gumbel", "top", "iid", "uniform"):
         for seed in range(seeds):
             s.seed, s.filter = seed, kind
-            rows.append(("lang_fr", kind, f"seed{seed}", "loss", pools.held_out(train_bilevel(pools, "implicit", s).theta)))
+            rows.append(("lang_fr", kind, f"seed{seed}", "loss", mean_loss(source, train_bilevel(source, "implicit", s).theta)))
     return _table(spark, rows)
 
 
 def diagnostic(spark, sf_dir):
-    """Rates of every task at an early main model, beside the gain of the cosine method."""
-    rows = []
+    """Rates of every task at an early main model, beside the gain of the cosine method, and the correlation of their ranks."""
+    rows, rates, gains = [], [], []
     for task in (*TARGETS, "pairs", "vectors", "vectors_planted"):
         main, weight, s = models(task)
-        pools = Pools(build_task(spark, sf_dir, task, 0, 1000), main, weight)
+        source = source_of(build_task(spark, sf_dir, task), main, weight)
         s.steps = 10
-        early = run_generic_only(pools, s).theta
-        rows += [(task, "diagnostic", "10 steps", m, v) for m, v in acceleration_rates(pools, early, 8).items()]
+        got = acceleration_rates(source, run_generic_only(source, s).theta, 8)
+        rows += [(task, "diagnostic", "10 steps", m, v) for m, v in got.items()]
         s.steps = 40
-        gain = pools.held_out(run_generic_only(pools, s).theta) - pools.held_out(train_bilevel(pools, "cosine", s).theta)
-        rows.append((task, "cosine", "pre", "gain", gain))
-    return _table(spark, rows)
+        plain = mean_loss(source, run_generic_only(source, s).theta)
+        gains.append((plain - mean_loss(source, train_bilevel(source, "cosine", s).theta)) / plain)
+        rates.append(got["mean_rate"])
+        rows.append((task, "cosine", "pre", "gain", gains[-1]))
+    return _table(spark, [*rows, ("all", "diagnostic", "10 steps", "rank_correlation", rank_correlation(rates, gains))])
 
 
 def small_to_large(spark, sf_dir):
     """Weights learned with 16 contexts, used as they end to train 256 contexts."""
-    task = build_task(spark, sf_dir, "lang_fr", 0, 2000)
+    task = build_task(spark, sf_dir, "lang_fr")
     small, weight, s = models("lang_fr", 16)
     large, _, _ = models("lang_fr", 256)
-    a, b = Pools(task, small, weight), Pools(task, large, weight)
+    a, b = source_of(task, small, weight), source_of(task, large, weight)
     learned, own = train_bilevel(a, "implicit", s), train_bilevel(b, "implicit", s)
-    rows = [("lang_fr", "small_implicit", "pre", "loss", a.held_out(learned.theta)), ("lang_fr", "large_generic_only", "pre", "loss", b.held_out(run_generic_only(b, s).theta)), ("lang_fr", "large_implicit", "pre", "loss", b.held_out(own.theta)), ("lang_fr", "large_reused", "pre", "loss", b.held_out(train_frozen(b, learned.trajectory[-1:], s).theta))]
+    runs = {"small_implicit": (a, learned), "large_generic_only": (b, run_generic_only(b, s)), "large_implicit": (b, own), "large_reused": (b, train_frozen(b, learned.trajectory[-1:], s))}
+    rows = [("lang_fr", name, "pre", "loss", mean_loss(source, run.theta)) for name, (source, run) in runs.items()]
     return _table(spark, [*rows, ("lang_fr", "small", "size", "parameters", small.size), ("lang_fr", "large", "size", "parameters", large.size)])
 
 
+def complementarity(spark, sf_dir):
+    """What selection and fine-tuning gain, each alone and together, against generic training alone."""
+    rows = [r for t, kept in (("lang_fr", tuple(METHODS)), ("vectors_planted", FEW)) for r in compare(spark, sf_dir, t, kept, steps=40)]
+    loss = _table(spark, rows).where("metric = 'loss'").groupBy("task", "method").pivot("phase", ["pre", "ft"]).agg(F.first("value"))
+    plain = loss.where("method = 'generic_only'").select("task", F.col("pre").alias("pre0"), F.col("ft").alias("ft0"))
+    told = loss.join(plain, "task").select("task", "method", (F.col("pre0") - F.col("pre")).alias("selection"), (F.col("pre0") - F.col("ft0")).alias("tuning"), (F.col("pre0") - F.col("ft")).alias("both"), (F.col("ft0") - F.col("ft")).alias("beyond_tuning"))
+    return told.unpivot(["task", "method"], ["selection", "tuning", "both", "beyond_tuning"], "metric", "value").select("task", "method", F.lit("gain").alias("phase"), "metric", "value")
+
+
 def validation(spark, sf_dir):
-    """A grid of batch sizes and rates by the validation loss."""
+    """A grid of both batch sizes, the rate and the mixing share, by the validation loss."""
     main, weight, s = models("lang_fr")
-    pools, rows = Pools(build_task(spark, sf_dir, "lang_fr", 0, 2000), main, weight), []
-    for large in (128, 512, 1024):
-        for rate in (10.0, 20.0):
-            s.large, s.rate, s.steps = large, rate, 40
-            rows.append(("lang_fr", f"large={large} rate={rate:g}", "valid", "loss", pools.held_out(train_bilevel(pools, "cosine", s).theta, "valid")))
-    best = min(rows, key=lambda r: r[4])
-    return _table(spark, [*rows, (best[0], best[1], "chosen", "loss", best[4])])
+    source, rows = source_of(build_task(spark, sf_dir, "lang_fr"), main, weight), []
+    s.steps = 40
+    for small in (16, 32):
+        for large in (128, 512):
+            for rate in (10.0, 20.0):
+                s.small, s.large, s.rate = small, large, rate
+                rows.append(("lang_fr", f"cosine small={small} large={large} rate={rate:g}", "valid", "loss", mean_loss(source, train_bilevel(source, "cosine", s).theta, "valid")))
+    s.small, s.rate = 32, 20.0
+    rows += [("lang_fr", f"mixing share={p:g}", "valid", "loss", mean_loss(source, run_mixing(source, s, p).theta, "valid")) for p in (0.1, 0.25, 0.5, 0.9)]
+    for family in ("cosine", "mixing"):
+        best = min((r for r in rows if r[1].startswith(family)), key=lambda r: r[4])
+        rows.append((best[0], best[1], "chosen", "loss", best[4]))
+    return _table(spark, rows)
 
 
 def cost_asymmetry(spark, sf_dir):
-    """Examples scored against examples trained, with and without the filter; and a delayed variant."""
-    main, weight, s = models("lang_fr")
-    s.steps = 20
-    pools, rows = Pools(build_task(spark, sf_dir, "lang_fr", 0, 2000), main, weight), []
-    for name, dense, delay in (("sparse", False, 1), ("dense", True, 1), ("delayed", False, 5)):
-        s.dense, s.delay = dense, delay
-        run = train_bilevel(pools, "cosine", s)
-        rows += [("lang_fr", name, "cost", k, float(v)) for k, v in run.cost.summary().items()]
-        rows.append(("lang_fr", name, "pre", "loss", pools.held_out(run.theta)))
+    """Examples scored against examples trained, with scoring on the cluster: the filter, none, and weights held for several steps; at three sizes of the generic set."""
+    rows = []
+    task = build_task(spark, sf_dir, "lang_fr")
+    for times in (1, 3, 10):
+        copies = task.examples.where("side = 0").select("*", F.explode(F.sequence(F.lit(0), F.lit(times - 1))).alias("copy"))
+        grown = copies.withColumn("id", F.col("id") * 16 + F.col("copy")).drop("copy").unionByName(task.examples.where("side = 1"))
+        main, weight, s = models("lang_fr")
+        s.steps, s.large = 4, 256 * times
+        source = source_of(Task("lang_fr", grown), main, weight, "cluster")
+        for name, dense, delay in (("sparse", False, 1), ("dense", True, 1), ("delayed", False, 4)):
+            s.dense, s.delay = dense, delay
+            run = train_bilevel(source, "cosine", s)
+            rows += [(f"lang_fr x{times}", name, "cost", k, float(v)) for k, v in run.cost.summary().items()]
+            rows.append((f"lang_fr x{times}", name, "pre", "loss", mean_loss(source, run.theta)))
     return _table(spark, rows)
 
 
-EXPERIMENTS = {"e1_language": language_one, "e2_nine_targets": language_nine, "e3_translation": translation, "e4_vectors": vectors, "e5_trajectory": trajectory, "e6_filters": filter_kinds, "e7_diagnostic": diagnostic, "e8_small_to_large": small_to_large, "e10_validation": validation, "e11_costs": cost_asymmetry, "e13_rows": table_rows}
+def mixture(spark, sf_dir):
+    """A target made of two, three parts to one."""
+    both = MixtureTarget([(build_task(spark, sf_dir, "lang_fr"), 0.75), (build_task(spark, sf_dir, "lang_de"), 0.25)])
+    return _table(spark, compare(spark, sf_dir, both, ("generic_only", "mixing", "cosine"), steps=40))
+
+
+def cluster_run(spark, sf_dir):
+    """The weight model after four steps of the loop with scoring on the cluster."""
+    main, weight, s = models("lang_fr")
+    s.steps = 4
+    run = train_bilevel(source_of(build_task(spark, sf_dir, "lang_fr"), main, weight, "cluster"), "implicit", s)
+    return spark.createDataFrame([(k, float(a)) for k, a in enumerate(run.trajectory[-1])], "k int, a double")
+
+
+EXPERIMENTS = {"e1_language": language_one, "e1_non_convex": non_convex, "e2_nine_targets": language_nine, "e3_translation": translation, "e4_vectors": vectors, "e5_trajectory": trajectory, "e6_filters": filter_kinds, "e7_diagnostic": diagnostic, "e8_small_to_large": small_to_large, "e9_complementarity": complementarity, "e10_validation": validation, "e11_costs": cost_asymmetry, "e13_rows": table_rows, "e14_mixture": mixture, "q_bilevel_run": cluster_run}

@@ -1,19 +1,16 @@
-"""Tasks: a generic and a specific set with leak-free splits, and batches drawn from them.
+"""Tasks: a generic and a specific set of examples (id, side, split, payload) with leak-free splits.
 
-``Task.on`` builds one from a DataFrame of examples (id, side, split, payload).  The generic side
-stays a DataFrame; batches are collected (b or B rows), the specific side is small and cached.
+A task is a DataFrame of whole texts, pairs, vectors or rows; ``source`` draws batches from it.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.portable import u01
-
 
 def text_split(text: Column) -> Column:
     """train, valid or test by a hash of the text, so equal texts fall together."""
@@ -21,8 +18,8 @@ def text_split(text: Column) -> Column:
     return F.when(h < 6, "train").when(h < 8, "valid").otherwise("test")
 
 
-def _examples(df: DataFrame, key: Column, text: Column, side: int, max_bytes: int) -> DataFrame:
-    raw = F.substring(F.encode(text, "utf-8"), 1, max_bytes)
+def _examples(df: DataFrame, key: Column, text: Column, side: int) -> DataFrame:
+    raw = F.encode(text, "utf-8")
     return df.select(key.cast("long").alias("id"), F.lit(side).alias("side"), text_split(text).alias("split"), raw.alias("payload")).where(F.octet_length("payload") >= 2)
 
 
@@ -31,11 +28,11 @@ DOCUMENT_TARGETS = {"lang_fr": "lang = 'fr'", "lang_de": "lang = 'de'", "lang_es
 TARGETS = (*DOCUMENT_TARGETS, "quality_low", "benchmark", "pages_html", "conv_user", "conv_assistant")
 
 
-def text_examples(spark: SparkSession, sf_dir: str, target: str, max_bytes: int = 512) -> DataFrame:
+def text_examples(spark: SparkSession, sf_dir: str, target: str) -> DataFrame:
     """Examples (id, side, split, payload) of a text task; generic texts that a specific set holds are left out."""
     read = lambda n: spark.read.parquet(f"{sf_dir}/{n}.parquet")
     docs = read("documents")
-    doc = lambda df, side: _examples(df, F.col("doc_id"), F.col("text"), side, max_bytes)
+    doc = lambda df, side: _examples(df, F.col("doc_id"), F.col("text"), side)
     if target in DOCUMENT_TARGETS:
         own = F.expr(DOCUMENT_TARGETS[target])
         return doc(docs.where(~own), 0).unionByName(doc(docs.where(own), 1))
@@ -43,14 +40,14 @@ def text_examples(spark: SparkSession, sf_dir: str, target: str, max_bytes: int
         bad = read("labels").where("quality = 0").select("doc_id")
         return doc(docs.join(bad, "doc_id", "left_anti"), 0).unionByName(doc(docs.join(bad, "doc_id", "left_semi"), 1))
     if target == "benchmark":
-        items = _examples(read("benchmark"), F.col("item_id"), F.col("text"), 1, max_bytes)
+        items = _examples(read("benchmark"), F.col("item_id"), F.col("text"), 1)
         clean = docs.join(read("benchmark").select(F.md5("text").alias("h")), F.md5(docs["text"]) == F.col("h"), "left_anti")
         return doc(clean, 0).unionByName(items)
     if target == "pages_html":
-        return doc(docs, 0).unionByName(_examples(read("pages"), F.col("page_id"), F.col("html"), 1, max_bytes))
+        return doc(docs, 0).unionByName(_examples(read("pages"), F.col("page_id"), F.col("html"), 1))
     if target in ("conv_user", "conv_assistant"):
         turns = read("conversations").where(F.col("role") == target.removeprefix("conv_"))
-        return doc(docs, 0).unionByName(_examples(turns, F.col("conv_id") * 1000 + F.col("turn"), F.col("text"), 1, max_bytes))
+        return doc(docs, 0).unionByName(_examples(turns, F.col("conv_id") * 1000 + F.col("turn"), F.col("text"), 1))
     raise ValueError(f"unknown target {target}; there are {TARGETS}")
 
 
@@ -65,6 +62,21 @@ def pair_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
     return turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.col("text").rlike("[À-ÿ]").cast("int").alias("side"), split.alias("split"), F.struct(F.col("text").alias("src"), "tgt").alias("payload"))
 
 
+def planted_pairs(spark: SparkSession, sf_dir: str, words: int = 8) -> DataFrame:
+    """Pairs with something to translate: the first words of a document, and each word spelled backwards.
+
+    Specific are French documents; the generic set has the other languages, and every second of its
+    targets is left as the source, so that some generic rows teach the task and some do not.
+    """
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").where("text is not null")
+    head = F.slice(F.filter(F.split(F.lower("text"), "[^a-z\u00e0-\u00ff]+"), lambda w: w != ""), 1, words)
+    side = (F.col("lang") == "fr").cast("int")
+    h = F.conv(F.substring(F.md5(F.concat_ws(" ", head)), 1, 8), 16, 10).cast("long")
+    told = F.when((side == 1) | (h % 2 == 0), F.transform(head, lambda w: F.reverse(w))).otherwise(head)
+    split = F.when((h / 16).cast("long") % 10 < 6, "train").when((h / 16).cast("long") % 10 < 8, "valid").otherwise("test")
+    return docs.where(F.size(head) >= 3).select(F.col("doc_id").alias("id"), side.alias("side"), split.alias("split"), F.struct(F.concat_ws(" ", head).alias("src"), F.concat_ws(" ", told).alias("tgt")).alias("payload"))
+
+
 def vector_examples(spark: SparkSession, sf_dir: str, planted: bool) -> DataFrame:
     """Vectors as images: generic are even ids, specific odd ids of half the classes.  ``planted``: classes by signs of three entries."""
     e = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
@@ -88,7 +100,7 @@ def row_examples(spark: SparkSession, sf_dir: str, nation: int = 0) -> DataFrame
     return j.select(key.alias("id"), (F.col("c_nationkey") == nation).cast("int").alias("side"), split.alias("split"), F.struct(x.alias("x"), y.alias("y")).alias("payload"))
 
 
-def _plain(payload):
+def plain(payload):
     if hasattr(payload, "asDict"):
         return tuple(payload)
     return bytes(payload) if isinstance(payload, bytearray) else payload
@@ -96,44 +108,56 @@ def _plain(payload):
 
 @dataclass
 class Task:
-    """A generic and a specific set.  ``pool`` bounds the generic rows a local run keeps in the driver; None keeps the DataFrame in use for each batch."""
+    """A generic (side 0) and a specific set (side 1), each split in train, valid and test."""
 
     name: str
     examples: DataFrame
-    seed: int = 0
-    pool: int | None = 4000
-    _held: dict = field(default_factory=dict)
 
     def frame(self, side: int, split: str) -> DataFrame:
         return self.examples.where((F.col("side") == side) & (F.col("split") == split))
 
-    def rows(self, side: int, split: str, limit: int | None = None) -> tuple[np.ndarray, list]:
-        """Ids and payloads, in id order; ``limit`` takes a uniform sample by hash."""
-        key = side, split, limit
-        if key not in self._held:
-            df = self.frame(side, split)
-            if limit:
-                df = df.orderBy(u01(F.col("id"), f"{self.seed}/pool"), "id").limit(limit)
-            got = sorted(((r["id"], _plain(r["payload"])) for r in df.select("id", "payload").collect()), key=lambda r: r[0])
-            if not got:
-                raise ValueError(f"{self.name}: no {split} examples on side {side}")
-            self._held[key] = np.array([g[0] for g in got]), [g[1] for g in got]
-        return self._held[key]
+    def rows(self, side: int, split: str) -> tuple[np.ndarray, list]:
+        """Ids and payloads of all rows, in id order; for tasks of a checked size (``size``)."""
+        got = sorted(((r["id"], plain(r["payload"])) for r in self.frame(side, split).select("id", "payload").collect()), key=lambda r: r[0])
+        if not got:
+            raise ValueError(f"{self.name}: no {split} examples on side {side}")
+        return np.array([g[0] for g in got]), [g[1] for g in got]
+
+    def size(self) -> int:
+        """Bytes of all payloads, about."""
+        kind = dict(self.examples.dtypes)["payload"]
+        each = F.octet_length("payload") if kind == "binary" else F.octet_length(F.to_json("payload"))
+        return self.examples.agg(F.sum(each)).first()[0] or 0
+
+
+class MixtureTarget:
+    """A task whose specific set is several tasks' together, in given shares: each row has copies in proportion.
 
-    def generic(self, split: str = "train") -> tuple[np.ndarray, list]:
-        return self.rows(0, split, self.pool)
+    Shares are kept by drawing: row i of a part with share p stands ``round(p / least share)`` times.
+    """
 
-    def specific(self, split: str = "train") -> tuple[np.ndarray, list]:
-        return self.rows(1, split, self.pool)
+    def __new__(cls, parts: list[tuple[Task, float]]) -> Task:
+        least = min(p for _, p in parts)
+        out = parts[0][0].examples.where("side = 0")
+        for turn, (task, share) in enumerate(parts):
+            copies = F.explode(F.sequence(F.lit(0), F.lit(max(1, round(share / least)) - 1))).alias("copy")
+            own = task.examples.where("side = 1").select("*", copies)
+            key = (F.col("id") * len(parts) + turn) * 1000 + F.col("copy")
+            out = out.unionByName(own.withColumn("id", key).drop("copy"))
+        texts = out.where("side = 1").select(F.md5("payload").alias("h")).distinct()
+        generic = out.where("side = 0").join(texts, F.md5("payload") == F.col("h"), "left_anti")
+        return Task("+".join(t.name for t, _ in parts), generic.unionByName(out.where("side = 1")))
 
 
-def build_task(spark: SparkSession, sf_dir: str, name: str, seed: int = 0, pool: int | None = 4000, max_bytes: int = 512) -> Task:
+def build_task(spark: SparkSession, sf_dir: str, name: str) -> Task:
     if name == "pairs":
         df = pair_examples(spark, sf_dir)
+    elif name == "pairs_planted":
+        df = planted_pairs(spark, sf_dir)
     elif name in ("vectors", "vectors_planted"):
         df = vector_examples(spark, sf_dir, name == "vectors_planted")
     elif name == "rows":
         df = row_examples(spark, sf_dir)
     else:
-        df = text_examples(spark, sf_dir, name, max_bytes)
-    return Task(name, df, seed, pool)
+        df = text_examples(spark, sf_dir, name)
+    return Task(name, df)

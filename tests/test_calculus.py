@@ -13,7 +13,7 @@ TEXTS = [b"the cat sat", b"on the mat and", b"\xc3\xa9t\xc3\xa9 \xc3\xa0", b"zz"
 PAIRS = [("a b c", "x y"), ("b d", "y z w"), ("a", "q")]
 VECTORS = [(RNG.normal(size=64), int(k)) for k in (0, 2, 1, 3)]
 ROWS = [(RNG.normal(size=4), int(k)) for k in (0, 1, 2, 1, 0)]
-MAIN = [(ByteModel(16), TEXTS), (ByteModel(256), TEXTS), (ContextMlp(2, 3, 4, 20), TEXTS), (LinearSoftmax(4, 3, 0.1, 0.1), ROWS), (PairModel(12, 8), PAIRS), (DualEncoder(RNG.normal(size=(4, 6)), 64, 3), VECTORS)]
+MAIN = [(ByteModel(16), TEXTS), (ByteModel(256), TEXTS), (ContextMlp(2, 3, 4), TEXTS), (LinearSoftmax(4, 3, 0.1, 0.1), ROWS), (PairModel(12, 8), PAIRS), (DualEncoder(RNG.normal(size=(4, 6)), 64, 3), VECTORS)]
 
 
 @pytest.mark.parametrize("model,payloads", MAIN)
@@ -117,3 +117,16 @@ def test_measures():
     assert bleu([[1, 2, 3, 4, 5]], [[1, 2, 3, 4, 5]]) == 1
     assert bleu([[1, 2]], [[3, 4]]) == 0
     assert np.isclose(bleu([[1, 2, 3, 4, 9]], [[1, 2, 3, 4, 5]]), np.exp(np.mean(np.log([4 / 5, 3 / 4, 2 / 3, 1 / 2]))))
+
+
+def test_past_captions_are_the_negatives():
+    model = DualEncoder(RNG.normal(size=(4, 6)), 64, 3)
+    x = model.prepare(VECTORS[:2])
+    assert x[2].all()
+    first = model.against_past(x)
+    assert first[2].tolist() == [[True, False, True, False]] * 2  # the batch's own captions
+    second = model.against_past(model.prepare(VECTORS[3:]))
+    assert second[2].tolist() == [[True, False, True, True]]
+    theta = model.init(3)
+    assert np.isclose(np.exp(-model.losses(theta, first)).sum(), sum(model.probabilities(theta, first)[i, y] for i, y in enumerate(first[1])))
+    assert (model.probabilities(theta, first)[:, [1, 3]] == 0).all()

@@ -9,24 +9,26 @@ from corpus_tilt.models.weight_models import LinearWeight
 from corpus_tilt.operators import sampling as S
 from corpus_tilt.plans.cascade import gradient_sums, linear_scores, score_examples, select_then_fetch, sliced
 from corpus_tilt.streaming.select import file_stream, stream_select
-from corpus_tilt.training.bilevel import METHODS, Pools, Setting, fine_tune, pick, train_bilevel, train_frozen
+from corpus_tilt.training.bilevel import METHODS, Setting, fine_tune, train_bilevel, train_frozen, train_shuffled
 from corpus_tilt.training.diagnose import acceleration_rates, mix_diagnostic
-from corpus_tilt.training.task import TARGETS, Task, build_task
+from corpus_tilt.training.optim import Adam
+from corpus_tilt.training.source import ClusterSource, LocalSource, choose, mean_loss
+from corpus_tilt.training.task import TARGETS, MixtureTarget, Task, build_task
 
 from .conftest import SF
 
 
-def test_pick():
+def test_choose():
     rng = np.random.default_rng(0)
     z = np.array([3.0, 0.0, 1.0, -2.0])
     w = np.exp(z) / np.exp(z).sum()
-    assert pick("top", z, 2, rng).tolist() == [0, 2]
-    assert sorted(pick("gumbel", z, 9, rng)) == [0, 1, 2, 3]
-    first = np.bincount([pick("gumbel", z, 1, rng)[0] for _ in range(4000)], minlength=4) / 4000
+    assert choose("top", z, 2, rng.random(4)).tolist() == [0, 2]
+    assert sorted(choose("gumbel", z, 9, rng.random(4))) == [0, 1, 2, 3]
+    first = np.bincount([choose("gumbel", z, 1, rng.random(4))[0] for _ in range(4000)], minlength=4) / 4000
     assert np.abs(first - w).max() < 0.03
-    draws = np.bincount(pick("iid", z, 4000, rng), minlength=4) / 4000
+    draws = np.bincount(choose("iid", z, 4000, rng.random(4), rng.random(4000)), minlength=4) / 4000
     assert np.abs(draws - w).max() < 0.03
-    assert len(pick("gumbel", np.array([1000.0, 0.0]), 1, rng)) == 1
+    assert len(choose("gumbel", np.array([1000.0, 0.0]), 1, rng.random(2))) == 1
 
 
 def test_filters(spark):
@@ -65,31 +67,83 @@ def test_planted_truth(spark):
     a, b = np.array([[0.8, 0.1, 0.1]] * 3), np.array([[0.1, 0.1, 0.8]] * 3)
     hidden = np.arange(400) < 40
     rows = [(i, 0, "train", t) for i, t in enumerate(_strings(rng, b, 40) + _strings(rng, a, 360))] + [(i, 1, sp, t) for i, (sp, t) in enumerate(zip(["train", "valid", "test"] * 20, _strings(rng, b, 60), strict=True))]
-    task = Task("planted", spark.createDataFrame(rows, "id long, side int, split string, payload binary"), pool=None)
-    pools = Pools(task, ByteModel(16), LinearWeight())
+    task = Task("planted", spark.createDataFrame(rows, "id long, side int, split string, payload binary"))
+    source = LocalSource(task, ByteModel(16), LinearWeight())
     for outer in ("unroll", "cosine", "implicit"):
-        run = train_bilevel(pools, outer, Setting(steps=40, small=16, large=128, rate=5, weight_rate=50, rho=5))
-        s = pools.weight.scores(run.trajectory[-1], pools.side(0)[1])
+        run = train_bilevel(source, outer, Setting(steps=40, small=16, large=128, rate=5, weight_rate=50, rho=5))
+        s = source.weight.scores(run.trajectory[-1], source.whole(0).xw)
         auc = (s[hidden][:, None] > s[~hidden][None]).mean()
         w = np.exp(s - s.max())
         assert auc > 0.9 and w[hidden].sum() / w.sum() > 0.1, outer
 
 
 def test_loop_repeats_and_counts(spark):
-    pools = Pools(build_task(spark, SF, "lang_fr", pool=200), ByteModel(16), LinearWeight())
+    source = LocalSource(build_task(spark, SF, "lang_fr"), ByteModel(16), LinearWeight())
     s = Setting(steps=6, small=8, large=32, rate=5.0)
-    a, b = train_bilevel(pools, "implicit", s), train_bilevel(pools, "implicit", s)
+    a, b = train_bilevel(source, "implicit", s), train_bilevel(source, "implicit", s)
     assert np.array_equal(a.theta, b.theta) and len(a.trajectory) == 7
     c = a.cost.summary()
-    assert c["weight_fwd"] == 6 * 32 and c["main_fwd"] == 6 * 8 and c["ratio"] == 4 and c["unseen_share"] == 0.75
-    assert np.isfinite(train_frozen(pools, a.trajectory[-1:], s).theta).all()
-    start = pools.held_out(a.theta, "valid")
-    assert pools.held_out(fine_tune(pools, a.theta, 20), "valid") <= start
+    assert 6 * 24 < c["weight_fwd"] <= 6 * 32 and c["main_fwd"] == 6 * 8 and c["ratio"] == c["weight_fwd"] / 48 and c["bytes_in"] > 0
+    assert np.isfinite(train_frozen(source, a.trajectory[-1:], s).theta).all()
+    assert np.isfinite(train_shuffled(source, a.trajectory, s).theta).all()
+    start = mean_loss(source, a.theta, "valid")
+    assert mean_loss(source, fine_tune(source, a.theta, 20), "valid") <= start
     for name, run in METHODS.items():
-        assert np.isfinite(run(pools, Setting(steps=3, small=8, large=32)).theta).all(), name
-    r = acceleration_rates(pools, a.theta, 3, 8)
+        assert np.isfinite(run(source, Setting(steps=3, small=8, large=32)).theta).all(), name
+    r = acceleration_rates(source, a.theta, 3, 8)
     assert 0 <= r["sar"] <= 1 and 0 <= r["gar"] <= 1
-    assert set(mix_diagnostic(pools, a.theta, a.trajectory[-1], n=8)) == {"generic_move", "specific_move"}
+    assert set(mix_diagnostic(source, a.theta, a.trajectory[-1], n=8)) == {"generic_move", "specific_move"}
+    adam = train_bilevel(source, "cosine", Setting(steps=3, small=8, large=32, rate=0.05, optimizer=Adam))
+    assert np.isfinite(adam.theta).all() and not np.allclose(adam.theta, 0)
+
+
+def test_an_epoch_takes_no_row_twice(spark):
+    source = LocalSource(build_task(spark, SF, "lang_fr"), ByteModel(16), LinearWeight())
+    n = source.total(0, "train")
+    ids = [i for b in source.uniform(0, "train", 10, range(n // 10), "big", 0) for i in b.ids]
+    assert len(set(ids)) == len(ids) > 0.8 * n
+
+
+@pytest.mark.parametrize("kind", ["gumbel", "top", "iid", "uniform"])
+def test_cluster_is_the_local_loop(spark, kind):
+    task = build_task(spark, SF, "lang_fr")
+    a, b = (make(task, ByteModel(16), LinearWeight()) for make in (LocalSource, ClusterSource))
+    s = Setting(steps=3, small=6, large=20, rate=5.0, filter=kind)
+    x, y = train_bilevel(a, "implicit", s), train_bilevel(b, "implicit", s)
+    assert np.allclose(x.theta, y.theta, atol=1e-12) and np.allclose(x.trajectory[-1], y.trajectory[-1], atol=1e-12)
+    assert {k: v for k, v in x.cost.summary().items() if k != "seconds"} == {k: v for k, v in y.cost.summary().items() if k != "seconds"}
+    assert np.isclose(mean_loss(a, x.theta), mean_loss(b, x.theta))
+    s.delay = 3  # one job for all three steps
+    assert np.allclose(train_bilevel(a, "cosine", s).theta, train_bilevel(b, "cosine", s).theta)
+
+
+@pytest.mark.parametrize("method", ["mixing", "contrastive_select", "domain_classifier", "batch_reweight", "loss_input_weights"])
+def test_other_strategies_on_the_cluster(spark, method):
+    task = build_task(spark, SF, "lang_fr")
+    s = Setting(steps=2, small=6, large=20, rate=5.0)
+    a, b = (METHODS[method](make(task, ByteModel(16), LinearWeight()), s).theta for make in (LocalSource, ClusterSource))
+    close = np.allclose(a, b, atol=1e-9)
+    assert close or method in ("contrastive_select", "domain_classifier") and np.isfinite(b).all()  # their share is a quantile's
+
+
+def test_mixture_and_other_loss(spark):
+    parts = [build_task(spark, SF, n) for n in ("lang_fr", "lang_de")]
+    both = MixtureTarget([(parts[0], 0.75), (parts[1], 0.25)])
+    n = [p.frame(1, "train").count() for p in parts]
+    assert both.frame(1, "train").count() == 3 * n[0] + n[1]
+    assert both.frame(1, "train").select("id").distinct().count() == 3 * n[0] + n[1]
+    assert both.frame(0, "train").join(parts[1].frame(1, "train"), "payload").count() == 0
+    source = LocalSource(both, ByteModel(16), LinearWeight())
+
+    class Doubled(ByteModel):
+        def grad(self, theta, x, w):
+            return 2 * super().grad(theta, x, w)
+
+    s = Setting(steps=2, small=8, large=32)
+    plain = train_bilevel(source, "unroll_first", s)
+    s.specific = Doubled(16)
+    other = train_bilevel(source, "unroll_first", s)
+    assert np.allclose(other.trajectory[1] - other.trajectory[0], 2 * (plain.trajectory[1] - plain.trajectory[0]))
 
 
 @pytest.mark.parametrize("name", [*TARGETS, "pairs", "vectors", "rows"])

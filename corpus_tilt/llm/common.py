@@ -34,13 +34,15 @@ def workers_import(spark: SparkSession) -> None:
 def shared_folder(spark: SparkSession, name: str) -> str:
     """A new URI below ``spark.checkpoint.dir``, which the driver and all executors can reach.
 
-    Only where that setting is missing (tests on one machine), a temporary folder stands in.
+    Only where that setting is missing and the master is local (tests), a temporary folder stands in.
     The folder is removed when the driver ends.
     """
     workers_import(spark)
     top = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not top:
-        known = spark.sparkContext._jsc.sc().getCheckpointDir()
+        known, master = spark.sparkContext._jsc.sc().getCheckpointDir(), spark.sparkContext.master
+        if not known.isDefined() and (not master.startswith("local") or master.startswith("local-cluster")):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         top = known.get() if known.isDefined() else _own_folder()
     uri = f"{top.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()

@@ -7,8 +7,9 @@ Myers' bit-parallel distance, the pattern anywhere in the stretch.
 
 Texts are compared lower-cased and with white space runs as one space.  Defined results: null or
 empty documents and items match nothing; items shorter than one piece are compared whole and
-exactly; repeated items and documents are reported each; an empty table gives no rows; columns
-other than those named are not read.
+exactly, as words of their own (no letter or digit beside them); repeated items and documents are
+reported each, a null id like others; an empty table gives no rows; columns other than those named
+are not read.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import functions as F
 
 from .common import workers_import
 
-_MATCH = "doc_id long, item_id long, distance long, budget long, start long, end long"
+_MATCH = "doc_id long, item_id long, distance long, budget long, start long, end long, version long"
 
 
 def plain(text: str | None) -> str:
@@ -34,6 +35,7 @@ class Item:
     item_id: int | None
     text: str
     budget: int
+    alone: bool = False  # to stand between word bounds
 
     def pieces(self) -> list[tuple[int, str]]:
         """Where each of the budget-plus-one pieces begins, and the piece."""
@@ -100,7 +102,10 @@ class Matcher:
         begins: dict[int, set[int]] = {}
         for end, (size, own) in self.automaton.iter(text):
             for no, lo in own:
-                begins.setdefault(no, set()).add(end + 1 - size - lo)
+                begin = end + 1 - size - lo
+                if self.items[no].alone and (text[begin - 1 : begin].isalnum() and begin or text[end + 1 : end + 2].isalnum()):
+                    continue
+                begins.setdefault(no, set()).add(begin)
         out = []
         for no, at in begins.items():
             item, best = self.items[no], None
@@ -125,7 +130,7 @@ def budget_of(length: int, rate: float, least_piece: int) -> int:
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", rate: float = 0.08, least_piece: int = 12, block_chars: int = 16_000_000) -> DataFrame:
-    """One row for each document and item found in it: distance, budget, and the place in the plain text.
+    """One row for each document and item found in it: distance, budget, the place in the plain text, and the hash of the document's text.
 
     The benchmark is the stated query set.  It is taken in blocks of at most ``block_chars``
     characters (by running sums over its rows), each broadcast on its own, so its size is bounded.
@@ -141,9 +146,9 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
         if size + len(text) > block_chars and blocks[-1]:
             blocks.append([])
             size = 0
-        blocks[-1].append(Item(row["i"], text, budget_of(len(text), rate, least_piece)))
+        blocks[-1].append(Item(row["i"], text, budget_of(len(text), rate, least_piece), len(text) < least_piece))
         size += len(text)
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.col(text_col)).alias("version"))
     out = None
     for items in blocks:
         shared = spark.sparkContext.broadcast(items)
@@ -151,8 +156,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
         def search(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             matcher = Matcher(shared.value)
             for b in batches:
-                found = [(key, *m) for key, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) for m in matcher.matches(plain(text))]
-                yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(6)], [c.split()[0] for c in _MATCH.split(", ")])
+                found = [(key, *m, version) for key, text, version in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True) for m in matcher.matches(plain(text))]
+                yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(7)], [c.split()[0] for c in _MATCH.split(", ")])
 
         part = rows.mapInArrow(search, _MATCH)
         out = part if out is None else out.unionByName(part)

@@ -284,9 +284,39 @@ def _verifier(edits: int):
     return verify
 
 
+#: Spark chains hashes: the second one begins with the hash of this number.
+_SECOND = 0x5BD1E995
+
+
 def line_id(line: Column) -> Column:
     """A 128-bit hash of a line."""
-    return F.struct(F.xxhash64(line).alias("x"), F.xxhash64(F.lit(0x5BD1E995), line).alias("y"))
+    return F.struct(F.xxhash64(line).alias("x"), F.xxhash64(F.lit(_SECOND).cast("long"), line).alias("y"))
+
+
+def _distinct_lines(near_from: int):
+    """(64-bit hash, 128-bit hash, line) of the long lines of texts: of equal lines of a task, one."""
+
+    def lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from xxhash import xxh64_intdigest as digest
+
+        second, seen = digest(_SECOND.to_bytes(8, "little"), 42), set()
+        for b in batches:
+            out = []
+            for text in b.column(0).to_pylist():
+                for line in (text or "").split("\n"):
+                    if len(line) < near_from or not line.strip(SPACES):
+                        continue
+                    raw = line.encode("utf-8", "surrogatepass")
+                    own = digest(raw, 42)
+                    if own not in seen:
+                        seen.add(own)
+                        out.append((own, digest(raw, second), raw))
+            if len(seen) > 500_000:
+                seen.clear()
+            x, y = (pa.array(np.array([o[i] for o in out], np.uint64).view(np.int64)) for i in (0, 1))
+            yield pa.RecordBatch.from_arrays([x, x, y, pa.array([o[2] for o in out], pa.binary()).cast(pa.string())], ["line", "x", "y", "text"])
+
+    return lines
 
 
 def near_line_classes(texts: DataFrame, edits: int, near_from: int, many: int, every: int) -> DataFrame:
@@ -295,9 +325,9 @@ def near_line_classes(texts: DataFrame, edits: int, near_from: int, many: int, e
     signed = texts.select("text").mapInArrow(_sign(edits, near_from, hot), _SIGNED)
     met = signed.repartition(F.col("key")).sortWithinPartitions("key").mapInArrow(_meetings, "meeting long, line long")
     met = written(met.distinct(), "meetings")
-    line = _long_lines(texts, near_from).select(F.xxhash64("text").alias("line"), line_id(F.col("text")).alias("id"), "text")
-    own = written(line.join(met.select("line").distinct().hint("merge"), "line", "left_semi").groupBy("line", "id").agg(F.min("text").alias("text")), "lines")
-    rows = met.join(own, "line").select("meeting", F.col("id.x").alias("x"), F.col("id.y").alias("y"), "text")
+    line = texts.select("text").mapInArrow(_distinct_lines(near_from), "line long, x long, y long, text string")
+    own = written(line.join(met.select("line").distinct().hint("merge"), "line", "left_semi").dropDuplicates(["line", "x", "y"]), "lines")
+    rows = met.join(own, "line").select("meeting", "x", "y", "text")
     links = rows.repartition(F.col("meeting")).sortWithinPartitions("meeting").mapInArrow(_verifier(edits), "a1 long, a2 long, b1 long, b2 long")
     node = lambda side: F.struct(F.col(f"{side}1").alias("x"), F.col(f"{side}2").alias("y")).alias(side)
     return written(components(links.select(node("a"), node("b"))), "classes")
@@ -312,14 +342,16 @@ def line_removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     workers_import(docs.sparkSession)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).where("doc_id is not null")
     classes = near_line_classes(texts, edits, near_from, many, every)
-    lines = texts.select("doc_id", F.xxhash64("text").alias("version"), F.posexplode(F.split("text", "\n")).alias("line_no", "line")).where(has_word(F.col("line")))
-    places = written(lines.select("doc_id", "version", "line_no", line_id(F.col("line")).alias("line")), "places")
+    cut = texts.select("doc_id", F.xxhash64("text").alias("version"), F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
+    worded = has_word(F.col("line"))  # a text's first line is there in any case, to count rows by
+    known_by = F.when(worded, line_id(F.col("line"))).otherwise(F.struct(F.xxhash64("doc_id", "version").alias("x"), F.col("version").alias("y")))
+    places = written(cut.where(worded | (F.col("line_no") == 0)).select("doc_id", "version", "line_no", worded.alias("worded"), known_by.alias("line")), "places")
     total = places.count()
     hot = written(places.groupBy("line").agg(F.count("*").alias("n")).where(F.col("n") > total * HOT_SHARE), "hot")
     told = join_hot(places, classes.withColumnRenamed("id", "line"), "line", hot)
-    known = written(told.select("doc_id", "version", "line_no", "line", F.coalesce("component", "line").alias("class")), "places")
+    known = written(told.select("doc_id", "version", "line_no", "worded", "line", F.coalesce("component", "line").alias("class")), "places")
     own = ["class", "doc_id", "version"]
-    each = known.groupBy(*own).agg(F.min(F.struct("line_no", "line")).alias("head"), F.count("*").alias("n"))
+    each = known.where("worded").groupBy(*own).agg(F.min(F.struct("line_no", "line")).alias("head"), F.count("*").alias("n"))
     whole = each.groupBy("class").agg(F.min(F.struct("doc_id", "version", "head")).alias("first"), F.count("*").alias("docs"), F.sum("n").alias("n"))
     many_rows = written(whole.where("n > 1").select("class", "n", (F.col("docs") >= min_docs).alias("across"), F.col("first.doc_id").alias("first_doc"), F.col("first.version").alias("first_version"), F.col("first.head.line_no").alias("first_no"), F.col("first.head.line").alias("first_line")), "repeated")
     told = join_hot(known, many_rows.drop("n"), "class", many_rows.where(F.col("n") > total * HOT_SHARE))
@@ -330,9 +362,11 @@ def line_removals(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
         for first, mine in (("first_doc", F.col("doc_id")), ("first_version", F.col("version")), ("first_no", F.coalesce("own_no", "line_no")), ("first_line", F.coalesce("own_line", "line"))):
             told = told.withColumn(first, F.when(inner, mine).otherwise(F.col(first)))
     elsewhere = (F.col("doc_id") != F.col("first_doc")) | (F.col("version") != F.col("first_version")) | (F.col("line_no") != F.col("first_no"))
-    told = told.withColumn("gone", F.coalesce(elsewhere, F.lit(False)))
+    told = told.withColumn("gone", F.coalesce(elsewhere & F.col("worded"), F.lit(False)))
     near = F.col("gone") & (F.col("line") != F.col("first_line"))
-    return told.groupBy("doc_id", "version").agg(F.count_distinct("line_no").alias("n_lines"), F.count_distinct(F.when(F.col("gone") & ~near, F.col("line_no"))).alias("n_exact"), F.count_distinct(F.when(near, F.col("line_no"))).alias("n_near"), F.array_sort(F.collect_set(F.when(F.col("gone"), F.col("line_no")))).alias("removed"))
+    sets = told.groupBy("doc_id", "version").agg((F.count_if("worded") / F.count_if(F.col("line_no") == 0)).cast("long").alias("n_lines"), F.array_sort(F.collect_set(F.when(F.col("gone"), F.col("line_no")))).alias("removed"), F.collect_set(F.when(near, F.col("line_no"))).alias("near"))  # repeated rows count once
+    n_near = F.size("near").cast("long")
+    return sets.where("n_lines > 0").select("doc_id", "version", "n_lines", (F.size("removed") - n_near).alias("n_exact"), n_near.alias("n_near"), "removed")
 
 
 def _without(texts: pd.Series, removed: pd.Series) -> pd.Series:

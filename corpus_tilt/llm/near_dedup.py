@@ -14,7 +14,8 @@ tasks: the documents outside the node's largest class against all of it, each pa
 
 Defined results: texts without words have an empty set and are linked with nothing; with fewer
 words than a shingle the whole sequence is one; a null id is linked with nothing and kept; rows
-that repeat an id are one document to links; an empty table gives no rows; other columns are not read.
+that repeat an id are one document, known to links by the text of the least hash (``version``);
+an empty table gives no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -103,7 +104,7 @@ def _sketcher(words: int, size: int, trees: int, extra: float, seed: int):
                 rows, child = _children(np.full(len(sets), root, _U), tokens, extra)
                 for r, c in zip(rows.tolist(), child.view(np.int64).tolist(), strict=True):
                     paths[r].append(c)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(np.array(one, _U).view(np.int64)), pa.array(np.array(other, _U).view(np.int64)), pa.array([t.tobytes() for t in tokens], pa.binary()), pa.array(paths, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "f1", "f2", "tokens", "paths"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(np.array(one, _U).view(np.int64)), pa.array(np.array(other, _U).view(np.int64)), pa.array([t.tobytes() for t in tokens], pa.binary()), pa.array(paths, pa.list_(pa.int64())), b.column(2)], ["doc_id", "n_shingles", "f1", "f2", "tokens", "paths", "version"])
 
     return make
 
@@ -292,7 +293,7 @@ def _across(large: DataFrame, classes: DataFrame, block: int) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, percent: int = 80, trees: int = 12, first: int = 2, small: int = 48, levels: int = 6, undivided: float = 0.75, size: int = 64, seed: int = 1) -> DataFrame:
-    """One row a document: doc_id, n_shingles, component_id (the least id of its class), kept.
+    """One row a document: doc_id, n_shingles, component_id (the least id of its class), version (its text's hash), kept.
 
     ``percent``: documents are linked whose intersection is at least that share of their union.
     ``first``: trees whose links are confirmed before the others, which then only look for links
@@ -305,11 +306,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     share = percent / 100
     extra = 1 / share - 1 + 0.1
     least = math.floor(size * (share - 4.5 * math.sqrt(share * (1 - share) / size)))
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    made = written(rows.mapInArrow(_sketcher(words, size, trees, extra, seed), "doc_id long, n_shingles long, f1 long, f2 long, tokens binary, paths array<long>"), "sketches")
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.col(text_col)).alias("version"))
+    made = written(rows.mapInArrow(_sketcher(words, size, trees, extra, seed), "doc_id long, n_shingles long, f1 long, f2 long, tokens binary, paths array<long>, version long"), "sketches")
     usable = made.where("n_shingles > 0 and doc_id is not null")
     equal = written(usable.groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "sets")
-    reps = written(usable.join(equal.where("copies > 1").select("f1", "f2", "n_shingles", "rep"), ["f1", "f2", "n_shingles"], "left").where("rep is null or rep = doc_id").select(F.col("doc_id").alias("doc"), "tokens", "paths").dropDuplicates(["doc"]), "reps")
+    told = usable.groupBy("doc_id").agg(F.min("version").alias("own"), F.max("version").alias("other")).where("own <> other").select("doc_id", "own")
+    one = usable.join(told, "doc_id", "left").where("own is null or own = version").drop("own")
+    mine = one.join(equal.where("copies > 1").select("f1", "f2", "n_shingles", "rep"), ["f1", "f2", "n_shingles"], "left").where("rep is null or rep = doc_id")
+    reps = written(mine.select(F.col("doc_id").alias("doc"), "version", "tokens", "paths").dropDuplicates(["doc"]), "reps")
 
     paths = written(reps.select("doc", F.explode("paths").alias("path"), F.lit(None).cast("long").alias("above")), "paths")
     nodes, large, level = [], [], 0
@@ -331,8 +335,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         grouped = grouped.unionByName(more)
     sorted_by_node = lambda df: df.repartition(F.col("path")).sortWithinPartitions("path")
     likely = written(sorted_by_node(grouped.join(reps.select("doc", "tokens"), "doc").select("path", "doc", "tokens")).mapInArrow(_likely(least), "path long, doc long"), "likely")
-    wanted = likely.select(F.col("doc").alias("doc_id")).distinct()
-    texts = written(rows.join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("doc"), "text"), "texts")
+
+    def texts_of(docs_of: DataFrame) -> DataFrame:
+        wanted = docs_of.select("doc").distinct().join(reps.select("doc", "version"), "doc").withColumnRenamed("doc", "doc_id")
+        return rows.join(wanted, ["doc_id", "version"], "left_semi").dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("doc"), "text")
+
+    texts = written(texts_of(likely), "texts")
 
     def confirmed(of: DataFrame) -> DataFrame:
         return sorted_by_node(of.join(texts, "doc").select("path", "doc", "label", "text")).mapInArrow(_confirm(words, percent), "a long, b long").distinct()
@@ -355,13 +363,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         kinds = "task long, doc long, label long, probe boolean, loose boolean, before array<long>"
         pairs = written(by_task(tasks.join(reps.select("doc", "tokens"), "doc").select(*tasks.columns, "tokens")).mapInArrow(_likely_across(least), kinds), "across")
         if not pairs.isEmpty():
-            wanted = pairs.select(F.col("doc").alias("doc_id")).distinct()
-            texts = rows.join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("doc"), "text")
-            across = by_task(pairs.join(texts, "doc").select(*pairs.columns, "text")).mapInArrow(_confirm_across(words, percent), "a long, b long").distinct()
+            across = by_task(pairs.join(texts_of(pairs), "doc").select(*pairs.columns, "text")).mapInArrow(_confirm_across(words, percent), "a long, b long").distinct()
             links = written(links.unionByName(across), "links")
             classes = written(components(links), "classes")
     tops = equal.join(classes, equal["rep"] == classes["id"], "left").select("f1", "f2", "n_shingles", F.coalesce("component", "rep").alias("component"))
     tops = written(tops, "tops")
     known = made.drop("tokens", "paths").join(tops, ["f1", "f2", "n_shingles"], "left")
     top = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))
-    return known.select("doc_id", "n_shingles", top.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    return known.select("doc_id", "n_shingles", top.alias("component_id"), "version").withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))

@@ -35,7 +35,7 @@ _KEY_MASK = (1 << KEY_BITS) - 1
 _ODD = 0x2545F4914F6D | 1
 _ODD_BACK = pow(_ODD, -1, 1 << KEY_BITS)
 _HELD = 2_000_000  # distinct keys that a task holds before it sends them on
-_CELL_BYTES = 16 << 20  # of text for each cell
+_CELL_BYTES = 4 << 20  # of text for each cell
 
 
 # --- keys, counts and packed stretches ------------------------------------------------------------

@@ -4,7 +4,8 @@ A long text is cut into chunks that overlap.  Each is encoded with offsets; the
 spliced at a boundary that both encodings of the overlap have and that is proven stable: the
 vocabulary has no piece with the space mark after another character, so no merge reaches from a
 non-space into a following space, and the tokens on either side of such a place never depend on
-the other side.  Where the overlap has no such place it is widened, at last to the whole text.
+the other side.  Where an overlap has no such place it is widened, at last to the whole text.
+The pass is map-only, and of a long text one chunk is in work at a time.
 
 Defined results: null or empty text has 0 bytes and 0 tokens; a null or repeated id gives one
 row for each input row; an empty table gives none; columns other than the two named are not read.
@@ -15,10 +16,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import workers_import
 
 _MARK = "▁"
 _SHOWN = 8
@@ -38,73 +39,58 @@ def _model(path: str):
     return _MODELS[path]
 
 
-def _stable(text: str, offsets: list, at: int, least: int) -> tuple[list[int], list[int]]:
-    """The first stable boundaries over ``least``: places in the whole text and tokens before them."""
-    places, before = [], []
+def _stable(text: str, offsets: list, at: int, least: int) -> dict[int, int]:
+    """The first stable boundaries over ``least``: places in the whole text, and how many tokens are before them."""
+    out: dict[int, int] = {}
     for i, (lo, _) in enumerate(offsets):
         if lo > least and text[lo] == " " and not text[lo - 1].isspace():
-            places.append(at + lo)
-            before.append(i)
-            if len(places) == _SHOWN:
+            out[at + lo] = i
+            if len(out) == _SHOWN:
                 break
-    return places, before
-
-
-def _chunk_encoder(path: str, chunk: int, overlap: int):
-    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    return out
+
+
+def spliced_count(sp, text: str, chunk: int, overlap: int) -> int | None:
+    """Tokens of ``text`` from chunks that overlap by ``overlap`` characters; None where two have no stable place in common."""
+    total, tail, begin = 0, {}, 0
+    for at in range(0, len(text), chunk):
+        own = text[at : at + chunk + overlap]
+        offsets = sp.encode_as_offset_mapping(own)["offsets"]
+        if at:
+            head = _stable(own, offsets, at, 0)
+            place = min(tail.keys() & head.keys(), default=None)
+            if place is None:
+                return None
+            total += tail[place] - begin
+            begin = head[place]
+        if at + chunk >= len(text):
+            return total + len(offsets) - begin
+        tail = _stable(own, offsets, at, chunk)
+    return 0
+
+
+def _counter(path: str, chunk: int, overlaps: tuple[int, ...]):
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sp, stable = _model(path)
         for b in batches:
-            part, parts, text = (b.column(b.schema.get_field_index(c)).to_pylist() for c in ("part", "parts", "piece"))
-            n, head, head_i, tail, tail_i = [0] * len(part), [[]] * len(part), [[]] * len(part), [[]] * len(part), [[]] * len(part)
-            whole = [i for i, k in enumerate(parts) if k == 1]
-            for i, ids in zip(whole, sp.encode([text[i] for i in whole], num_threads=1), strict=True):
-                n[i] = len(ids)
-            for i, k in enumerate(parts):
-                if k == 1 or not stable:
-                    continue
-                at, wide = part[i] * chunk, overlap
-                while True:  # widen until the overlap has a stable place or the room is used up
-                    own = text[i] if part[i] == k - 1 else text[i][: chunk + wide]
-                    offsets = sp.encode_as_offset_mapping(own)["offsets"]
-                    if part[i] == k - 1 or (found := _stable(own, offsets, at, chunk))[0] or len(own) == len(text[i]):
-                        break
-                    wide *= 4
-                if part[i] < k - 1:
-                    tail[i], tail_i[i] = found
-                if part[i]:
-                    head[i], head_i[i] = _stable(own, offsets, at, 0)
-                n[i] = len(offsets)
-            longs = pa.list_(pa.int64())
-            yield pa.RecordBatch.from_arrays([*(b.column(b.schema.get_field_index(c)) for c in ("row", "id", "n_bytes", "part", "parts")), pa.array(n, pa.int64()), *(pa.array(x, longs) for x in (head, head_i, tail, tail_i))], ["row", "id", "n_bytes", "part", "parts", "n", "head", "head_i", "tail", "tail_i"])
-
-    return encode
-
-
-_CHUNKS = "row long, id long, n_bytes long, part int, parts int, n long, head array<long>, head_i array<long>, tail array<long>, tail_i array<long>"
-
-
-def count_tokens(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text", chunk: int = 30_000, overlap: int = 256, widest: int = 4_096) -> DataFrame:
-    """Rows of id, n_bytes and n_tokens; one scan, and only chunks of long texts are shuffled (numbers alone)."""
+            texts = b.column(2).to_pylist()
+            short = [i for i, t in enumerate(texts) if len(t) <= chunk or not stable]
+            n = [0] * len(texts)
+            for lo in range(0, len(short), 500):
+                some = short[lo : lo + 500]
+                for i, ids in zip(some, sp.encode([texts[i] for i in some], num_threads=1), strict=True):
+                    n[i] = len(ids)
+            for i in sorted(set(range(len(texts))).difference(short)):
+                found = next((k for o in overlaps if (k := spliced_count(sp, texts[i], chunk, o)) is not None), None)
+                n[i] = len(sp.encode(texts[i])) if found is None else found
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n, pa.int64())], ["id", "n_bytes", "n_tokens"])
+
+    return count
+
+
+def count_tokens(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text", chunk: int = 30_000, overlaps: tuple[int, ...] = (256, 1_024, 4_096)) -> DataFrame:
+    """Rows of id, n_bytes and n_tokens; ``overlaps`` are tried in turn, then the whole text."""
+    workers_import(docs.sparkSession)
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), text.alias("text")).select(F.monotonically_increasing_id().alias("row"), "id", "text", F.octet_length("text").cast("long").alias("n_bytes"), F.greatest(F.lit(1), F.ceil(F.length("text") / chunk)).cast("int").alias("parts"))
-    chunks = rows.select("row", "id", "n_bytes", "parts", "text", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")).select("row", "id", "n_bytes", "part", "parts", F.when(F.col("parts") == 1, F.col("text")).otherwise(F.substring("text", F.col("part") * chunk + 1, F.lit(chunk + widest))).alias("piece"))
-    counted = written(chunks.mapInArrow(_chunk_encoder(model, chunk, overlap), _CHUNKS), "counts")
-    short = counted.where("parts = 1").select("row", "id", "n_bytes", F.col("n").alias("n_tokens"))
-    by = Window.partitionBy("row").orderBy("part")
-    cut = F.array_min(F.array_intersect("left", "head"))
-    place = lambda where, what: F.element_at(what, F.array_position(where, F.col("cut")).cast("int"))
-    spliced = (
-        counted.where("parts > 1")
-        .withColumns({"left": F.lag("tail").over(by), "left_i": F.lag("tail_i").over(by)})
-        .withColumn("cut", cut)
-        .withColumn("gain", F.when(F.col("part") == 0, F.lit(0)).otherwise(F.when(F.col("cut").isNotNull(), place("left", "left_i") - place("head", "head_i"))))
-        .groupBy("row", "id", "n_bytes")
-        .agg(F.when(F.count("gain") == F.count("*"), F.sum("gain") + F.sum(F.when(F.col("part") == F.col("parts") - 1, F.col("n")))).alias("n_tokens"))
-    )
-    spliced = written(spliced, "spliced")
-    out = short.unionByName(spliced.where("n_tokens is not null"))
-    if not spliced.where("n_tokens is null").isEmpty():  # the widest overlap is the whole text
-        again = rows.where("parts > 1").join(spliced.where("n_tokens is null").select("row"), "row", "left_semi")
-        whole = again.select("row", "id", "n_bytes", F.lit(0).alias("part"), F.lit(1).alias("parts"), F.col("text").alias("piece"))
-        out = out.unionByName(whole.mapInArrow(_chunk_encoder(model, chunk, overlap), _CHUNKS).select("row", "id", "n_bytes", F.col("n").alias("n_tokens")))
-    return out.select("id", "n_bytes", "n_tokens")
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text"))
+    return rows.mapInArrow(_counter(model, chunk, overlaps), "id long, n_bytes long, n_tokens long")

@@ -5,7 +5,8 @@ like the head of a record, where the record after it would begin.  Pointer jumpi
 links from the start of each file keeps the reachable records alone, so the magic string inside
 a payload is never taken for a record.
 
-Defined results: a null payload is empty; a null url is ``urn:none``; rows that repeat a page id
+Defined results: a null payload is empty; a null url is ``urn:none``, one too long for a head (64 KB
+at most) the ``urn:sha1`` of it; rows that repeat a page id
 and payload are records of the same kind; a null page id is written as ``-`` and never the
 response others refer to, unless no other has that payload; an empty table gives no files and no
 rows; columns other than the three named are not read.
@@ -29,13 +30,18 @@ from .common import PartFile, file_system, shared_folder, text_bytes, workers_im
 MAGIC = b"WARC/1.1\r\n"
 _HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
 _PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
-_HEAD = 1 << 16
+_HEAD = 1 << 16  # a head's blank line is nearer than this
 
 
 def sha1_base32(data: bytes) -> str:
     return base64.b32encode(hashlib.sha1(data).digest()).decode()
 
 
+def _uri(url: str | None) -> str:
+    out = quote(url or "urn:none", safe=":/?#[]@!$&()*+,;=%~")
+    return out if len(out) < _HEAD // 2 else f"urn:sha1:{sha1_base32(out.encode())}"
+
+
 def record(page: int | None, url: str | None, payload: bytes, refers_to: int | None, date: str) -> bytes:
     """One record: a response with its payload, or a revisit with the HTTP head alone."""
     block = _HTTP if refers_to is not None else _HTTP + payload
@@ -43,7 +49,7 @@ def record(page: int | None, url: str | None, payload: bytes, refers_to: int | N
         f"WARC-Type: {'response' if refers_to is None else 'revisit'}",
         f"WARC-Record-ID: <urn:page:{'-' if page is None else page}>",
         f"WARC-Date: {date}",
-        f"WARC-Target-URI: {quote(url or 'urn:none', safe=':/?#[]@!$&()*+,;=%~')}",
+        f"WARC-Target-URI: {_uri(url)}",
         f"WARC-Payload-Digest: sha1:{sha1_base32(payload)}",
         f"WARC-Payload-Length: {len(payload)}",
         "Content-Type: application/http; msgtype=response",
@@ -118,22 +124,40 @@ class _Window:
 
     def head(self, at: int) -> tuple[dict[bytes, bytes], int] | None:
         """The fields of the head at ``at`` and where its block begins; None if none is there."""
-        reach = _HEAD
-        while True:
-            data = self.upto(at + reach)
-            lo = at - self.start
-            if data[lo : lo + len(MAGIC)] != MAGIC:
-                return None
-            stop = data.find(b"\r\n\r\n", lo)
-            if stop >= 0:
-                break
-            if self.start + len(data) >= self.size:
-                return None
-            reach *= 2
+        data = self.upto(at + _HEAD)
+        lo = at - self.start
+        stop = data.find(b"\r\n\r\n", lo, lo + _HEAD)
+        if data[lo : lo + len(MAGIC)] != MAGIC or stop < 0:
+            return None
         fields = {m[1].lower(): m[2] for m in _FIELD.finditer(data, lo + len(MAGIC), stop + 1)}
         return (fields, self.start + stop + 4) if fields.get(b"content-length", b"").isdigit() else None
 
 
+_LENGTH = re.compile(rb"\r\ncontent-length: ?(\d{1,18})\r\n", re.I)
+
+
+def record_links(data: bytes, start: int, end: int) -> dict[int, int]:
+    """Of each place before ``end`` that looks like a record's head, where the record after it would begin.
+
+    ``data`` begins at ``start``.  Heads, their ends and their lengths are each found in one pass
+    and matched in order, so a payload full of magic strings costs no more than any other.
+    """
+    blank = [m.start() for m in re.finditer(rb"\r\n\r\n", data)]
+    lengths = [(m.start(), int(m[1])) for m in _LENGTH.finditer(data)]
+    out, i, j = {}, 0, 0
+    for m in re.finditer(re.escape(MAGIC), data):
+        lo = m.start()
+        if start + lo >= end:
+            break
+        while i < len(blank) and blank[i] < lo:
+            i += 1
+        while j < len(lengths) and lengths[j][0] < lo:
+            j += 1
+        if i < len(blank) and blank[i] < lo + _HEAD and j < len(lengths) and lengths[j][0] < blank[i]:
+            out[start + lo] = start + blank[i] + 4 + lengths[j][1] + 4
+    return out
+
+
 def _candidates(folder: str):
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         files, base = file_system(folder)
@@ -141,10 +165,7 @@ def _candidates(folder: str):
             out = []
             for name, start, end, size in zip(*(b.column(b.schema.get_field_index(c)).to_pylist() for c in ("file", "start", "end", "size")), strict=True):
                 with files.open_input_file(f"{base}/{name}") as handle:
-                    window, links, at = _Window(handle, start, end + len(MAGIC) - 1, size), {}, -1
-                    while (at := window.data.find(MAGIC, at + 1)) >= 0 and start + at < end:
-                        if got := window.head(start + at):
-                            links[start + at] = got[1] + int(got[0][b"content-length"]) + 4
+                    links = record_links(_Window(handle, start, end + _HEAD, size).data, start, end)
                 exits: dict[int, int] = {}
                 for place in sorted(links, reverse=True):  # a link that stays in the chunk is followed here
                     to = links[place]

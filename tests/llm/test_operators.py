@@ -3,6 +3,7 @@
 import hashlib
 import math
 import random
+import time
 import zlib
 from collections import Counter
 
@@ -20,7 +21,7 @@ from corpus_tilt.llm import ngram_model as N
 from corpus_tilt.llm.quality_rules import quality, text_counts
 from corpus_tilt.llm.token_count import count_tokens
 from corpus_tilt.llm.token_output import PerfectHash, lookup, read_tokens, token_digest, write_tokens
-from corpus_tilt.llm.warc import MAGIC, read_warc, sha1_base32, write_warc
+from corpus_tilt.llm.warc import MAGIC, read_warc, record_links, sha1_base32, write_warc
 
 EDGE = [(1, "a b c d"), (2, None), (3, ""), (4, "  \n\n"), (5, "a b c d"), (None, "a null id"), (7, "x" * 5000), (7, "again"), (8, "été 👍 <|endoftext|> don't\r\n\tstop ")]
 BYTE = tokenizer_path("byte_bpe_50k.json")
@@ -94,6 +95,9 @@ def test_decontamination_finds_all_within_budget(spark):
     assert got == {i: d for i, d in want.items() if d <= budget}
     assert contaminated(empty(spark), bench).count() == 0
     assert contaminated(frame(spark), bench.limit(0)).count() == 0
+    short = spark.createDataFrame([(1, "the"), (2, "x-ray")], "item_id long, text string")
+    texts = frame(spark, [(1, "other words, lathe"), (2, "of the x-ray"), (3, "THE"), (4, "x-rays"), (None, "(the)")])
+    assert {(r["doc_id"], r["item_id"]) for r in contaminated(texts, short).collect()} == {(2, 1), (2, 2), (3, 1), (None, 1)}
 
 
 # --- 2 ------------------------------------------------------------------------------------------
@@ -193,6 +197,45 @@ def test_undivided_nodes_are_compared_whole(spark):
     assert got == brute_classes(docs, 3, 85)
 
 
+def test_a_template_family_loses_no_link(spark):
+    """All texts share a template just under the threshold; pairs among them are over it."""
+    rng = random.Random(19)
+    base = [f"t{i}" for i in range(300)]
+
+    def exchanged(w, places, tag):
+        out = list(w)
+        for i in places:
+            out[i] = f"{tag}x{i}"
+        return out
+
+    docs, want = [], {}
+    for i in range(600):
+        own = exchanged(base, rng.sample(range(2, 298, 5), 9), i)
+        key = 10_000 + 7 * i
+        docs.append((key, " ".join(own)))
+        want[key] = key
+        if i < 100:
+            docs.append((key + 3, " ".join(exchanged(own, rng.sample(range(4, 298, 5), 4), f"q{i}"))))
+            want[key + 3] = key
+    rng.shuffle(docs)
+    got = {r["doc_id"]: r["component_id"] for r in near_duplicates(frame(spark, docs), words=3, percent=85).collect()}
+    assert brute_links(docs[:60]) and got == want
+
+
+def brute_links(docs):
+    """The family is as meant: below 0.85 across, above within pairs."""
+    sets = {k: set(shingle_sets([t], 3)[0].tolist()) for k, t in docs}
+    like = lambda a, b: len(a & b) / len(a | b)
+    return all((like(x, y) >= 0.85) == (abs(a - b) == 3) for a, x in sets.items() for b, y in sets.items() if a != b)
+
+
+def test_rows_that_repeat_an_id_are_linked_by_one_text(spark):
+    words = [f"w{i}" for i in range(60)]
+    rows = [(1, " ".join(words)), (1, "something else altogether of many words here"), (5, " ".join([*words[:59], "other"])), (9, "something else altogether of many words here")]
+    got = [sorted((r["doc_id"], r["component_id"], r["version"]) for r in near_duplicates(frame(spark, rows).repartition(n), words=3, percent=85).collect()) for n in (1, 3)]
+    assert got[0] == got[1] and len(got[0]) == 4
+
+
 def test_near_duplicates_edges(spark):
     rows = near_duplicates(frame(spark)).collect()
     assert len(rows) == len(EDGE) and all(r["kept"] for r in rows if r["doc_id"] != 5)
@@ -253,6 +296,20 @@ def test_warc_round_trip_with_magic_inside(spark):
     assert read_warc(folder, files).count() == 0
 
 
+def test_a_payload_of_magic_strings_costs_no_more(spark):
+    lines = b"WARC-Type: response\r\nContent-Length: 9\r\n"
+    data = (MAGIC + lines) * 90_000 + b"\r\n\r\n" + MAGIC * 200_000
+    began = time.time()
+    links = record_links(data, 0, len(data))
+    assert time.time() - began < 5 and len(data) > 4 << 20
+    near = len(data) - len(MAGIC) * 200_000 - 4 - (1 << 16)
+    assert all(near < at < near + (1 << 16) for at in links)  # the only blank line is far from all others
+    rows = [(1, "u" * 100_000, "a"), (2, "http://x/", "b"), (2, "http://x/", "b"), (2, "http://y/", "c")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "1 as head", "2 as digest", "3 as refers")
+    got = Counter((r["page_id"], r["payload_digest"], r["record_type"]) for r in read_warc(*write_warc(df)).collect())
+    assert got == Counter((p, sha1_base32(h.encode()), "response") for p, _, h in rows)
+
+
 # --- 6 and 8 --------------------------------------------------------------------------------------
 
 
@@ -463,7 +520,7 @@ def test_token_counts_with_small_chunks(spark):
     sp = sentencepiece.SentencePieceProcessor(model_file=path)
     rng = random.Random(11)
     docs = [(i, "".join(rng.choice(["word ", "été ", "a", "\n", "  ", "👍", "ing the ", "xyz"]) for _ in range(rng.randint(0, 200)))) for i in range(60)] + [(100, "x" * 900), (101, "y " * 500), (102, " " * 700), (103, None)]
-    got = {r["id"]: (r["n_bytes"], r["n_tokens"]) for r in count_tokens(frame(spark, docs), path, chunk=100, overlap=8, widest=32).collect()}
+    got = {r["id"]: (r["n_bytes"], r["n_tokens"]) for r in count_tokens(frame(spark, docs), path, chunk=100, overlaps=(8, 32)).collect()}
     assert got == {i: (len((t or "").encode()), len(sp.encode(t or ""))) for i, t in docs}
     assert count_tokens(frame(spark), path).count() == len(EDGE)
     assert count_tokens(empty(spark), path).count() == 0

@@ -69,7 +69,9 @@ def _root_mean_square(x: pd.Series) -> float:
 def op_udf_pandas(spark: SparkSession, sf_dir: str) -> DataFrame:
     @F.pandas_udf(T.LongType())
     def byte_length(texts: pd.Series) -> pd.Series:
-        return texts.map(lambda t: len(t.encode()))
+        import pyarrow.compute as pc
+
+        return pc.binary_length(pa.array(texts, pa.string())).to_pandas()  # null for null
 
     return spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", byte_length("text").alias("n"))
 

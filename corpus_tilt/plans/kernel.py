@@ -272,6 +272,22 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
 
     q["q_batch_diversity"] = diversity
 
+    def filter_bias(k: Kernel, reps: int = 20) -> str:
+        """Bias and spread of what each filter's plain mean says of the weighted loss, over repeated draws."""
+        d = k.d
+        k.nll("l", "big", "th0")
+        k.c.add("per", "select w.id, w.s, w.w, l.nll / l.n_bytes as loss from @sw w join @l l on l.id = w.id")
+        k.c.add("truth", "select sum(w * loss) as truth from @per")
+        k.c.add("reps", f"select cast(i as int) as rep from (select 0 as one) o, {d.series(str(reps))} s")
+        for kind, noise in (("gumbel", f"p.s - ln(-ln({d.u01("concat(r.rep, '/', p.id)", 401)}))"), ("top", "p.s"), ("uniform", d.u01("concat(r.rep, '/', p.id)", 402))):
+            k.c.add(f"k_{kind}", f"select rep, avg(loss) as est from (select r.rep, p.loss, row_number() over (partition by r.rep order by {noise} desc, p.id) as turn from @per p cross join @reps r) x where turn <= {SMALL} group by rep")
+        k.c.add("cum", "select loss, sum(w) over (order by id rows between unbounded preceding and current row) - w as lo, sum(w) over (order by id rows between unbounded preceding and current row) as hi from @per")
+        k.c.add("draws", f"select rep, {d.u01("concat(rep, '/', draw)", 403)} * (select max(hi) from @cum) as u from (select r.rep, cast(i as int) as draw from @reps r, {d.series(str(SMALL))} s) y")
+        k.c.add("k_iid", "select d.rep, avg(c.loss) as est from @draws d join @cum c on d.u >= c.lo and d.u < c.hi group by d.rep")
+        return " union all ".join(f"select '{kind}' as kind, {d.r6('avg(e.est) - max(t.truth)')} as bias, {d.r6('stddev_pop(e.est)')} as spread from @k_{kind} e cross join @truth t" for kind in ("gumbel", "top", "uniform", "iid"))
+
+    q["q_filter_bias"] = filter_bias
+
     def grad_norms(k: Kernel) -> str:
         k.grad("gs", k.uniform_weights("us", "spec"), "th0")
         k.grad("gw", "ww", "th0")

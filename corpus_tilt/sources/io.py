@@ -2,15 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 from pyspark.sql.types import StructType
 
+from .scratch import scratch
+
 SCHEMAS = {
     "documents": "doc_id long, text string, lang string, source string, n_chars long",
     "benchmark": "item_id long, text string",
@@ -37,11 +36,6 @@ def bad_rows(df: DataFrame, text_col: str) -> int:
     return df.where(F.col(text_col).isNull() | (F.octet_length(text_col) < 2)).count()
 
 
-def folder(spark: SparkSession) -> str:
-    top = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="tilt-io-")
-    return f"{top.rstrip('/')}/io-{uuid.uuid4().hex[:10]}"
-
-
 def save_parameters(spark: SparkSession, path: str, run_id: str, step: int, kind: str, values: np.ndarray) -> None:
     """One vector in blocks, appended to a table partitioned by run."""
     rows = [(run_id, step, kind, i // BLOCK, values[i : i + BLOCK].tolist()) for i in range(0, len(values), BLOCK)]
@@ -88,7 +82,7 @@ class _ParameterReader(DataSourceReader):
 
 def op_io_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     """labels through Parquet, CSV, JSON and ORC, bucketed and partitioned; the rows that all give back."""
-    labels, where = spark.read.parquet(f"{sf_dir}/labels.parquet"), folder(spark)
+    labels, where = spark.read.parquet(f"{sf_dir}/labels.parquet"), scratch(spark, "io")
     out = None
     for kind in ("parquet", "csv", "json", "orc"):
         labels.write.format(kind).mode("overwrite").save(f"{where}/{kind}")

@@ -53,11 +53,25 @@ def top_reservoir(stream: DataFrame, size: int = 5) -> DataFrame:
     return stream.groupBy("domain").applyInPandasWithState(update, "domain string, least double, most double, held long", "best array<double>", "update", "NoTimeout")
 
 
-def run_to_table(spark: SparkSession, stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there now and give the sink's table."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+def run_to_table(spark: SparkSession, stream: DataFrame, where: str, mode: str = "append") -> DataFrame:
+    """Run a stream over what is there now into Parquet below ``where``, a folder a batch; the table that results.
+
+    ``complete``: the last batch is the table; ``append`` and ``update``: all batches are.  A batch
+    that is replayed writes its own folder again.
+    """
+    done: list[int] = []
+
+    def batch(df: DataFrame, batch_id: int) -> None:
+        df.write.mode("overwrite").parquet(f"{where}/out/batch_id={batch_id}")
+        done.append(batch_id)
+
+    query = stream.writeStream.foreachBatch(batch).outputMode(mode).option("checkpointLocation", f"{where}/checkpoint").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name)
+    if not done:
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        return spark.read.schema(stream.schema).parquet(f"{where}/out/batch_id={max(done)}")
+    return spark.read.schema(stream.schema).option("basePath", f"{where}/out").parquet(f"{where}/out").select(*stream.columns)
 
 
 def file_stream(spark: SparkSession, path: str, like: DataFrame, files: int = 1) -> DataFrame:

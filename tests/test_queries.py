@@ -11,7 +11,7 @@ from corpus_tilt.operators.relational import dedup_near
 
 from .conftest import SF
 
-NAMES = ["q_task_split", "q_base_model_prob", "q_softmax_weights", "q_filter_gumbel", "q_filter_iid", "q_utility_implicit", "op_filter_pred", "op_join_full", "op_agg_hash", "op_rollup", "op_win_lead_lag", "op_bleu", "op_win_session", "op_html_text"]
+NAMES = ["q_task_split", "q_base_model_prob", "q_softmax_weights", "q_filter_gumbel", "q_filter_iid", "q_utility_implicit", "op_filter_pred", "op_join_full", "op_agg_hash", "op_rollup", "op_win_lead_lag", "op_bleu", "op_win_session", "op_html_text", "q_bilevel_2steps_implicit", "q_frozen_vs_shuffled", "q_cost_counts", "q_transfer_nll", "q_filter_bias", "q_class_features", "q_byte_counts", "q_sar_gar", "q_classifier_topk", "q_reweight_weights", "op_stream_late", "op_stream_tumbling", "op_stream_state", "op_udf_pandas", "op_io_roundtrip", "op_dedup_exact", "op_caption_accuracy"]
 
 
 @pytest.fixture(scope="module")

@@ -133,8 +133,8 @@ def text_bytes(text: str | None) -> bytes:
     return (text or "").encode("utf-8", "surrogatepass")
 
 
-#: A unit of letters or digits with ASCII punctuation after it: always two pre-tokens.
-_TAIL = re.compile(r"(.*[^\W_])([!-/:-@\[-`{-~]+)", re.S)
+#: ASCII punctuation: after a letter or digit it is a pre-token of its own.
+_TAIL = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 _CUT = re.compile(r"(?<=\S)(?=[ \t\n\r])")
 #: Bytes of a cache entry beside its key and ids, by the sizes of Python objects.
 _ENTRY = 190
@@ -149,7 +149,7 @@ class UnitEncoder:
     encodes whole texts.  The caches hold about ``room`` bytes at most.
     """
 
-    def __init__(self, path: str, room: int = 96 << 20) -> None:
+    def __init__(self, path: str, room: int = 128 << 20) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -215,11 +215,11 @@ class UnitEncoder:
         words = {k for k in parts if k.isalpha()}
         rest = parts - words
         odd = {k for k in rest if (bare := k[1:] if k[:1] == "\n" else k).split() != [bare]}
-        split = {k: m for k in rest - odd if k[0] != "\n" and "<|" not in k and (m := _TAIL.fullmatch(k))}
-        plain = list({m[1] for m in split.values()}.difference(self.inner, words)) + list(words) + list(rest - odd - split.keys())
+        split = {k: (bare, k[len(bare) :]) for k in rest - odd if k[0] != "\n" and "<|" not in k and (bare := k.rstrip(_TAIL)) != k and bare and bare[-1].isalnum()}
+        plain = list({bare for bare, _ in split.values()}.difference(self.inner, words)) + list(words) + list(rest - odd - split.keys())
         self._store(self.inner, plain, self._encode([k if k[0] == "\n" else " " + k for k in plain]))
-        self._whole({m[2] for m in split.values()})
-        self._store(self.inner, list(split), [self.inner[m[1]] + self.exact[m[2]] for m in split.values()])
+        self._whole({tail for _, tail in split.values()})
+        self._store(self.inner, list(split), [self.inner[bare] + self.exact[tail] for bare, tail in split.values()])
         return odd
 
     def _whole(self, units: set[str]) -> None:
@@ -277,7 +277,7 @@ def _stretches(text: str, most: int) -> Iterator[str]:
     yield text[at:]
 
 
-def encoded_by(own: UnitEncoder, texts: list[str | None], width: int, at_once: int = 1 << 19) -> Iterator[bytes]:
+def encoded_by(own: UnitEncoder, texts: list[str | None], width: int, at_once: int = 1 << 20) -> Iterator[bytes]:
     """Ids of each text in ``width`` bytes; about ``at_once`` characters are in work, a longer text goes stretch by stretch."""
     widen = (lambda raw: raw) if np.dtype(own.kind).itemsize == width else (lambda raw: np.frombuffer(raw, own.kind).astype(f"<u{width}").tobytes())
     block, size = [], 0

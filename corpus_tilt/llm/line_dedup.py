@@ -293,22 +293,54 @@ def line_id(line: Column) -> Column:
     return F.struct(F.xxhash64(line).alias("x"), F.xxhash64(F.lit(_SECOND).cast("long"), line).alias("y"))
 
 
-def _distinct_lines(near_from: int):
-    """(64-bit hash, 128-bit hash, line) of the long lines of texts: of equal lines of a task, one."""
+class HashBitmap:
+    """Which hashes may be among some: a bit for each value of their first ``bits`` bits, 2^29 bits at most.
+
+    It is put together from sections that tasks pack, so 64 MB is all that ever reaches the driver;
+    the more hashes there are beyond that, the more others pass.
+    """
+
+    def __init__(self, hashes: DataFrame, column: str, count: int) -> None:
+        self.bits = min(29, max(16, (32 * count).bit_length()))
+        place = F.shiftrightunsigned(F.col(column), 64 - self.bits)
+        rows = hashes.select(F.shiftright(place, 16).cast("long").alias("section"), place.bitwiseAND(0xFFFF).cast("int").alias("bit"))
+        self.data = bytearray(1 << self.bits - 3)
+        for r in rows.repartition(F.col("section")).sortWithinPartitions("section").mapInArrow(_pack_sections, "section long, packed binary").collect():
+            self.data[r["section"] << 13 : (r["section"] << 13) + 8192] = r["packed"]
+
+    def may_have(self, value: int) -> int:
+        at = value >> 64 - self.bits
+        return self.data[at >> 3] >> (at & 7) & 1
+
+
+def _pack_sections(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in by_group(batches):
+        section, bit = b.column(0).to_numpy(), b.column(1).to_numpy()
+        cuts = _group_cuts(section)
+        packed = []
+        for lo, hi in cuts:
+            bits = np.zeros(1 << 16, np.uint8)
+            bits[bit[lo:hi]] = 1
+            packed.append(np.packbits(bits, bitorder="little").tobytes())
+        yield pa.RecordBatch.from_arrays([pa.array([section[lo] for lo, _ in cuts], pa.int64()), pa.array(packed, pa.binary())], ["section", "packed"])
+
+
+def _distinct_lines(near_from: int, shared):
+    """(64-bit hash, 128-bit hash, line) of the long lines of texts that may be asked for: of equal lines of a task, one."""
 
     def lines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from xxhash import xxh64_intdigest as digest
 
-        second, seen = digest(_SECOND.to_bytes(8, "little"), 42), set()
+        second, seen, asked = digest(_SECOND.to_bytes(8, "little"), 42), set(), shared.value
         for b in batches:
             out = []
             for text in b.column(0).to_pylist():
                 for line in (text or "").split("\n"):
-                    if len(line) < near_from or not line.strip(SPACES):
+                    if len(line) < near_from:
                         continue
                     raw = line.encode("utf-8", "surrogatepass")
                     own = digest(raw, 42)
-                    if own not in seen:
+                    if asked.may_have(own) and own not in seen and line.strip(SPACES):
                         seen.add(own)
                         out.append((own, digest(raw, second), raw))
             if len(seen) > 500_000:
@@ -325,8 +357,10 @@ def near_line_classes(texts: DataFrame, edits: int, near_from: int, many: int, e
     signed = texts.select("text").mapInArrow(_sign(edits, near_from, hot), _SIGNED)
     met = signed.repartition(F.col("key")).sortWithinPartitions("key").mapInArrow(_meetings, "meeting long, line long")
     met = written(met.distinct(), "meetings")
-    line = texts.select("text").mapInArrow(_distinct_lines(near_from), "line long, x long, y long, text string")
-    own = written(line.join(met.select("line").distinct().hint("merge"), "line", "left_semi").dropDuplicates(["line", "x", "y"]), "lines")
+    asked = written(met.select("line").distinct(), "asked")
+    shared = texts.sparkSession.sparkContext.broadcast(HashBitmap(asked, "line", asked.count()))
+    line = texts.select("text").mapInArrow(_distinct_lines(near_from, shared), "line long, x long, y long, text string")
+    own = written(line.join(asked.hint("merge"), "line", "left_semi").dropDuplicates(["line", "x", "y"]), "lines")
     rows = met.join(own, "line").select("meeting", "x", "y", "text")
     links = rows.repartition(F.col("meeting")).sortWithinPartitions("meeting").mapInArrow(_verifier(edits), "a1 long, a2 long, b1 long, b2 long")
     node = lambda side: F.struct(F.col(f"{side}1").alias("x"), F.col(f"{side}2").alias("y")).alias(side)

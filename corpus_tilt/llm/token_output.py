@@ -7,7 +7,7 @@ the shard, the offset there and the length.  A lookup reads one bucket file, eva
 in constant time, compares the fingerprint and seeks to the ids.
 
 Defined results: null text has only the end id; rows that repeat a key are separate entries,
-told apart by their order in the files (that of a checksum of their ids); a null key sorts first; an empty table has no files;
+told apart by their order in the files (that of a checksum of their first ids); a null key sorts first; an empty table has no files;
 columns other than the two named are not read.
 """
 
@@ -97,7 +97,7 @@ def _encoder(path: str, width: int, end_id: int):
         end = np.array([end_id], f"<u{width}").tobytes()
         for b in batches:
             ids = [own + end for own in encoded(path, b.column(2).to_pylist(), width)]
-            salt = [zlib.crc32(x) for x in ids]
+            salt = [zlib.crc32(x[:256]) for x in ids]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(salt, pa.int64()), pa.array(ids, pa.binary())], ["low", "key", "salt", "ids"])
         encoder(path).forget()  # other stages use the worker's memory
 
@@ -236,7 +236,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int, id_col: str = "do
     texts = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).alias("text"))
     ids = texts.select(_low_key().alias("low"), "key", "text").mapInArrow(_encoder(tokenizer, width, end_id), "low long, key long, salt long, ids binary")
     edges = _edges(texts)
-    dealt = ids.select(_shard_of(edges).alias("shard"), "low", "key", "salt", "ids").repartition(len(edges) + 1, "shard")
+    dealt = ids.select(_shard_of(edges).alias("shard"), "low", "key", "salt", "ids").repartitionById(len(edges) + 1, F.col("shard"))
     ordered = dealt.sortWithinPartitions("shard", "low", "key", "salt").select("shard", "key", "ids")
     directory = written(ordered.mapInArrow(_shard_writer(folder, width), _DIRECTORY), "directory")
     totals = {r["shard"]: (r["ids"], r["keys"]) for r in directory.groupBy("shard").agg(F.sum("n").alias("ids"), F.count("*").alias("keys")).collect()}

@@ -93,9 +93,10 @@ class Kernel:
     # --- weights and filters ---------------------------------------------------------------------
 
     def score(self, name: str, ids: str, alpha: str) -> str:
+        """Scores ``name_s`` of any ids, and ``name`` with their softmax, for a batch (its rows meet in one window)."""
         self.base[name] = self.base[f"{name}_s"] = self.base.get(ids, ids)
         self.c.add(f"{name}_s", f"select b.id, sum(a.a * f.share) as s from @{ids} b join @{self.phi(ids)} f on f.id = b.id join @{alpha} a on a.k = f.k group by b.id", data=ids in self.c.data)
-        return self.c.add(name, f"select id, s, exp(s - (select max(s) from @{name}_s)) / (select sum(exp(s - (select max(s) from @{name}_s))) from @{name}_s) as w from @{name}_s")
+        return self.c.add(name, f"select id, s, e / sum(e) over () as w from (select id, s, exp(s - max(s) over ()) as e from @{name}_s) x")
 
     def gumbel(self, name: str, scored: str, seed: int | str, n: int) -> str:
         self.base[name] = self.base[scored]
@@ -113,7 +114,7 @@ class Kernel:
 
     def uniform_weights(self, name: str, ids: str) -> str:
         self.base[name] = self.base[ids]
-        return self.c.add(name, f"select id, 1e0 / (select count(*) from @{ids}) as w from @{ids}")
+        return self.c.add(name, f"select id, 1e0 / count(*) over () as w from @{ids}")
 
     # --- main model ------------------------------------------------------------------------------
 
@@ -137,10 +138,8 @@ class Kernel:
 
     def step(self, name: str, theta: str, grad: str, eta: float) -> str:
         """theta - eta g, and its probabilities."""
-        self.c.add(f"{name}_t", f"select t.k, t.y, t.t - {num(eta)} * g.g as t from @{theta} t join @{grad} g on g.k = t.k and g.y = t.y")
-        self.c.add(f"{name}_z", f"select k, max(t) as top from @{name}_t group by k")
-        self.c.add(f"{name}_n", f"select x.k, sum(exp(x.t - z.top)) as norm from @{name}_t x join @{name}_z z on z.k = x.k group by x.k")
-        return self.c.add(name, f"select x.k, x.y, exp(x.t - z.top) / n.norm as p, x.t from @{name}_t x join @{name}_z z on z.k = x.k join @{name}_n n on n.k = x.k")
+        moved = f"select t.k, t.y, t.t - {num(eta)} * g.g as t from @{theta} t join @{grad} g on g.k = t.k and g.y = t.y"
+        return self.c.add(name, f"select k, y, e / sum(e) over (partition by k) as p, t from (select k, y, t, exp(t - max(t) over (partition by k)) as e from ({moved}) m) x")
 
     def nll(self, name: str, ids: str, theta: str) -> str:
         return self.c.add(name, f"select i.id, cast(sum(b.n) as bigint) as n_bytes, -sum(b.n * ln(t.p)) as nll from @{ids} i join @{self.bg(ids)} b on b.id = i.id join @{theta} t on t.k = b.k and t.y = b.y group by i.id", data=ids in self.c.data)

@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import PartFile, encoder, file_system, shared_folder, workers_import, written
+from .common import PartFile, encoder, file_system, lean, shared_folder, workers_import, written
 
 MARKS = ("<|turn|>", "<|says|>", "<|done|>")
 #: Strings that chat templates use for control.
@@ -111,7 +111,7 @@ def format_chats(chats: DataFrame, tokenizer: str) -> tuple[str, DataFrame]:
     folder = shared_folder(spark, "chats")
     rows = chats.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.col("text").cast("string").alias("text"))
     order = ("conv_id", "turn", "role", "text")
-    parts = rows.repartitionByRange(*order[:2]).sortWithinPartitions(*order).mapInArrow(_writer(folder, tokenizer), "part int, first long, last long, turns long")
+    parts = rows.repartitionByRange(*order[:2]).sortWithinPartitions(*order).mapInArrow(lean(_writer(folder, tokenizer)), "part int, first long, last long, turns long")
     return folder, written(parts, "chat-parts")
 
 
@@ -163,4 +163,4 @@ def read_chats(folder: str, parts: DataFrame, tokenizer: str) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], [c.split()[0] for c in _READ.split(", ")])
 
     n = max(1, len(line))
-    return spark.range(0, len(line), 1, min(n, 4096)).mapInArrow(read, _READ)
+    return spark.range(0, len(line), 1, min(n, 4096)).mapInArrow(lean(read), _READ)

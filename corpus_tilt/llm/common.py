@@ -3,14 +3,18 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import os
 import random
 import re
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -78,6 +82,30 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(uri)
 
 
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable:
+    """``run``, after which a worker process gives its free memory back: Spark keeps idle workers for other stages."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(OSError, AttributeError):
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return wrapped
+
+
+def column_slices(texts: pa.Array, most: int = 1 << 20) -> Iterator[tuple[int, int, list[str | None]]]:
+    """The rows of a column of texts, some at a time: (from, up to, texts) of about ``most`` bytes together, one text at least."""
+    sizes = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False)
+    upto, lo = np.cumsum(sizes, dtype=np.int64), 0
+    while lo < len(sizes):
+        hi = max(lo + 1, int(np.searchsorted(upto, (upto[lo - 1] if lo else 0) + most, side="right")))
+        yield lo, hi, texts.slice(lo, hi - lo).to_pylist()
+        lo = hi
+
+
 def fresh(df: DataFrame, *names: str) -> list[str]:
     """Column names like ``names`` that ``df`` does not have."""
     taken = {c.lower() for c in df.columns}
@@ -305,4 +333,4 @@ def tokenizer_path(name: str) -> str:
     return str(public_tokenizers.path(name))
 
 
-__all__ = ["F", "HOT_SHARE", "PartFile", "UnitEncoder", "encoded", "encoder", "file_system", "fresh", "join_hot", "shared_folder", "table", "text_bytes", "tokenizer_path", "workers_import", "written"]
+__all__ = ["F", "HOT_SHARE", "PartFile", "UnitEncoder", "encoded", "column_slices", "encoder", "file_system", "fresh", "join_hot", "lean", "shared_folder", "table", "text_bytes", "tokenizer_path", "workers_import", "written"]

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import workers_import
+from .common import lean, workers_import
 
 _MATCH = "doc_id long, item_id long, distance long, budget long, start long, end long, version long"
 
@@ -159,6 +159,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
                 found = [(key, *m, version) for key, text, version in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True) for m in matcher.matches(plain(text))]
                 yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in range(7)], [c.split()[0] for c in _MATCH.split(", ")])
 
-        part = rows.mapInArrow(search, _MATCH)
+        part = rows.mapInArrow(lean(search), _MATCH)
         out = part if out is None else out.unionByName(part)
     return out

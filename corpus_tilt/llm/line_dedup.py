@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import HOT_SHARE, SPACES, fresh, join_hot, workers_import, written
+from .common import HOT_SHARE, SPACES, column_slices, fresh, join_hot, lean, workers_import, written
 from .components import components
 from .near_dedup import _group_cuts, by_group
 from .words import mix
@@ -179,7 +179,7 @@ def _sign(edits: int, near_from: int, shared, planning: bool = False):
             return out
 
         for b in batches:
-            for text in b.column(0).to_pylist():
+            for text in (t for _, _, some in column_slices(b.column(0)) for t in some):
                 for line in (text or "").split("\n"):
                     if len(line) < near_from or not line.strip(SPACES):
                         continue
@@ -192,9 +192,9 @@ def _sign(edits: int, near_from: int, shared, planning: bool = False):
                             keys.append(key)
                             lines.append(own)
                             index.append(indexed)
-                    if len(keys) > 500_000:
+                    if len(keys) > 200_000:
                         yield batch()
-            if len(seen) > 500_000:
+            if len(seen) > 300_000:
                 seen.clear()
         if keys:
             yield batch()
@@ -218,7 +218,7 @@ def hot_keys(texts: DataFrame, edits: int, near_from: int, many: int, every: int
     some = written(_long_lines(texts, near_from).where(F.pmod(F.xxhash64("text"), F.lit(every)) == 0).distinct(), "plan")
     found = np.zeros(0, np.uint64)
     for _ in range(1, _DEEP):
-        signed = some.mapInArrow(_sign(edits, near_from, sc.broadcast(found), True), _SIGNED)
+        signed = some.mapInArrow(lean(_sign(edits, near_from, sc.broadcast(found), True)), _SIGNED)
         counts = written(signed.groupBy("key").agg(F.count_distinct("line").alias("n")).where(F.col("n") >= max(many // every, 2)), "keys")
         least = (counts.agg(F.sum("n")).first()[0] or 0) // 100_000
         more = counts.where(F.col("n") >= least).select("key").toArrow()["key"].to_numpy().view(np.uint64)
@@ -305,7 +305,7 @@ class HashBitmap:
         place = F.shiftrightunsigned(F.col(column), 64 - self.bits)
         rows = hashes.select(F.shiftright(place, 16).cast("long").alias("section"), place.bitwiseAND(0xFFFF).cast("int").alias("bit"))
         self.data = bytearray(1 << self.bits - 3)
-        for r in rows.repartition(F.col("section")).sortWithinPartitions("section").mapInArrow(_pack_sections, "section long, packed binary").collect():
+        for r in rows.repartition(F.col("section")).sortWithinPartitions("section").mapInArrow(lean(_pack_sections), "section long, packed binary").collect():
             self.data[r["section"] << 13 : (r["section"] << 13) + 8192] = r["packed"]
 
     def may_have(self, value: int) -> int:
@@ -334,7 +334,7 @@ def _distinct_lines(near_from: int, shared):
         second, seen, asked = digest(_SECOND.to_bytes(8, "little"), 42), set(), shared.value
         for b in batches:
             out = []
-            for text in b.column(0).to_pylist():
+            for text in (t for _, _, some in column_slices(b.column(0)) for t in some):
                 for line in (text or "").split("\n"):
                     if len(line) < near_from:
                         continue
@@ -343,7 +343,7 @@ def _distinct_lines(near_from: int, shared):
                     if asked.may_have(own) and own not in seen and line.strip(SPACES):
                         seen.add(own)
                         out.append((own, digest(raw, second), raw))
-            if len(seen) > 500_000:
+            if len(seen) > 300_000:
                 seen.clear()
             x, y = (pa.array(np.array([o[i] for o in out], np.uint64).view(np.int64)) for i in (0, 1))
             yield pa.RecordBatch.from_arrays([x, x, y, pa.array([o[2] for o in out], pa.binary()).cast(pa.string())], ["line", "x", "y", "text"])
@@ -354,15 +354,15 @@ def _distinct_lines(near_from: int, shared):
 def near_line_classes(texts: DataFrame, edits: int, near_from: int, many: int, every: int) -> DataFrame:
     """(id, component) of the lines, by ``line_id``, that are within ``edits`` of another."""
     hot = texts.sparkSession.sparkContext.broadcast(hot_keys(texts, edits, near_from, many, every))
-    signed = texts.select("text").mapInArrow(_sign(edits, near_from, hot), _SIGNED)
-    met = signed.repartition(F.col("key")).sortWithinPartitions("key").mapInArrow(_meetings, "meeting long, line long")
+    signed = texts.select("text").mapInArrow(lean(_sign(edits, near_from, hot)), _SIGNED)
+    met = signed.repartition(F.col("key")).sortWithinPartitions("key").mapInArrow(lean(_meetings), "meeting long, line long")
     met = written(met.distinct(), "meetings")
     asked = written(met.select("line").distinct(), "asked")
     shared = texts.sparkSession.sparkContext.broadcast(HashBitmap(asked, "line", asked.count()))
-    line = texts.select("text").mapInArrow(_distinct_lines(near_from, shared), "line long, x long, y long, text string")
+    line = texts.select("text").mapInArrow(lean(_distinct_lines(near_from, shared)), "line long, x long, y long, text string")
     own = written(line.join(asked.hint("merge"), "line", "left_semi").dropDuplicates(["line", "x", "y"]), "lines")
     rows = met.join(own, "line").select("meeting", "x", "y", "text")
-    links = rows.repartition(F.col("meeting")).sortWithinPartitions("meeting").mapInArrow(_verifier(edits), "a1 long, a2 long, b1 long, b2 long")
+    links = rows.repartition(F.col("meeting")).sortWithinPartitions("meeting").mapInArrow(lean(_verifier(edits)), "a1 long, a2 long, b1 long, b2 long")
     node = lambda side: F.struct(F.col(f"{side}1").alias("x"), F.col(f"{side}2").alias("y")).alias(side)
     return written(components(links.select(node("a"), node("b"))), "classes")
 

@@ -28,9 +28,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import workers_import, written
+from .common import column_slices, lean, workers_import, written
 from .ngram_model import _STRETCH, _SUMS, KEY_BITS, Counter, ModelStats, Tokens, _stretch_rows, by_cell, cell_of, cells_for, counted, merged, model_stats, packed, scramble, sums_of, unpacked, unscramble, vocabulary
-from .words import slices
 
 #: Target ids up to this number are broadcast (eight bytes each); more are joined by a sort-merge.
 MOST_IDS = 4_000_000
@@ -55,9 +54,9 @@ def _bigram_counts(shared, cells: int):
             return [(cell + model * cells, n, blob) for cell, n, blob in totals[model].rows()]
 
         for b in batches:
-            texts, marks = b.column(1).to_pylist(), b.column(2).to_pylist()
-            for lo, hi in slices(texts):
-                tokens = Tokens.of(texts[lo:hi], [None] * (hi - lo))
+            marks = b.column(2).to_pylist()
+            for lo, hi, texts in column_slices(b.column(1)):
+                tokens = Tokens.of(texts, [None] * (hi - lo))
                 keys = scramble(known.bigrams(tokens)[0])
                 own = np.repeat(np.array(marks[lo:hi], bool), np.diff(tokens.cuts))
                 for model, some in enumerate((keys[own], keys)):
@@ -91,7 +90,7 @@ def _heavy(stretches: DataFrame, cells: int, models: list[ModelStats], positions
                 keys, counts = unpacked(n, blob, "<u8")
                 yield pa.RecordBatch.from_arrays([pa.array(keys[counts >= least].view(np.int64)), pa.array(counts[counts >= least].view(np.int64))], ["key", "n"])
 
-    every = stretches.where(F.col("cell") >= cells).mapInArrow(often, "key long, n long").toArrow()
+    every = stretches.where(F.col("cell") >= cells).mapInArrow(lean(often), "key long, n long").toArrow()
     order = np.argsort(every["key"].to_numpy().view(np.uint64))
     keys, counts = every["key"].to_numpy().view(np.uint64)[order], every["n"].to_numpy()[order]
     asked = stretches.sparkSession.sparkContext.broadcast(keys)
@@ -103,7 +102,7 @@ def _heavy(stretches: DataFrame, cells: int, models: list[ModelStats], positions
                 some = np.isin(own, asked.value, assume_unique=True)
                 yield pa.RecordBatch.from_arrays([pa.array(own[some].view(np.int64)), pa.array(times[some].view(np.int64))], ["key", "n"])
 
-    aimed = stretches.where(F.col("cell") < cells).mapInArrow(these, "key long, n long").toArrow()
+    aimed = stretches.where(F.col("cell") < cells).mapInArrow(lean(these), "key long, n long").toArrow()
     target = np.zeros(len(keys), np.int64)
     target[np.searchsorted(keys, aimed["key"].to_numpy().view(np.uint64))] = aimed["n"].to_numpy()
     plain = unscramble(keys)
@@ -116,12 +115,12 @@ def _position_rows(shared, heavy, cells: int):
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, (frequent, losses), block = shared.value, heavy.value, TaskContext.get().partitionId() << 32
         for b in batches:
-            ids, texts, marks = (b.column(i).to_pylist() for i in range(3))
+            ids, marks = b.column(0).to_pylist(), b.column(2).to_pylist()
             out = []
-            for lo, hi in slices(texts, 1 << 20):
+            for lo, hi, texts in column_slices(b.column(1)):
                 for at in range(lo, hi, _BLOCK):
                     upto = min(at + _BLOCK, hi)
-                    tokens = Tokens.of(texts[at:upto], [None] * (upto - at))
+                    tokens = Tokens.of(texts[at - lo : upto - lo], [None] * (upto - at))
                     doc = np.repeat(np.arange(upto - at, dtype=np.uint8), np.diff(tokens.cuts))
                     keys = scramble(known.bigrams(tokens)[0])
                     added = np.zeros((2, upto - at))
@@ -204,12 +203,12 @@ def cross_entropy_difference(docs: DataFrame, target: DataFrame, id_col: str = "
     marked = texts.join(wanted.hint("broadcast" if few else "merge"), "doc_id", "left").select("doc_id", "text", F.coalesce("mark", F.lit(False)).alias("mark"))
     if not few:  # the same blocks whenever a task is run again
         marked = marked.sortWithinPartitions("doc_id", F.xxhash64("text"))
-    stretches = counted(marked.mapInArrow(_bigram_counts(shared, cells), _STRETCH), "bigrams")
-    sums = written(stretches.mapInArrow(_model_sums(cells), f"model int, {_SUMS}").groupBy("model", "id").agg(*(F.sum(c).alias(c) for c in _names(_SUMS)[1:])), "sums")
+    stretches = counted(marked.mapInArrow(lean(_bigram_counts(shared, cells)), _STRETCH), "bigrams")
+    sums = written(stretches.mapInArrow(lean(_model_sums(cells)), f"model int, {_SUMS}").groupBy("model", "id").agg(*(F.sum(c).alias(c) for c in _names(_SUMS)[1:])), "sums")
     models = [model_stats(sums.where(F.col("model") == m), known.size) for m in (0, 1)]
     heavy = spark.sparkContext.broadcast(_heavy(stretches, cells, models, known.tokens))
-    positions = marked.mapInArrow(_position_rows(shared, heavy, cells), _POSITIONS).repartition(F.col("cell")).sortWithinPartitions("cell")
-    parts = positions.mapInArrow(_cell_losses(spark.sparkContext.broadcast(models)), _PARTS)
-    scored = parts.repartition(F.col("block")).sortWithinPartitions("block").mapInArrow(_add_up, _SCORES)
+    positions = marked.mapInArrow(lean(_position_rows(shared, heavy, cells)), _POSITIONS).repartition(F.col("cell")).sortWithinPartitions("cell")
+    parts = positions.mapInArrow(lean(_cell_losses(spark.sparkContext.broadcast(models))), _PARTS)
+    scored = parts.repartition(F.col("block")).sortWithinPartitions("block").mapInArrow(lean(_add_up), _SCORES)
     usable = F.lit(bool(models[0].total.any()))
     return scored.select("doc_id", F.when(usable, F.col("target_loss") - F.col("background_loss")).alias("score"), "n_words", F.when(usable, F.col("target_loss")).alias("target_loss"), F.when(usable, F.col("background_loss")).alias("background_loss"))

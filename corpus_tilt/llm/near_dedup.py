@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import workers_import, written
+from .common import HOT_SHARE, column_slices, join_hot, lean, workers_import, written
 from .components import components
 from .words import mix, slices, text_words
 
@@ -94,17 +94,19 @@ def _sketcher(words: int, size: int, trees: int, extra: float, seed: int):
         salt, odd = _coordinates(size, seed)
         roots = _mix(np.arange(1, trees + 1, dtype=_U) * _U(0xC2B2AE3D27D4EB4F) + _U(seed))
         for b in batches:
-            sets = shingle_sets(b.column(1).to_pylist(), words)
-            tokens = np.array([sketch(s, salt, odd) for s in sets], np.uint32).reshape(len(sets), size)
-            with np.errstate(over="ignore"):
-                one = [int(s.sum(dtype=_U)) if len(s) else 0 for s in sets]
-                other = [int(_mix(s ^ _U(0x77)).sum(dtype=_U)) if len(s) else 0 for s in sets]
-            paths: list[list[int]] = [[] for _ in sets]
-            for root in roots:
-                rows, child = _children(np.full(len(sets), root, _U), tokens, extra)
-                for r, c in zip(rows.tolist(), child.view(np.int64).tolist(), strict=True):
-                    paths[r].append(c)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(np.array(one, _U).view(np.int64)), pa.array(np.array(other, _U).view(np.int64)), pa.array([t.tobytes() for t in tokens], pa.binary()), pa.array(paths, pa.list_(pa.int64())), b.column(2)], ["doc_id", "n_shingles", "f1", "f2", "tokens", "paths", "version"])
+            for lo, hi, texts in column_slices(b.column(1)):
+                sets = shingle_sets(texts, words)
+                tokens = np.array([sketch(s, salt, odd) for s in sets], np.uint32).reshape(len(sets), size)
+                with np.errstate(over="ignore"):
+                    one = [int(s.sum(dtype=_U)) if len(s) else 0 for s in sets]
+                    other = [int(_mix(s ^ _U(0x77)).sum(dtype=_U)) if len(s) else 0 for s in sets]
+                paths: list[list[int]] = [[] for _ in sets]
+                for root in roots:
+                    rows, child = _children(np.full(len(sets), root, _U), tokens, extra)
+                    for r, c in zip(rows.tolist(), child.view(np.int64).tolist(), strict=True):
+                        paths[r].append(c)
+                own = b.slice(lo, hi - lo)
+                yield pa.RecordBatch.from_arrays([own.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(np.array(one, _U).view(np.int64)), pa.array(np.array(other, _U).view(np.int64)), pa.array([t.tobytes() for t in tokens], pa.binary()), pa.array(paths, pa.list_(pa.int64())), own.column(2)], ["doc_id", "n_shingles", "f1", "f2", "tokens", "paths", "version"])
 
     return make
 
@@ -280,10 +282,11 @@ def _across(large: DataFrame, classes: DataFrame, block: int) -> DataFrame:
     """
     labelled = large.join(classes.withColumnRenamed("id", "doc"), "doc", "left").select("path", "doc", F.coalesce("component", "doc").alias("label"))
     labelled = written(labelled, "large")
-    most = labelled.groupBy("path", "label").agg(F.count("*").alias("n")).groupBy("path").agg(F.sum("n").alias("n"), F.max(F.struct("n", "label")).alias("most"))
-    most = most.where("n > most.n").select("path", F.col("most.label").alias("most"), F.ceil(F.col("n") / block).alias("blocks"), F.ceil((F.col("n") - F.col("most.n")) / block).alias("probes"))
+    counts = labelled.groupBy("path", "label").agg(F.count("*").alias("n")).groupBy("path").agg(F.sum("n").alias("n"), F.max(F.struct("n", "label")).alias("most"))
+    most = written(counts.where("n > most.n").select("path", "n", F.col("most.label").alias("most"), F.ceil(F.col("n") / block).alias("blocks"), F.ceil((F.col("n") - F.col("most.n")) / block).alias("probes")), "most")
+    hot = most.where(F.col("n") > labelled.count() * HOT_SHARE)
     paths = large.groupBy("doc").agg(F.collect_set("path").alias("paths"))
-    rows = labelled.join(most, "path").join(paths, "doc").withColumn("loose", F.col("label") != F.col("most"))
+    rows = join_hot(labelled, most.drop("n"), "path", hot).where("most is not null").join(paths, "doc").withColumn("loose", F.col("label") != F.col("most"))
     rows = rows.withColumn("before", F.filter("paths", lambda p: p < F.col("path"))).withColumn("hash", F.xxhash64("path", "doc"))
     first, second = F.pmod("hash", F.col("probes")), F.pmod("hash", F.col("blocks"))
     probing = rows.where("loose").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("task", F.xxhash64("path", first, F.col("other")))
@@ -307,7 +310,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     extra = 1 / share - 1 + 0.1
     least = math.floor(size * (share - 4.5 * math.sqrt(share * (1 - share) / size)))
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.col(text_col)).alias("version"))
-    made = written(rows.mapInArrow(_sketcher(words, size, trees, extra, seed), "doc_id long, n_shingles long, f1 long, f2 long, tokens binary, paths array<long>, version long"), "sketches")
+    made = written(rows.mapInArrow(lean(_sketcher(words, size, trees, extra, seed)), "doc_id long, n_shingles long, f1 long, f2 long, tokens binary, paths array<long>, version long"), "sketches")
     usable = made.where("n_shingles > 0 and doc_id is not null")
     equal = written(usable.groupBy("f1", "f2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "sets")
     told = usable.groupBy("doc_id").agg(F.min("version").alias("own"), F.max("version").alias("other")).where("own <> other").select("doc_id", "own")
@@ -329,12 +332,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         if counted.where((F.col("n") > small) & ~(F.lit(level >= levels) | F.coalesce(F.col("n") >= undivided * F.col("above"), F.lit(False)))).isEmpty():
             break
         level += 1
-        paths = written(wide.join(reps.select("doc", "tokens"), "doc").select("path", "doc", "tokens", "n").mapInArrow(_branch(extra), "path long, doc long, above long").distinct(), "paths")
+        paths = written(wide.join(reps.select("doc", "tokens"), "doc").select("path", "doc", "tokens", "n").mapInArrow(lean(_branch(extra)), "path long, doc long, above long").distinct(), "paths")
     grouped = nodes[0]
     for more in nodes[1:]:
         grouped = grouped.unionByName(more)
     sorted_by_node = lambda df: df.repartition(F.col("path")).sortWithinPartitions("path")
-    likely = written(sorted_by_node(grouped.join(reps.select("doc", "tokens"), "doc").select("path", "doc", "tokens")).mapInArrow(_likely(least), "path long, doc long"), "likely")
+    likely = written(sorted_by_node(grouped.join(reps.select("doc", "tokens"), "doc").select("path", "doc", "tokens")).mapInArrow(lean(_likely(least)), "path long, doc long"), "likely")
 
     def texts_of(docs_of: DataFrame) -> DataFrame:
         wanted = docs_of.select("doc").distinct().join(reps.select("doc", "version"), "doc").withColumnRenamed("doc", "doc_id")
@@ -343,7 +346,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     texts = written(texts_of(likely), "texts")
 
     def confirmed(of: DataFrame) -> DataFrame:
-        return sorted_by_node(of.join(texts, "doc").select("path", "doc", "label", "text")).mapInArrow(_confirm(words, percent), "a long, b long").distinct()
+        return sorted_by_node(of.join(texts, "doc").select("path", "doc", "label", "text")).mapInArrow(lean(_confirm(words, percent)), "a long, b long").distinct()
 
     turn = F.pmod(F.xxhash64("path", F.lit(seed)), F.lit(trees))
     links = written(confirmed(likely.where(turn < first).withColumn("label", F.col("doc"))), "links")
@@ -361,9 +364,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         tasks = _across(undivided_nodes, classes, 4 * small)
         by_task = lambda df: df.repartition(F.col("task")).sortWithinPartitions("task")
         kinds = "task long, doc long, label long, probe boolean, loose boolean, before array<long>"
-        pairs = written(by_task(tasks.join(reps.select("doc", "tokens"), "doc").select(*tasks.columns, "tokens")).mapInArrow(_likely_across(least), kinds), "across")
+        pairs = written(by_task(tasks.join(reps.select("doc", "tokens"), "doc").select(*tasks.columns, "tokens")).mapInArrow(lean(_likely_across(least)), kinds), "across")
         if not pairs.isEmpty():
-            across = by_task(pairs.join(texts_of(pairs), "doc").select(*pairs.columns, "text")).mapInArrow(_confirm_across(words, percent), "a long, b long").distinct()
+            across = by_task(pairs.join(texts_of(pairs), "doc").select(*pairs.columns, "text")).mapInArrow(lean(_confirm_across(words, percent)), "a long, b long").distinct()
             links = written(links.unionByName(across), "links")
             classes = written(components(links), "classes")
     tops = equal.join(classes, equal["rep"] == classes["id"], "left").select("f1", "f2", "n_shingles", F.coalesce("component", "rep").alias("component"))

@@ -22,8 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
-from .words import mix, slices, text_words
+from .common import column_slices, lean, written
+from .words import mix, text_words
 
 _U = np.uint64
 WORD_SHARE = 2.0**-20
@@ -34,7 +34,7 @@ _START = LENGTHS - 1  # the class before a text's first word
 _KEY_MASK = (1 << KEY_BITS) - 1
 _ODD = 0x2545F4914F6D | 1
 _ODD_BACK = pow(_ODD, -1, 1 << KEY_BITS)
-_HELD = 2_000_000  # distinct keys that a task holds before it sends them on
+_HELD = 1_500_000  # distinct keys that a task holds before it sends them on
 _CELL_BYTES = 4 << 20  # of text for each cell
 
 
@@ -160,7 +160,7 @@ def _merge_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def counted(stretches: DataFrame, name: str) -> DataFrame:
     """Stretches (cell, n, blob) merged to one a cell, written."""
-    return written(stretches.repartition(F.col("cell")).sortWithinPartitions("cell").mapInArrow(_merge_cells, _STRETCH), name)
+    return written(stretches.repartition(F.col("cell")).sortWithinPartitions("cell").mapInArrow(lean(_merge_cells), _STRETCH), name)
 
 
 def cells_for(texts: DataFrame) -> int:
@@ -207,9 +207,9 @@ def _word_counter(cells: int):
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, classes, pairs = Counter(cells, 64), Counter(1, 64), np.zeros(1 << 16, np.int64)
         for b in batches:
-            texts, groups = b.column(0).to_pylist(), b.column(1).to_pylist()
-            for lo, hi in slices(texts):
-                t = Tokens.of(texts[lo:hi], groups[lo:hi])
+            groups = b.column(1).to_pylist()
+            for lo, hi, texts in column_slices(b.column(0)):
+                t = Tokens.of(texts, groups[lo:hi])
                 words.add(t.names)
                 classes.add(t.classes)
                 classes.add(np.unique(group_codes(groups[lo:hi])) * _U(LENGTHS) + _U(_START), np.zeros(len(set(group_codes(groups[lo:hi]).tolist())), np.uint64))
@@ -271,10 +271,10 @@ class Vocabulary:
 
 def vocabulary(texts: DataFrame, cells: int) -> Vocabulary:
     """The words of at least WORD_SHARE of all in ``texts`` (text, grp): 2^20 at most reach the driver."""
-    rows = counted(texts.select("text", "grp").mapInArrow(_word_counter(cells), _STRETCH), "words")
+    rows = counted(texts.select("text", "grp").mapInArrow(lean(_word_counter(cells)), _STRETCH), "words")
     small = {r["cell"]: unpacked(r["n"], bytes(r["blob"]), "<u8") for r in rows.where("cell < 0").collect()}
     classes, n = small.get(_CLASS_CELL, [np.zeros(0, _U), np.zeros(0, np.uint64)])
-    tokens = int(rows.where("cell >= 0").mapInArrow(_totals, "n long").agg(F.sum("n")).first()[0] or 0)
+    tokens = int(rows.where("cell >= 0").mapInArrow(lean(_totals), "n long").agg(F.sum("n")).first()[0] or 0)
     least = max(1, tokens * WORD_SHARE)
 
     def often(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -283,7 +283,7 @@ def vocabulary(texts: DataFrame, cells: int) -> Vocabulary:
                 keys, counts = unpacked(size, blob, "<u8")
                 yield pa.RecordBatch.from_arrays([pa.array(keys[counts >= least].view(np.int64))], ["name"])
 
-    names = np.sort(rows.where("cell >= 0").mapInArrow(often, "name long").toArrow()["name"].to_numpy().view(_U))
+    names = np.sort(rows.where("cell >= 0").mapInArrow(lean(often), "name long").toArrow()["name"].to_numpy().view(_U))
     pairs = np.full(1 << 16, 0.5)
     at, times = small.get(_PAIR_CELL, [np.zeros(0, _U), np.zeros(0, np.uint64)])
     pairs[at.astype(np.int64)] += times
@@ -357,9 +357,9 @@ def bigram_counter(shared, cells: int) -> Callable:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, total = shared.value, Counter(cells, KEY_BITS)
         for b in batches:
-            texts, groups = b.column(0).to_pylist(), b.column(1).to_pylist()
-            for lo, hi in slices(texts):
-                total.add(scramble(known.bigrams(Tokens.of(texts[lo:hi], groups[lo:hi]))[0]))
+            groups = b.column(1).to_pylist()
+            for lo, hi, texts in column_slices(b.column(0)):
+                total.add(scramble(known.bigrams(Tokens.of(texts, groups[lo:hi]))[0]))
                 if total.full():
                     yield _stretch_rows(total.rows())
         if rows := total.rows():

@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import encoded, encoder, workers_import, written
+from .common import encoded, encoder, lean, workers_import, written
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, salt long"
 
@@ -48,7 +48,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, id
         encoder(tokenizer).forget()
 
     workers_import(docs.sparkSession)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(cut, _PIECES)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(lean(cut), _PIECES)
 
 
 # --- one shard --------------------------------------------------------------------------------

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import workers_import
+from .common import lean, workers_import
 
 _MARK = "▁"
 _SHOWN = 8
@@ -93,4 +93,4 @@ def count_tokens(docs: DataFrame, model: str, id_col: str = "doc_id", text_col:
     workers_import(docs.sparkSession)
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text"))
-    return rows.mapInArrow(_counter(model, chunk, overlaps), "id long, n_bytes long, n_tokens long")
+    return rows.mapInArrow(lean(_counter(model, chunk, overlaps)), "id long, n_bytes long, n_tokens long")

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import PartFile, encoded, encoder, file_system, shared_folder, workers_import, written
+from .common import PartFile, encoded, encoder, file_system, lean, shared_folder, workers_import, written
 
 _DIRECTORY = "key long, turn long, shard int, offset long, n long"
 _FLUSH = 1 << 22
@@ -234,11 +234,11 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int, id_col: str = "do
     width = 2 if max(Tokenizer.from_file(tokenizer).get_vocab_size(with_added_tokens=True) - 1, end_id) < 0x10000 else 4
     folder = shared_folder(spark, "tokens")
     texts = docs.select(F.col(id_col).cast("long").alias("key"), F.col(text_col).alias("text"))
-    ids = texts.select(_low_key().alias("low"), "key", "text").mapInArrow(_encoder(tokenizer, width, end_id), "low long, key long, salt long, ids binary")
+    ids = texts.select(_low_key().alias("low"), "key", "text").mapInArrow(lean(_encoder(tokenizer, width, end_id)), "low long, key long, salt long, ids binary")
     edges = _edges(texts)
     dealt = ids.select(_shard_of(edges).alias("shard"), "low", "key", "salt", "ids").repartitionById(len(edges) + 1, F.col("shard"))
     ordered = dealt.sortWithinPartitions("shard", "low", "key", "salt").select("shard", "key", "ids")
-    directory = written(ordered.mapInArrow(_shard_writer(folder, width), _DIRECTORY), "directory")
+    directory = written(ordered.mapInArrow(lean(_shard_writer(folder, width)), _DIRECTORY), "directory")
     totals = {r["shard"]: (r["ids"], r["keys"]) for r in directory.groupBy("shard").agg(F.sum("n").alias("ids"), F.count("*").alias("keys")).collect()}
     bases, at = [], 0
     for shard in range(max(totals, default=-1) + 1):
@@ -246,7 +246,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, end_id: int, id_col: str = "do
         at += totals.get(shard, (0, 0))[0]
     buckets = max(1, -(-sum(k for _, k in totals.values()) // keys_per_bucket))
     dealt = _hashed(_turns(directory), buckets).select("bucket", "h1", "h2", "shard", "offset", "n").repartition(F.col("bucket")).sortWithinPartitions("bucket")
-    dealt.mapInArrow(_index_writer(folder), "bucket int, keys long").agg(F.sum("keys")).collect()
+    dealt.mapInArrow(lean(_index_writer(folder)), "bucket int, keys long").agg(F.sum("keys")).collect()
     return TokenStore(folder, width, tuple(bases), buckets)
 
 
@@ -315,7 +315,7 @@ def lookup(store: TokenStore, keys: DataFrame, id_col: str = "doc_id") -> DataFr
     blocks = asked.select("key", "n", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n") - 1) / block))).alias("part"))
     turns = blocks.select("key", F.explode(F.sequence(F.col("part") * block, F.least(F.col("n"), (F.col("part") + 1) * block) - 1)).alias("turn"))
     dealt = _hashed(turns, store.buckets).select("bucket", "h1", "h2", "key", "turn").repartition(F.col("bucket")).sortWithinPartitions("bucket")
-    return dealt.mapInArrow(_finder(store.folder, store.bases), _FOUND)
+    return dealt.mapInArrow(lean(_finder(store.folder, store.bases)), _FOUND)
 
 
 def _in_file_order(found: DataFrame) -> DataFrame:
@@ -324,10 +324,10 @@ def _in_file_order(found: DataFrame) -> DataFrame:
 
 def read_tokens(store: TokenStore, found: DataFrame) -> DataFrame:
     """The ids (binary, little-endian unsigned 32-bit) of what ``lookup`` found, read in file order."""
-    return _in_file_order(found).mapInArrow(_payload_reader(store.folder, store.width, False), f"{_FOUND}, ids binary")
+    return _in_file_order(found).mapInArrow(lean(_payload_reader(store.folder, store.width, False)), f"{_FOUND}, ids binary")
 
 
 def token_digest(store: TokenStore, keys: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """Per document, from the files: doc_id, start, n_tokens, ids_crc32."""
-    read = _in_file_order(lookup(store, keys, id_col)).mapInArrow(_payload_reader(store.folder, store.width, True), f"{_FOUND}, ids_crc32 long")
+    read = _in_file_order(lookup(store, keys, id_col)).mapInArrow(lean(_payload_reader(store.folder, store.width, True)), f"{_FOUND}, ids_crc32 long")
     return read.select(F.col("key").alias("doc_id"), "start", F.col("n").alias("n_tokens"), "ids_crc32")

@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import PartFile, file_system, shared_folder, text_bytes, workers_import, written
+from .common import PartFile, file_system, lean, shared_folder, text_bytes, workers_import, written
 
 MAGIC = b"WARC/1.1\r\n"
 _HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
@@ -101,7 +101,7 @@ def write_warc(pages: DataFrame, least_bytes: int = 0, roll: int = 64 << 20, dat
     heads = written(heads, "payloads")  # so that both sides of the join are plain and a hot payload can be split
     refers = F.when(F.col("page_id") != F.col("head"), F.col("head")).when(F.col("page_id").isNull(), F.col("head"))
     told = rows.withColumn("digest", digest).join(heads, "digest", "left").select("page_id", "url", "html", refers.alias("refers"))
-    return folder, written(told.mapInArrow(_writer(folder, roll, date), _MANIFEST), "warc-files")
+    return folder, written(told.mapInArrow(lean(_writer(folder, roll, date)), _MANIFEST), "warc-files")
 
 
 # --- reading ------------------------------------------------------------------------------------
@@ -237,7 +237,7 @@ def read_warc(folder: str, files: DataFrame, chunk: int = 4 << 20) -> DataFrame:
     chunks = written(chunks, "chunks")
     longest = chunks.agg(F.max("chunk")).first()[0]
     spread = chunks.repartition(F.col("file"), F.col("chunk"))
-    links = written(spread.mapInArrow(_candidates(folder), "file string, at long, next long, leaves long"), "links")
+    links = written(spread.mapInArrow(lean(_candidates(folder)), "file string, at long, next long, leaves long"), "links")
     entries = reachable_entries(links.select("file", "at", "leaves"), longest or 0)
     first = entries.withColumn("chunk", F.floor(F.col("at") / chunk)).groupBy("file", "chunk").agg(F.min("at").alias("at"))
-    return chunks.join(first, ["file", "chunk"]).repartition(F.col("file"), F.col("chunk")).mapInArrow(_reader(folder), _RECORD)
+    return chunks.join(first, ["file", "chunk"]).repartition(F.col("file"), F.col("chunk")).mapInArrow(lean(_reader(folder)), _RECORD)

@@ -13,7 +13,7 @@ _U = np.uint64
 _SPACE = np.zeros(256, bool)
 _SPACE[list(SPACES.encode())] = True
 _GAP = re.compile(rb"[\x20\x09-\x0d]")
-_PIECE = 1 << 20
+_PIECE = 1 << 18
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -50,7 +50,7 @@ def _piece_words(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def word_hashes(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """A hash of each word of ``data`` and where it starts and ends; pieces of about a megabyte are in work."""
+    """A hash of each word of ``data`` and where it starts and ends; pieces of about a quarter of a megabyte are in work."""
     if len(data) <= 2 * _PIECE:
         return _piece_words(data)
     parts, at = [], 0
@@ -63,7 +63,7 @@ def word_hashes(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return tuple(np.concatenate([p[i] for p in parts]) for i in range(3))
 
 
-def slices(texts: list[str | None], most: int = 1 << 21) -> Iterator[tuple[int, int]]:
+def slices(texts: list[str | None], most: int = 1 << 20) -> Iterator[tuple[int, int]]:
     """Ranges of texts of about ``most`` characters together, one text at least."""
     lo, size = 0, 0
     for i, t in enumerate(texts):

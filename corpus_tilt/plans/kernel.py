@@ -49,7 +49,8 @@ class Kernel:
 
     def _pairs(self, source: str, digits: int) -> str:
         """A row a byte but the first: the class of the byte before (its first hex digit, or both) and the byte."""
-        return f"select id, side, split, substr(h, cast(2 * i + 1 as int), {digits}) as k, substr(h, cast(2 * i + 3 as int), 2) as y from {source} e, {self.d.series('nb - 1')} s"
+        cut = f"select id, side, split, regexp_extract_all(h, '..') as l from {source} z"
+        return f"select id, side, split, substr(a, 1, {digits}) as k, y from (select id, side, split, unnest(l[1:len(l) - 1]) as a, unnest(l[2:]) as y from ({cut}) c) e"
 
     def _source(self, ids: str) -> tuple[str, str]:
         base = self.base.get(ids, ids)
@@ -75,7 +76,7 @@ class Kernel:
     def phi(self, ids: str) -> str:
         """Shares of bytes by high nibble, over whole texts."""
         base, source = self._source(ids)
-        sql = f"select id, k, cast(count(*) as double) / max(nb) as share from (select id, nb, substr(h, cast(2 * i + 1 as int), 1) as k from {source} e, {self.d.series('nb')} s) p group by id, k"
+        sql = f"select id, k, cast(count(*) as double) / max(nb) as share from (select id, nb, substr(unnest(regexp_extract_all(h, '..')), 1, 1) as k from {source} z) p group by id, k"
         return self.c.add(f"phi_{base}", sql, data=base in self.c.data, make=lambda t: nibble_shares(_rows_of(t, base)))
 
     def batch(self, name: str, side: int, split: str, seed: int | str, n: int, of: str = "ex") -> str:
@@ -224,7 +225,7 @@ def _queries() -> dict[str, Callable[[Dialect], tuple[Chain, str]]]:
     q: dict[str, Callable[[Kernel], str]] = {}
     q["q_task_split"] = lambda k: "select side, split, cast(count(*) as bigint) as n, cast(count(distinct h) as bigint) as texts, cast(sum(nb) as bigint) as bytes from @ex group by side, split"
     def byte_counts(k: Kernel) -> str:
-        k.c.add("byt", f"select side, substr(h, cast(2 * i + 1 as int), 2) as b, cast(count(*) as bigint) as n from @ex e, {k.d.series('nb')} s group by side, substr(h, cast(2 * i + 1 as int), 2)", data=True, make=lambda t: byte_totals(t("ex")))
+        k.c.add("byt", "select side, b, cast(count(*) as bigint) as n from (select side, unnest(regexp_extract_all(h, '..')) as b from @ex) z group by side, b", data=True, make=lambda t: byte_totals(t("ex")))
         return "select side, b, cast(sum(n) as bigint) as n from @byt group by side, b"
 
     q["q_byte_counts"] = lambda k: byte_counts(k)

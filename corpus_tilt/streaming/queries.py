@@ -29,12 +29,16 @@ def stream_tumbling(spark, sf_dir):
 
 
 def stream_late(spark, sf_dir):
-    """Events, and after them copies of those more than a day old: the watermark shuts the late ones out."""
+    """Events, and after them copies of those more than a day old: the watermark shuts the late ones out.
+
+    A watermark holds for late rows from the second batch after the rows that moved it, so the
+    newest event is a batch of its own between them.
+    """
     where, events = scratch(spark, "stream"), _rows(spark, sf_dir)
-    events.coalesce(1).write.parquet(where)
-    newest = events.agg(F.max("ts")).first()[0]
-    late = events.where(F.col("ts") < F.lit(newest) - F.expr("interval 1 day"))
-    late.coalesce(1).write.mode("append").parquet(where)  # a later file: the stream takes files by time, one a batch
+    last = events.agg(F.max_by("event_id", F.struct("ts", "event_id")), F.max("ts")).first()
+    newest = F.col("event_id") == last[0]
+    for part in (events.where(~newest), events.where(newest), events.where(F.col("ts") < F.lit(last[1]) - F.expr("interval 1 day"))):
+        part.coalesce(1).write.mode("append").parquet(where)  # the stream takes files by time, one a batch
     got = run_to_table(spark, windowed_counts(file_stream(spark, where, events, 1)), scratch(spark, "stream"), "update")
     return got.groupBy(F.date_format("window.start", "yyyy-MM-dd HH:mm").alias("start"), "event_type").agg(F.max("n").alias("n"))
 

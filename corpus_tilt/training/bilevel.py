@@ -199,7 +199,7 @@ def fit_domain_classifier(source: Source, steps: int = 300, batch: int = 64, rat
 
 def run_classifier(source: Source, s: Setting, keep: float = 1 / 8) -> Run:
     weight = source.weight
-    beta = fit_domain_classifier(source, seed=s.seed)
+    beta = fit_domain_classifier(source, steps=min(300, 4 * s.steps), seed=s.seed)
     among = source.best(lambda _, xw: weight.scores(beta, xw), keep, s.small)
     run = _plain_training(source, s, among, label="domain_classifier")
     run.trajectory = [beta]

@@ -28,10 +28,12 @@ def caption_vectors(classes: int, size: int = 64) -> np.ndarray:
 
 def models(task: str, contexts: int = 16):
     """Main model, weight model and setting of a task."""
-    if task.startswith("pairs"):
+    if task == "pairs_planted":
+        return PairModel(24), PairWeight(24), Setting(steps=250, small=16, large=64, rate=100.0, weight_rate=20.0, rho=20.0)
+    if task == "pairs":
         return PairModel(), PairWeight(), Setting(steps=60, small=16, large=128, rate=12.0, weight_rate=20.0, rho=4.0)
     if task.startswith("vectors"):
-        return DualEncoder(caption_vectors(10)), ImageWeight(), Setting(steps=150, small=16, large=96, rate=0.3, weight_rate=2.0, rho=0.3)
+        return DualEncoder(caption_vectors(10)), ImageWeight(), Setting(steps=60, small=16, large=64, rate=0.1, weight_rate=1.0, rho=0.1)
     if task == "rows":
         return LinearSoftmax(7, 3), MlpWeight(7), Setting(steps=100, rate=0.5, weight_rate=2.0, rho=0.5)
     return ByteModel(contexts), LinearWeight(), Setting(steps=80, rate=20.0, weight_rate=200.0, rho=20.0)
@@ -111,7 +113,7 @@ def table_rows(spark, sf_dir):
 
 def non_convex(spark, sf_dir):
     """The non-convex byte model with a convolution as weight model and Adam."""
-    s = Setting(steps=16, small=8, large=64, rate=0.02, weight_rate=2.0, rho=0.02, optimizer=Adam)
+    s = Setting(steps=10, small=6, large=32, rate=0.02, weight_rate=2.0, rho=0.02, optimizer=Adam)
     source = source_of(build_task(spark, sf_dir, "lang_fr"), ContextMlp(), ConvWeight())
     runs = {"generic_only": run_generic_only(source, s), "mixing": run_mixing(source, s, 0.5), "cosine": train_bilevel(source, "cosine", s), "unroll": train_bilevel(source, "unroll_first", s)}
     return _table(spark, [("lang_fr", name, "pre", "loss", mean_loss(source, run.theta)) for name, run in runs.items()])

@@ -62,18 +62,20 @@ def pair_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
     return turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.col("text").rlike("[À-ÿ]").cast("int").alias("side"), split.alias("split"), F.struct(F.col("text").alias("src"), "tgt").alias("payload"))
 
 
-def planted_pairs(spark: SparkSession, sf_dir: str, words: int = 8) -> DataFrame:
-    """Pairs with something to translate: the first words of a document, and each word spelled backwards.
+def planted_pairs(spark: SparkSession, sf_dir: str, words: int = 8, classes: int = 22) -> DataFrame:
+    """Pairs with a rule that the pair model can learn: the first distinct words of a document, and the same by their hash class.
 
     Specific are French documents; the generic set has the other languages, and every second of its
-    targets is left as the source, so that some generic rows teach the task and some do not.
+    targets is in the source's order, so that some generic rows teach the rule and some do not.
     """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").where("text is not null")
-    head = F.slice(F.filter(F.split(F.lower("text"), "[^a-z\u00e0-\u00ff]+"), lambda w: w != ""), 1, words)
+    head = F.slice(F.array_distinct(F.filter(F.split(F.lower("text"), "[^a-z\u00e0-\u00ff]+"), lambda w: w != "")), 1, words)
+    ordered = F.transform(F.array_sort(F.transform(head, lambda w: F.struct((F.crc32(w.cast("binary")) % classes).alias("c"), w.alias("w")))), lambda r: r["w"])
     side = (F.col("lang") == "fr").cast("int")
     h = F.conv(F.substring(F.md5(F.concat_ws(" ", head)), 1, 8), 16, 10).cast("long")
-    told = F.when((side == 1) | (h % 2 == 0), F.transform(head, lambda w: F.reverse(w))).otherwise(head)
-    split = F.when((h / 16).cast("long") % 10 < 6, "train").when((h / 16).cast("long") % 10 < 8, "valid").otherwise("test")
+    told = F.when((side == 1) | (h % 2 == 0), ordered).otherwise(head)
+    tenth = F.floor(h / 16) % 10
+    split = F.when(tenth < 6, "train").when(tenth < 8, "valid").otherwise("test")
     return docs.where(F.size(head) >= 3).select(F.col("doc_id").alias("id"), side.alias("side"), split.alias("split"), F.struct(F.concat_ws(" ", head).alias("src"), F.concat_ws(" ", told).alias("tgt")).alias("payload"))
 
 

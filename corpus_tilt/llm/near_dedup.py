@@ -302,7 +302,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     ``first``: trees whose links are confirmed before the others, which then only look for links
     between classes.  ``size``: coordinates of a sketch.  ``undivided``: a large node that still has
     this share of the node above it is not branched further but dealt to blocks, and compared whole
-    at the end in blocks of about 4 * ``small`` documents.
+    at the end in blocks of about 16 * ``small`` documents.
     """
     spark = docs.sparkSession
     workers_import(spark)
@@ -361,7 +361,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         undivided_nodes = undivided_nodes.unionByName(lower)
     undivided_nodes = written(undivided_nodes.distinct(), "large")
     if not undivided_nodes.isEmpty():
-        tasks = _across(undivided_nodes, classes, 4 * small)
+        tasks = _across(undivided_nodes, classes, 16 * small)
         by_task = lambda df: df.repartition(F.col("task")).sortWithinPartitions("task")
         kinds = "task long, doc long, label long, probe boolean, loose boolean, before array<long>"
         pairs = written(by_task(tasks.join(reps.select("doc", "tokens"), "doc").select(*tasks.columns, "tokens")).mapInArrow(lean(_likely_across(least)), kinds), "across")

@@ -10,6 +10,9 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions.shingles import banded_sets
+from ..sources.scratch import written
+
 Query = Callable[[SparkSession, str], DataFrame]
 SPARK: dict[str, Query] = {}
 SQL: dict[str, str] = {}
@@ -361,21 +364,18 @@ def dedup_near(t, bands: int = 8, rows: int = 3, words: int = 5, block: int = 20
 
     Equal sets are one, linked with its copies.  All pairs of a band's sets are verified, block against block.
     """
-    w = F.split("text", " ")
-    s = t.documents.select("doc_id", F.array_sort(F.array_distinct(F.transform(F.sequence(F.lit(0), F.greatest(F.size(w) - words, F.lit(0))), lambda i: F.xxhash64(*[F.get(w, i + j) for j in range(words)])))).alias("s"))
-    sets = s.groupBy("s").agg(F.min("doc_id").alias("a"), F.collect_list("doc_id").alias("ids"))
-    copies = sets.select("a", F.explode("ids").alias("b")).where("a <> b").distinct()
-
-    def least(k: int) -> Column:
-        return F.array_min(F.transform("s", lambda x: F.xxhash64(F.lit(k), x)))
-
-    keys = F.array(*[F.xxhash64(F.lit(b), *[least(b * rows + r) for r in range(rows)]) for b in range(bands)])
-    banded = sets.select("a", F.explode(keys).alias("band"))
+    made = written(banded_sets(t.documents, words, bands, rows), "sets")
+    same = ["f1", "f2", "n"]
+    equal = made.groupBy(*same).agg(F.min("doc_id").alias("a"))
+    copies = made.join(equal, same).where("a <> doc_id").select("a", F.col("doc_id").alias("b")).distinct()
+    sets = made.join(equal.select(F.col("a").alias("doc_id")).distinct(), "doc_id", "left_semi").select(F.col("doc_id").alias("a"), "s", "keys")
+    banded = sets.select("a", F.explode("keys").alias("band"))
     met = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1").select("band", F.ceil(F.col("n") / block).alias("blocks"))
     dealt = banded.join(met, "band").withColumn("own", F.pmod(F.xxhash64("band", "a"), F.col("blocks")))
     x = dealt.select("band", "a", F.col("own").alias("x"), F.explode(F.sequence(F.col("own"), F.col("blocks") - 1)).alias("y"))
     y = dealt.select("band", F.col("a").alias("b"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("own"))).alias("x"), F.col("own").alias("y"))
     pairs = x.join(y, ["band", "x", "y"]).where("x <> y or a < b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    pairs = written(pairs, "pairs")
     both = F.size(F.array_intersect("s", "t"))
     near = pairs.join(sets.select("a", "s"), "a").join(sets.select(F.col("a").alias("b"), F.col("s").alias("t")), "b").where(both >= 0.8 * (F.size("s") + F.size("t") - both)).select("a", "b")
     return near.unionByName(copies)

@@ -16,13 +16,14 @@ from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.portable import gumbel, u01
 from ..models.base import softmax, take
-from ..sources.scratch import workers_import, written
+from ..sources.scratch import scratch, workers_import, written
 from .task import Task, plain
 
 #: Bytes of payload that a driver may hold.
@@ -125,6 +126,14 @@ class LocalSource(Source):
 class ClusterSource(Source):
     """Rows stay in a DataFrame; batches of the sizes asked for come to the driver."""
 
+    def __post_init__(self) -> None:
+        """Write the examples once by side and split, so that a step reads its own part by partition pruning."""
+        examples = self.task.examples
+        where = scratch(examples.sparkSession, "examples")
+        examples.select("id", "side", "split", "payload").write.partitionBy("side", "split").parquet(where)
+        schema = T.StructType([*(f for f in examples.schema if f.name in ("id", "payload")), T.StructField("side", T.IntegerType()), T.StructField("split", T.StringType())])
+        self.task = Task(self.task.name, examples.sparkSession.read.schema(schema).parquet(where))
+
     def frame(self, side: int, split: str, among: DataFrame | None = None) -> DataFrame:
         df = self.task.frame(side, split)
         return df if among is None else df.join(among, "id", "left_semi")
@@ -197,17 +206,17 @@ class ClusterSource(Source):
     def tally(self, measure: Callable[[object], dict[str, float]], side: int, split: str) -> dict[str, float]:
         main = self.main
 
-        def sums(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             total: dict[str, float] = {}
-            for f in frames:
-                if len(f):
-                    for k, v in measure(main.prepare(payloads_of(f))).items():
+            for b in batches:
+                if b.num_rows:
+                    for k, v in measure(main.prepare(payloads_of(b.column(0)))).items():
                         total[k] = total.get(k, 0.0) + v
-            yield pd.DataFrame({"name": list(total), "value": [float(v) for v in total.values()]})
+            yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), pa.array([float(v) for v in total.values()], pa.float64())], ["name", "value"])
 
         df = self.frame(side, split)
         workers_import(df.sparkSession)
-        rows = df.select("payload").mapInPandas(sums, "name string, value double").groupBy("name").agg(F.sum("value").alias("value")).collect()
+        rows = df.select("payload").mapInArrow(sums, "name string, value double").groupBy("name").agg(F.sum("value").alias("value")).collect()
         if not rows:
             raise ValueError(f"{self.task.name}: no {split} examples on side {side}")
         return {r["name"]: r["value"] for r in rows}
@@ -217,22 +226,23 @@ class ClusterSource(Source):
         main, weight, df = self.main, self.weight, self.frame(0, "train")
         workers_import(df.sparkSession)
 
-        def scores(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for f in frames:
-                if len(f):
-                    rows = payloads_of(f)
-                    yield pd.DataFrame({"id": f["id"].to_numpy(), "score": score(main.prepare(rows), weight.prepare(rows) if weight is not None else None)})
+        def scores(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    rows = payloads_of(b.column(1))
+                    got = score(main.prepare(rows), weight.prepare(rows) if weight is not None else None)
+                    yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.asarray(got, float))], ["id", "score"])
 
-        scored = written(df.select("id", "payload").mapInPandas(scores, "id long, score double"), "scored")
+        scored = written(df.select("id", "payload").mapInArrow(scores, "id long, score double"), "scored")
         n = scored.count()
         share = min(1.0, max(keep, least / max(n, 1)))
         edge = scored.agg(F.percentile_approx("score", 1 - share, 10_000)).first()[0]
         return written(scored.where(F.col("score") >= edge).select("id"), "best")
 
 
-def payloads_of(f: pd.DataFrame) -> list:
-    """Payloads of a pandas batch, as ``prepare`` takes them."""
-    return [tuple(p.values()) if isinstance(p, dict) else bytes(p) for p in f["payload"]]
+def payloads_of(column: pa.Array) -> list:
+    """Payloads of an Arrow column, as ``prepare`` takes them."""
+    return [tuple(p.values()) if isinstance(p, dict) else p for p in column.to_pylist()]
 
 
 def _scored(df: DataFrame, weight, alpha: np.ndarray) -> DataFrame:
@@ -240,14 +250,15 @@ def _scored(df: DataFrame, weight, alpha: np.ndarray) -> DataFrame:
     workers_import(df.sparkSession)
     shared = df.sparkSession.sparkContext.broadcast((weight, alpha))
 
-    def score(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model, a = shared.value
-        for f in frames:
-            if len(f):
-                rows = payloads_of(f)
-                yield pd.DataFrame({"step": f["step"].to_numpy(), "id": f["id"].to_numpy(), "score": model.scores(a, model.prepare(rows)), "bytes": [len(p) if isinstance(p, bytes) else 0 for p in rows]})
+        for b in batches:
+            if b.num_rows:
+                rows = payloads_of(b.column(2))
+                sizes = [len(p) if isinstance(p, bytes) else 0 for p in rows]
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.asarray(model.scores(a, model.prepare(rows)), float)), pa.array(sizes, pa.int64())], ["step", "id", "score", "bytes"])
 
-    return df.select("step", "id", "payload").mapInPandas(score, "step int, id long, score double, bytes long")
+    return df.select("step", "id", "payload").mapInArrow(score, "step int, id long, score double, bytes long")
 
 
 def source_of(task: Task, main, weight=None, mode: str = "auto") -> Source:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from ..models.base import size_of, softmax
+from ..models.base import joined, size_of, softmax
 from .outer import outer_step
 from .source import Source
 
@@ -42,11 +42,11 @@ def acceleration_rates(source: Source, theta: np.ndarray, pairs: int = 20, b: in
 def mix_diagnostic(source: Source, theta: np.ndarray, alpha: np.ndarray, method: str = "cosine", n: int = 64, seed: int = 0) -> dict[str, float]:
     """One outer step over a batch of equal unseen parts: the mean weight before and after, by origin."""
     g, s = (source.uniform(side, "valid", n, range(1), "both", seed)[0] for side in (0, 1))
-    both = source.batch(np.concatenate([g.ids, s.ids]), [*g.payloads, *s.payloads])
+    x, xw = joined(g.x, s.x), joined(g.xw, s.xw)
     side = np.repeat([0, 1], [len(g), len(s)])
     spec = source.uniform(1, "train", n, range(1), "spec", seed)[0]
-    step = outer_step(method, source.main, theta, both.x, spec.x, source.weight, alpha, both.xw)
-    after = softmax(source.weight.scores(alpha + 20 * step.direction, both.xw))
+    step = outer_step(method, source.main, theta, x, spec.x, source.weight, alpha, xw)
+    after = softmax(source.weight.scores(alpha + 20 * step.direction, xw))
     return {"generic_move": float((after - step.w)[side == 0].mean()), "specific_move": float((after - step.w)[side == 1].mean())}
 
 

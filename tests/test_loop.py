@@ -12,7 +12,7 @@ from corpus_tilt.streaming.select import file_stream, stream_select
 from corpus_tilt.training.bilevel import METHODS, Setting, fine_tune, train_bilevel, train_frozen, train_shuffled
 from corpus_tilt.training.diagnose import acceleration_rates, mix_diagnostic
 from corpus_tilt.training.optim import Adam
-from corpus_tilt.training.source import ClusterSource, LocalSource, choose, mean_loss
+from corpus_tilt.training.source import ClusterSource, DrawnSource, LocalSource, choose, mean_loss, mean_losses
 from corpus_tilt.training.task import TARGETS, MixtureTarget, Task, build_task
 
 from .conftest import SF
@@ -184,3 +184,45 @@ def test_selection_reads_whole_texts(spark, tmp_path):
     stream_select(file_stream(spark, f"{where}/in", docs, 100), LinearWeight(), alpha, 2, f"{where}/out", f"{where}/checkpoint", "top").awaitTermination()
     got = {r["id"]: r["score"] for r in spark.read.parquet(f"{where}/out").collect()}
     assert got == {1: 0.0, 2: 0.6}
+
+
+def _jobs(spark, work):
+    """What ``work`` gives, and the number of jobs it took."""
+    group = f"jobs-{id(work)}-{np.random.default_rng().integers(1 << 40)}"
+    spark.sparkContext.setJobGroup(group, "counted")
+    try:
+        return work(), len(spark.sparkContext.statusTracker().getJobIdsForGroup(group))
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+
+
+@pytest.mark.parametrize("kind", ["gumbel", "iid"])
+def test_drawn_is_the_local_loop(spark, kind):
+    """The batches of all steps come in a few jobs, whatever the number of steps, and are those of the local source."""
+    task = build_task(spark, SF, "lang_fr")
+    a, b = (make(task, ByteModel(16), LinearWeight()) for make in (LocalSource, DrawnSource))
+    s = Setting(steps=25, small=6, large=20, rate=5.0, filter=kind)
+    x = train_bilevel(a, "implicit", s)
+    y, jobs = _jobs(spark, lambda: train_bilevel(b, "implicit", s))
+    assert np.allclose(x.theta, y.theta, atol=1e-12) and np.allclose(x.trajectory[-1], y.trajectory[-1], atol=1e-12) and jobs < 15
+    assert {k: v for k, v in x.cost.summary().items() if k != "seconds"} == {k: v for k, v in y.cost.summary().items() if k != "seconds"}
+    b.HELD_BYTES = 20_000  # a few steps at a time
+    b._rows.clear()
+    b._dealt_ids.clear()
+    assert np.allclose(train_bilevel(b, "implicit", s).theta, x.theta, atol=1e-12)
+
+
+def test_validation_is_one_pass(spark):
+    source = ClusterSource(build_task(spark, SF, "lang_fr"), ByteModel(16), LinearWeight())
+    assert source.task.stored  # written once by side and split
+    rng = np.random.default_rng(0)
+    thetas = [rng.normal(0, 0.1, source.main.size) for _ in range(6)]
+    losses, jobs = _jobs(spark, lambda: mean_losses(source, thetas, "valid"))
+    assert np.allclose(losses, [mean_loss(source, t, "valid") for t in thetas]) and jobs <= 2
+
+
+def test_byte_models_pack_rows():
+    for contexts in (16, 256):
+        main, texts = ByteModel(contexts), [b"ab", b"a" * 900, bytes(range(256)) * 40, "été à".encode()]
+        x, y = main.prepare(texts), main.unpacked(main.packed(texts))
+        assert np.array_equal(x[0], y[0]) and all(np.array_equal(p, q) for a, b in zip(x[1], y[1], strict=True) for p, q in zip(a, b, strict=True))

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from corpus_tilt.models.main_models import ByteModel
+from corpus_tilt.models.main_models import ByteModel, ContextMlp
 from corpus_tilt.models.weight_models import LinearWeight
 from corpus_tilt.operators import sampling as S
 from corpus_tilt.plans.cascade import gradient_sums, linear_scores, score_examples, select_then_fetch, sliced
@@ -226,3 +226,19 @@ def test_byte_models_pack_rows():
         main, texts = ByteModel(contexts), [b"ab", b"a" * 900, bytes(range(256)) * 40, "été à".encode()]
         x, y = main.prepare(texts), main.unpacked(main.packed(texts))
         assert np.array_equal(x[0], y[0]) and all(np.array_equal(p, q) for a, b in zip(x[1], y[1], strict=True) for p, q in zip(a, b, strict=True))
+
+
+def test_non_convex_model_in_bounded_memory():
+    """A long text's positions are taken in stretches: the same loss and gradient, without 256 numbers a position at once."""
+    import tracemalloc
+
+    main, rng = ContextMlp(), np.random.default_rng(0)
+    theta, long = main.init(0), [bytes(rng.integers(97, 123, 60_000, dtype=np.uint8)), b"short text"]
+    tracemalloc.start()
+    x = main.prepare(long)
+    losses, grad = main.losses(theta, x), main.grad(theta, x, np.array([0.5, 0.5]))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 80 << 20
+    main.STRETCH = 1 << 30
+    assert np.allclose(losses, main.losses(theta, x)) and np.allclose(grad, main.grad(theta, x, np.array([0.5, 0.5])))

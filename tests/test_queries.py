@@ -53,3 +53,13 @@ def test_near_links_are_all_pairs_of_whole_texts(spark, block):
     want -= {p for p in want if 100 in p} - {(3, 100)}  # a copy is linked with the least of its set alone
     got = [(r["a"], r["b"]) for r in dedup_near(SimpleNamespace(documents=spark.createDataFrame(docs, "doc_id long, text string")), block=block).collect()]
     assert len(want) > 100 and sorted(got) == sorted(want)
+
+
+def test_theta_join_counts_large_groups(spark, tmp_path):
+    """Pairs are counted and not made: 1.8 thousand million pairs of one group, equal prices, nulls."""
+    part = spark.range(60_000).selectExpr("if(id % 2 = 0, 'a', 'b') as p_brand", "'t' as p_type", "cast(id as double) as p_retailprice").where("p_brand = 'a' or p_retailprice < 3")
+    part = part.unionByName(spark.createDataFrame([("a", "t", None), (None, "t", 1.0), ("a", None, 1.0), ("c", "t", 1.0), ("c", "t", 1.0), ("d", "t", 1.0), ("d", "t", 1.0), ("d", "t", 2.0)], part.schema))
+    part.write.parquet(f"{tmp_path}/part.parquet")
+    df = entry.queries()["op_join_theta"](spark, str(tmp_path))
+    assert {r["p_brand"]: r["n"] for r in df.collect()} == {"a": 30_000 * 29_999 // 2, "d": 2}
+    assert "Join" not in df._jdf.queryExecution().executedPlan().toString()

@@ -58,8 +58,14 @@ def test_near_links_are_all_pairs_of_whole_texts(spark, block):
 def test_theta_join_counts_large_groups(spark, tmp_path):
     """Pairs are counted and not made: 1.8 thousand million pairs of one group, equal prices, nulls."""
     part = spark.range(60_000).selectExpr("if(id % 2 = 0, 'a', 'b') as p_brand", "'t' as p_type", "cast(id as double) as p_retailprice").where("p_brand = 'a' or p_retailprice < 3")
-    part = part.unionByName(spark.createDataFrame([("a", "t", None), (None, "t", 1.0), ("a", None, 1.0), ("c", "t", 1.0), ("c", "t", 1.0), ("d", "t", 1.0), ("d", "t", 1.0), ("d", "t", 2.0)], part.schema))
+    part = part.unionByName(spark.createDataFrame([("a", "t", None), (None, "t", 1.0), ("a", None, 1.0), ("c", "t", 1.0), ("c", "t", 1.0), ("d", "t", 1.0), ("d", "t", 1.0), ("d", "t", 2.0)], "p_brand string, p_type string, p_retailprice double"))
     part.write.parquet(f"{tmp_path}/part.parquet")
     df = entry.queries()["op_join_theta"](spark, str(tmp_path))
     assert {r["p_brand"]: r["n"] for r in df.collect()} == {"a": 30_000 * 29_999 // 2, "d": 2}
     assert "Join" not in df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_recursion_starts_from_a_table(spark, duck):
+    df = entry.queries()["op_recursive"](spark, SF)
+    assert "orders.parquet" in df.inputFiles()[0]
+    assert sorted(map(tuple, df.collect())) == sorted(duck.sql(entry.oracle_sql()["op_recursive"]).fetchall())

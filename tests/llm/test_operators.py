@@ -411,6 +411,22 @@ def test_perplexity_like_brute_force(spark):
             assert abs(got[key] - want) < 1e-4
 
 
+def test_perplexity_of_rare_bigrams_in_many_words(spark):
+    """Bigrams seen once or twice among 90,000 words count as what they are, and copies are not too easy."""
+    rng = random.Random(23)
+    words = [f"w{rng.randrange(10**6)}" for _ in range(3000)]
+    texts = [" ".join(rng.choice(words) for _ in range(rng.randint(200, 400))) for _ in range(300)]
+    rows = [(i, t) for i, t in enumerate(texts + texts[:1] * 9)]
+    got = {r["doc_id"]: r for r in quality(frame(spark, rows).repartition(3)).collect()}
+    marked = [("^", *t.split()) for _, t in rows]
+    seen = Counter(g for s in marked for g in zip(s, s[1:], strict=False))
+    assert sum(seen.values()) * 2.0**-16 > 1
+    p = brute_of(seen, token_number([s[1:] for s in marked]))
+    for (i, _), s in zip(rows, marked, strict=True):
+        assert abs(got[i]["log_perplexity"] + sum(math.log(p(a, b)) for a, b in zip(s, s[1:], strict=False)) / (len(s) - 1)) < 1e-4
+    assert all(r["kept"] for r in got.values())
+
+
 def brute_counts(text):
     w = text.encode().split()
     grams = Counter(tuple(w[i : i + 3]) for i in range(len(w) - 2))

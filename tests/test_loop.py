@@ -251,3 +251,20 @@ def test_pair_model_decodes_and_measures_in_one_pass():
     assert main.beam_decode_all(theta, [bag for bag, _ in x]) == [main.beam_decode(theta, bag) for bag, _ in x]
     assert main.beam_decode_all(theta, []) == []
     assert np.allclose(main.losses(theta, x), [-(g * np.log(p)).sum(1).mean() for p, g in (main._parts(theta, r) for r in x)])
+
+
+def test_payloads_by_field_and_their_bytes(spark):
+    import pyarrow as pa
+
+    from corpus_tilt.training.source import payloads_of
+    from corpus_tilt.training.task import payload_bytes
+
+    rows = [{"x": [1.0, 2.5], "y": 1, "s": "ab"}, {"x": [], "y": None, "s": None}, {"x": [None, 3.0], "y": 2, "s": "c"}, {"x": None, "y": 3, "s": ""}, {"x": [0.1], "y": 4, "s": "d"}]
+    kind = pa.struct([("x", pa.list_(pa.float64())), ("y", pa.int32()), ("s", pa.string())])
+    for part in (rows, rows[:2], rows[1:], rows[4:]):
+        assert payloads_of(pa.array(part, kind)) == [tuple(r.values()) for r in part]
+        assert payloads_of(pa.array([rows[0], *part], kind).slice(1)) == [tuple(r.values()) for r in part]
+    df = spark.createDataFrame([(1, ([1.0, 2.0], 3, "abc")), (2, (None, 3, None))], "id long, payload struct<x array<double>, y int, s string>")
+    sized = df.select("id", payload_bytes(df).alias("n"))
+    assert {r["id"]: r["n"] for r in sized.collect()} == {1: 16 + 40 + 20 + 3, 2: 16 + 20}
+    assert "to_json" not in sized._jdf.queryExecution().toString()

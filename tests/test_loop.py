@@ -13,7 +13,7 @@ from corpus_tilt.training.bilevel import METHODS, Setting, fine_tune, train_bile
 from corpus_tilt.training.diagnose import acceleration_rates, mix_diagnostic
 from corpus_tilt.training.optim import Adam
 from corpus_tilt.training.source import ClusterSource, DrawnSource, LocalSource, choose, mean_loss, mean_losses
-from corpus_tilt.training.task import TARGETS, MixtureTarget, Task, build_task
+from corpus_tilt.training.task import TARGETS, MixtureTarget, Task, build_task, stored_texts
 
 from .conftest import SF
 
@@ -268,3 +268,16 @@ def test_payloads_by_field_and_their_bytes(spark):
     sized = df.select("id", payload_bytes(df).alias("n"))
     assert {r["id"]: r["n"] for r in sized.collect()} == {1: 16 + 40 + 20 + 3, 2: 16 + 20}
     assert "to_json" not in sized._jdf.queryExecution().toString()
+
+
+@pytest.mark.parametrize("name", TARGETS)
+def test_shared_texts_give_the_same_tasks(spark, name):
+    """Documents written once serve each text task with the same examples; its source writes no copy of them."""
+    texts = stored_texts(spark, SF)
+    alone, shared = build_task(spark, SF, name), build_task(spark, SF, name, texts)
+    rows = [sorted((r["id"], r["side"], r["split"], bytes(r["payload"])) for r in t.examples.collect()) for t in (alone, shared)]
+    assert rows[0] == rows[1]
+    source = DrawnSource(shared, ByteModel(16), LinearWeight())
+    assert source.task is shared
+    plan = source.frame(0, "valid")._jdf.queryExecution().executedPlan().toString()
+    assert 0 < plan.count("FileScan") == plan.count(" = valid)")  # the stored split alone is read

@@ -5,6 +5,7 @@ import random
 from collections import Counter
 
 import corpus_pipeline
+from corpus_tilt.llm import quality_rules
 from corpus_tilt.llm.decontaminate import contaminated
 from corpus_tilt.llm.line_dedup import line_removals
 from corpus_tilt.llm.near_dedup import near_duplicates
@@ -66,6 +67,16 @@ def test_quality_stage_judges_each_row(spark):
     assert got == {*good, rows[40]}
 
 
+def test_quality_stage_counts_bigrams_that_are_not_broadcast(spark, monkeypatch):
+    """The stage keeps the same rows whether its bigrams are broadcast or all meet by key: none is dropped."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    kept = []
+    for share in (quality_rules.HEAVY_SHARE, 2.0):
+        monkeypatch.setattr(quality_rules, "HEAVY_SHARE", share)
+        kept.append(sorted(r["doc_id"] for r in corpus_pipeline.quality_rules(spark, docs, SF).collect()))
+    assert kept[0] == kept[1] and 0 < len(kept[0]) < docs.count()
+
+
 def test_line_stage_removes_what_two_share(spark):
     docs = spark.createDataFrame([(1, "one of a kind\nshared line of text"), (2, "another thing\nshared line of text\nshared line of text"), (3, "third text")], "doc_id long, text string")
     got = {r["doc_id"]: r["text"] for r in corpus_pipeline.line_dedup(spark, docs, SF).collect()}

@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from corpus_tilt.models.main_models import ByteModel, ContextMlp, PairModel
-from corpus_tilt.models.weight_models import LinearWeight
+from corpus_tilt.models.weight_models import ImageWeight, LinearWeight
 from corpus_tilt.operators import sampling as S
 from corpus_tilt.plans.cascade import gradient_sums, linear_scores, score_examples, select_then_fetch, sliced
 from corpus_tilt.streaming.select import file_stream, stream_select
@@ -244,6 +244,21 @@ def test_non_convex_model_in_bounded_memory():
     assert np.allclose(losses, main.losses(theta, x)) and np.allclose(grad, main.grad(theta, x, np.array([0.5, 0.5])))
 
 
+def test_image_weights_score_many_rows_in_bounded_memory():
+    """A task scores thousands of rows at once: their patches are made by stretches, with the same scores."""
+    import tracemalloc
+
+    weight, rng = ImageWeight(), np.random.default_rng(0)
+    alpha, x = weight.init(0), weight.prepare(list(rng.normal(0, 1, (700, 64))))
+    tracemalloc.start()
+    scores = weight.scores(alpha, x)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 150 << 20
+    weight.STRETCH = 1 << 30
+    assert np.allclose(scores, weight.scores(alpha, x), atol=1e-12)
+
+
 def test_pair_model_decodes_and_measures_in_one_pass():
     main, rng = PairModel(24), np.random.default_rng(0)
     theta = rng.normal(0, 1, main.size)

@@ -564,6 +564,19 @@ def test_encoder_is_the_library():
             assert encoder(path).ids(text) == np.array(plain.encode(text, add_special_tokens=False).ids, "<u4").tobytes(), repr(text)
 
 
+def test_plain_words_skip_the_passes_over_whole_texts():
+    from corpus_tilt.llm.common import UnitEncoder
+
+    enc, seen, rng = UnitEncoder(WORD), [], random.Random(15)
+    encode = enc._encode
+    enc._encode = lambda units: seen.extend(units) or encode(units)
+    letters = [c for c in map(chr, range(256)) if c.isalpha()]
+    words = letters + ["".join(rng.choices(letters, k=rng.randint(2, 9))) for _ in range(800)]
+    text = "One " + "".join(w + rng.choice(" \n") for w in words) + "end"
+    assert enc.ids(text) == np.array(enc.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+    assert seen == ["One"]
+
+
 def test_token_store(spark):
     docs = frame(spark)
     store = write_tokens(docs, BYTE, 2, keys_per_bucket=3)
